@@ -6,17 +6,43 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from discourselab.llm import simhash
+from discourselab.llm import decontaminate, quality, simhash
 from discourselab.session import table
 
 
+def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents").select("doc_id", "text"), quality.trusted_ids(table(spark, sf_dir, "labels")))
+
+
+def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.scan(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark").select("item_id", "text"))
+
+
 def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+_QUERIES = (op2_quality_rules, op7_benchmark_decontamination, op10_simhash_near_dedup)
+
+_FOLDED_WORDS = r"""regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"""
+
+_SQL = {
+    "op7_benchmark_decontamination": f"""
+with d as (select doc_id, {_FOLDED_WORDS} as w from documents),
+i as (select item_id, {_FOLDED_WORDS} as w from benchmark),
+win as (select distinct item_id, least(13, len(w)) as m, w[s:s + least(13, len(w)) - 1] as k from i, unnest(range(1, greatest(2, len(w) - 11))) u(s) where len(w) > 0),
+pos as (select doc_id, m, s, w[s:s + m - 1] as k from d, (select distinct m from win) z, unnest(range(1, len(w) - m + 2)) u(s)),
+hit as (select doc_id, item_id, m, s from pos join win using (m, k)),
+n as (select doc_id, count(distinct p) as n_hit from (select doc_id, unnest(range(s, s + m)) as p from hit) group by doc_id),
+it as (select doc_id, count(*) as n_items, string_agg(x, ',' order by x) as x from (select distinct doc_id, cast(item_id as varchar) as x from hit) group by doc_id)
+select d.doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(n_hit, 0) as bigint) as n_hit, cast(coalesce(n_items, 0) as bigint) as n_items, sha256(coalesce(x, '')) as items_sha256, coalesce(n_hit, 0) > 0 and 20 * coalesce(n_hit, 0) >= len(w) as contaminated
+from d left join n using (doc_id) left join it using (doc_id)""",
+}
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op10_simhash_near_dedup": op10_simhash_near_dedup}
+    return {f.__name__: f for f in _QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
