@@ -14,8 +14,9 @@ Information-theoretic part
 
 Plans
     Patterns are possessive and anchored by look-behind, so they run in linear time and constant stack.
-    Positions come from the pieces between matches, inside one row. Candidate terms are broadcast only
-    up to ``BROADCAST_TERMS`` of them (a checked count); beyond that the same join is a shuffle.
+    Positions come from the pieces between matches, inside one row. Document frequencies are summed on the
+    map side before anything is joined. Revealing terms are broadcast only up to ``BROADCAST_TERMS`` of
+    them (a checked count); beyond that the same join is a shuffle.
 
 Defined cases
     Null text counts as empty and stays null when sanitised. Rows with a null doc_id are searched like
@@ -121,12 +122,11 @@ def revealing_terms(docs: DataFrame) -> DataFrame:
     met = near.select("doc", "entity", F.xxhash64("context").alias("context"), F.explode(_terms_of(F.col("context"))).alias("term"))
     joint = cut(met.groupBy("entity", "term").agg(F.count_distinct("context").alias("support"), F.count_distinct("doc").alias("joint")).where(F.col("support") >= SUPPORT))
     terms = joint.groupBy("term").agg(F.max("joint").alias("joint"))
+    if terms.isEmpty():
+        return terms.select("term", F.lit(0.0).alias("hidden_bits"))
     words = pairs.select(F.explode(_terms_of(F.coalesce("text", F.lit("")))).alias("term"))
-    n = terms.count()
-    held = words.join(F.broadcast(terms.select("term")) if n <= BROADCAST_TERMS else terms.select("term"), "term").groupBy("term").agg(F.count("*").alias("docs"))
+    held = words.groupBy("term").agg(F.count("*").alias("docs"))
     hidden = -F.log2(F.least(F.lit(1.0), F.col("joint") / F.col("docs")))
-    if n == 0:
-        return terms.select("term", F.lit(0.0).alias("hidden_bits"))
     return cut(terms.join(held, "term").select("term", hidden.alias("hidden_bits")).where(F.col("hidden_bits") <= GENERALISE_BITS))
 
 
