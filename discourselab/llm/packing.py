@@ -65,9 +65,10 @@ def encoder(content: bytes):
     return _ENCODERS[key]
 
 
-def token_ids(text: str | None, content: bytes) -> np.ndarray:
-    ids = encoder(content).encode(text or "", allowed_special="all", disallowed_special=())
-    return np.array([*ids, END_ID], "<u4")
+def token_ids(text: str | None, encoding) -> np.ndarray:
+    """Ids of a text and the end id; special strings inside it are their own tokens."""
+    ids = encoding.encode_to_numpy(text or "", allowed_special="all", disallowed_special=())
+    return np.append(ids, np.uint32(END_ID)).astype("<u4", copy=False)
 
 
 def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
@@ -79,10 +80,11 @@ def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
 def _piece_batches(held):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task, rank = TaskContext.get().partitionId(), np.zeros(CAPACITY + 1, np.int64)
+        encoding = encoder(held.value)
         for batch in batches:
             out = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ids = token_ids(text.as_py(), held.value)
+                ids = token_ids(text.as_py(), encoding)
                 for k, (a, b) in enumerate(cuts(len(ids))):
                     out.append((doc, k, a, b - a, zlib.crc32(ids[a:b].tobytes()), task, int(rank[b - a])))
                     rank[b - a] += 1
