@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from discourselab.llm import chat, decontaminate, html_text, language, packing, privacy, quality, simhash, token_counts
+from discourselab.llm import chat, decontaminate, html_text, language, packing, privacy, quality, repeats, simhash, token_counts
 from discourselab.session import table
 
 
@@ -40,6 +40,10 @@ def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return decontaminate.scan(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark").select("item_id", "text"))
 
 
+def op8_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents").select("doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
 
@@ -56,6 +60,7 @@ _QUERIES = (
     op5_language_id,
     op6_html_extraction,
     op7_benchmark_decontamination,
+    op8_suffix_array_dedup,
     op9_best_fit_packing,
     op10_simhash_near_dedup,
 )
