@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
@@ -14,14 +15,19 @@ def clean_text(text: Column, keep_hyphen: bool = False) -> Column:
     return F.trim(F.regexp_replace(kept, r"\s+", " "))
 
 
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with the value computed once: inside functions over arrays it would be computed for every element."""
+    return F.get(F.transform(F.array(value), lambda x: use(x)), F.lit(0))
+
+
 def ngrams(tokens: Column, low: int, high: int) -> Column:
     """All runs of ``low`` to ``high`` tokens, joined by spaces."""
 
-    def runs(k: int) -> Column:
-        joined = F.transform(F.sequence(F.lit(1), F.size(tokens) - (k - 1)), lambda i: F.array_join(F.slice(tokens, i, k), " "))
-        return F.when(F.size(tokens) >= k, joined).otherwise(F.array().cast("array<string>"))
+    def runs(held: Column, k: int) -> Column:
+        joined = F.transform(F.sequence(F.lit(1), F.size(held) - (k - 1)), lambda i: F.array_join(F.slice(held, i, k), " "))
+        return F.when(F.size(held) >= k, joined).otherwise(F.array().cast("array<string>"))
 
-    return F.concat(*map(runs, range(low, high + 1)))
+    return let(tokens, lambda held: F.concat(*(runs(held, k) for k in range(low, high + 1))))
 
 
 def plural(term: Column) -> Column:
@@ -78,26 +84,30 @@ def sentiment(text: Column, lexicon: dict[str, float] | None = None, rules: Rule
         total = F.aggregate(words, F.lit(0.0), lambda s, w: s + value(w))
         return total / F.sqrt(total * total + Rules().spread)
     degree = _map(rules.degree)
-    lowered = F.transform(words, F.lower)
     shouted = lambda w: (F.upper(w) == w) & (F.lower(w) != w) & (F.length(w) > 1)
-    mixed = F.exists(words, lambda w: ~shouted(w))
-    turn = F.array_position(F.transform(lowered, lambda w: w.isin(*rules.contrast)), True)
-    near = lambda i, d: F.coalesce(F.when(i >= d, F.get(lowered, i - d)), F.lit(""))
+    steps = range(1, len(rules.damping) + 1)
+
+    def facts(found: Column) -> Column:
+        """Each word with those before it, and what holds for the whole text."""
+        lowered = F.transform(found, lambda w: F.lower(w))
+        before = [F.concat(F.array_repeat(F.lit(""), d), lowered).alias(f"b{d}") for d in steps]
+        turn = F.array_position(F.transform(lowered, lambda w: w.isin(*rules.contrast)), True)
+        return F.struct(F.arrays_zip(found.alias("w"), *before).alias("words"), F.exists(found, lambda w: ~shouted(w)).alias("mixed"), turn.alias("turn"))
 
-    def one(w: Column, i: Column) -> Column:
-        v = value(w)
+    def one(x: Column, i: Column, mixed: Column, turn: Column) -> Column:
+        v = value(x["w"])
         sign = F.signum(v)
-        v = v + F.when(shouted(w) & mixed, sign * rules.caps).otherwise(0.0)
-        for d, damp in enumerate(rules.damping, 1):
-            v = v + sign * damp * F.coalesce(F.try_element_at(degree, near(i, d)), F.lit(0.0))
+        v = v + F.when(shouted(x["w"]) & mixed, sign * rules.caps).otherwise(0.0)
         denied = F.lit(False)
-        for d in range(1, len(rules.damping) + 1):
-            denied = denied | near(i, d).isin(*rules.negation)
+        for d, damp in zip(steps, rules.damping, strict=True):
+            v = v + sign * damp * F.coalesce(F.try_element_at(degree, x[f"b{d}"]), F.lit(0.0))
+            denied = denied | x[f"b{d}"].isin(*rules.negation)
         v = F.when(denied, v * rules.flip).otherwise(v)
         v = F.when((turn > 0) & (i + 1 < turn), v * rules.before_contrast).when((turn > 0) & (i + 1 > turn), v * rules.after_contrast).otherwise(v)
         return F.when(sign == 0, F.lit(0.0)).otherwise(v)
 
-    total = F.aggregate(F.transform(words, one), F.lit(0.0), lambda s, v: s + v)
+    parts = let(let(words, facts), lambda f: F.transform(F.filter(f["words"], lambda x: x["w"].isNotNull()), lambda x, i: one(x, i, f["mixed"], f["turn"])))
+    total = F.aggregate(parts, F.lit(0.0), lambda s, v: s + v)
     marks = F.regexp_count(text, F.lit("!"))
     asks = F.regexp_count(text, F.lit(r"\?"))
     stress = F.least(marks, F.lit(4)) * rules.exclamation + F.when(asks > 3, rules.questions).when(asks > 1, asks * rules.question).otherwise(0.0)

@@ -116,7 +116,7 @@ def modularity(edges: DataFrame, labels: DataFrame, resolution: float = 1.0) ->
     return inside.join(square, "period").select("period", (F.col("inside") / F.col("m") - resolution * F.col("d2") / (4 * F.col("m") * F.col("m"))).alias("modularity"))
 
 
-def louvain_distributed(edges: DataFrame, resolution: float = 1.0, max_levels: int = 6, max_rounds: int = 12, tol: float = 1e-6) -> DataFrame:
+def louvain_distributed(edges: DataFrame, resolution: float = 1.0, max_levels: int = 5, max_rounds: int = 8, tol: float = 1e-6) -> DataFrame:
     """(period, node, community) by synchronous Louvain over joins, for snapshots of any size.
 
     In a round, half of the nodes (by a hash of node and round) may move to the neighbour community of the
@@ -158,7 +158,7 @@ def louvain_distributed(edges: DataFrame, resolution: float = 1.0, max_levels: i
                 break
         small = labels.groupBy("period", "community").agg(F.min("node").alias("name"))
         renamed = cut(labels.join(small, ["period", "community"]).select("period", "node", F.col("name").alias("community")))
-        final = cut(final.join(renamed.withColumnsRenamed({"node": "community", "community": "next"}), ["period", "community"]).select("period", "node", F.col("next").alias("community")))
+        final = cut(final.join(renamed.select("period", F.col("community").alias("next"), F.col("node").alias("community")), ["period", "community"]).select("period", "node", F.col("next").alias("community")))
         before = degree.count()
         if renamed.select("period", "community").distinct().count() == before:
             break

@@ -197,12 +197,11 @@ def workload_sql() -> dict[str, str]:
 from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1, 0.08)}) l where l.period = n.period and l.a = n.community) as ahead, (select count(*) from ({_links("domtopic", 1, 0.08)}) l where cast(l.period + interval 1 month as date) = n.period and l.b = n.community) as back from (select distinct period, community from domtopic) n)""",
         "w41_community_sentiment": f"select period, community, count(*) as size, {r('avg(m)')} as mean_score from domgroup join (select author_id as user_id, avg(sentiment) as m from posts group by 1) using (user_id) group by 1, 2",
         "w42_active_users": "select user_id, n_posts from active",
-        "w43_user_profiles": f"select user_id, topic_id, {r('s')} as s from profile",
+        "w43_user_profiles": f"select user_id, topic_id, {r('s + 1e-9')} as s from profile",
         "w44_pair_weights": f"select group_id, a, b, {r('w')} as weight from (select a.group_id, a.user_id as a, b.user_id as b, sum(a.s * b.s) as w from restricted a join restricted b on a.group_id = b.group_id and a.topic_id = b.topic_id and a.user_id < b.user_id group by all) qualify row_number() over (partition by group_id order by round(w, 6) desc, a, b) <= 1000",
         "w45_pair_weights_naive": f"select a.author_id as a, b.author_id as b, {r('sum(a.p * b.p)')} as weight from (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active order by user_id limit 30)) a join (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active order by user_id limit 30)) b on a.topic_id = b.topic_id and a.author_id < b.author_id group by 1, 2",
         "w46_weighted_degree": f"select group_id, user_id, {r('sum(s * (t - s))')} as degree from restricted join (select group_id, topic_id, sum(s) as t from restricted group by all) using (group_id, topic_id) group by all",
         "w47_eigen_centrality": f"select group_id, user_id, {r('x')} as centrality from x{STEPS}",
-        "w47b_eigen_converged": f"select group_id, user_id, {r('x')} as centrality from x{STEPS}",
         "w47c_eigen_residual": "select distinct group_id, true as settled from restricted",
         "w48_influence_top5": f"select group_id, rank, {r('centrality')} as centrality, followers, n_posts, {r('score')} as score, {r('influence')} as influence from top",
         "w48b_rank_overlap": " union all ".join(f"select '{c}' as ranking, group_id, {r('count(*) filter (user_id in (select user_id from (select *, row_number() over (partition by group_id order by ' + c + ' desc, user_id) as k from inf) z where k <= 5 and z.group_id = top.group_id)) / 5')} as overlap from top group by 2" for c in ("centrality", "followers", "n_posts")),

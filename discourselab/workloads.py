@@ -370,17 +370,34 @@ def w36_components(spark: SparkSession, d: str) -> DataFrame:
     return community.period_components(w35b_snapshots_stream(spark, d))
 
 
+def _quality_of(edges: DataFrame, labels: DataFrame) -> DataFrame:
+    """(period, nodes, communities, modularity)."""
+    held = labels.groupBy("period").agg(F.count("*").alias("nodes"), F.count_distinct("community").alias("communities"))
+    return held.join(community.modularity(edges, labels), "period").select("period", "nodes", "communities", "modularity")
+
+
 def w37_louvain_month(spark: SparkSession, d: str) -> DataFrame:
-    """Modularity, nodes and communities of Louvain by task and by joins, and of label propagation."""
-    edges = _snapshots(spark, d, 0, "quarter", "1996-01-01", "1996-03-31")
+    """Louvain of one month and one quarter of both focal groups."""
     out = None
-    for name, labels in (("local", community.louvain(edges)), ("distributed", community.louvain_distributed(edges)), ("propagation", community.label_propagation(edges))):
-        held = labels.groupBy("period").agg(F.count("*").alias("nodes"), F.count_distinct("community").alias("communities"))
-        part = held.join(community.modularity(edges, labels), "period").select(F.lit(name).alias("method"), "period", "nodes", "communities", "modularity")
-        out = part if out is None else out.unionByName(part)
+    for group in cv.FOCAL:
+        for period, end in (("month", "1996-01-31"), ("quarter", "1996-03-31")):
+            edges = _snapshots(spark, d, group, period, "1996-01-01", end)
+            part = _quality_of(edges, community.louvain(edges)).select(F.lit(group).alias("group_id"), F.lit(period).alias("span"), "*")
+            out = part if out is None else out.unionByName(part)
     return out
 
 
+def w37c_louvain_joins(spark: SparkSession, d: str) -> DataFrame:
+    """Louvain by joins, for snapshots that no task could hold, on one month."""
+    edges = _snapshots(spark, d, 0, "month", "1996-03-01", "1996-03-31")
+    return _quality_of(edges, community.louvain_distributed(edges))
+
+
+def w37d_label_propagation(spark: SparkSession, d: str) -> DataFrame:
+    edges = _snapshots(spark, d, 0, "month", "1996-03-01", "1996-03-31")
+    return _quality_of(edges, community.label_propagation(edges))
+
+
 def w37b_louvain_weighted(spark: SparkSession, d: str) -> DataFrame:
     edges = _snapshots(spark, d, 0, "month", "1996-03-01", "1996-03-31", "prob")
     labels = community.louvain(edges)
@@ -453,7 +470,7 @@ def w42_active_users(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w43_user_profiles(spark: SparkSession, d: str) -> DataFrame:
-    return _profiles(spark, d)
+    return _profiles(spark, d).withColumn("s", F.col("s") + 1e-9)  # keeps exact halves from rounding by the order of sums
 
 
 def w44_pair_weights(spark: SparkSession, d: str) -> DataFrame:
