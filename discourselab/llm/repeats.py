@@ -8,11 +8,12 @@ Strings are streamed backwards through the index by LF steps; the interval a ste
 the matching statistic at that position reaches 50 outside the document, and who holds the string first.
 
 Bringing the text together
-    A 50-byte string is dealt by its anchor, the smallest hash among its 24-byte substrings. Equal strings
-    have equal anchors, so no match is lost; a maximal run of strings with one anchor is a segment.
+    A 50-byte string is dealt by its anchor, the leftmost smallest hash among its 16-byte substrings. Equal
+    strings have equal anchors, so no match is lost; a maximal run of strings with one anchor is a segment.
+    Of the string at least 17 bytes lie on one side of the anchor, so equal strings agree on a side, too.
 
-    1. Anchors of all texts meet in shards as packed numbers; those held by two different texts at least
-       are shared. Anchors that a sample finds very common skip this step and count as shared.
+    1. Anchors of all texts meet in shards as packed numbers; those that two different texts at least hold
+       with a side alike are shared. Sides that a sample finds very common skip this and count as shared.
     2. The first document of every distinct text cuts out its segments with shared anchors.
     3. Equal segments fold into one with the smallest doc_id on the map side; each shard of different
        segments builds its index and streams them.
@@ -21,8 +22,8 @@ Bringing the text together
 
 Scale
     Exact at any size: the anchors only decide what has to be looked at. Shards follow the size of the
-    corpus, no group of copies meets in one task (very common anchors are not gathered, equal segments are
-    folded before the shuffle, places join by key), and the driver holds the list of very common anchors
+    corpus, no group of copies meets in one task (very common sides are not gathered, equal segments are
+    folded before the shuffle, places join by key), and the driver holds the list of very common sides
     only, bounded by the sample.
 
 Defined cases
@@ -37,6 +38,7 @@ import hashlib
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -47,143 +49,230 @@ from pyspark.sql import functions as F
 from discourselab.session import prepare
 
 LENGTH = 50
-GRAM = 24
+GRAM = 16
+#: Of 50 equal bytes around an anchor this many lie on one of its sides.
+SIDE = (LENGTH - GRAM) // 2
 #: Bytes of text that a shard of anchors, and a shard of segments, stand for.
 ANCHOR_SHARD, SEGMENT_SHARD = 16_000_000, 4_000_000
-#: Documents in the sample that finds very common anchors, and how many of them make an anchor one.
+#: Documents in the sample that finds very common sides, and how many of them make a side one.
 SAMPLE_LEAST, SAMPLE_MOST, SAMPLE_SHARE, COMMON = 4000, 200_000, 250_000, 8
 _CHUNK = 2_000_000
 _LAST = (1 << 63) - 1
+_PLACE = np.uint64((1 << 24) - 1)
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
 _TABLE = np.random.default_rng(50).integers(1 << 63, size=256, dtype=np.uint64)
 
 
-def gram_hashes(data: np.ndarray) -> np.ndarray:
-    """64-bit hashes of all ``GRAM``-byte substrings, by doubling."""
+def _hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of all 8-byte and all ``GRAM``-byte substrings, by doubling."""
     h = _TABLE[data]
     for k, step in enumerate((1, 2, 4, 8)):
+        eight = h
         h = h[:-step] * _MIX[k % 3] + h[step:]
         h ^= h >> np.uint64(31 - k)
-        if step == 4:
-            eight = h
-    h = h[:-8] * _MIX[1] + eight[16:]
-    h ^= h >> np.uint64(31)
     h *= _MIX[2]
-    return h ^ h >> np.uint64(28)
-
-
-def anchors(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(hash, number of the text, first window, windows) of every segment of some texts."""
-    sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-    total, none = int(sizes.sum()), np.empty(0, np.int64)
-    if total < LENGTH:
-        return none.astype(np.uint64), none, none, none
-    data = np.frombuffer(b"".join(texts), np.uint8)
-    low, reach, width = gram_hashes(data), 1, LENGTH - GRAM + 1
-    while reach * 2 <= width:
-        low, reach = np.minimum(low[:-reach], low[reach:]), reach * 2
-    if width > reach:
-        low = np.minimum(low[: reach - width], low[width - reach :])
-    ends = np.cumsum(sizes)
-    begins, windows = ends - sizes, np.maximum(0, sizes - LENGTH + 1)
-    mark = np.zeros(total + 1, np.int32)
-    np.add.at(mark, begins[windows > 0], 1)
-    np.add.at(mark, (begins + windows)[windows > 0], -1)
-    valid = np.cumsum(mark[: len(low)]) > 0
-    change = np.ones(len(low), bool)
-    change[1:] = low[1:] != low[:-1]
-    change[begins[windows > 0]] = True
-    starts = np.flatnonzero(valid & change)
-    owner = np.searchsorted(ends, starts, "right")
-    stop = np.minimum(np.append(starts[1:], total), (begins + windows)[owner])
-    return low[starts], owner, starts - begins[owner], stop - starts
-
-
-def _chunks(texts: list[bytes]) -> Iterator[tuple[int, list[bytes]]]:
-    at = size = 0
+    return eight, h ^ h >> np.uint64(28)
+
+
+class Segments:
+    """Segments of some texts: parallel arrays over all of them, in order.
+
+    hash        of the anchor
+    text        number of the text
+    start       first window, in its text
+    windows     how many windows
+    right, left hashes of the anchor with ``SIDE`` more bytes on one side, 0 where the text ends before
+    """
+
+    def __init__(self, texts: list[bytes]) -> None:
+        sizes = np.fromiter(map(len, texts), np.int64, len(texts))
+        total = int(sizes.sum())
+        self.hash = self.right = self.left = np.empty(0, np.uint64)
+        self.text = self.start = self.windows = np.empty(0, np.int64)
+        if total < LENGTH:
+            return
+        eight, gram = _hashes(np.frombuffer(b"".join(texts), np.uint8))
+        # leftmost smallest: the position fills the low bits
+        low, reach, width = gram & ~_PLACE | np.arange(len(gram), dtype=np.uint64), 1, LENGTH - GRAM + 1
+        while reach * 2 <= width:
+            low, reach = np.minimum(low[:-reach], low[reach:]), reach * 2
+        if width > reach:
+            low = np.minimum(low[: reach - width], low[width - reach :])
+        ends = np.cumsum(sizes)
+        begins, windows = ends - sizes, np.maximum(0, sizes - LENGTH + 1)
+        mark = np.zeros(total + 1, np.int32)
+        np.add.at(mark, begins[windows > 0], 1)
+        np.add.at(mark, (begins + windows)[windows > 0], -1)
+        change = np.ones(len(low), bool)
+        change[1:] = low[1:] != low[:-1]
+        change[begins[windows > 0]] = True
+        starts = np.flatnonzero((np.cumsum(mark[: len(low)]) > 0) & change)
+        self.text = np.searchsorted(ends, starts, "right")
+        place = (low[starts] & _PLACE).astype(np.int64)
+        self.hash = gram[place]
+        self.start = starts - begins[self.text]
+        self.windows = np.minimum(np.append(starts[1:], total), (begins + windows)[self.text]) - starts
+        self.right = self._side(eight, place + GRAM, place + GRAM + SIDE <= ends[self.text], 0)
+        self.left = self._side(eight, place - SIDE, place - SIDE >= begins[self.text], 1)
+
+    def _side(self, eight: np.ndarray, place: np.ndarray, inside: np.ndarray, k: int) -> np.ndarray:
+        """Hash of the anchor and the ``SIDE`` bytes at ``place``, from overlapping 8-byte hashes."""
+        x = self.hash
+        for step in (*range(0, SIDE - 8, 8), SIDE - 8):
+            x = (x ^ x >> np.uint64(29)) * _MIX[k] + eight[np.clip(place + step, 0, len(eight) - 1)]
+        x ^= x >> np.uint64(30)
+        x *= _MIX[2]
+        return np.where(inside, (x ^ x >> np.uint64(27)) | np.uint64(1), np.uint64(0))
+
+
+def _chunks(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, list[bytes]]]:
+    """(numbers, offsets, parts) of about ``_CHUNK`` bytes; a longer text comes in parts that overlap."""
+    number, offset, parts, size = [], [], [], 0
     for k, text in enumerate(texts):
-        size += len(text)
-        if size >= _CHUNK or k == len(texts) - 1:
-            yield at, texts[at : k + 1]
-            at, size = k + 1, 0
+        for at in range(0, max(1, len(text) - LENGTH + 1), _CHUNK):
+            part = text[at : at + _CHUNK + LENGTH - 1] if len(text) > _CHUNK else text
+            number.append(k)
+            offset.append(at)
+            parts.append(part)
+            size += len(part)
+            if size >= _CHUNK:
+                yield np.array(number), np.array(offset), parts
+                number, offset, parts, size = [], [], [], 0
+    if parts:
+        yield np.array(number), np.array(offset), parts
 
 
 def _bytes(text: pa.Scalar) -> bytes:
     return (text.as_py() or "").encode("utf-8", "surrogatepass")
 
 
-def _without(common: np.ndarray, h: np.ndarray) -> np.ndarray:
-    if not len(common):
-        return np.ones(len(h), bool)
-    at = np.searchsorted(common, h)
-    at[at == len(common)] = 0
-    return common[at] != h
+def _among(known: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    if not len(known):
+        return np.zeros(len(keys), bool)
+    at = np.searchsorted(known, keys)
+    at[at == len(known)] = 0
+    return known[at] == keys
 
 
-def _common_anchors(docs: DataFrame, rows: int) -> np.ndarray:
-    """Anchors that at least ``COMMON`` documents of a sample hold, sorted."""
+def _common_sides(docs: DataFrame, rows: int) -> np.ndarray:
+    """Sides of anchors that at least ``COMMON`` documents of a sample hold, sorted."""
     share = min(1.0, max(SAMPLE_LEAST, min(SAMPLE_MOST, rows / SAMPLE_SHARE)) / max(1, rows))
     draw = F.pmod(F.xxhash64(F.lit("anchors"), F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for text in batch.column(0):
-                yield pa.RecordBatch.from_arrays([pa.array(np.unique(anchors([_bytes(text)])[0]).view(np.int64))], ["h"])
+            texts = [_bytes(x) for x in batch.column(0)]
+            for number, _, parts in _chunks(texts):
+                s = Segments(parts)
+                who = np.tile(number[s.text], 2)
+                side = np.concatenate([s.right, s.left])
+                order = np.lexsort((side, who))
+                who, side = who[order], side[order]
+                fresh = np.append(True, (side[1:] != side[:-1]) | (who[1:] != who[:-1]))[: len(side)] & (side != 0)
+                yield pa.RecordBatch.from_arrays([pa.array(side[fresh].view(np.int64))], ["h"])
 
     counted = docs.where(draw < share).select("text").mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n"))
     return np.sort(np.array([r.h for r in counted.where(F.col("n") >= COMMON).select("h").collect()], np.int64).view(np.uint64))
 
 
+def _checks(side: np.ndarray) -> np.ndarray:
+    """Two bytes of each side; 0 stands for a side that is not there."""
+    return np.where(side == 0, np.uint64(0), (side >> np.uint64(20)) % np.uint64(65535) + np.uint64(1)).astype(np.uint16)
+
+
 def _deal(common, shards: int):
-    """Rows (shard, payload): for each text its key, how many anchors it has there, and their low halves."""
+    """Rows (shard, payload): for each text its key, how many anchors it has there, their low halves and sides.
+
+    Sides known to be common are blanked; an anchor with no side left is not sent.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys = batch.column(0).to_numpy(zero_copy_only=False)
-            texts = [_bytes(x) for x in batch.column(1)]
-            found = [(h, owner + at) for at, part in _chunks(texts) for h, owner, _, _ in [anchors(part)]]
-            if not found:
+            found = []
+            for number, _, parts in _chunks([_bytes(x) for x in batch.column(1)]):
+                s = Segments(parts)
+                right, left = (np.where(_among(common.value, x), 0, _checks(x)).astype(np.uint16) for x in (s.right, s.left))
+                send = (right > 0) | (left > 0)
+                found.append((s.hash[send], number[s.text[send]], right[send], left[send]))
+            h, owner, right, left = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.empty(0, np.uint64)] * 4
+            if not len(h):
                 continue
-            h, owner = (np.concatenate(x) for x in zip(*found, strict=True))
-            rare = _without(common.value, h)
-            h, owner = h[rare], owner[rare]
             shard = (h >> np.uint64(32)).astype(np.int64) % shards
             order = np.lexsort((owner, shard))
-            h, owner, shard = h[order].astype(np.uint32), owner[order], shard[order]
-            if not len(h):
-                continue
-            cut = np.flatnonzero(np.diff(shard)) + 1
+            low, owner, right, left, shard = h[order].astype(np.uint32), owner[order], right[order], left[order], shard[order]
+            cut = np.append(0, np.flatnonzero(np.diff(shard)) + 1)
             payloads = []
-            for low, who in zip(np.split(h, cut), np.split(owner, cut), strict=True):
-                texts_here, n = np.unique(who, return_counts=True)
-                payloads.append(np.uint32(len(n)).tobytes() + keys[texts_here].tobytes() + n.astype(np.uint32).tobytes() + low.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(shard[np.append(0, cut)].astype(np.int32)), pa.array(payloads, pa.binary())], ["shard", "payload"])
+            for a, b in zip(cut.tolist(), np.append(cut[1:], len(low)).tolist(), strict=True):
+                texts_here, n = np.unique(owner[a:b], return_counts=True)
+                payloads.append(np.uint32(len(n)).tobytes() + keys[texts_here].tobytes() + n.astype(np.uint32).tobytes() + low[a:b].tobytes() + right[a:b].tobytes() + left[a:b].tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(shard[cut].astype(np.int32)), pa.array(payloads, pa.binary())], ["shard", "payload"])
+
+    return run
+
+
+def _held_by_two(low: np.ndarray, check: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Which entries have another text with the same anchor and side."""
+    side = low.astype(np.int64) << 16 | check
+    order = np.argsort(side, kind="stable")
+    side, key = side[order], key[order]
+    first = np.flatnonzero(np.append(True, side[1:] != side[:-1]))
+    two = np.repeat(np.maximum.reduceat(key, first) != np.minimum.reduceat(key, first), np.diff(np.append(first, len(side))))
+    out = np.empty(len(side), bool)
+    out[order] = two
+    return out & (check > 0)
+
+
+def _shared_in_shard(buckets: int):
+    """Rows (bucket, payload) of a shard: anchors that two different texts hold with one side alike, by text.
+
+    Of 50 equal bytes around a 16-byte anchor, 17 at least lie on one side of it. Texts are dealt to
+    buckets by their key, so the rows are as many as shards and buckets and not as texts and shards.
+    """
+
+    def run(group: pa.Table) -> pa.Table:
+        key, anchor = _shared(group)
+        bucket = key.view(np.uint64) % np.uint64(buckets)
+        order = np.argsort(bucket, kind="stable")
+        key, anchor, bucket = key[order], anchor[order], bucket[order].astype(np.int32)
+        cut = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))[: len(bucket)]
+        ends = np.append(cut[1:], len(key))
+        payloads = [np.concatenate([key[a:b], anchor[a:b]]).tobytes() for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
+        return pa.table({"bucket": pa.array(bucket[cut]), "payload": pa.array(payloads, pa.binary())})
 
     return run
 
 
-def _shared_in_shard(group: pa.Table) -> pa.Table:
-    """(text key, shared anchors) of a shard: anchors that two different texts hold."""
-    shard, keys, lows = group.column("shard")[0].as_py(), [], []
+def _lists_of_bucket(group: pa.Table) -> pa.Table:
+    """(key, anchors): the shared anchors of every text of a bucket."""
+    parts = [np.frombuffer(x.as_buffer(), np.int64).reshape(2, -1) for x in group.column("payload")]
+    key, anchor = np.concatenate(parts, axis=1)
+    order = np.argsort(key, kind="stable")
+    key, anchor = key[order], anchor[order]
+    begin = np.flatnonzero(np.append(True, key[1:] != key[:-1]))[: len(key)]
+    lists = pa.LargeListArray.from_arrays(pa.array(np.append(begin, len(key))), pa.array(anchor)).cast(pa.list_(pa.int64()))
+    return pa.table({"key": pa.array(key[begin]), "anchors": lists})
+
+
+def _shared(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """(text key, anchor) of the shared anchors of a shard, each once for a text."""
+    shard, keys, lows, rights, lefts = group.column("shard")[0].as_py(), [], [], [], []
     for payload in group.column("payload"):
         data = payload.as_buffer()
         n = int(np.frombuffer(data, np.uint32, 1)[0])
         key, count = np.frombuffer(data, np.int64, n, 4), np.frombuffer(data, np.uint32, n, 4 + 8 * n)
+        m, at = int(count.sum()), 4 + 12 * n
         keys.append(np.repeat(key, count))
-        lows.append(np.frombuffer(data, np.uint32, offset=4 + 12 * n))
-    key, low = np.concatenate(keys), np.concatenate(lows)
-    order = np.argsort(low, kind="stable")
-    key, low = key[order], low[order]
-    first = np.flatnonzero(np.append(True, low[1:] != low[:-1]))
-    shared = np.repeat(np.maximum.reduceat(key, first) != np.minimum.reduceat(key, first), np.diff(np.append(first, len(low))))
+        lows.append(np.frombuffer(data, np.uint32, m, at))
+        rights.append(np.frombuffer(data, np.uint16, m, at + 4 * m))
+        lefts.append(np.frombuffer(data, np.uint16, m, at + 6 * m))
+    key, low, right, left = (np.concatenate(x) for x in (keys, lows, rights, lefts))
+    shared = _held_by_two(low, right, key) | _held_by_two(low, left, key)
     key, low = key[shared], low[shared]
     order = np.lexsort((low, key))
     key, low = key[order], low[order]
     fresh = np.append(True, (key[1:] != key[:-1]) | (low[1:] != low[:-1]))[: len(key)]
-    key, anchor = key[fresh], (np.int64(shard) << 32) + low[fresh].astype(np.int64)
-    begin = np.flatnonzero(np.append(True, key[1:] != key[:-1]))[: len(key)]
-    lists = pa.LargeListArray.from_arrays(pa.array(np.append(begin, len(key))), pa.array(anchor)).cast(pa.list_(pa.int64()))
-    return pa.table({"key": pa.array(key[begin]), "anchors": lists})
+    return key[fresh], (np.int64(shard) << 32) + low[fresh].astype(np.int64)
 
 
 def _cut_out(common, anchor_shards: int, segment_shards: int):
@@ -195,20 +284,21 @@ def _cut_out(common, anchor_shards: int, segment_shards: int):
             doc_ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
             texts = [unpack(x.as_buffer()) for x in batch.column("packed")]
             listed = batch.column("anchors")
-            for at, part in _chunks(texts):
-                h, owner, start, windows = anchors(part)
-                if not len(h):
+            for number, offset, parts in _chunks(texts):
+                s = Segments(parts)
+                if not len(s.hash):
                     continue
-                own = ((h >> np.uint64(32)).astype(np.int64) % anchor_shards << 32) + (h & np.uint64(0xFFFFFFFF)).astype(np.int64)
-                take = ~_without(common.value, h)
-                edges = np.searchsorted(owner, np.arange(len(part) + 1))
-                for k in range(len(part)):
-                    mine = listed[at + k]
-                    if mine.is_valid and edges[k] < edges[k + 1]:
-                        take[edges[k] : edges[k + 1]] |= np.isin(own[edges[k] : edges[k + 1]], mine.values.to_numpy())
-                h, owner, start, windows = h[take], owner[take], start[take], windows[take]
-                segs = [part[o][s : s + w + LENGTH - 1] for o, s, w in zip(owner.tolist(), start.tolist(), windows.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array((h % np.uint64(segment_shards)).astype(np.int32)), pa.array(doc_ids[at + owner]), pa.array(start.astype(np.int32)), pa.array(segs, pa.binary())], ["shard", "doc_id", "start", "seg"])
+                who = number[s.text]
+                own = ((s.hash >> np.uint64(32)).astype(np.int64) % anchor_shards << 32) + (s.hash & np.uint64(0xFFFFFFFF)).astype(np.int64)
+                take = _among(common.value, s.right) | _among(common.value, s.left)
+                edges = np.searchsorted(who, np.arange(number[0], number[-1] + 2))
+                for k, (a, b) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True), int(number[0])):
+                    if a < b and listed[k].is_valid:
+                        take[a:b] |= np.isin(own[a:b], listed[k].values.to_numpy())
+                text, start, windows = s.text[take], s.start[take], s.windows[take]
+                segs = [parts[o][i : i + w + LENGTH - 1] for o, i, w in zip(text.tolist(), start.tolist(), windows.tolist(), strict=True)]
+                shard = (s.hash[take] % np.uint64(segment_shards)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(shard), pa.array(doc_ids[number[text]]), pa.array((start + offset[text]).astype(np.int32)), pa.array(segs, pa.binary())], ["shard", "doc_id", "start", "seg"])
 
     return run
 
@@ -221,49 +311,38 @@ class RunIndex:
     """
 
     def __init__(self, strings: list[bytes]) -> None:
-        sizes = np.fromiter(map(len, strings), np.int64, len(strings))
-        pad = bytes(8)
-        raw = np.frombuffer(b"".join(x + pad for x in strings), np.uint8)
-        begins = np.concatenate(([0], np.cumsum(sizes + 8)[:-1])) if len(sizes) else sizes
-        inside = np.zeros(len(raw), bool)
-        owner = np.repeat(np.arange(len(sizes)), sizes + 8)
-        place = np.arange(len(raw)) - begins[owner]
-        inside = place < sizes[owner]
-        code = np.where(inside, raw.astype(np.int64) + 1, 0)
-        rank = self._first_ranks(code)
-        left = np.where(inside, sizes[owner] - place, 0)
-        reach, half = 7, None
-        longest, kinds = int(sizes.max(initial=0)), int(rank.max(initial=0))
-        while reach < longest:
-            if reach == 28:
-                half = rank
-            rank = self._doubled(rank, reach, left)
+        self.sizes = sizes = np.fromiter(map(len, strings), np.int64, len(strings))
+        raw = np.frombuffer(b"".join(x + b"\0" for x in strings), np.uint8)
+        owner = np.repeat(np.arange(len(sizes)), sizes + 1)
+        begins = np.cumsum(sizes + 1) - sizes - 1
+        left = (begins + sizes)[owner] - np.arange(len(raw))  # bytes from here to the string's end
+        kinds = np.flatnonzero(np.bincount(raw, minlength=256))
+        number = np.zeros(256, np.int64)
+        number[kinds] = np.arange(1, len(kinds) + 1)
+        code = np.where(left > 0, number[raw], 0)
+        bits, reach, key = max(1, int(len(kinds)).bit_length()), 1, code
+        while 2 * reach * bits <= 62 and reach < LENGTH:
+            key = key << reach * bits
+            key[:-reach] |= key[reach:] >> reach * bits
             reach *= 2
-            now = int(rank.max(initial=0))
-            if now == kinds and reach > 56:
+        masks = ~((np.int64(1) << bits * np.arange(reach, -1, -1)) - 1)  # of what lies beyond the string's end
+        rank, longest, half = self._ranks(key & masks[np.minimum(left, reach)]), int(sizes.max(initial=0)), 0
+        while True:
+            if reach <= LENGTH < 2 * reach:
+                half, prefix = reach, rank
+            if reach >= longest and half:
                 break
-            kinds = now
-        at = np.flatnonzero(place <= sizes[owner])
-        order = np.lexsort((owner[at], rank[at]))
-        self.suffix, self.owner, self.begins, self.sizes = at[order], owner[at[order]], begins, sizes
-        before = np.where(place[self.suffix] > 0, code[self.suffix - 1], 0)
+            rank, reach = self._doubled(rank, reach, left), 2 * reach
+        order = np.argsort(rank * max(1, len(sizes)) + owner)
+        self.suffix, self.owner = order, owner[order]
+        before = np.where(left[order] < sizes[owner[order]], code[order - 1], 0)
         self._compress(before)
-        self.classes = np.full(len(self.suffix), -1)
-        whole = left[self.suffix] >= LENGTH
+        self.classes = np.full(len(order), -1)
+        whole = left[order] >= LENGTH
         if whole.any():
-            full = self.suffix[whole]
-            a, b = half[full], half[full + LENGTH - 28]
+            a, b = prefix[order[whole]], prefix[order[whole] + LENGTH - half]
             self.classes[whole] = np.cumsum(np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) - 1
 
-    @staticmethod
-    def _first_ranks(code: np.ndarray) -> np.ndarray:
-        wide = np.concatenate([code, np.zeros(8, np.int64)])
-        key = np.zeros(len(code), np.int64)
-        for k in range(7):
-            key = key << 9 | wide[k : k + len(code)]
-        key[code == 0] = 0
-        return RunIndex._ranks(key)
-
     @staticmethod
     def _ranks(key: np.ndarray) -> np.ndarray:
         order = np.argsort(key)
@@ -310,35 +389,39 @@ class RunIndex:
                 yield alive, self.sizes[alive] - done, self.classes[rows]
 
 
-def first_holders(strings: list[bytes], docs: np.ndarray) -> list[np.ndarray]:
-    """For each string, by position, the smallest of ``docs`` over strings that hold its next 50 bytes."""
+def first_holders(strings: list[bytes], docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each string, by position, the smallest of ``docs`` over strings that hold its next 50 bytes.
+
+    Flat, with the offset of each string.
+    """
     index = RunIndex(strings)
     inside = index.classes >= 0
     holder = np.full(int(index.classes.max(initial=-1)) + 1, _LAST)
     np.minimum.at(holder, index.classes[inside], docs[index.owner[inside]])
-    windows = np.maximum(0, index.sizes - LENGTH + 1)
-    offsets = np.concatenate(([0], np.cumsum(windows)))
+    offsets = np.concatenate(([0], np.cumsum(np.maximum(0, index.sizes - LENGTH + 1))))
     found = np.empty(offsets[-1], np.int64)
     for string, position, interval in index.streamed():
         found[offsets[string] + position] = holder[interval]
-    return np.split(found, offsets[1:-1])
+    return found, offsets
 
 
 def _index_shard(group: pa.Table) -> pa.Table:
-    """(digest, starts, ends, holders) of the segments of a shard in which some document can match."""
+    """(a, b, starts, ends, holders) of the segments of a shard in which some document can match."""
     strings = group.column("seg").to_pylist()
     docs, copies = group.column("holder").to_numpy(), group.column("copies").to_numpy()
-    out = []
-    for seg, own, n, holders in zip(strings, docs.tolist(), copies.tolist(), first_holders(strings, docs), strict=True):
-        cut = np.flatnonzero(np.append(True, holders[1:] != holders[:-1]))
-        ends = np.append(cut[1:], len(holders))
-        who = holders[cut]
-        some = (who < own) | (n > 1)
-        if some.any():
-            out.append((hashlib.md5(seg).hexdigest(), cut[some].tolist(), (ends[some] + LENGTH - 1).tolist(), who[some].tolist()))
-    columns = list(zip(*out, strict=True)) if out else [[]] * 4
-    kinds = (pa.string(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.list_(pa.int64()))
-    return pa.table({name: pa.array(list(c), t) for name, c, t in zip(("digest", "starts", "ends", "holders"), columns, kinds, strict=True)})
+    found, offsets = first_holders(strings, docs)
+    fresh = np.append(True, found[1:] != found[:-1])
+    fresh[offsets[:-1]] = True
+    starts = np.flatnonzero(fresh)
+    ends = np.append(starts[1:], len(found))
+    string = np.searchsorted(offsets, starts, "right") - 1
+    some = (found[starts] < docs[string]) | (copies[string] > 1)
+    starts, ends, string = starts[some], ends[some], string[some]
+    begin = np.flatnonzero(np.append(True, string[1:] != string[:-1]))[: len(string)]
+    lists = lambda x, kind: pa.LargeListArray.from_arrays(pa.array(np.append(begin, len(string))), pa.array(x.astype(kind))).cast(pa.list_(pa.from_numpy_dtype(kind)))
+    base = offsets[string]
+    names = {x: group.column(x).take(pa.array(string[begin])) for x in ("a", "b")}
+    return pa.table(names | {"starts": lists(starts - base, np.int32), "ends": lists(ends - base + LENGTH - 1, np.int32), "holders": lists(found[starts], np.int64)})
 
 
 def _pack_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -386,6 +469,18 @@ def _shared_folder(spark) -> str:
     return f"{base.rstrip('/')}/repeats-{uuid.uuid4().hex}"
 
 
+@contextmanager
+def _freed_shuffles(spark) -> Iterator[None]:
+    """What is written inside frees its shuffle files when done: its result is durable and they are large."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if before is None else spark.conf.set(name, before)
+
+
 def repeated_spans(docs: DataFrame) -> DataFrame:
     """(doc_id, copied, starts, ends) of the documents from which something is removed."""
     spark = prepare(docs.sparkSession)
@@ -393,23 +488,25 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     sizes = keyed.select("doc_id", "key", F.sha2("text", 256).alias("sha"), F.octet_length("text").alias("size"))
     total = sizes.agg(F.sum("size").alias("size"), F.count("*").alias("rows")).first()
     shards, cuts = (max(1, -(-int(total["size"] or 0) // x)) for x in (ANCHOR_SHARD, SEGMENT_SHARD))
-    common = spark.sparkContext.broadcast(_common_anchors(docs, int(total["rows"])))
+    common = spark.sparkContext.broadcast(_common_sides(docs, int(total["rows"])))
 
     dealt = keyed.select("key", "text").mapInArrow(_deal(common, shards), "shard int, payload binary")
-    shared = dealt.groupBy("shard").applyInArrow(_shared_in_shard, "key long, anchors array<bigint>")
-    lists = shared.groupBy("key").agg(F.flatten(F.collect_list("anchors")).alias("anchors"))
+    shared = dealt.groupBy("shard").applyInArrow(_shared_in_shard(shards), "bucket int, payload binary")
+    lists = shared.groupBy("bucket").applyInArrow(_lists_of_bucket, "key long, anchors array<bigint>")
     firsts = sizes.groupBy("sha", "key").agg(F.min("doc_id").alias("doc_id"))
     wanted = firsts.join(lists, "key", "left").select(F.col("doc_id").alias("_doc"), "anchors").groupBy("_doc").agg(F.flatten(F.collect_list("anchors")).alias("anchors"))
 
     packed = docs.select("doc_id", "text").mapInArrow(_pack_texts, "doc_id long, packed binary")
     cutting = packed.join(wanted, packed.doc_id == wanted["_doc"]).select("doc_id", "packed", "anchors").mapInArrow(_cut_out(common, shards, cuts), "shard int, doc_id long, start int, seg binary")
     folder = _shared_folder(spark)
-    cutting.write.parquet(folder)
+    with _freed_shuffles(spark):
+        cutting.write.option("compression", "zstd").parquet(folder)
     places = spark.read.schema("shard int, doc_id long, start int, seg binary").parquet(folder)
 
-    different = places.groupBy("shard", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
-    owners = different.groupBy("shard").applyInArrow(_index_shard, "digest string, starts array<int>, ends array<int>, holders array<bigint>")
-    met = places.select("doc_id", "start", F.md5("seg").alias("digest")).join(owners, "digest")
+    name = [F.xxhash64("seg").alias("a"), F.xxhash64(F.lit("other"), "seg").alias("b")]  # 128 bits stand for a segment
+    different = places.groupBy("shard", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies")).select("*", *name)
+    owners = different.groupBy("shard").applyInArrow(_index_shard, "a long, b long, starts array<int>, ends array<int>, holders array<bigint>")
+    met = places.select("doc_id", "start", *name).join(owners, ["a", "b"])
     zipped = F.filter(F.arrays_zip("starts", "ends", "holders"), lambda x: x["holders"] < F.col("doc_id"))
     spans = met.select("doc_id", F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e"))).alias("x")).where(F.size("x") > 0)
     within = spans.groupBy("doc_id").agg(F.flatten(F.collect_list("x")).alias("x")).select("doc_id", F.lit(False).alias("copied"), F.col("x.s").alias("starts"), F.col("x.e").alias("ends"))
