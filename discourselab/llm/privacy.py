@@ -29,6 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from discourselab.functions.text import let
 from discourselab.session import cut
 
 CONTEXT = 64
@@ -78,7 +79,8 @@ def _valid(kind: str, match: Column) -> Column:
 def matches(text: Column, pattern: Column) -> Column:
     """array<struct<start, end, match, left, right>> of the leftmost non-overlapping matches; code points."""
     found, pieces = F.regexp_extract_all(text, pattern, F.lit(0)), F.split(text, pattern, -1)
-    step = F.transform(found, lambda m, i: F.struct(m.alias("match"), F.get(pieces, i).alias("left"), F.get(pieces, i + 1).alias("right")))
+    sides = let(pieces, lambda p: F.arrays_zip(F.slice(p, 1, F.size(p) - 1).alias("left"), F.slice(p, 2, F.size(p)).alias("right")))
+    step = F.zip_with(found, sides, lambda m, s: F.struct(m.alias("match"), s["left"].alias("left"), s["right"].alias("right")))
     kind = "array<struct<start:int,end:int,match:string,left:string,right:string>>"
 
     def walk(state: Column, x: Column) -> Column:
@@ -113,7 +115,11 @@ def revealing_terms(docs: DataFrame) -> DataFrame:
     """(term, hidden_bits) of the terms that leave at most ``GENERALISE_BITS`` of some entity hidden."""
     pairs = docs.select(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("doc"), "text")
     based = _with_base(pairs)
-    kinds = F.flatten(F.array(*(F.transform(F.col(f"_pii.{k}"), lambda m, k=k: F.struct(F.concat(F.lit(f"{k}:"), m["match"]).alias("entity"), m["left"].alias("left"), m["right"].alias("right"))) for k in PATTERNS)))
+
+    def named(kind: str) -> Column:
+        return F.transform(F.col(f"_pii.{kind}"), lambda m: F.struct(F.concat(F.lit(f"{kind}:"), m["match"]).alias("entity"), m["left"].alias("left"), m["right"].alias("right")))
+
+    kinds = F.flatten(F.array(*map(named, PATTERNS)))
     near = based.select("doc", F.explode(kinds).alias("x")).select(
         "doc",
         F.xxhash64("x.entity").alias("entity"),
