@@ -26,12 +26,16 @@ def spearman(df: DataFrame, x: str, y: str, by: list[str]) -> DataFrame:
     """
     both = df.where(F.col(x).isNotNull() & F.col(y).isNotNull())
     ranked = both.select(*by, average_rank(x, by).alias("_x"), average_rank(y, by).alias("_y"))
-    flat = F.when((F.stddev_pop("_x") > 0) & (F.stddev_pop("_y") > 0), F.corr("_x", "_y"))
-    return ranked.groupBy(*by).agg(F.count("*").alias("n"), flat.alias("r_s"))
+    return ranked.groupBy(*by).agg(F.count("*").alias("n"), _corr("_x", "_y").alias("r_s"))
+
+
+def _corr(x: str, y: str) -> Column:
+    """Linear correlation; null, and no division by zero, where a column is constant."""
+    return F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y))
 
 
 def pearson(df: DataFrame, x: str, y: str, by: list[str]) -> DataFrame:
-    return df.where(F.col(x).isNotNull() & F.col(y).isNotNull()).groupBy(*by).agg(F.count("*").alias("n"), F.corr(x, y).alias("r"))
+    return df.where(F.col(x).isNotNull() & F.col(y).isNotNull()).groupBy(*by).agg(F.count("*").alias("n"), _corr(x, y).alias("r"))
 
 
 def distributed_rank(df: DataFrame, value: str) -> DataFrame:

@@ -46,7 +46,7 @@ def match_terms(posts: DataFrame, terms: DataFrame, key: str, text: str, mode: s
         grams = F.array_distinct(ngrams(F.split("_clean", " "), min(lengths, default=1), max(lengths, default=1)))
         return clean.select(key, F.explode(grams).alias("term")).join(held, "term").select(key, "term")
     if mode == "regex":
-        return clean.join(held, F.concat(F.lit(" "), "_clean", F.lit(" ")).rlike(F.concat(F.lit(r"(?<=\s)\Q"), "term", F.lit(r"\E(?=\s)")))).select(key, "term")
+        return clean.join(held, F.regexp(F.concat(F.lit(" "), "_clean", F.lit(" ")), F.concat(F.lit(r"(?<=\s)\Q"), "term", F.lit(r"\E(?=\s)")))).select(key, "term")
     return clean.join(held, F.contains("_clean", "term")).select(key, "term")
 
 
