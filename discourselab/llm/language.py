@@ -84,7 +84,7 @@ class Trees:
             state = shorter.copy()
             state[seen] = len(bits) + np.arange(len(seen))
             bits = np.concatenate([bits, new])
-        self.state, self.bits = state.astype(np.int32), bits.astype(np.float32).reshape(-1, count)
+        self.state, self.bits = state.astype(np.int32), bits.astype(np.float32).reshape(-1, max(1, count)) if count else bits
 
     def lengths(self, text: str) -> np.ndarray:
         """Code length of a text in bits, by language."""

@@ -236,7 +236,7 @@ def _shared_in_shard(buckets: int):
         order = np.argsort(bucket, kind="stable")
         key, anchor, bucket = key[order], anchor[order], bucket[order].astype(np.int32)
         cut = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))[: len(bucket)]
-        ends = np.append(cut[1:], len(key))
+        ends = np.append(cut[1:], len(key))[: len(cut)]
         payloads = [np.concatenate([key[a:b], anchor[a:b]]).tobytes() for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
         return pa.table({"bucket": pa.array(bucket[cut]), "payload": pa.array(payloads, pa.binary())})
 
