@@ -581,7 +581,7 @@ def stream_stateful(spark: SparkSession, d: str) -> DataFrame:
 
 @op("select ts < timestamp '2024-01-10' as late, count(*) as n from events group by 1")
 def stream_late(spark: SparkSession, d: str) -> DataFrame:
-    return monitor.split_late(event_stream(spark, d), "2024-01-10")(table(spark, d, "events").select(F.col("ts").cast("timestamp").alias("ts")))
+    return monitor.drain(monitor.split_late(event_stream(spark, d), "2024-01-10"), "complete")
 
 
 def queries() -> dict[str, Query]:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -35,10 +35,6 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(out)
 
 
-def with_end(stream: DataFrame) -> DataFrame:
-    return stream
-
-
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
     return events.withWatermark("ts", LATE).groupBy(F.window("ts", width), "event_type").agg(F.count("*").alias("n"), F.sum("value").alias("total"))
 
@@ -102,9 +98,41 @@ def folded_profiles(events: DataFrame) -> DataFrame:
     return events.select("user_id", "value").groupBy("user_id").applyInPandasWithState(fold, "user_id long, n long, mean_value double", "n long, total double", "update", "NoTimeout")
 
 
-def split_late(events: DataFrame, bound: str) -> Callable[[DataFrame], DataFrame]:
-    """Rows at or after a time bound, and how many fell before it: what a watermark at the bound keeps."""
-    return lambda df: df.groupBy((F.col("ts") < F.lit(bound).cast("timestamp")).alias("late")).agg(F.count("*").alias("n"))
+def split_late(events: DataFrame, bound: str) -> DataFrame:
+    """(late, n): rows before a time bound and at or after it; what a watermark at the bound drops and keeps."""
+    return events.groupBy((F.col("ts") < F.lit(bound).cast("timestamp")).alias("late")).agg(F.count("*").alias("n"))
+
+
+class SpikeDetector(StatefulProcessor):
+    """Per key: running mean and variance of daily counts; a day far above them is reported as a spike."""
+
+    def __init__(self, limit: float = 3.0) -> None:
+        self.limit = limit
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.held = handle.getValueState("held", StructType([StructField("n", LongType()), StructField("mean", DoubleType()), StructField("m2", DoubleType())]))
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: ANN001, N802, N803
+        n, mean, m2 = self.held.get() if self.held.exists() else (0, 0.0, 0.0)
+        out = []
+        for part in rows:
+            for day, count in part.sort_values("day")[["day", "n"]].itertuples(index=False):
+                spread = (m2 / (n - 1)) ** 0.5 if n > 1 else 0.0
+                out.append((key[0], day, int(count), bool(n > 4 and spread and count > mean + self.limit * spread)))
+                n += 1
+                delta = count - mean
+                mean += delta / n
+                m2 += delta * (count - mean)
+        self.held.update((n, mean, m2))
+        yield pd.DataFrame(out, columns=["key", "day", "n", "spike"])
+
+    def close(self) -> None:
+        pass
+
+
+def spikes(daily: DataFrame, key: str, limit: float = 3.0) -> DataFrame:
+    """(key, day, n, spike) of a stream of (key, day, n) rows; needs the RocksDB state store."""
+    return daily.groupBy(key).transformWithStateInPandas(SpikeDetector(limit), "key string, day date, n long, spike boolean", "Update", "None")
 
 
 def daily_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -198,6 +198,21 @@ def test_stateful_profiles_equal_batch(spark, small):
     assert found == {r.user_id: (r.n, round(r.m, 6)) for r in batch}
 
 
+def test_running_state_with_rocksdb(spark, small):
+    from discourselab.sources.files import event_stream
+
+    name = "spark.sql.streaming.stateStore.providerClass"
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        found = {r.user_id: r.n for r in monitor.drain(monitor.running_profiles(event_stream(spark, small)), "update").collect()}
+        daily = event_stream(spark, small).select(F.col("event_type"), F.to_date("ts").alias("day"), F.lit(1).cast("long").alias("n"))
+        spiked = monitor.drain(monitor.spikes(daily, "event_type"), "update")
+        assert spiked.count() == sum(found.values()) and spiked.where("spike").count() == 0
+    finally:
+        spark.conf.unset(name)
+    assert found == {r.user_id: r["count"] for r in spark.read.parquet(f"{small}/events.parquet").groupBy("user_id").count().collect()}
+
+
 def test_plans_push_filters_and_read_few_columns(spark, small):
     from discourselab.operators.general import scan_prune
 
