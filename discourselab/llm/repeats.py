@@ -46,7 +46,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from discourselab.session import prepare
+from discourselab.session import cut, prepare
 
 LENGTH = 50
 GRAM = 16
@@ -330,14 +330,14 @@ class RunIndex:
         while True:
             if reach <= LENGTH < 2 * reach:
                 half, prefix = reach, rank
-            if reach >= longest and half:
+            if half and 2 * reach >= longest:
                 break
             rank, reach = self._doubled(rank, reach, left), 2 * reach
-        order = np.argsort(rank * max(1, len(sizes)) + owner)
+        order = self._ordered(rank, reach, left, owner)
         self.suffix, self.owner = order, owner[order]
         before = np.where(left[order] < sizes[owner[order]], code[order - 1], 0)
         self._compress(before)
-        self.classes = np.full(len(order), -1)
+        self.classes = np.full(len(order), -1, np.int32)
         whole = left[order] >= LENGTH
         if whole.any():
             a, b = prefix[order[whole]], prefix[order[whole] + LENGTH - half]
@@ -347,26 +347,44 @@ class RunIndex:
     def _ranks(key: np.ndarray) -> np.ndarray:
         order = np.argsort(key)
         sorted_key = key[order]
-        rank = np.empty(len(key), np.int64)
-        rank[order] = np.concatenate(([0], np.cumsum(sorted_key[1:] != sorted_key[:-1]))) if len(key) else []
+        steps = np.zeros(len(key), np.int32)
+        np.cumsum(sorted_key[1:] != sorted_key[:-1], out=steps[1:])
+        rank = np.empty(len(key), np.int32)
+        rank[order] = steps
         return rank
 
     @staticmethod
-    def _doubled(rank: np.ndarray, reach: int, left: np.ndarray) -> np.ndarray:
-        beyond = np.concatenate([rank[reach:], np.zeros(min(reach, len(rank)), np.int64)])[: len(rank)]
-        beyond = np.where(left > reach, beyond, 0)
-        return RunIndex._ranks(rank * (int(rank.max(initial=0)) + 1) + beyond)
+    def _beyond(rank: np.ndarray, reach: int, left: np.ndarray) -> np.ndarray:
+        """Rank, plus one, of what follows the first ``reach`` bytes; 0 where the string has ended."""
+        out = np.zeros(len(rank), np.int64)
+        out[:-reach] = rank[reach:]
+        out += 1
+        out[left <= reach] = 0
+        return out
+
+    @classmethod
+    def _doubled(cls, rank: np.ndarray, reach: int, left: np.ndarray) -> np.ndarray:
+        return cls._ranks((rank.astype(np.int64) << int(len(rank) + 1).bit_length()) + cls._beyond(rank, reach, left))
+
+    @classmethod
+    def _ordered(cls, rank: np.ndarray, reach: int, left: np.ndarray, owner: np.ndarray) -> np.ndarray:
+        """The last doubling and the order of the end marks in one sort, if they fit one number."""
+        place, mark = int(len(rank) + 1).bit_length(), int(owner.max(initial=0) + 1).bit_length()
+        if 2 * place + mark > 62:
+            rank = cls._doubled(rank, reach, left)
+            return np.lexsort((owner, rank))
+        return np.argsort((rank.astype(np.int64) << place + mark) + (cls._beyond(rank, reach, left) << mark) + owner)
 
     def _compress(self, before: np.ndarray) -> None:
         starts = np.flatnonzero(np.append(True, before[1:] != before[:-1])) if len(before) else np.empty(0, np.int64)
         lengths = np.diff(np.append(starts, len(before)))
-        self.run_start, self.run_char = starts, before[starts]
+        self.run_start, self.run_char = starts.astype(np.int32), before[starts]
         self.run_end_suffix = self.suffix[starts + lengths - 1]
         by_char = np.argsort(self.run_char, kind="stable")
         total = np.concatenate(([0], np.cumsum(lengths[by_char])[:-1])) if len(starts) else starts
         # rows are sorted by first character, so the runs of a character land one after another;
         # end marks come first among rows and string starts (marked 0) are as many
-        self.run_lands = np.empty(len(starts), np.int64)
+        self.run_lands = np.empty(len(starts), np.int32)
         self.run_lands[by_char] = total
 
     def step(self, rows: np.ndarray) -> np.ndarray:
@@ -377,16 +395,13 @@ class RunIndex:
     def streamed(self) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
         """(string, position, class) for every position with ``LENGTH`` bytes, from the ends backwards."""
         alive = np.argsort(-self.sizes, kind="stable")
-        rows, done = alive.copy(), 0
-        while len(alive):
-            done += 1
-            keep = self.sizes[alive] >= done
-            alive, rows = alive[keep], rows[keep]
-            if not len(alive):
-                return
-            rows = self.step(rows)
+        sizes = self.sizes[alive]
+        rows = alive.astype(np.int32)
+        for done in range(1, int(sizes.max(initial=0)) + 1):
+            n = np.searchsorted(-sizes, -done, "right")  # strings that go on, longest first
+            rows = self.step(rows[:n])
             if done >= LENGTH:
-                yield alive, self.sizes[alive] - done, self.classes[rows]
+                yield alive[:n], sizes[:n] - done, self.classes[rows]
 
 
 def first_holders(strings: list[bytes], docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -395,9 +410,9 @@ def first_holders(strings: list[bytes], docs: np.ndarray) -> tuple[np.ndarray, n
     Flat, with the offset of each string.
     """
     index = RunIndex(strings)
-    inside = index.classes >= 0
-    holder = np.full(int(index.classes.max(initial=-1)) + 1, _LAST)
-    np.minimum.at(holder, index.classes[inside], docs[index.owner[inside]])
+    inside = np.flatnonzero(index.classes >= 0)
+    first = np.flatnonzero(np.diff(index.classes[inside], prepend=-1))
+    holder = np.minimum.reduceat(docs[index.owner[inside]], first)
     offsets = np.concatenate(([0], np.cumsum(np.maximum(0, index.sizes - LENGTH + 1))))
     found = np.empty(offsets[-1], np.int64)
     for string, position, interval in index.streamed():
@@ -485,7 +500,7 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     """(doc_id, copied, starts, ends) of the documents from which something is removed."""
     spark = prepare(docs.sparkSession)
     keyed = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
-    sizes = keyed.select("doc_id", "key", F.sha2("text", 256).alias("sha"), F.octet_length("text").alias("size"))
+    sizes = cut(keyed.select("doc_id", "key", F.unhex(F.sha2("text", 256)).alias("sha"), F.octet_length("text").alias("size")))
     total = sizes.agg(F.sum("size").alias("size"), F.count("*").alias("rows")).first()
     shards, cuts = (max(1, -(-int(total["size"] or 0) // x)) for x in (ANCHOR_SHARD, SEGMENT_SHARD))
     common = spark.sparkContext.broadcast(_common_sides(docs, int(total["rows"])))
@@ -500,19 +515,22 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     cutting = packed.join(wanted, packed.doc_id == wanted["_doc"]).select("doc_id", "packed", "anchors").mapInArrow(_cut_out(common, shards, cuts), "shard int, doc_id long, start int, seg binary")
     folder = _shared_folder(spark)
     with _freed_shuffles(spark):
-        cutting.write.option("compression", "zstd").parquet(folder)
-    places = spark.read.schema("shard int, doc_id long, start int, seg binary").parquet(folder)
+        cutting.write.option("compression", "zstd").parquet(f"{folder}/places")
+    places = spark.read.schema("shard int, doc_id long, start int, seg binary").parquet(f"{folder}/places")
 
     name = [F.xxhash64("seg").alias("a"), F.xxhash64(F.lit("other"), "seg").alias("b")]  # 128 bits stand for a segment
     different = places.groupBy("shard", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies")).select("*", *name)
     owners = different.groupBy("shard").applyInArrow(_index_shard, "a long, b long, starts array<int>, ends array<int>, holders array<bigint>")
     met = places.select("doc_id", "start", *name).join(owners, ["a", "b"])
     zipped = F.filter(F.arrays_zip("starts", "ends", "holders"), lambda x: x["holders"] < F.col("doc_id"))
-    spans = met.select("doc_id", F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e"))).alias("x")).where(F.size("x") > 0)
-    within = spans.groupBy("doc_id").agg(F.flatten(F.collect_list("x")).alias("x")).select("doc_id", F.lit(False).alias("copied"), F.col("x.s").alias("starts"), F.col("x.e").alias("ends"))
+    found = met.select("doc_id", F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e"))).alias("x")).where(F.size("x") > 0)
+    within = found.groupBy("doc_id").agg(F.flatten(F.collect_list("x")).alias("x")).select("doc_id", F.lit(False).alias("copied"), F.col("x.s").alias("starts"), F.col("x.e").alias("ends"))
     none = F.lit(None).cast("array<int>")
     copies = sizes.join(firsts.select("sha", F.col("doc_id").alias("first")), "sha").where("doc_id > first").select("doc_id").distinct()
-    return within.unionByName(copies.select("doc_id", F.lit(True).alias("copied"), none.alias("starts"), none.alias("ends")))
+    spans = within.unionByName(copies.select("doc_id", F.lit(True).alias("copied"), none.alias("starts"), none.alias("ends")))
+    with _freed_shuffles(spark):
+        spans.write.parquet(f"{folder}/spans")
+    return spark.read.schema(spans.schema).parquet(f"{folder}/spans")
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
