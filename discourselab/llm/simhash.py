@@ -35,6 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from discourselab.plans.iterate import components
 from discourselab.session import cut, prepare
 
 SEED = 42
@@ -194,29 +195,7 @@ def _link_shard(group: pa.Table) -> pa.Table:
     half = (fp >> np.uint64(32 * group.column("half")[0].as_py())).astype(np.uint32)
     roots = shard_links(fp, home, half)
     linked = roots != np.arange(len(rep))
-    return pa.table({"u": pa.array(rep[linked]), "v": pa.array(rep[roots[linked]])})
-
-
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, root) of every node of an undirected (u, v) link table; root is the smallest node reachable.
-
-    Alternates contraction towards the smallest neighbour among larger and smaller nodes until the
-    table no longer changes. Every round is two joins on node, and is written to shared storage.
-    """
-    edges = cut(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v").distinct())
-    before = None
-    for _ in range(max_rounds):
-        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.explode(F.array(F.struct("u", "m"), F.struct(F.col("v").alias("u"), "m"))).alias("e"))
-        edges = cut(small.select(F.col("e.u").alias("u"), F.col("e.m").alias("v")).where("u > v").distinct())
-        state = edges.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")).first()
-        if state == before or state.n == 0:
-            break
-        before = state
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+    return pa.table({"src": pa.array(rep[linked]), "dst": pa.array(rep[roots[linked]])})
 
 
 def link_components(points: DataFrame) -> DataFrame:
@@ -229,9 +208,9 @@ def link_components(points: DataFrame) -> DataFrame:
     depth = max(0, int(np.ceil(np.log2(max(1, n) / SHARD_ROWS)))) + 2
     trees = [Tree((sample >> np.uint64(32 * k)).astype(np.uint32), depth, seed=11 + k) for k in (0, 1)]
     dealt = named.mapInArrow(_route_batches(trees), "half int, shard long, fp long, rep long, home boolean")
-    links = dealt.groupBy("half", "shard").applyInArrow(_link_shard, "u long, v long")
+    links = cut(dealt.groupBy("half", "shard").applyInArrow(_link_shard, "src long, dst long"))
     roots = components(links)
-    return classes.join(roots, classes.rep == roots.node, "left").select("fp", F.coalesce("root", "rep").alias("component_id"))
+    return classes.join(roots, classes.rep == roots.node, "left").select("fp", F.coalesce("label", "rep").alias("component_id"))
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
