@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
@@ -22,12 +22,17 @@ def let(value: Column, use: Callable[[Column], Column]) -> Column:
 
 def ngrams(tokens: Column, low: int, high: int) -> Column:
     """All runs of ``low`` to ``high`` tokens, joined by spaces."""
+    return runs_of(tokens, range(low, high + 1))
+
+
+def runs_of(tokens: Column, lengths: Iterable[int]) -> Column:
+    """All runs of tokens of the given lengths, joined by spaces."""
 
     def runs(held: Column, k: int) -> Column:
         joined = F.transform(F.sequence(F.lit(1), F.size(held) - (k - 1)), lambda i: F.array_join(F.slice(held, i, k), " "))
         return F.when(F.size(held) >= k, joined).otherwise(F.array().cast("array<string>"))
 
-    return let(tokens, lambda held: F.concat(*(runs(held, k) for k in range(low, high + 1))))
+    return let(tokens, lambda held: F.concat(*(held if k == 1 else runs(held, k) for k in lengths)))
 
 
 def plural(term: Column) -> Column:

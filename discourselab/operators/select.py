@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from discourselab.functions.text import clean_text, ngrams, words_of  # noqa: F401
+from discourselab.functions.text import clean_text, runs_of
 
 #: Terms that are broadcast; a longer list is joined by a shuffle.
 BROADCAST_TERMS = 200_000
@@ -43,8 +43,8 @@ def match_terms(posts: DataFrame, terms: DataFrame, key: str, text: str, mode: s
     clean = posts.select(key, clean_text(F.col(text), keep_hyphen).alias("_clean"))
     if mode == "token":
         lengths = [r.k for r in held.select(F.size(F.split("term", " ")).alias("k")).distinct().collect()]
-        grams = F.array_distinct(ngrams(F.split("_clean", " "), min(lengths, default=1), max(lengths, default=1)))
-        return clean.select(key, F.explode(grams).alias("term")).join(held, "term").select(key, "term")
+        grams = runs_of(F.split("_clean", " "), sorted(lengths) or [1])
+        return clean.select(key, F.explode(grams).alias("term")).join(held, "term").select(key, "term").distinct()
     if mode == "regex":
         return clean.join(held, F.regexp(F.concat(F.lit(" "), "_clean", F.lit(" ")), F.concat(F.lit(r"(?<=\s)\Q"), "term", F.lit(r"\E(?=\s)")))).select(key, "term")
     return clean.join(held, F.contains("_clean", "term")).select(key, "term")
