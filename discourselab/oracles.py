@@ -78,6 +78,10 @@ _VIEWS = {
     "domtopic": "select period, topic_id as community, author_id as user_id from (select cast(date_trunc('month', day) as date) as period, author_id, topic_id, row_number() over (partition by date_trunc('month', day), author_id order by round(sum(p), 9) desc, topic_id) as r from members join posts using (post_id) group by date_trunc('month', day), author_id, topic_id) where r = 1 qualify count(*) over (partition by period, community) >= 5",
 }
 
+#: The labelled texts and their terms once more, over whole texts.
+for _name in ("lab", "tf", "weights", "ranked"):
+    _VIEWS[f"{_name}_whole"] = re.sub(r"\bfrom (lab|tf|weights)\b", r"from \1_whole", _VIEWS[_name].replace("substring(text, 1, 280)", "text"))
+
 _VALUES = {
     "idiot": -2.3, "moron": -2.2, "clown": -1.6, "scum": -2.9, "worthless": -1.9, "pathetic": -2.4, "stupid": -2.4, "trash": -1.7, "loser": -2.4, "disgusting": -3.1,
     "thing": 0.9, "ering": 1.4, "ther": 1.9, "tion": 2.4, "être": 1.1, "ment": 1.6, "lich": 1.2, "ung": 1.8, "ción": 1.3, "ado": 0.9,
@@ -215,6 +219,10 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
     sql["w45b_pair_weights_factorised"] = sql["w45_pair_weights_naive"]
     out = {name: with_views(text) for name, text in sql.items()}
     out["w09_sentiment_rules"], out["w10_sentiment_plain"] = _sentiment(True), _sentiment(False)
+    for name in ("w09_sentiment_rules", "w10_sentiment_plain"):
+        out[name.replace("_", "c_", 1) + "_whole"] = out[name].replace("substring(text, 1, 280)", "text")
+    for name, whole in (("w15_class_tfidf", "w15b_class_tfidf_whole"), ("w16_topic_names", "w16b_topic_names_whole"), ("w17b_noise_topics", "w17c_noise_topics_whole")):
+        out[whole] = with_views(re.sub(r"\bfrom (lab|ranked)\b", r"from \1_whole", sql[name]))
     snap = with_views("select * from snapstream")
     out["w36_components"] = f"with recursive e as ({snap}), reach as (select distinct period, src as node, src as other from e union select distinct period, dst, dst from e union select r.period, r.node, case when e.src = r.other then e.dst else e.src end from reach r join e on e.period = r.period and (e.src = r.other or e.dst = r.other)) select period, node, min(other) as label from reach group by 1, 2"
     return out

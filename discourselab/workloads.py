@@ -110,8 +110,9 @@ def w08b_motive_rollup(spark: SparkSession, d: str) -> DataFrame:
     return select.rollup_motives(_clipped(spark, d))
 
 
-def _scored(spark: SparkSession, d: str, rules: tx.Rules | None) -> DataFrame:
-    docs = table(spark, d, "documents").select("doc_id", tx.sentiment(F.substring("text", 1, cv.PREFIX_CHARS), rules=rules).alias("score"))
+def _scored(spark: SparkSession, d: str, rules: tx.Rules | None, prefix: int | None = cv.PREFIX_CHARS) -> DataFrame:
+    body = F.substring("text", 1, prefix) if prefix else F.col("text")
+    docs = table(spark, d, "documents").select("doc_id", tx.sentiment(body, rules=rules).alias("score"))
     return _posts_of(spark, d).join(docs, "doc_id").select("post_id", "score")
 
 
@@ -123,6 +124,15 @@ def w10_sentiment_plain(spark: SparkSession, d: str) -> DataFrame:
     return _scored(spark, d, None)
 
 
+def w09c_sentiment_rules_whole(spark: SparkSession, d: str) -> DataFrame:
+    """Scores of whole texts; ``w09`` scores openings alone."""
+    return _scored(spark, d, tx.Rules(), None)
+
+
+def w10c_sentiment_plain_whole(spark: SparkSession, d: str) -> DataFrame:
+    return _scored(spark, d, None, None)
+
+
 def w10b_polarity(spark: SparkSession, d: str) -> DataFrame:
     return cv.posts_retail(spark, d).groupBy(tx.polarity(F.col("sentiment")).alias("polarity")).agg(F.count("*").alias("n"))
 
@@ -152,8 +162,8 @@ def w14_rescue(spark: SparkSession, d: str) -> DataFrame:
     return topics.rescue_outliers(_members_text(spark, d), cut_p=0.6)
 
 
-def _labelled_texts(spark: SparkSession, d: str) -> DataFrame:
-    docs = table(spark, d, "documents").select("doc_id", F.substring("text", 1, cv.PREFIX_CHARS).alias("text"))
+def _labelled_texts(spark: SparkSession, d: str, prefix: int | None = cv.PREFIX_CHARS) -> DataFrame:
+    docs = table(spark, d, "documents").select("doc_id", (F.substring("text", 1, prefix) if prefix else F.col("text")).alias("text"))
     labels = table(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("topic_id"))
     return docs.join(labels, "doc_id").select("topic_id", "text")
 
@@ -166,6 +176,14 @@ def w16_topic_names(spark: SparkSession, d: str) -> DataFrame:
     return topics.name_topics(topics.class_tfidf(_labelled_texts(spark, d)))
 
 
+def w15b_class_tfidf_whole(spark: SparkSession, d: str) -> DataFrame:
+    return topics.top_terms(topics.class_tfidf(_labelled_texts(spark, d, None)), 50).select("topic_id", "term", "weight")
+
+
+def w16b_topic_names_whole(spark: SparkSession, d: str) -> DataFrame:
+    return topics.name_topics(topics.class_tfidf(_labelled_texts(spark, d, None)))
+
+
 def w17_topic_summary(spark: SparkSession, d: str) -> DataFrame:
     return topics.topic_summary(cv.membership_retail(spark, d), "post_id")
 
@@ -174,6 +192,10 @@ def w17b_noise_topics(spark: SparkSession, d: str) -> DataFrame:
     return topics.flag_noise_topics(_labelled_texts(spark, d), 0.02)
 
 
+def w17c_noise_topics_whole(spark: SparkSession, d: str) -> DataFrame:
+    return topics.flag_noise_topics(_labelled_texts(spark, d, None), 0.02)
+
+
 def w18_group_summary(spark: SparkSession, d: str) -> DataFrame:
     return topics.group_summary(cv.membership_retail(spark, d), cv.topic_groups(spark))
 
