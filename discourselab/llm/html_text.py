@@ -2,10 +2,13 @@
 
 The standard library's parser streams events; block tags end a line. Each line has a ratio of text
 characters to tags. The ratios are smoothed with a Gaussian and clustered by a threshold (their standard
-deviation): lines above it are content. The content region is the deepest element that holds ``COVER`` of
-the content lines' text, and all of the region's lines are kept, so that short paragraphs between long
-ones stay. Menus, page headers, footers, sidebars, notices, adverts, forms, scripts, styles and reader
-comments are left out by element, role or the words of class and id, before ratios are taken.
+deviation): lines above it are content. The content region is the smallest container that holds all content
+lines, widened to the outermost article or main around it, or else until it holds the first-level headings.
+All of the region's lines are kept, so that short paragraphs between and before long ones stay. Menus, page
+headers, footers, sidebars, notices, adverts, forms, scripts, styles and reader comments are left out by
+element, role or the words of class and id, before ratios are taken. Words of class and id do not hide what
+encloses a main, the longest article or, on pages with neither, ``COVER`` of the text; such pages are parsed
+a second time.
 
 One narrow pass; nothing is shuffled. Pages are parsed whole.
 
@@ -35,6 +38,7 @@ COVER = 0.8
 _VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
 _BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
 _HOLDERS = frozenset("article aside blockquote body center details dialog div dl fieldset figure footer form header html main nav ol section table tbody td ul".split())
+_REGIONS = frozenset("article body center div main section".split())
 _LEFT_OUT = frozenset("head script style noscript template iframe object svg canvas math nav aside footer form button select textarea dialog menu".split())
 _ROLES = frozenset("navigation banner contentinfo complementary search alert alertdialog dialog menu menubar form".split())
 _HINTS = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe signup login sidebar sidebars widget widgets menu menus nav navbar navigation breadcrumb breadcrumbs footer masthead topbar toolbar comment comments commentlist disqus respond replies share sharing social related recommended recommendations trending pagination pager".split())
@@ -42,47 +46,68 @@ _PARTS = re.compile(r"[A-Za-z]+")
 
 
 class _Lines(HTMLParser):
-    """Collects (text, tags, path of enclosing elements) of every block outside what is left out."""
+    """Collects (text, tags, path of enclosing elements, heading) of every block outside what is left out.
 
-    def __init__(self) -> None:
+    Elements are numbered by their start tags; those in ``shown`` are not hidden by class or id.
+    """
+
+    def __init__(self, shown: frozenset[int] = frozenset()) -> None:
         super().__init__(convert_charrefs=True)
-        self.lines: list[tuple[str, int, tuple[int, ...]]] = []
-        self.open: list[tuple[str, int, bool]] = []
+        self.shown = shown
+        self.lines: list[tuple[str, int, tuple[int, ...], bool]] = []
+        self.open: list[tuple[str, int, str]] = []
+        self.names: dict[int, str] = {}
         self.path: tuple[int, ...] = ()
         self.text: list[str] = []
-        self.tags = self.hidden = self.count = 0
+        self.tags = self.hidden = self.barred = self.count = self.total = 0
+        self.heading = False
+        #: Characters in elements hidden by class or id, and in articles and mains with the hidden ones around them.
+        self.hinted: dict[int, int] = {}
+        self.bodies: dict[int, int] = {}
+        self.around: dict[int, list[int]] = {}
 
     def end_line(self) -> None:
         if self.text and (text := " ".join("".join(self.text).split())):
-            self.lines.append((text, max(1, self.tags), self.path))
+            self.lines.append((text, max(1, self.tags), self.path, self.heading))
             self.tags = 0
         self.text = []
 
-    def leaves_out(self, tag: str, attrs: list[tuple[str, str | None]]) -> bool:
+    def leaves_out(self, tag: str, attrs: list[tuple[str, str | None]]) -> str:
+        """Why an element is left out: "kind", "hint" or nothing."""
         if tag in _LEFT_OUT or tag == "header" and not any(name in ("article", "main") for name, _, _ in self.open):
-            return True
+            return "kind"
         if tag in ("html", "body", "article", "main"):
-            return False
+            return ""
+        hint = False
         for name, value in attrs:
             if name == "hidden" or name == "aria-hidden" and value == "true" or name == "role" and (value or "").lower() in _ROLES:
-                return True
-            if name in ("class", "id") and value and not _HINTS.isdisjoint(_PARTS.findall(value.lower())):
-                return True
-        return False
+                return "kind"
+            hint = hint or name in ("class", "id") and bool(value) and not _HINTS.isdisjoint(_PARTS.findall(value.lower()))
+        return "hint" if hint and self.count not in self.shown else ""
 
     def handle_starttag(self, tag: str, attrs: list[tuple[str, str | None]]) -> None:
         if tag in _BLOCKS:
             self.end_line()
+            self.heading = tag == "h1"
         elif tag == "br":
             self.text.append(" ")
         self.tags += not self.hidden
         if tag in _VOID:
             return
+        self.count += 1
         out = self.leaves_out(tag, attrs)
         if out or tag in _HOLDERS or self.hidden and any(name == tag for name, _, _ in self.open):
-            self.count += 1
+            inner = any(name in ("article", "main") for name, _, _ in self.open)
+            if not self.barred:
+                if out == "hint" and not inner:
+                    self.hinted[self.count] = 0
+                elif tag in ("article", "main"):
+                    self.bodies[self.count] = 0
+                    self.around[self.count] = [number for _, number, _ in self.open if number in self.hinted]
+            self.names[self.count] = tag
             self.open.append((tag, self.count, out))
-            self.hidden += out
+            self.hidden += bool(out)
+            self.barred += out == "kind"
             if not self.hidden:
                 self.path = (*self.path, self.count)
 
@@ -95,10 +120,12 @@ class _Lines(HTMLParser):
     def handle_endtag(self, tag: str) -> None:
         if tag in _BLOCKS:
             self.end_line()
+            self.heading = False
         self.tags += not self.hidden
         for k in range(len(self.open) - 1, -1, -1):
             if self.open[k][0] == tag:
-                self.hidden -= sum(out for _, _, out in self.open[k:])
+                self.hidden -= sum(bool(out) for _, _, out in self.open[k:])
+                self.barred -= sum(out == "kind" for _, _, out in self.open[k:])
                 gone = {number for _, number, _ in self.open[k:]}
                 del self.open[k:]
                 self.path = tuple(x for x in self.path if x not in gone)
@@ -107,6 +134,46 @@ class _Lines(HTMLParser):
     def handle_data(self, data: str) -> None:
         if not self.hidden:
             self.text.append(data)
+        if not self.barred and (size := len(data.strip())):
+            self.total += size
+            for held in (self.hinted, self.bodies):
+                for number in held and [number for _, number, _ in self.open if number in held]:
+                    held[number] += size
+
+    def wrappers(self) -> frozenset[int]:
+        """Elements hidden by class or id that enclose the page's main text."""
+        if not self.hinted:
+            return frozenset()
+        if not self.bodies:
+            return frozenset(number for number, size in self.hinted.items() if size and size >= COVER * self.total)
+        articles = [number for number in self.bodies if self.names[number] == "article"]
+        longest = max(articles, key=lambda number: self.bodies[number], default=None)
+        held = [number for number in self.bodies if number == longest or self.names[number] == "main"]
+        return frozenset(outer for number in held for outer in self.around[number])
+
+
+def parsed(html: str, shown: frozenset[int] = frozenset()) -> _Lines:
+    parser = _Lines(shown)
+    parser.feed(html)
+    parser.close()
+    parser.end_line()
+    return parser
+
+
+def region(parser: _Lines, content: np.ndarray) -> int | None:
+    """The number of the element whose lines are kept, None for the whole page."""
+
+    def smallest(wanted: list[tuple[int, ...]]) -> tuple[int, ...]:
+        """The containers around all of the paths, outermost first."""
+        shared = set(wanted[0]).intersection(*wanted[1:])
+        return tuple(x for x in wanted[0] if x in shared and parser.names[x] in _REGIONS)
+
+    found = smallest([path for (_, _, path, _), good in zip(parser.lines, content, strict=True) if good])
+    outer = next((x for x in found if parser.names[x] in ("article", "main")), None)
+    if outer is not None:
+        return outer
+    found = smallest([path for (_, _, path, heading), good in zip(parser.lines, content, strict=True) if good or heading])
+    return found[-1] if found else None
 
 
 def smoothed(ratios: np.ndarray, sigma: float = SIGMA, radius: int = RADIUS) -> np.ndarray:
@@ -119,25 +186,16 @@ def main_text(html: str | None) -> str:
     """Main text of one page, a line for each block."""
     if not html:
         return ""
-    parser = _Lines()
-    parser.feed(html)
-    parser.close()
-    parser.end_line()
+    parser = parsed(html)
+    if shown := parser.wrappers():
+        parser = parsed(html, shown)
     lines = parser.lines
     if not lines:
         return ""
-    ratios = np.array([len(text) / tags for text, tags, _ in lines])
+    ratios = np.array([len(text) / tags for text, tags, _, _ in lines])
     curve = smoothed(ratios)
-    content = curve >= min(ratios.std(), curve.max())
-    weight: dict[int, int] = {}
-    total = 0
-    for (text, _, path), good in zip(lines, content, strict=True):
-        if good:
-            total += len(text)
-            for element in path:
-                weight[element] = weight.get(element, 0) + len(text)
-    region = max((element for element, w in weight.items() if w >= COVER * total), default=None)
-    return "\n".join(text for text, _, path in lines if region is None or region in path)
+    kept = region(parser, curve >= min(ratios.std(), curve.max()))
+    return "\n".join(text for text, _, path, _ in lines if kept is None or kept in path)
 
 
 def extract(pages: DataFrame) -> DataFrame:
