@@ -216,6 +216,8 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
         "w53_corpus_stats": "select 'posts' as measure, count(*) as n from posts union all select 'authors', count(distinct author_id) from posts union all select 'days', count(distinct day) from posts union all select 'memberships', count(*) from members union all select 'topics', count(distinct topic_id) from members",
         "w54_distributed_rank": "select distinct o_totalprice as price, rank() over (order by o_totalprice) + (count(*) over (partition by o_totalprice) - 1) / 2.0 as rank from orders",
     }
+    sql["w27c_lagged_spearman_daily"] = sql["w27_lagged_spearman"].replace("range(-30, 31, 5)", "range(-30, 31)")
+    sql["w44b_pair_weights_all"] = sql["w44_pair_weights"].split(" qualify ")[0]
     sql["w45b_pair_weights_factorised"] = sql["w45_pair_weights_naive"]
     out = {name: with_views(text) for name, text in sql.items()}
     out["w09_sentiment_rules"], out["w10_sentiment_plain"] = _sentiment(True), _sentiment(False)

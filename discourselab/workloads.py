@@ -279,6 +279,11 @@ def w27_lagged_spearman(spark: SparkSession, d: str) -> DataFrame:
     return series.lagged_spearman(_focal(_paired(spark, d)), list(range(-30, 31, 5)))
 
 
+def w27c_lagged_spearman_daily(spark: SparkSession, d: str) -> DataFrame:
+    """Every lag of thirty days either way; ``w27`` takes each fifth."""
+    return series.lagged_spearman(_focal(_paired(spark, d)), list(range(-30, 31)))
+
+
 def w27b_cross_group(spark: SparkSession, d: str) -> DataFrame:
     return series.cross_group_corr(_paired(spark, d), *cv.FOCAL)
 
@@ -502,6 +507,11 @@ def w44_pair_weights(spark: SparkSession, d: str) -> DataFrame:
     return influence.pair_weights(_restricted(spark, d)).withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= 1000).drop("_r")
 
 
+def w44b_pair_weights_all(spark: SparkSession, d: str) -> DataFrame:
+    """All pairs; ``w44`` reports the first thousand of a group."""
+    return influence.pair_weights(_restricted(spark, d))
+
+
 def w45_pair_weights_naive(spark: SparkSession, d: str) -> DataFrame:
     users = _users(spark, d).select("user_id").orderBy("user_id").limit(30)
     return influence.pair_weight_naive(cv.posts_retail(spark, d), cv.membership_retail(spark, d), users)

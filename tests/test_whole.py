@@ -6,6 +6,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from discourselab import workloads
+from discourselab.operators import influence
+from discourselab.sources import carriers as cv
 
 
 @pytest.fixture(scope="module")
@@ -36,3 +38,16 @@ def test_terms_after_the_opening_are_counted(spark, long_texts):
     assert "scum" in names[0] and "marvel" in names[1]
     noise = {r.topic_id: (r.n, r.distinct_texts, r.noise) for r in q["w17c_noise_topics_whole"](spark, long_texts).collect()}
     assert noise == {0: (1, 1, False), 1: (2, 1, True)}
+
+
+def test_every_lag_is_there(spark, small):
+    rows = workloads.queries()["w27c_lagged_spearman_daily"](spark, small).collect()
+    assert {r.lag for r in rows} == set(range(-30, 31))
+
+
+def test_factorised_weights_equal_naive_ones_of_all_users(spark, small):
+    posts, members = cv.posts_retail(spark, small), cv.membership_retail(spark, small)
+    users = influence.active_users(posts).select("user_id")
+    naive = {(r.a, r.b): r.weight for r in influence.pair_weight_naive(posts, members, users).collect()}
+    found = {(r.a, r.b): r.weight for r in influence.pair_weights(influence.user_profiles(posts, members, users), ()).collect()}
+    assert users.count() > 30 and found == pytest.approx(naive)
