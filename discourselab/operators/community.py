@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from discourselab.plans.iterate import components, until_stable
+from discourselab.plans.iterate import components
 from discourselab.session import cut
 
 
@@ -171,17 +171,30 @@ def _quality(graph: DataFrame, labels: DataFrame, resolution: float) -> float:
     return modularity(graph, labels, resolution).agg(F.sum("modularity")).first()[0] or 0.0
 
 
-def label_propagation(edges: DataFrame, rounds: int = 10) -> DataFrame:
-    """(period, node, community): each node takes the heaviest label around it, the smaller one at a tie."""
-    both = cut(edges.select("period", "src", "dst", "weight").unionByName(edges.select("period", F.col("dst").alias("src"), F.col("src").alias("dst"), "weight")))
-    start = both.select("period", F.col("src").alias("node")).distinct().withColumn("community", F.col("node"))
+def _both_ways(edges: DataFrame) -> DataFrame:
+    back = edges.select("period", F.col("dst").alias("src"), F.col("src").alias("dst"), "weight")
+    return edges.select("period", "src", "dst", "weight").unionByName(back)
 
-    def step(labels: DataFrame) -> DataFrame:
-        around = both.join(labels.withColumnRenamed("node", "dst"), ["period", "dst"]).groupBy("period", F.col("src").alias("node"), "community").agg(F.sum("weight").alias("w"))
-        order = Window.partitionBy("period", "node").orderBy(F.desc("w"), "community")
-        return around.withColumn("_r", F.row_number().over(order)).where(F.col("_r") == 1).select("period", "node", "community")
 
-    return until_stable(start, step, lambda d: d.agg(F.bit_xor(F.xxhash64("period", "node", "community"))).first(), rounds)
+def label_propagation(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
+    """(period, node, community): nodes take the heaviest label around them until none wants another.
+
+    A node keeps its label if that is among the heaviest, else the smallest of those wins. In a round half
+    of the nodes may move, by a hash of node and round: were all to move at once, the two sides of a
+    bipartite snapshot would trade labels for ever.
+    """
+    both = cut(_both_ways(edges))
+    labels = both.select("period", F.col("src").alias("node")).distinct().withColumn("community", F.col("node"))
+    for turn in range(max_rounds):
+        around = both.join(labels.withColumnRenamed("node", "dst"), ["period", "dst"]).groupBy("period", F.col("src").alias("node"), "community").agg(F.round(F.sum("weight"), 9).alias("w"))
+        own = labels.withColumnRenamed("community", "own")
+        order = F.struct(-F.col("w"), (F.col("community") != F.col("own")).cast("int"), "community")
+        wanted = cut(around.join(own, ["period", "node"]).groupBy("period", "node", "own").agg(F.min_by("community", order).alias("community")))
+        if wanted.where("community <> own").isEmpty():
+            return wanted.select("period", "node", "community")
+        may = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(2)) == 0
+        labels = wanted.select("period", "node", F.when(may, F.col("community")).otherwise(F.col("own")).alias("community"))
+    raise RuntimeError(f"labels still move after {max_rounds} rounds")
 
 
 def period_components(edges: DataFrame) -> DataFrame:

@@ -11,16 +11,16 @@ from discourselab.session import cut
 
 
 def until_stable(state: DataFrame, step: Callable[[DataFrame], DataFrame], fingerprint: Callable[[DataFrame], Row], max_rounds: int) -> DataFrame:
-    """Apply ``step`` until ``fingerprint`` (a one-row summary) repeats."""
+    """Apply ``step`` until ``fingerprint`` (a one-row summary) repeats; an error if it never does."""
     state = cut(state)
     before = fingerprint(state)
     for _ in range(max_rounds):
         state = cut(step(state))
         now = fingerprint(state)
         if now == before:
-            break
+            return state
         before = now
-    return state
+    raise RuntimeError(f"not stable after {max_rounds} rounds")
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:

@@ -2,21 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
-from discourselab.session import cut
-
-
-def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh folder in the shared checkpoint folder."""
-    if spark.sparkContext.getCheckpointDir() is None:
-        cut(spark.range(1))
-    return f"{spark.sparkContext.getCheckpointDir().rstrip('/')}/{name}-{uuid.uuid4().hex}"
+from discourselab.session import scratch
 
 
 def roundtrip(df: DataFrame, fmt: str, partition_by: str | None = None, mode: str = "overwrite", **options: str) -> DataFrame:

@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-from discourselab.sources.files import event_stream, scratch
+from discourselab.session import scratch
+from discourselab.sources.files import event_stream
 
 LATE = "1 day"
 
