@@ -1,11 +1,10 @@
 """Repeated passages: run-length compressed Burrows-Wheeler index and matching statistics.
 
-A byte is removed if it lies in a 50-byte string that also starts in a document with a smaller id. Whether
-a position matches is read off an index of the text it could match: the Burrows-Wheeler transform of the
-text in run-compressed form (run heads, starts, counts before each run, and the suffix position sampled at
-each run's end), along with the intervals of rows that share 50 bytes and the smallest document in each.
-Strings are streamed backwards through the index by LF steps; the interval a step lands in tells whether
-the matching statistic at that position reaches 50 outside the document, and who holds the string first.
+A byte is removed if it lies in a 50-byte string that also starts in a document with a smaller id. What a
+position matches is read off an index of the text it could match: the Burrows-Wheeler transform of the text
+in run-compressed form, with the suffix positions at run ends sampled. Streaming the text along the samples
+gives every position its neighbour in suffix order and the matching statistic with it; statistics of 50 or
+more chain equal 50-byte strings together, and the smallest document of a chain holds the string first.
 
 Bringing the text together
     A 50-byte string is dealt by its anchor, the leftmost smallest hash among its 16-byte substrings. Equal
@@ -16,7 +15,9 @@ Bringing the text together
        with a side alike are shared. Sides that a sample finds very common skip this and count as shared.
     2. The first document of every distinct text cuts out its segments with shared anchors.
     3. Equal segments fold into one with the smallest doc_id on the map side; each shard of different
-       segments builds its index and streams them.
+       segments builds its index and streams them. Anchors with more than ``HOT`` different segments are
+       dealt finer: each 50-byte string of their segments goes to a shard by its own hash, folded in the
+       same way, so that a phrase in ever new surroundings never meets in one task.
     4. Owners found for segments return to the places where they stand and become spans. A copy of an
        earlier document's whole text is one span.
 
@@ -27,16 +28,16 @@ Scale
     only, bounded by the sample.
 
 Defined cases
-    Null text counts as empty. Texts under 50 bytes keep everything. Repeated rows of one doc_id are one
-    document and each get its result. Rows with a null doc_id come after all others in order and match
-    them, not one another. An empty table gives an empty result. Other columns are ignored.
+    Null text counts as empty. Texts under 50 bytes keep everything. Spans belong to a doc_id and a text, so
+    rows of one doc_id with different texts are judged each; a doc_id is not smaller than itself, so they
+    do not match one another, and repeated rows get equal results. Rows with a null doc_id come after all
+    others in order: they match those and not one another. An empty table gives an empty result. Other
+    columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
-import tempfile
-import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 
@@ -46,14 +47,16 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from discourselab.session import cut, prepare
+from discourselab.session import cut, discard, prepare, scratch
 
 LENGTH = 50
 GRAM = 16
 #: Of 50 equal bytes around an anchor this many lie on one of its sides.
 SIDE = (LENGTH - GRAM) // 2
 #: Bytes of text that a shard of anchors, and a shard of segments, stand for.
-ANCHOR_SHARD, SEGMENT_SHARD = 16_000_000, 4_000_000
+ANCHOR_SHARD, SEGMENT_SHARD = 16_000_000, 2_000_000
+#: Different segments with one anchor beyond which they are dealt by 50-byte string.
+HOT = 2000
 #: Documents in the sample that finds very common sides, and how many of them make a side one.
 SAMPLE_LEAST, SAMPLE_MOST, SAMPLE_SHARE, COMMON = 4000, 200_000, 250_000, 8
 _CHUNK = 2_000_000
@@ -275,13 +278,13 @@ def _shared(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     return key[fresh], (np.int64(shard) << 32) + low[fresh].astype(np.int64)
 
 
-def _cut_out(common, anchor_shards: int, segment_shards: int):
-    """Rows (shard, doc_id, start, seg) of the segments with shared anchors of compressed texts."""
+def _cut_out(common, anchor_shards: int):
+    """Rows (anchor, doc_id, key, start, seg) of the segments with shared anchors of compressed texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
-            doc_ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
+            doc_ids, keys = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("doc_id", "key"))
             texts = [unpack(x.as_buffer()) for x in batch.column("packed")]
             listed = batch.column("anchors")
             for number, offset, parts in _chunks(texts):
@@ -297,127 +300,135 @@ def _cut_out(common, anchor_shards: int, segment_shards: int):
                         take[a:b] |= np.isin(own[a:b], listed[k].values.to_numpy())
                 text, start, windows = s.text[take], s.start[take], s.windows[take]
                 segs = [parts[o][i : i + w + LENGTH - 1] for o, i, w in zip(text.tolist(), start.tolist(), windows.tolist(), strict=True)]
-                shard = (s.hash[take] % np.uint64(segment_shards)).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(shard), pa.array(doc_ids[number[text]]), pa.array((start + offset[text]).astype(np.int32)), pa.array(segs, pa.binary())], ["shard", "doc_id", "start", "seg"])
+                columns = [s.hash[take].view(np.int64), doc_ids[number[text]], keys[number[text]], (start + offset[text]).astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(segs, pa.binary())], ["anchor", "doc_id", "key", "start", "seg"])
 
     return run
 
 
 class RunIndex:
-    """Run-compressed Burrows-Wheeler transform of some strings, each closed by its own end mark.
+    """Run-length compressed Burrows-Wheeler transform of some strings, each closed by its own end mark.
 
-    Rows 0 .. n-1 are the end marks. ``classes`` numbers, by row, the intervals of rows whose suffixes
-    share their first ``LENGTH`` bytes (-1 for shorter ones).
+    A run is a block of rows, in suffix order, with one preceding byte (before a string's first byte stands an
+    end mark of its own). Kept are the first row of every run (``run_start``), its byte (``run_char``, 0 for an
+    end mark) and samples: the position of the suffix at its last row (``run_end``) and, in text order,
+    positions ``at`` that head a run, the position ``above`` of the suffix one row up (the end of the run
+    before) and how many bytes the two share. Nothing is kept by row or by position.
     """
 
     def __init__(self, strings: list[bytes]) -> None:
         self.sizes = sizes = np.fromiter(map(len, strings), np.int64, len(strings))
-        raw = np.frombuffer(b"".join(x + b"\0" for x in strings), np.uint8)
-        owner = np.repeat(np.arange(len(sizes)), sizes + 1)
-        begins = np.cumsum(sizes + 1) - sizes - 1
-        left = (begins + sizes)[owner] - np.arange(len(raw))  # bytes from here to the string's end
-        kinds = np.flatnonzero(np.bincount(raw, minlength=256))
-        number = np.zeros(256, np.int64)
+        raw = np.frombuffer(b"".join(x + b"\0" for x in strings) + bytes(8), np.uint8)
+        n = len(raw) - 8
+        ends = np.cumsum(sizes + 1) - 1
+        self.begins = ends - sizes
+        left = np.repeat(ends, sizes + 1) - np.arange(n)  # bytes from here to the string's end
+        kinds = np.flatnonzero(np.bincount(raw[:n], minlength=256))
+        number = np.zeros(256, np.uint64)
         number[kinds] = np.arange(1, len(kinds) + 1)
-        code = np.where(left > 0, number[raw], 0)
-        bits, reach, key = max(1, int(len(kinds)).bit_length()), 1, code
-        while 2 * reach * bits <= 62 and reach < LENGTH:
-            key = key << reach * bits
-            key[:-reach] |= key[reach:] >> reach * bits
-            reach *= 2
-        masks = ~((np.int64(1) << bits * np.arange(reach, -1, -1)) - 1)  # of what lies beyond the string's end
-        rank, longest, half = self._ranks(key & masks[np.minimum(left, reach)]), int(sizes.max(initial=0)), 0
-        while True:
-            if reach <= LENGTH < 2 * reach:
-                half, prefix = reach, rank
-            if half and 2 * reach >= longest:
-                break
-            rank, reach = self._doubled(rank, reach, left), 2 * reach
-        order = self._ordered(rank, reach, left, owner)
-        self.suffix, self.owner = order, owner[order]
-        before = np.where(left[order] < sizes[owner[order]], code[order - 1], 0)
-        self._compress(before)
-        self.classes = np.full(len(order), -1, np.int32)
-        whole = left[order] >= LENGTH
-        if whole.any():
-            a, b = prefix[order[whole]], prefix[order[whole] + LENGTH - half]
-            self.classes[whole] = np.cumsum(np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) - 1
+        code = np.where(left > 0, number[raw[:n]], 0).astype(np.uint64)
+        order = self._suffix_order(code, int(len(kinds)).bit_length(), left, int(sizes.max(initial=0)))
+        preceding = np.zeros(n, np.uint64)
+        preceding[1:] = code[:-1]
+        before = preceding[order]
+        self.run_start = np.flatnonzero(np.append(True, (before[1:] != before[:-1]) | (before[1:] == 0))[:n])
+        self.run_char = before[self.run_start]
+        self.run_end = order[np.append(self.run_start[1:], n)[: len(self.run_start)] - 1]
+        heads = order[self.run_start]
+        above = np.append(heads[:1], self.run_end[:-1])  # nothing is above the first row
+        shared = np.minimum(self._shared(raw, heads, above), np.minimum(left[heads], left[above]))
+        shared[:1] = 0
+        sort = np.argsort(heads)
+        self.at, self.above, self.shared = heads[sort], above[sort], shared[sort]
+
+    @classmethod
+    def _suffix_order(cls, code: np.ndarray, bits: int, left: np.ndarray, longest: int) -> np.ndarray:
+        """Positions in the order of their suffixes, by ranks of doubled or tripled prefixes."""
+        place = int(len(code)).bit_length()
+        reach = min(64 // max(1, bits), max(1, (64 - place) // max(1, bits)))
+        key = np.zeros(len(code), np.uint64)
+        for k in range(reach):
+            key = key << np.uint64(bits) | cls._beyond(code, k, left)
+        rank, order, kinds = cls._ranks(key, reach * bits, place)
+        while reach < longest:
+            bits = kinds.bit_length()
+            parts = 3 if 3 * bits + place <= 64 else 2
+            key = rank.astype(np.uint64)
+            for k in range(1, parts):
+                key = key << np.uint64(bits) | cls._beyond(rank + 1, k * reach, left)
+            rank, order, kinds = cls._ranks(key, parts * bits, place)
+            reach *= parts
+        return order
+
+    @staticmethod
+    def _beyond(values: np.ndarray, step: int, left: np.ndarray) -> np.ndarray:
+        """The values ``step`` positions on, 0 where the string has ended."""
+        out = np.zeros(len(values), np.uint64)
+        if step < len(values):
+            out[: len(values) - step] = values[step:]
+        out[left <= step] = 0
+        return out
 
     @staticmethod
-    def _ranks(key: np.ndarray) -> np.ndarray:
-        order = np.argsort(key)
-        sorted_key = key[order]
+    def _ranks(key: np.ndarray, bits: int, place: int) -> tuple[np.ndarray, np.ndarray, int]:
+        """Rank of every key, the positions in order (by position at a tie), and how many ranks there are."""
+        if bits + place <= 64:  # one number holds key and position
+            both = np.sort(key << np.uint64(place) | np.arange(len(key), dtype=np.uint64))
+            order, key = (both & np.uint64((1 << place) - 1)).astype(np.int64), both >> np.uint64(place)
+        else:
+            order = np.argsort(key, kind="stable")
+            key = key[order]
         steps = np.zeros(len(key), np.int32)
-        np.cumsum(sorted_key[1:] != sorted_key[:-1], out=steps[1:])
+        np.cumsum(key[1:] != key[:-1], out=steps[1:])
         rank = np.empty(len(key), np.int32)
         rank[order] = steps
-        return rank
+        return rank, order, int(steps[-1]) + 1 if len(steps) else 0
 
     @staticmethod
-    def _beyond(rank: np.ndarray, reach: int, left: np.ndarray) -> np.ndarray:
-        """Rank, plus one, of what follows the first ``reach`` bytes; 0 where the string has ended."""
-        out = np.zeros(len(rank), np.int64)
-        out[:-reach] = rank[reach:]
-        out += 1
-        out[left <= reach] = 0
+    def _shared(raw: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """How many bytes from positions a and b on are equal, in steps of eight at least to the first that differs."""
+        words = np.ndarray(len(raw) - 7, "<u8", raw, strides=(1,))
+        out, todo, at = np.zeros(len(a), np.int64), np.flatnonzero(a != b), 0
+        while len(todo):
+            todo = todo[np.maximum(a[todo], b[todo]) + at < len(words)]
+            differ = words[a[todo] + at] ^ words[b[todo] + at]
+            lowest = differ & (~differ + np.uint64(1))  # the first bit that differs
+            out[todo] += np.where(differ == 0, 64, np.bitwise_count(lowest - np.uint64(1))) // 8
+            todo, at = todo[differ == 0], at + 8
         return out
 
-    @classmethod
-    def _doubled(cls, rank: np.ndarray, reach: int, left: np.ndarray) -> np.ndarray:
-        return cls._ranks((rank.astype(np.int64) << int(len(rank) + 1).bit_length()) + cls._beyond(rank, reach, left))
+    def streamed(self) -> tuple[np.ndarray, np.ndarray]:
+        """For every position: that of the suffix one row up, and the matching statistic with it.
 
-    @classmethod
-    def _ordered(cls, rank: np.ndarray, reach: int, left: np.ndarray, owner: np.ndarray) -> np.ndarray:
-        """The last doubling and the order of the end marks in one sort, if they fit one number."""
-        place, mark = int(len(rank) + 1).bit_length(), int(owner.max(initial=0) + 1).bit_length()
-        if 2 * place + mark > 62:
-            rank = cls._doubled(rank, reach, left)
-            return np.lexsort((owner, rank))
-        return np.argsort((rank.astype(np.int64) << place + mark) + (cls._beyond(rank, reach, left) << mark) + owner)
-
-    def _compress(self, before: np.ndarray) -> None:
-        starts = np.flatnonzero(np.append(True, before[1:] != before[:-1])) if len(before) else np.empty(0, np.int64)
-        lengths = np.diff(np.append(starts, len(before)))
-        self.run_start, self.run_char = starts.astype(np.int32), before[starts]
-        self.run_end_suffix = self.suffix[starts + lengths - 1]
-        by_char = np.argsort(self.run_char, kind="stable")
-        total = np.concatenate(([0], np.cumsum(lengths[by_char])[:-1])) if len(starts) else starts
-        # rows are sorted by first character, so the runs of a character land one after another;
-        # end marks come first among rows and string starts (marked 0) are as many
-        self.run_lands = np.empty(len(starts), np.int32)
-        self.run_lands[by_char] = total
-
-    def step(self, rows: np.ndarray) -> np.ndarray:
-        """LF: the rows of the suffixes that begin one byte earlier."""
-        run = np.searchsorted(self.run_start, rows, "right") - 1
-        return self.run_lands[run] + rows - self.run_start[run]
-
-    def streamed(self) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """(string, position, class) for every position with ``LENGTH`` bytes, from the ends backwards."""
-        alive = np.argsort(-self.sizes, kind="stable")
-        sizes = self.sizes[alive]
-        rows = alive.astype(np.int32)
-        for done in range(1, int(sizes.max(initial=0)) + 1):
-            n = np.searchsorted(-sizes, -done, "right")  # strings that go on, longest first
-            rows = self.step(rows[:n])
-            if done >= LENGTH:
-                yield alive[:n], sizes[:n] - done, self.classes[rows]
+        One step on in the text keeps two neighbours neighbours, and takes a byte off what they share, unless
+        a run starts between them; so a position reads both off the last sample before it.
+        """
+        gaps = np.diff(np.append(self.at, int((self.sizes + 1).sum())))
+        steps = np.arange(int(gaps.sum())) - np.repeat(self.at, gaps)
+        return np.repeat(self.above, gaps) + steps, np.repeat(self.shared, gaps) - steps
 
 
 def first_holders(strings: list[bytes], docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """For each string, by position, the smallest of ``docs`` over strings that hold its next 50 bytes.
 
-    Flat, with the offset of each string.
+    Flat, with the offset of each string. A matching statistic of 50 or more links a position to the one
+    above it in suffix order; the chains of links are the classes of equal 50-byte strings.
     """
     index = RunIndex(strings)
-    inside = np.flatnonzero(index.classes >= 0)
-    first = np.flatnonzero(np.diff(index.classes[inside], prepend=-1))
-    holder = np.minimum.reduceat(docs[index.owner[inside]], first)
-    offsets = np.concatenate(([0], np.cumsum(np.maximum(0, index.sizes - LENGTH + 1))))
-    found = np.empty(offsets[-1], np.int64)
-    for string, position, interval in index.streamed():
-        found[offsets[string] + position] = holder[interval]
-    return found, offsets
+    above, statistic = index.streamed()
+    linked = np.flatnonzero(statistic >= LENGTH)
+    root, todo = np.arange(len(above)), linked
+    root[linked] = above[linked]
+    while len(todo):  # chains are followed in doubling steps
+        up = root[root[todo]]
+        todo, last = todo[up != root[todo]], todo
+        root[last] = up
+    least = np.repeat(docs, index.sizes + 1)
+    np.minimum.at(least, root[linked], least[linked])
+    windows = np.maximum(0, index.sizes - LENGTH + 1)
+    offsets = np.concatenate(([0], np.cumsum(windows)))
+    place = np.arange(offsets[-1]) + np.repeat(index.begins - offsets[:-1], windows)
+    return least[root[place]], offsets
 
 
 def _index_shard(group: pa.Table) -> pa.Table:
@@ -442,7 +453,7 @@ def _index_shard(group: pa.Table) -> pa.Table:
 def _pack_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     pack = zstandard.ZstdCompressor(level=1).compress
     for batch in batches:
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([pack(_bytes(x)) for x in batch.column(1)], pa.binary())], ["doc_id", "packed"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([pack(_bytes(x)) for x in batch.column(2)], pa.binary())], ["doc_id", "key", "packed"])
 
 
 def merged(spans: np.ndarray) -> np.ndarray:
@@ -479,11 +490,6 @@ def _finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
-def _shared_folder(spark) -> str:
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="discourselab-")
-    return f"{base.rstrip('/')}/repeats-{uuid.uuid4().hex}"
-
-
 @contextmanager
 def _freed_shuffles(spark) -> Iterator[None]:
     """What is written inside frees its shuffle files when done: its result is durable and they are large."""
@@ -496,8 +502,55 @@ def _freed_shuffles(spark) -> Iterator[None]:
         spark.conf.unset(name) if before is None else spark.conf.set(name, before)
 
 
-def repeated_spans(docs: DataFrame) -> DataFrame:
-    """(doc_id, copied, starts, ends) of the documents from which something is removed."""
+def _names(column: str) -> list:
+    """128 bits stand for a segment."""
+    return [F.xxhash64(column).alias("a"), F.xxhash64(F.lit("other"), column).alias("b")]
+
+
+_PLACES = "anchor long, doc_id long, key long, start int, seg binary"
+_OWNERS = "a long, b long, starts array<int>, ends array<int>, holders array<bigint>"
+
+
+def _hot_anchors(places: DataFrame, limit: int) -> DataFrame:
+    """(anchor) of the anchors with more than ``limit`` different segments."""
+    busy = places.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > limit).select("anchor")
+    kinds = places.join(busy, "anchor", "left_semi").groupBy("anchor").agg(F.count_distinct(F.xxhash64("seg")).alias("n"))
+    return cut(kinds.where(F.col("n") > limit).select("anchor"))
+
+
+def owners_of(places: DataFrame, shards: int, hot_limit: int = HOT) -> DataFrame:
+    """(a, b, starts, ends, holders): for the different segments of (anchor, doc_id, seg) rows, who holds what first.
+
+    Stretches are relative to the segment; only segments that some document may lose a byte of are listed.
+    """
+    hot = _hot_anchors(places, hot_limit)
+    folded = lambda rows: rows.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
+    if hot.isEmpty():
+        different = folded(places)
+    else:
+        wide = folded(places.join(hot, "anchor", "left_semi")).select(*_names("seg"), "seg", "holder", "copies")
+        at = F.explode(F.sequence(F.lit(0), F.octet_length("seg") - LENGTH)).alias("at")
+        windows = wide.select("a", "b", "holder", "copies", "seg", at).withColumn("seg", F.substring("seg", F.col("at") + 1, F.lit(LENGTH)))
+        # a string that one different segment alone has, has no other holder
+        again = windows.groupBy("seg").agg(F.min("holder").alias("holder"), F.count("*").alias("copies")).where("copies > 1")
+        different = folded(places.join(hot, "anchor", "left_anti")).unionByName(again.select(F.xxhash64("seg").alias("anchor"), "seg", "holder", "copies"))
+    dealt = different.select(F.pmod("anchor", F.lit(shards)).cast("int").alias("shard"), *_names("seg"), "seg", "holder", "copies")
+    owners = dealt.groupBy("shard").applyInArrow(_index_shard, _OWNERS)
+    if hot.isEmpty():
+        return owners
+    owners = cut(owners)
+    strings = owners.select(F.col("a").alias("_a"), F.col("b").alias("_b"), F.col("holders")[0].alias("first"))
+    named = windows.select("a", "b", "holder", "copies", "at", *(x.alias(f"_{n}") for x, n in zip(_names("seg"), "ab", strict=True)))
+    found = named.join(strings, ["_a", "_b"], "left").withColumn("first", F.least("holder", "first")).where("first < holder or copies > 1")
+    per = found.groupBy("a", "b").agg(F.collect_list(F.struct(F.col("at").alias("s"), (F.col("at") + LENGTH).alias("e"), F.col("first").alias("h"))).alias("x"))
+    return owners.unionByName(per.select("a", "b", F.col("x.s").alias("starts"), F.col("x.e").alias("ends"), F.col("x.h").alias("holders")))
+
+
+def repeated_spans(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
+    """(doc_id, key, copied, starts, ends) of the documents from which something is removed.
+
+    ``key`` is the hash of a text; doc_id and key together stand for a row and its equals.
+    """
     spark = prepare(docs.sparkSession)
     keyed = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
     sizes = cut(keyed.select("doc_id", "key", F.unhex(F.sha2("text", 256)).alias("sha"), F.octet_length("text").alias("size")))
@@ -509,36 +562,40 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     shared = dealt.groupBy("shard").applyInArrow(_shared_in_shard(shards), "bucket int, payload binary")
     lists = shared.groupBy("bucket").applyInArrow(_lists_of_bucket, "key long, anchors array<bigint>")
     firsts = sizes.groupBy("sha", "key").agg(F.min("doc_id").alias("doc_id"))
-    wanted = firsts.join(lists, "key", "left").select(F.col("doc_id").alias("_doc"), "anchors").groupBy("_doc").agg(F.flatten(F.collect_list("anchors")).alias("anchors"))
+    wanted = firsts.join(lists, "key", "left").select(F.col("doc_id").alias("_doc"), F.col("key").alias("_key"), "anchors")
 
-    packed = docs.select("doc_id", "text").mapInArrow(_pack_texts, "doc_id long, packed binary")
-    cutting = packed.join(wanted, packed.doc_id == wanted["_doc"]).select("doc_id", "packed", "anchors").mapInArrow(_cut_out(common, shards, cuts), "shard int, doc_id long, start int, seg binary")
-    folder = _shared_folder(spark)
+    same_row = (F.col("doc_id") == F.col("_doc")) & (F.col("key") == F.col("_key"))
+    packed = keyed.mapInArrow(_pack_texts, "doc_id long, key long, packed binary")
+    cutting = packed.join(wanted, same_row).select("doc_id", "key", "packed", "anchors").mapInArrow(_cut_out(common, shards), _PLACES)
+    held = scratch(spark, "repeats-places")
     with _freed_shuffles(spark):
-        cutting.write.option("compression", "zstd").parquet(f"{folder}/places")
-    places = spark.read.schema("shard int, doc_id long, start int, seg binary").parquet(f"{folder}/places")
+        cutting.write.option("compression", "zstd").parquet(held)
+    places = spark.read.schema(_PLACES).parquet(held)
 
-    name = [F.xxhash64("seg").alias("a"), F.xxhash64(F.lit("other"), "seg").alias("b")]  # 128 bits stand for a segment
-    different = places.groupBy("shard", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies")).select("*", *name)
-    owners = different.groupBy("shard").applyInArrow(_index_shard, "a long, b long, starts array<int>, ends array<int>, holders array<bigint>")
-    met = places.select("doc_id", "start", *name).join(owners, ["a", "b"])
+    met = places.select("doc_id", "key", "start", *_names("seg")).join(owners_of(places, cuts, hot_limit), ["a", "b"])
     zipped = F.filter(F.arrays_zip("starts", "ends", "holders"), lambda x: x["holders"] < F.col("doc_id"))
-    found = met.select("doc_id", F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e"))).alias("x")).where(F.size("x") > 0)
-    within = found.groupBy("doc_id").agg(F.flatten(F.collect_list("x")).alias("x")).select("doc_id", F.lit(False).alias("copied"), F.col("x.s").alias("starts"), F.col("x.e").alias("ends"))
+    moved = F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e")))
+    found = met.select("doc_id", "key", moved.alias("x")).where(F.size("x") > 0)
+    within = found.groupBy("doc_id", "key").agg(F.flatten(F.collect_list("x")).alias("x"))
+    first = firsts.select("sha", F.col("doc_id").alias("first"))
+    copies = sizes.join(first, "sha").where("doc_id > first").select("doc_id", "key").distinct()
     none = F.lit(None).cast("array<int>")
-    copies = sizes.join(firsts.select("sha", F.col("doc_id").alias("first")), "sha").where("doc_id > first").select("doc_id").distinct()
-    spans = within.unionByName(copies.select("doc_id", F.lit(True).alias("copied"), none.alias("starts"), none.alias("ends")))
+    spans = within.select("doc_id", "key", F.lit(False).alias("copied"), F.col("x.s").alias("starts"), F.col("x.e").alias("ends"))
+    spans = spans.unionByName(copies.select("doc_id", "key", F.lit(True).alias("copied"), none.alias("starts"), none.alias("ends")))
+    out = scratch(spark, "repeats-spans")
     with _freed_shuffles(spark):
-        spans.write.parquet(f"{folder}/spans")
-    return spark.read.schema(spans.schema).parquet(f"{folder}/spans")
+        spans.write.parquet(out)
+    discard(spark, held)
+    return spark.read.schema(spans.schema).parquet(out)
 
 
-def remove_repeats(docs: DataFrame) -> DataFrame:
+def remove_repeats(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of every row of a (doc_id, text) table."""
     real = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     whole = real.select(F.coalesce("doc_id", F.lit(_LAST)).alias("doc_id"), "text")
-    spans = repeated_spans(whole).withColumnRenamed("doc_id", "_doc")
-    packed = whole.mapInArrow(_pack_texts, "doc_id long, packed binary")
-    joined = packed.join(spans, packed.doc_id == spans["_doc"], "left").select("doc_id", "packed", F.coalesce("copied", F.lit(False)).alias("copied"), "starts", "ends")
+    spans = repeated_spans(whole, hot_limit).withColumnsRenamed({"doc_id": "_doc", "key": "_key"})
+    packed = whole.select("doc_id", F.xxhash64("text").alias("key"), "text").mapInArrow(_pack_texts, "doc_id long, key long, packed binary")
+    same_row = (packed.doc_id == spans["_doc"]) & (packed.key == spans["_key"])
+    joined = packed.join(spans, same_row, "left").select("doc_id", "packed", F.coalesce("copied", F.lit(False)).alias("copied"), "starts", "ends")
     out = joined.mapInArrow(_finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
     return out.withColumn("doc_id", F.nullif("doc_id", F.lit(_LAST)))

@@ -281,19 +281,26 @@ def test_decontamination_blocks_and_odd_rows(spark, small, docs, make):
 
 
 def brute_repeats(held):
+    """Rows (doc_id, text) judged each; a null doc_id comes after all others."""
+    rank = lambda d: 1 << 62 if d is None else d
+    held = [(d, (t or "").encode()) for d, t in held]
     first = {}
     for d, b in held:
         for i in range(len(b) - 49):
-            first[b[i : i + 50]] = min(first.get(b[i : i + 50], 1 << 62), d)
-    out = {}
+            first[b[i : i + 50]] = min(first.get(b[i : i + 50], 1 << 62), rank(d))
+    out = []
     for d, b in held:
         gone = bytearray(len(b))
         for i in range(len(b) - 49):
-            if first[b[i : i + 50]] < d:
+            if first[b[i : i + 50]] < rank(d):
                 gone[i : i + 50] = b"\1" * 50
         kept = bytes(x for x, g in zip(b, gone, strict=True) if not g)
-        out[d] = (len(b), sum(gone), sum(g and (i == 0 or not gone[i - 1]) for i, g in enumerate(gone)), hashlib.sha256(kept).hexdigest())
-    return out
+        out.append((d, len(b), sum(gone), sum(g and (i == 0 or not gone[i - 1]) for i, g in enumerate(gone)), hashlib.sha256(kept).hexdigest()))
+    return sorted(map(str, out))
+
+
+def found_repeats(table, **more):
+    return sorted(str(tuple(r)) for r in repeats.remove_repeats(table, **more).collect())
 
 
 def test_repeats_equal_brute_force(docs, make):
@@ -301,12 +308,26 @@ def test_repeats_equal_brute_force(docs, make):
     base = ["".join(rng.choice("ab é") for _ in range(300)) for _ in range(4)]
     odd = [(5000, None), (5001, ""), (5002, "a" * 49), (5003, "a" * 50), (5004, "a" * 51), (5005, "a" * 4000), (5006, base[0]), (5007, base[0]), (5008, base[0][:99] + "X" + base[0][100:]), (5009, base[1][50:99]), (5010, base[1][50:100]), (5011, base[1]), (5012, base[2] * 3), (5013, base[2]), (5014, "q" + base[3][7:200] + base[0][9:120]), (5015, base[3])]
     table = docs.select("doc_id", "text").unionByName(make(odd))
-    expected = brute_repeats([(r.doc_id, (r.text or "").encode()) for r in table.collect()])
-    found = rows(repeats.remove_repeats(table))
-    assert {i: tuple(r)[1:] for i, r in found.items()} == expected
+    assert found_repeats(table) == brute_repeats([tuple(r) for r in table.collect()])
     assert repeats.remove_repeats(make([])).count() == 0
-    nulls = repeats.remove_repeats(make([(None, base[0]), (1, base[0]), (2, base[1]), (2, base[1])])).collect()
-    assert sorted((r.doc_id is None, r.n_removed > 0) for r in nulls) == [(False, False), (False, False), (False, False), (True, True)]
+    more = make(odd).withColumn("key", F.lit("mine")).withColumn("n_bytes", F.lit(1)).withColumn("spans", F.lit(2))
+    assert found_repeats(more) == brute_repeats(odd)
+
+
+def test_repeats_of_null_and_repeated_ids(make):
+    rng = random.Random(14)
+    a, b, c = ("".join(rng.choice("abcd efgh") for _ in range(200)) for _ in range(3))
+    held = [(1, a), (None, a), (None, b), (None, a[:80] + c), (None, b), (2, a[:80] + c), (2, b), (2, c), (3, c + b), (3, c + b), (4, None), (None, None)]
+    assert found_repeats(make(held)) == brute_repeats(held)
+
+
+def test_repeats_with_a_phrase_in_ever_new_surroundings(make):
+    rng = random.Random(24)
+    text = lambda n: "".join(rng.choice("abcdefghij klmnop") for _ in range(n))
+    phrase, near = text(90), text(120)
+    held = [(i, text(60) + phrase + text(60)) for i in range(60)] + [(100 + i, near[: 60 + i % 40] + text(40)) for i in range(40)] + [(200, phrase), (201, phrase[:49])]
+    held += [(300 + i, text(20) + phrase[20:] + near[:30]) for i in range(6)] * 2
+    assert found_repeats(make(held), hot_limit=8) == found_repeats(make(held)) == brute_repeats(held)
 
 
 def test_run_index_holders_and_long_texts(monkeypatch):
@@ -322,8 +343,14 @@ def test_run_index_holders_and_long_texts(monkeypatch):
         found, offsets = repeats.first_holders(strings, docs)
         for s, g in zip(strings, np.split(found, offsets[1:-1]), strict=True):
             assert g.tolist() == [first[s[i : i + 50]] for i in range(len(s) - 49)]
-    index = repeats.RunIndex([b"abracadabra" * 20, b"abracadabrx" * 20])
-    assert len(index.run_start) < len(index.suffix) / 4 and len(index.run_end_suffix) == len(index.run_start)
+    strings = [b"abracadabra" * 20, b"abracadabrx" * 20, b"", b"abra"]
+    index = repeats.RunIndex(strings)
+    assert len(index.run_start) == len(index.run_end) == len(index.at) < sum(map(len, strings)) / 4
+    rows = sorted((s[i:], k, index.begins[k] + i) for k, s in enumerate(strings) for i in range(len(s) + 1))
+    above, statistic = index.streamed()
+    for (x, _, p), (y, _, q) in zip(rows, rows[1:], strict=False):
+        alike = next((i for i, (u, v) in enumerate(zip(x, y, strict=False)) if u != v), min(len(x), len(y)))
+        assert (above[q], statistic[q]) == (p, alike)
     text = bytes(rng.choice(b"abc ") for _ in range(5000))
     whole = repeats.Segments([text])
     monkeypatch.setattr(repeats, "_CHUNK", 700)
