@@ -55,8 +55,8 @@ GRAM = 16
 SIDE = (LENGTH - GRAM) // 2
 #: Bytes of text that a shard of anchors, and a shard of segments, stand for.
 ANCHOR_SHARD, SEGMENT_SHARD = 16_000_000, 2_000_000
-#: Different segments with one anchor beyond which they are dealt by 50-byte string.
-HOT = 2000
+#: Different segments with one anchor beyond which they are dealt by 50-byte string: about a shard's fill.
+HOT = 20_000
 #: Documents in the sample that finds very common sides, and how many of them make a side one.
 SAMPLE_LEAST, SAMPLE_MOST, SAMPLE_SHARE, COMMON = 4000, 200_000, 250_000, 8
 _CHUNK = 2_000_000
@@ -511,36 +511,38 @@ _PLACES = "anchor long, doc_id long, key long, start int, seg binary"
 _OWNERS = "a long, b long, starts array<int>, ends array<int>, holders array<bigint>"
 
 
-def _hot_anchors(places: DataFrame, limit: int) -> DataFrame:
-    """(anchor) of the anchors with more than ``limit`` different segments."""
-    busy = places.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > limit).select("anchor")
-    kinds = places.join(busy, "anchor", "left_semi").groupBy("anchor").agg(F.count_distinct(F.xxhash64("seg")).alias("n"))
-    return cut(kinds.where(F.col("n") > limit).select("anchor"))
+def _folded(places: DataFrame) -> DataFrame:
+    return places.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
+
+
+def _dealt(different: DataFrame, shards: int) -> DataFrame:
+    shard = F.pmod("anchor", F.lit(shards)).cast("int").alias("shard")
+    return different.select(shard, *_names("seg"), "seg", "holder", "copies").groupBy("shard").applyInArrow(_index_shard, _OWNERS)
 
 
 def owners_of(places: DataFrame, shards: int, hot_limit: int = HOT) -> DataFrame:
     """(a, b, starts, ends, holders): for the different segments of (anchor, doc_id, seg) rows, who holds what first.
 
     Stretches are relative to the segment; only segments that some document may lose a byte of are listed.
+    Anchors are looked at closely only if they stand in more places than they may have different segments.
     """
-    hot = _hot_anchors(places, hot_limit)
-    folded = lambda rows: rows.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
-    if hot.isEmpty():
-        different = folded(places)
-    else:
-        wide = folded(places.join(hot, "anchor", "left_semi")).select(*_names("seg"), "seg", "holder", "copies")
-        at = F.explode(F.sequence(F.lit(0), F.octet_length("seg") - LENGTH)).alias("at")
-        windows = wide.select("a", "b", "holder", "copies", "seg", at).withColumn("seg", F.substring("seg", F.col("at") + 1, F.lit(LENGTH)))
-        # a string that one different segment alone has, has no other holder
-        again = windows.groupBy("seg").agg(F.min("holder").alias("holder"), F.count("*").alias("copies")).where("copies > 1")
-        different = folded(places.join(hot, "anchor", "left_anti")).unionByName(again.select(F.xxhash64("seg").alias("anchor"), "seg", "holder", "copies"))
-    dealt = different.select(F.pmod("anchor", F.lit(shards)).cast("int").alias("shard"), *_names("seg"), "seg", "holder", "copies")
-    owners = dealt.groupBy("shard").applyInArrow(_index_shard, _OWNERS)
-    if hot.isEmpty():
-        return owners
-    owners = cut(owners)
+    spark = places.sparkSession
+    busy = cut(places.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > hot_limit).select("anchor"))
+    if busy.isEmpty():
+        return _dealt(_folded(places), shards)
+    with _freed_shuffles(spark):
+        wide = cut(_folded(places.join(busy, "anchor", "left_semi")))
+    hot = cut(wide.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > hot_limit).select("anchor"))
+    at = F.explode(F.sequence(F.lit(0), F.octet_length("seg") - LENGTH)).alias("at")
+    parts = wide.join(hot, "anchor", "left_semi").select(*_names("seg"), "seg", "holder", "copies", at)
+    parts = parts.withColumn("seg", F.substring("seg", F.col("at") + 1, F.lit(LENGTH)))
+    # a string that one different segment alone has, has no other holder
+    again = parts.groupBy("seg").agg(F.min("holder").alias("holder"), F.count("*").alias("copies")).where("copies > 1")
+    others = wide.join(hot, "anchor", "left_anti").unionByName(again.select(F.xxhash64("seg").alias("anchor"), "seg", "holder", "copies"))
+    with _freed_shuffles(spark):
+        owners = cut(_dealt(_folded(places.join(busy, "anchor", "left_anti")).unionByName(others), shards))
     strings = owners.select(F.col("a").alias("_a"), F.col("b").alias("_b"), F.col("holders")[0].alias("first"))
-    named = windows.select("a", "b", "holder", "copies", "at", *(x.alias(f"_{n}") for x, n in zip(_names("seg"), "ab", strict=True)))
+    named = parts.select("a", "b", "holder", "copies", "at", *(x.alias(f"_{n}") for x, n in zip(_names("seg"), "ab", strict=True)))
     found = named.join(strings, ["_a", "_b"], "left").withColumn("first", F.least("holder", "first")).where("first < holder or copies > 1")
     per = found.groupBy("a", "b").agg(F.collect_list(F.struct(F.col("at").alias("s"), (F.col("at") + LENGTH).alias("e"), F.col("first").alias("h"))).alias("x"))
     return owners.unionByName(per.select("a", "b", F.col("x.s").alias("starts"), F.col("x.e").alias("ends"), F.col("x.h").alias("holders")))
