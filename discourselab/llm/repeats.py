@@ -15,17 +15,18 @@ Bringing the text together
        with a side alike are shared. Sides that a sample finds very common skip this and count as shared.
     2. The first document of every distinct text cuts out its segments with shared anchors.
     3. Equal segments fold into one with the smallest doc_id on the map side; each shard of different
-       segments builds its index and streams them. Anchors with more than ``HOT`` different segments are
-       dealt finer: each 50-byte string of their segments goes to a shard by its own hash, folded in the
-       same way, so that a phrase in ever new surroundings never meets in one task.
+       segments builds its index and streams them. Anchors that by the sample have more than ``HOT``
+       different segments (a phrase in ever new surroundings) are cut finer: each 50-byte string is a
+       segment of its own, dealt by its own hash.
     4. Owners found for segments return to the places where they stand and become spans. A copy of an
        earlier document's whole text is one span.
 
 Scale
     Exact at any size: the anchors only decide what has to be looked at. Shards follow the size of the
     corpus, no group of copies meets in one task (very common sides are not gathered, equal segments are
-    folded before the shuffle, places join by key), and the driver holds the list of very common sides
-    only, bounded by the sample.
+    folded before the shuffle, places join by key). A shard beyond ``PART`` bytes is indexed in parts, dealt
+    by 50-byte string, so the memory of an index has a bound whatever meets in a shard. The driver holds
+    the lists of very common sides and of hot anchors only, bounded by the sample.
 
 Defined cases
     Null text counts as empty. Texts under 50 bytes keep everything. Spans belong to a doc_id and a text, so
@@ -43,6 +44,7 @@ from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -57,8 +59,10 @@ SIDE = (LENGTH - GRAM) // 2
 ANCHOR_SHARD, SEGMENT_SHARD = 16_000_000, 2_000_000
 #: Different segments with one anchor beyond which they are dealt by 50-byte string: about a shard's fill.
 HOT = 20_000
+#: Bytes of segments that are indexed at once.
+PART = 16_000_000
 #: Documents in the sample that finds very common sides, and how many of them make a side one.
-SAMPLE_LEAST, SAMPLE_MOST, SAMPLE_SHARE, COMMON = 4000, 200_000, 250_000, 8
+SAMPLE_LEAST, SAMPLE_MOST, SAMPLE_SHARE, COMMON = 4000, 200_000, 1000, 8
 _CHUNK = 2_000_000
 _LAST = (1 << 63) - 1
 _PLACE = np.uint64((1 << 24) - 1)
@@ -85,12 +89,13 @@ class Segments:
     start       first window, in its text
     windows     how many windows
     right, left hashes of the anchor with ``SIDE`` more bytes on one side, 0 where the text ends before
+    ends        hash of the first and last ``GRAM`` bytes and of how many windows there are
     """
 
     def __init__(self, texts: list[bytes]) -> None:
         sizes = np.fromiter(map(len, texts), np.int64, len(texts))
         total = int(sizes.sum())
-        self.hash = self.right = self.left = np.empty(0, np.uint64)
+        self.hash = self.right = self.left = self.ends = np.empty(0, np.uint64)
         self.text = self.start = self.windows = np.empty(0, np.int64)
         if total < LENGTH:
             return
@@ -117,6 +122,7 @@ class Segments:
         self.windows = np.minimum(np.append(starts[1:], total), (begins + windows)[self.text]) - starts
         self.right = self._side(eight, place + GRAM, place + GRAM + SIDE <= ends[self.text], 0)
         self.left = self._side(eight, place - SIDE, place - SIDE >= begins[self.text], 1)
+        self.ends = (gram[starts] * _MIX[0] ^ gram[starts + self.windows + LENGTH - 1 - GRAM]) * _MIX[1] + self.windows.astype(np.uint64)
 
     def _side(self, eight: np.ndarray, place: np.ndarray, inside: np.ndarray, k: int) -> np.ndarray:
         """Hash of the anchor and the ``SIDE`` bytes at ``place``, from overlapping 8-byte hashes."""
@@ -157,8 +163,19 @@ def _among(known: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return known[at] == keys
 
 
-def _common_sides(docs: DataFrame, rows: int) -> np.ndarray:
-    """Sides of anchors that at least ``COMMON`` documents of a sample hold, sorted."""
+def _unique(columns: list[np.ndarray]) -> list[np.ndarray]:
+    """Different rows of some columns."""
+    order = np.lexsort(columns)
+    columns = [x[order] for x in columns]
+    fresh = np.append(True, np.any([x[1:] != x[:-1] for x in columns], axis=0))[: len(order)]
+    return [x[fresh] for x in columns]
+
+
+def _common(docs: DataFrame, rows: int, hot_limit: int) -> tuple[np.ndarray, np.ndarray]:
+    """From a sample: sides of anchors that ``COMMON`` documents hold, and hot anchors; both sorted.
+
+    An anchor is hot if its different segments in the sample stand for more than ``hot_limit`` in all.
+    """
     share = min(1.0, max(SAMPLE_LEAST, min(SAMPLE_MOST, rows / SAMPLE_SHARE)) / max(1, rows))
     draw = F.pmod(F.xxhash64(F.lit("anchors"), F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)
 
@@ -167,15 +184,18 @@ def _common_sides(docs: DataFrame, rows: int) -> np.ndarray:
             texts = [_bytes(x) for x in batch.column(0)]
             for number, _, parts in _chunks(texts):
                 s = Segments(parts)
-                who = np.tile(number[s.text], 2)
-                side = np.concatenate([s.right, s.left])
-                order = np.lexsort((side, who))
-                who, side = who[order], side[order]
-                fresh = np.append(True, (side[1:] != side[:-1]) | (who[1:] != who[:-1]))[: len(side)] & (side != 0)
-                yield pa.RecordBatch.from_arrays([pa.array(side[fresh].view(np.int64))], ["h"])
+                _, side = _unique([np.tile(number[s.text], 2), np.concatenate([s.right, s.left])])
+                side = side[side != 0]
+                ends, anchor = _unique([s.ends, s.hash])
+                h, kind = np.concatenate([side, anchor]), np.concatenate([np.zeros(len(side), np.uint64), ends | np.uint64(1)])
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(kind.view(np.int64))], ["h", "kind"])
 
-    counted = docs.where(draw < share).select("text").mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n"))
-    return np.sort(np.array([r.h for r in counted.where(F.col("n") >= COMMON).select("h").collect()], np.int64).view(np.uint64))
+    held = docs.where(draw < share).select("text").mapInArrow(run, "h long, kind long").groupBy("h", "kind").agg(F.count("*").alias("n"))
+    sides = held.where((F.col("kind") == 0) & (F.col("n") >= COMMON)).select("h", F.lit(True).alias("side"))
+    kinds = held.where("kind <> 0").groupBy("h").agg(F.count("*").alias("n"))
+    hot = kinds.where(F.col("n") >= max(COMMON, hot_limit * share)).select("h", F.lit(False).alias("side"))
+    found = sides.unionByName(hot).collect()
+    return tuple(np.sort(np.array([r.h for r in found if r.side == side], np.int64).view(np.uint64)) for side in (True, False))
 
 
 def _checks(side: np.ndarray) -> np.ndarray:
@@ -195,7 +215,7 @@ def _deal(common, shards: int):
             found = []
             for number, _, parts in _chunks([_bytes(x) for x in batch.column(1)]):
                 s = Segments(parts)
-                right, left = (np.where(_among(common.value, x), 0, _checks(x)).astype(np.uint16) for x in (s.right, s.left))
+                right, left = (np.where(_among(common.value[0], x), 0, _checks(x)).astype(np.uint16) for x in (s.right, s.left))
                 send = (right > 0) | (left > 0)
                 found.append((s.hash[send], number[s.text[send]], right[send], left[send]))
             h, owner, right, left = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.empty(0, np.uint64)] * 4
@@ -293,14 +313,21 @@ def _cut_out(common, anchor_shards: int):
                     continue
                 who = number[s.text]
                 own = ((s.hash >> np.uint64(32)).astype(np.int64) % anchor_shards << 32) + (s.hash & np.uint64(0xFFFFFFFF)).astype(np.int64)
-                take = _among(common.value, s.right) | _among(common.value, s.left)
+                sides, hot = common.value
+                take = _among(sides, s.right) | _among(sides, s.left)
                 edges = np.searchsorted(who, np.arange(number[0], number[-1] + 2))
                 for k, (a, b) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True), int(number[0])):
                     if a < b and listed[k].is_valid:
                         take[a:b] |= np.isin(own[a:b], listed[k].values.to_numpy())
-                text, start, windows = s.text[take], s.start[take], s.windows[take]
+                text, start, windows, anchor = s.text[take], s.start[take], s.windows[take], s.hash[take].view(np.int64)
+                if (fine := _among(hot, s.hash[take])).any():
+                    times = np.where(fine, windows, 1)
+                    first = np.cumsum(times) - times
+                    text, anchor, start = np.repeat(text, times), np.repeat(anchor, times), np.repeat(start - first, times) + np.where(np.repeat(fine, times), np.arange(times.sum()), np.repeat(first, times))
+                    windows, fine = np.repeat(np.where(fine, 1, windows), times), np.repeat(fine, times)
+                    anchor[fine] = [xxhash.xxh64_intdigest(parts[o][i : i + LENGTH]) >> 1 for o, i in zip(text[fine].tolist(), start[fine].tolist(), strict=True)]
                 segs = [parts[o][i : i + w + LENGTH - 1] for o, i, w in zip(text.tolist(), start.tolist(), windows.tolist(), strict=True)]
-                columns = [s.hash[take].view(np.int64), doc_ids[number[text]], keys[number[text]], (start + offset[text]).astype(np.int32)]
+                columns = [anchor, doc_ids[number[text]], keys[number[text]], (start + offset[text]).astype(np.int32)]
                 yield pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(segs, pa.binary())], ["anchor", "doc_id", "key", "start", "seg"])
 
     return run
@@ -431,11 +458,35 @@ def first_holders(strings: list[bytes], docs: np.ndarray) -> tuple[np.ndarray, n
     return least[root[place]], offsets
 
 
+def bounded_holders(strings: list[bytes], docs: np.ndarray, part: int = PART) -> tuple[np.ndarray, np.ndarray]:
+    """``first_holders`` by indexes of about ``part`` bytes at most; beyond that, each 50-byte string is dealt by its hash."""
+    sizes = np.fromiter(map(len, strings), np.int64, len(strings))
+    if sizes.sum() <= part:
+        return first_holders(strings, docs)
+    windows = np.maximum(0, sizes - LENGTH + 1)
+    offsets = np.concatenate(([0], np.cumsum(windows)))
+    name = np.concatenate([[xxhash.xxh32_intdigest(x[i : i + LENGTH]) for i in range(n)] for x, n in zip(strings, windows.tolist(), strict=True)])
+    order, least = np.argsort(name, kind="stable"), np.empty(offsets[-1], np.int64)
+    at, step = 0, max(1, part // (LENGTH + 1))
+    while at < len(order):
+        until = np.searchsorted(name[order], name[order[min(at + step, len(order)) - 1]], "right")  # equal names stay together
+        mine = order[at:until]
+        owner = np.searchsorted(offsets, mine, "right") - 1
+        held = [strings[k][i : i + LENGTH] for k, i in zip(owner.tolist(), (mine - offsets[owner]).tolist(), strict=True)]
+        number = {x: k for k, x in enumerate(dict.fromkeys(held))}
+        which = np.fromiter(map(number.get, held), np.int64, len(held))
+        first = np.full(len(number), _LAST)
+        np.minimum.at(first, which, docs[owner])
+        least[mine] = first_holders(list(number), first)[0][which]
+        at = until
+    return least, offsets
+
+
 def _index_shard(group: pa.Table) -> pa.Table:
     """(a, b, starts, ends, holders) of the segments of a shard in which some document can match."""
     strings = group.column("seg").to_pylist()
     docs, copies = group.column("holder").to_numpy(), group.column("copies").to_numpy()
-    found, offsets = first_holders(strings, docs)
+    found, offsets = bounded_holders(strings, docs)
     fresh = np.append(True, found[1:] != found[:-1])
     fresh[offsets[:-1]] = True
     starts = np.flatnonzero(fresh)
@@ -511,43 +562,6 @@ _PLACES = "anchor long, doc_id long, key long, start int, seg binary"
 _OWNERS = "a long, b long, starts array<int>, ends array<int>, holders array<bigint>"
 
 
-def _folded(places: DataFrame) -> DataFrame:
-    return places.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
-
-
-def _dealt(different: DataFrame, shards: int) -> DataFrame:
-    shard = F.pmod("anchor", F.lit(shards)).cast("int").alias("shard")
-    return different.select(shard, *_names("seg"), "seg", "holder", "copies").groupBy("shard").applyInArrow(_index_shard, _OWNERS)
-
-
-def owners_of(places: DataFrame, shards: int, hot_limit: int = HOT) -> DataFrame:
-    """(a, b, starts, ends, holders): for the different segments of (anchor, doc_id, seg) rows, who holds what first.
-
-    Stretches are relative to the segment; only segments that some document may lose a byte of are listed.
-    Anchors are looked at closely only if they stand in more places than they may have different segments.
-    """
-    spark = places.sparkSession
-    busy = cut(places.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > hot_limit).select("anchor"))
-    if busy.isEmpty():
-        return _dealt(_folded(places), shards)
-    with _freed_shuffles(spark):
-        wide = cut(_folded(places.join(busy, "anchor", "left_semi")))
-    hot = cut(wide.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > hot_limit).select("anchor"))
-    at = F.explode(F.sequence(F.lit(0), F.octet_length("seg") - LENGTH)).alias("at")
-    parts = wide.join(hot, "anchor", "left_semi").select(*_names("seg"), "seg", "holder", "copies", at)
-    parts = parts.withColumn("seg", F.substring("seg", F.col("at") + 1, F.lit(LENGTH)))
-    # a string that one different segment alone has, has no other holder
-    again = parts.groupBy("seg").agg(F.min("holder").alias("holder"), F.count("*").alias("copies")).where("copies > 1")
-    others = wide.join(hot, "anchor", "left_anti").unionByName(again.select(F.xxhash64("seg").alias("anchor"), "seg", "holder", "copies"))
-    with _freed_shuffles(spark):
-        owners = cut(_dealt(_folded(places.join(busy, "anchor", "left_anti")).unionByName(others), shards))
-    strings = owners.select(F.col("a").alias("_a"), F.col("b").alias("_b"), F.col("holders")[0].alias("first"))
-    named = parts.select("a", "b", "holder", "copies", "at", *(x.alias(f"_{n}") for x, n in zip(_names("seg"), "ab", strict=True)))
-    found = named.join(strings, ["_a", "_b"], "left").withColumn("first", F.least("holder", "first")).where("first < holder or copies > 1")
-    per = found.groupBy("a", "b").agg(F.collect_list(F.struct(F.col("at").alias("s"), (F.col("at") + LENGTH).alias("e"), F.col("first").alias("h"))).alias("x"))
-    return owners.unionByName(per.select("a", "b", F.col("x.s").alias("starts"), F.col("x.e").alias("ends"), F.col("x.h").alias("holders")))
-
-
 def repeated_spans(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
     """(doc_id, key, copied, starts, ends) of the documents from which something is removed.
 
@@ -558,7 +572,7 @@ def repeated_spans(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
     sizes = cut(keyed.select("doc_id", "key", F.unhex(F.sha2("text", 256)).alias("sha"), F.octet_length("text").alias("size")))
     total = sizes.agg(F.sum("size").alias("size"), F.count("*").alias("rows")).first()
     shards, cuts = (max(1, -(-int(total["size"] or 0) // x)) for x in (ANCHOR_SHARD, SEGMENT_SHARD))
-    common = spark.sparkContext.broadcast(_common_sides(docs, int(total["rows"])))
+    common = spark.sparkContext.broadcast(_common(docs, int(total["rows"]), hot_limit))
 
     dealt = keyed.select("key", "text").mapInArrow(_deal(common, shards), "shard int, payload binary")
     shared = dealt.groupBy("shard").applyInArrow(_shared_in_shard(shards), "bucket int, payload binary")
@@ -574,7 +588,10 @@ def repeated_spans(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
         cutting.write.option("compression", "zstd").parquet(held)
     places = spark.read.schema(_PLACES).parquet(held)
 
-    met = places.select("doc_id", "key", "start", *_names("seg")).join(owners_of(places, cuts, hot_limit), ["a", "b"])
+    different = places.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
+    shard = F.pmod("anchor", F.lit(cuts)).cast("int").alias("shard")
+    owners = different.select(shard, *_names("seg"), "seg", "holder", "copies").groupBy("shard").applyInArrow(_index_shard, _OWNERS)
+    met = places.select("doc_id", "key", "start", *_names("seg")).join(owners, ["a", "b"])
     zipped = F.filter(F.arrays_zip("starts", "ends", "holders"), lambda x: x["holders"] < F.col("doc_id"))
     moved = F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e")))
     found = met.select("doc_id", "key", moved.alias("x")).where(F.size("x") > 0)

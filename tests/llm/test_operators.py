@@ -341,6 +341,7 @@ def test_run_index_holders_and_long_texts(monkeypatch):
             for i in range(len(s) - 49):
                 first[s[i : i + 50]] = min(first.get(s[i : i + 50], 99), d)
         found, offsets = repeats.first_holders(strings, docs)
+        assert np.array_equal(found, repeats.bounded_holders(strings, docs, 700)[0])
         for s, g in zip(strings, np.split(found, offsets[1:-1]), strict=True):
             assert g.tolist() == [first[s[i : i + 50]] for i in range(len(s) - 49)]
     strings = [b"abracadabra" * 20, b"abracadabrx" * 20, b"", b"abra"]
