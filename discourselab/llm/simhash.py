@@ -12,6 +12,9 @@ How exact pairs are found
     a point is also sent, as a visitor, to the other side only where that interval crosses the median.
     The upper levels deal points to shards (one Spark group each), the lower levels are walked inside a
     shard with numpy, and the leaves compare whole fingerprints. No pair is lost and none is guessed.
+    Where many points share a half, distances to it tell nothing: such shards are dealt again, and such
+    leaves walked again, by trees over the two quarters of the other half (of at most 3 differing bits one
+    quarter has at most 1), inside a leaf down to single bytes.
 
 Scale
     Only distinct fingerprints are searched; copies fold into the smallest doc_id by a map-side combined
@@ -22,7 +25,11 @@ Scale
 Defined cases
     Null or wordless text has fingerprint zero, linked like any other. Rows with a null doc_id take part
     in links, never name a component, and get the component of the others in their group (null if none).
-    Repeated rows keep one output row each. An empty table gives an empty result.
+    Rows are told apart by their text: rows of one doc_id with different texts are linked only by their
+    fingerprints. Repeated rows keep one output row each. An empty table gives an empty result.
+    ``keep_one_each`` keeps one row of every group: that of the smallest doc_id (rows without one come
+    last), of the smallest text hash among those, and one of equal rows. Other columns are carried
+    untouched, whatever their names.
 """
 
 from __future__ import annotations
@@ -35,6 +42,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from discourselab.llm.columns import unused
 from discourselab.plans.iterate import components
 from discourselab.session import cut, prepare
 
@@ -45,6 +53,8 @@ RADIUS = 3
 SAMPLE = 8192
 #: Distinct fingerprints that a shard is meant to hold.
 SHARD_ROWS = 16384
+#: Routed points from which on a shard is dealt again.
+HOT_ROWS = 32 * SHARD_ROWS
 #: Points that a leaf inside a shard may hold before it is split again.
 LEAF = 96
 
@@ -81,13 +91,13 @@ def fingerprints(docs: DataFrame) -> DataFrame:
 
 
 class Tree:
-    """Upper levels of a vantage-point tree over 32-bit halves, laid out as a heap."""
+    """Upper levels of a vantage-point tree over fields of ``width`` bits, laid out as a heap."""
 
-    def __init__(self, sample: np.ndarray, depth: int, seed: int) -> None:
+    def __init__(self, sample: np.ndarray, depth: int, seed: int, width: int = 32) -> None:
         self.depth = depth
         count = (1 << depth) - 1
-        self.pivots = np.random.default_rng(seed).integers(0, 1 << 32, count, dtype=np.uint32)
-        self.medians = np.full(count, 16, np.int64)
+        self.pivots = np.random.default_rng(seed).integers(0, 1 << width, count, dtype=np.uint32)
+        self.medians = np.full(count, width // 2, np.int64)
         held = {0: sample}
         for node in range(count):
             mine = held.pop(node)
@@ -134,30 +144,45 @@ class Forest:
             np.minimum.at(self.up, high, low)
 
 
-def shard_links(fp: np.ndarray, home: np.ndarray, half: np.ndarray, radius: int = RADIUS, leaf: int = LEAF) -> np.ndarray:
+def _field(fp: np.ndarray, low: int, width: int) -> np.ndarray:
+    """Some bits of fingerprints."""
+    return (fp >> np.uint64(low) & np.uint64((1 << width) - 1)).astype(np.uint32)
+
+
+def _others(low: int, width: int) -> list[tuple[int, int]]:
+    """The two parts (lowest bit, width) of the field beside this one."""
+    beside, half = low ^ width, width // 2
+    return [(beside, half), (beside + half, half)]
+
+
+def shard_links(fp: np.ndarray, home: np.ndarray, half: int, radius: int = RADIUS, leaf: int = LEAF) -> np.ndarray:
     """Root of each point in the forest of links between a home point and any point of the shard.
 
-    ``half`` is the 32-bit half that the shard's tree is built over; points at most radius // 2 apart in
-    it are compared. The walk keeps its own stack, so its depth is no matter.
+    ``half`` (0 or 1) is the 32-bit half that the shard's tree is built over; points at most radius // 2
+    apart in it are compared. The walk keeps its own stack, so its depth is no matter.
     """
     forest, reach = Forest(len(fp)), radius // 2
     rng = np.random.default_rng(7)
-    todo = [(np.flatnonzero(home), np.flatnonzero(~home), 0)]
+    todo = [(np.flatnonzero(home), np.flatnonzero(~home), 32 * half, 32, 0)]
     while todo:
-        mine, seen, failed = todo.pop()
+        mine, seen, low, width, failed = todo.pop()
         if not len(mine):
             continue
         if len(mine) > leaf and failed < 3:
-            pivot = half[mine[rng.integers(len(mine))]] ^ np.uint32(rng.integers(1 << 32) if failed == 0 else 0)
-            d, e = (np.bitwise_count(half[x] ^ pivot).astype(np.int64) for x in (mine, seen))
+            near, far = _field(fp[mine], low, width), _field(fp[seen], low, width)
+            pivot = near[rng.integers(len(mine))] ^ np.uint32(rng.integers(1 << width) if failed == 0 else 0)
+            d, e = (np.bitwise_count(x ^ pivot).astype(np.int64) for x in (near, far))
             bound = int(np.median(d))
             bound -= bound == d.max()
             inner = d <= bound
             if 8 * min(inner.sum(), (~inner).sum()) < len(mine):
-                todo.append((mine, seen, failed + 1))
+                todo.append((mine, seen, low, width, failed + 1))
                 continue
-            for side, near, far in ((inner, d - reach <= bound, e - reach <= bound), (~inner, d + reach > bound, e + reach > bound)):
-                todo.append((mine[side], np.concatenate([mine[~side & near], seen[far]]), 0))
+            for side, within, beyond in ((inner, d - reach <= bound, e - reach <= bound), (~inner, d + reach > bound, e + reach > bound)):
+                todo.append((mine[side], np.concatenate([mine[~side & within], seen[beyond]]), low, width, 0))
+            continue
+        if len(mine) > leaf and width > 8:
+            todo += [(mine, seen, *field, 0) for field in _others(low, width)]
             continue
         others = np.concatenate([mine, seen])
         step = max(1, 2_000_000 // len(others))
@@ -169,48 +194,81 @@ def shard_links(fp: np.ndarray, home: np.ndarray, half: np.ndarray, radius: int
     return forest.roots()
 
 
-def _route_batches(trees: list[Tree]):
+class Routes:
+    """Where a point has to be seen: by the tree over each half, and in hot shards by trees over quarters."""
+
+    def __init__(self, sample: np.ndarray, depth: int) -> None:
+        self.trees = [Tree(_field(sample, 32 * k, 32), depth, seed=11 + k) for k in (0, 1)]
+        self.hot = [np.empty(0, np.int64)] * 2
+        self.finer: list[list[Tree]] = []
+
+    def deal_again(self, hot: list[np.ndarray], sample: np.ndarray, depth: int) -> None:
+        """Split the shards listed by half further, by trees over the quarters of the other half."""
+        self.hot = hot
+        self.finer = [[Tree(_field(sample, *field), depth, seed=31 + q, width=16) for q, field in enumerate(_others(32 * k, 32))] for k in (0, 1)]
+
+    def __call__(self, bits: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """(half, index, shard, part, is home); part is 0 in shards that are not split."""
+        for k, tree in enumerate(self.trees):
+            index, shard, home = tree.route(_field(bits, 32 * k, 32), RADIUS // 2)
+            split = np.isin(shard, self.hot[k])
+            yield k, index[~split], shard[~split], np.zeros((~split).sum(), np.int64), home[~split]
+            if split.any():
+                index, shard, home = index[split], shard[split], home[split]
+                for q, field in enumerate(_others(32 * k, 32)):
+                    at, leaf, own = self.finer[k][q].route(_field(bits[index], *field), RADIUS // 2)
+                    yield k, index[at], shard[at], 1 + 2 * leaf + q, home[at] & own
+
+
+def _route_batches(routes):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fp = batch.column("fp").to_numpy(zero_copy_only=False)
-            rep = batch.column("rep").to_numpy(zero_copy_only=False)
-            bits = fp.view(np.uint64)
-            for k, tree in enumerate(trees):
-                index, shard, home = tree.route((bits >> np.uint64(32 * k)).astype(np.uint32), RADIUS // 2)
+            for k, index, shard, part, home in routes.value(fp.view(np.uint64)):
                 for at in range(0, len(index), 1 << 18):
-                    part = slice(at, at + (1 << 18))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(index[part]), k, np.int32)), pa.array(shard[part]), pa.array(fp[index[part]]), pa.array(rep[index[part]]), pa.array(home[part])],
-                        ["half", "shard", "fp", "rep", "home"],
-                    )
+                    cell = slice(at, at + (1 << 18))
+                    columns = [np.full(len(index[cell]), k, np.int32), shard[cell], part[cell], fp[index[cell]], home[cell]]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns], ["half", "shard", "part", "fp", "home"])
 
     return run
 
 
 def _link_shard(group: pa.Table) -> pa.Table:
-    fp = group.column("fp").to_numpy().view(np.uint64)
-    rep = group.column("rep").to_numpy()
-    order = np.argsort(rep, kind="stable")
-    fp, rep, home = fp[order], rep[order], group.column("home").to_numpy()[order]
-    half = (fp >> np.uint64(32 * group.column("half")[0].as_py())).astype(np.uint32)
-    roots = shard_links(fp, home, half)
-    linked = roots != np.arange(len(rep))
-    return pa.table({"src": pa.array(rep[linked]), "dst": pa.array(rep[roots[linked]])})
+    fp = group.column("fp").to_numpy()
+    order = np.argsort(fp, kind="stable")
+    fp, home = fp[order], group.column("home").to_numpy()[order]
+    roots = shard_links(fp.view(np.uint64), home, group.column("half")[0].as_py())
+    linked = roots != np.arange(len(fp))
+    return pa.table({"src": pa.array(fp[linked]), "dst": pa.array(fp[roots[linked]])})
+
+
+def _sampled(points: DataFrame) -> np.ndarray:
+    return np.array([r.fp for r in points.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).collect()], np.int64).view(np.uint64)
+
+
+def fingerprint_groups(points: DataFrame, shard_rows: int = SHARD_ROWS, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """(fp, root) of every distinct fingerprint of a table with a column fp; the root names its group."""
+    sc = points.sparkSession.sparkContext
+    classes = cut(points.select("fp").distinct())
+    n = classes.count()
+    routes = Routes(_sampled(classes), max(0, int(np.ceil(np.log2(max(1, n) / shard_rows)))) + 2)
+    dealt = lambda: classes.mapInArrow(_route_batches(sc.broadcast(routes)), "half int, shard long, part long, fp long, home boolean")
+    sizes = dealt().groupBy("half", "shard").agg(F.count("*").alias("n")).where(F.col("n") > hot_rows).collect()
+    if sizes:  # at most as many as routed points over hot_rows
+        deeper = int(np.ceil(np.log2(max(r.n for r in sizes) / shard_rows)))
+        hot = [np.array(sorted(r.shard for r in sizes if r.half == k), np.int64) for k in (0, 1)]
+        held = dealt().join(F.broadcast(points.sparkSession.createDataFrame([(r.half, r.shard) for r in sizes], "half int, shard long")), ["half", "shard"])
+        routes.deal_again(hot, _sampled(held.select("fp").distinct()), deeper)
+    links = cut(dealt().groupBy("half", "shard", "part").applyInArrow(_link_shard, "src long, dst long"))
+    roots = components(links)
+    return classes.join(roots, classes.fp == roots.node, "left").select("fp", F.coalesce("label", "fp").alias("root"))
 
 
-def link_components(points: DataFrame) -> DataFrame:
+def link_components(points: DataFrame, **sizes: int) -> DataFrame:
     """(fp, component_id) of every distinct fingerprint of a (doc_id, fp) table."""
-    spark = points.sparkSession
-    classes = cut(points.groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    named = classes.where("rep is not null")
-    n = named.count()
-    sample = np.array([r.fp for r in named.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).collect()], np.int64).view(np.uint64)
-    depth = max(0, int(np.ceil(np.log2(max(1, n) / SHARD_ROWS)))) + 2
-    trees = [Tree((sample >> np.uint64(32 * k)).astype(np.uint32), depth, seed=11 + k) for k in (0, 1)]
-    dealt = named.mapInArrow(_route_batches(trees), "half int, shard long, fp long, rep long, home boolean")
-    links = cut(dealt.groupBy("half", "shard").applyInArrow(_link_shard, "src long, dst long"))
-    roots = components(links)
-    return classes.join(roots, classes.rep == roots.node, "left").select("fp", F.coalesce("label", "rep").alias("component_id"))
+    least = points.groupBy("fp").agg(F.min("doc_id").alias("rep"))
+    held = cut(least.join(fingerprint_groups(points, **sizes), "fp"))
+    return held.join(held.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("fp", "component_id")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -220,10 +278,18 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def keep_one_each(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that carry the smallest doc_id of their group of near copies.
-
-    Rows without a doc_id stay: they cannot be told apart from one another.
-    """
-    points = cut(fingerprints(docs))
-    dropped = points.join(link_components(points), "fp").where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(dropped, docs["doc_id"] == dropped["_gone"], "left_anti")
+    """One row of ``docs`` for every group of near copies."""
+    key, doc, text = unused(docs, "key", "doc", "hash")
+    rows = docs.withColumn(text, F.xxhash64(F.coalesce("text", F.lit(""))))
+    points = cut(rows.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text).mapInArrow(_row_points, "doc_id long, fp long, hash long"))
+    first = F.min(F.struct(F.isnull("doc_id").alias("last"), "doc_id", "hash")).alias("x")
+    stays = points.join(fingerprint_groups(points), "fp").groupBy("root").agg(first).select(F.col("x.doc_id").alias(doc), F.col("x.hash").alias(key))
+    kept = rows.join(stays, rows["doc_id"].cast("long").eqNullSafe(stays[doc]) & (rows[text] == stays[key]), "left_semi")
+    repeated = points.groupBy("doc_id", "hash").agg(F.count("*").alias("n")).where("n > 1")
+    return (kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id", text])).select(*docs.columns)
+
+
+def _row_points(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        values = np.fromiter((fingerprint(x.as_py()) for x in batch.column(1)), np.uint64, batch.num_rows)
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.view(np.int64)), batch.column(2)], ["doc_id", "fp", "hash"])

@@ -10,6 +10,7 @@ import duckdb
 import numpy as np
 import public_tokenizers
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -410,27 +411,67 @@ def test_plans_place_every_piece():
 # 10 near duplicates
 
 
+def plain_fingerprint(text):
+    words = re.findall(r"[^\x20\x09-\x0D]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or ""))
+    shingles = [" ".join(words[i : i + 3]) for i in range(max(1, len(words) - 2))] if words else []
+    h = [xxhash.xxh64_intdigest(x.encode(), 42) for x in shingles]
+    return sum(1 << k for k in range(64) if 2 * sum(x >> k & 1 for x in h) > len(h))
+
+
+def groups_of(fp):
+    """Numbers of the groups of some fingerprints, by a plain walk over all pairs."""
+    near, group = np.bitwise_count(np.array(fp, np.uint64)[:, None] ^ np.array(fp, np.uint64)[None, :]) <= 3, [-1] * len(fp)
+    for i in range(len(fp)):
+        todo = [i] if group[i] < 0 else []
+        while todo:
+            k = todo.pop()
+            if group[k] < 0:
+                group[k] = i
+                todo += np.flatnonzero(near[k]).tolist()
+    return group
+
+
 def brute_components(table):
-    ids = [(r.doc_id, simhash.fingerprint(r.text)) for r in table.collect()]
-    fp = np.array([f for _, f in ids], np.uint64)
-    group = simhash.Forest(len(fp))
-    group.join(*np.nonzero(np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 3))
-    roots, least = group.roots(), {}
-    for (i, _), r in zip(ids, roots.tolist(), strict=True):
+    ids = [(r.doc_id, plain_fingerprint(r.text)) for r in table.collect()]
+    roots, least = groups_of([f for _, f in ids]), {}
+    for (i, _), r in zip(ids, roots, strict=True):
         if i is not None:
             least[r] = min(least.get(r, i), i)
-    return sorted((str(i), f"{f:016x}", str(least.get(r))) for (i, f), r in zip(ids, roots.tolist(), strict=True))
+    return sorted((str(i), f"{f:016x}", str(least.get(r))) for (i, f), r in zip(ids, roots, strict=True))
 
 
 def test_near_duplicates_equal_brute_force(docs, make):
-    for table in (docs.select("doc_id", "text"), make(ODD)):
+    for table in (docs.select("doc_id", "text"), make(ODD), make([(4, "a b c d"), (6, "x y z"), (6, "a b c d"), (7, "x y z"), (None, "only here")])):
         assert sorted((str(r.doc_id), r.fingerprint, str(r.component_id)) for r in simhash.near_duplicates(table).collect()) == brute_components(table)
     assert simhash.near_duplicates(make([])).count() == 0
-    extra = docs.withColumn("fp", F.lit("mine"))
+    extra = docs.withColumn("fp", F.lit("mine")).withColumn("hash", F.lit(1)).withColumn("_key", F.lit(2)).withColumn("root", F.lit(3))
     kept = simhash.keep_one_each(extra)
     assert kept.columns == extra.columns and kept.count() == len({x[2] for x in brute_components(docs)})
 
 
+def test_one_row_of_each_group_stays(make):
+    x, y = "some words that are here", "quite another text, not alike"
+    for held, expected in (
+        ([(4, x), (6, x), (6, y), (4, x)], [(4, x), (6, y)]),
+        ([(None, x), (None, x), (None, y), (9, y)], [(9, y), (None, x)]),
+        ([(1, None), (2, ""), (3, x)], [(1, None), (3, x)]),
+        ([], []),
+    ):
+        assert sorted(map(str, (tuple(r) for r in simhash.keep_one_each(make(held)).collect()))) == sorted(map(str, expected))
+
+
+def test_shards_that_share_a_half_are_dealt_again(spark):
+    rng = np.random.default_rng(18)
+    wide = rng.integers(0, 1 << 32, 900, dtype=np.uint64)
+    fp = np.concatenate([wide, wide << np.uint64(32) | np.uint64(77), wide[:300] ^ np.uint64(5), rng.integers(0, 1 << 64, 300, dtype=np.uint64), np.arange(900, dtype=np.uint64)])
+    fp = np.unique(fp)
+    table = spark.createDataFrame([(int(i), int(f)) for i, f in enumerate(fp.view(np.int64).tolist())], "doc_id long, fp long")
+    expected = groups_of(fp.tolist())
+    at = {int(f): i for i, f in enumerate(fp.view(np.int64).tolist())}
+    for sizes in ({"shard_rows": 64, "hot_rows": 128}, {}):
+        assert {at[r.fp]: r.component_id for r in simhash.link_components(table, **sizes).collect()} == dict(enumerate(expected))
+
+
 def test_fingerprints_use_sparks_hash(spark):
     h = [r[0] & (1 << 64) - 1 for r in spark.createDataFrame([("a b c",), ("b c é",)], "s string").select(F.xxhash64("s")).collect()]
     bits = sum(1 << k for k in range(64) if sum(x >> k & 1 for x in h) * 2 > 2)
@@ -449,7 +490,7 @@ def test_trees_lose_no_pair():
         index, shard, home = simhash.Tree(half[:500], 4, k).route(half, 1)
         for leaf in np.unique(shard):
             mine = index[shard == leaf]
-            roots = simhash.shard_links(fp[mine], home[shard == leaf], half[mine], leaf=16)
+            roots = simhash.shard_links(fp[mine], home[shard == leaf], k, leaf=16)
             group.join(mine, mine[roots])
     assert np.array_equal(group.roots(), exact.roots())
 
