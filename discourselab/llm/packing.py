@@ -1,12 +1,20 @@
 """Packing documents into token sequences by exact complements.
 
 Whether pieces fill a sequence depends on their lengths alone, so the plan is made on the histogram of
-lengths (``CAPACITY`` entries whatever the corpus): for each length, largest first, the gap it leaves is
-looked up among single lengths, sums of two and sums of three, and a combination that fills it exactly is
-consumed as often as the available counts allow (plans that let it fall short by a few tokens are made
-too, and the one with the fewest sequences is taken). What is left is placed by best fit, longest first, also
-by counts. A plan is a short list of fillings with multiplicities; pieces find their place by their rank
-among pieces of their length, without ever being gathered.
+lengths (``CAPACITY`` entries whatever the corpus). An index keeps, by sum, how many single lengths, pairs
+and triples of available lengths add up to it, and follows the counts as they fall:
+
+    1. For each length, largest first, the gap it leaves is looked up, and a combination that fills it exactly
+       is consumed as often as the counts allow; a look-up prefers one length to two and two to three, and
+       large ones. Combinations of large lengths go first (``FLOORS``): small ones fit anywhere.
+    2. Lengths of ``SMALL`` or more that are left are placed by best fit, longest first. The gaps of these
+       sequences are looked up among the small lengths in the same way; best fit places what remains.
+    3. Sequences that are not full share too few small pieces on small tables. So the fillings of most parts
+       are released, one, two, four ... times as many as there are sequences that are not full, and packed
+       anew with those by best fit; the fewest sequences win, and of these the fewest released.
+
+A plan is a short list of fillings with multiplicities; pieces find their place by their rank among pieces
+of their length, without ever being gathered.
 
 Only documents longer than a sequence are cut, into full sequences; the first piece takes the remainder.
 
@@ -24,6 +32,7 @@ from __future__ import annotations
 import hashlib
 import json
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from pathlib import Path
 
@@ -37,8 +46,9 @@ from discourselab.session import cut, prepare
 
 CAPACITY = 1024
 END_ID = 2
-#: How much of a gap a combination may leave before its length is left to best fit; each is planned.
-SLACKS = (0, 16)
+#: The smallest lengths that combinations may use, pass by pass; lengths under the last are small.
+FLOORS = (340, 200, 128)
+SMALL = FLOORS[-1]
 #: How a byte-level tokenizer file cuts a text before merging (a fixed value of such files).
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -104,71 +114,106 @@ def pieces(docs: DataFrame, tokenizer: str) -> DataFrame:
 Filling = tuple[int, list[tuple[int, int]]]
 
 
-def _complement(gap: int, top: int, counts: np.ndarray, used: int, parts: int = 3) -> list[int] | None:
-    """Up to ``parts`` (one, two or three) available lengths up to ``top`` that sum to ``gap``; ``used`` is taken once already."""
-    free = counts.copy()
-    free[used] -= 1
-    free[top + 1 :] = 0
-    there = free > 0
-    if gap <= top and there[gap]:
-        return [gap]
-    if parts == 1:
-        return None
+class Sums:
+    """Index from a sum to the single lengths, pairs and triples of available lengths that add up to it.
 
-    def two(total: int, most: int) -> list[int] | None:
-        for y in range(min(total - 1, most), (total - 1) // 2, -1):
-            if there[y] and there[total - y] and (2 * y != total or free[y] > 1):
-                return [y, total - y]
-        return None
+    ``one``, ``two`` and ``three`` count ordered combinations by sum; when the last piece of a length is
+    taken, its combinations leave all three.
+    """
 
-    if found := two(gap, top):
-        return found
-    if parts == 2:
+    def __init__(self, counts: np.ndarray) -> None:
+        self.counts = counts.copy()
+        self.one = (self.counts > 0).astype(np.int64)
+        self.two = np.convolve(self.one, self.one)[: len(counts)]
+        self.three = np.convolve(self.two, self.one)[: len(counts)]
+
+    def _moved(self, values: np.ndarray, by: int) -> np.ndarray:
+        out = np.zeros_like(values)
+        out[by:] = values[: max(0, len(values) - by)]
+        return out
+
+    def take(self, lengths: Counter, times: int) -> None:
+        """Take each length as often as it stands in ``lengths``, ``times`` over."""
+        for x, copies in lengths.items():
+            self.counts[x] -= copies * times
+            if not self.counts[x]:  # (f - x)^2 and (f - x)^3, with f the sum over available lengths
+                unit = self._moved(np.eye(1, len(self.one), dtype=np.int64)[0], x)
+                self.three += 3 * (self._moved(self.one, 2 * x) - self._moved(self.two, x)) - self._moved(unit, 2 * x)
+                self.two += self._moved(unit, x) - 2 * self._moved(self.one, x)
+                self.one[x] = 0
+
+    def times(self, lengths: Counter) -> int:
+        """How often a combination is there."""
+        return min(int(self.counts[x]) // copies for x, copies in lengths.items())
+
+    def find(self, gap: int, own: int = 0) -> Counter | None:
+        """Lengths that fill a gap exactly beside one piece of length ``own``; with it, and none larger."""
+        held = [own] if own else []
+        if gap == 0:
+            return Counter(held)
+        for found in self._combinations(gap, own or gap):
+            if self.times(lengths := Counter([*held, *found])):
+                return lengths
         return None
-    sums = np.convolve(there[: gap + 1].astype(np.int64), there[: gap + 1].astype(np.int64))
-    for x in range(min(gap - 2, top), 0, -1):
-        if there[x] and sums[gap - x]:
-            free[x] -= 1
-            there[x] = free[x] > 0
-            found = two(gap - x, x)
-            free[x] += 1
-            there[x] = True
-            if found:
-                return [x, *found]
-    return None
 
+    def _combinations(self, gap: int, top: int) -> Iterator[tuple[int, ...]]:
+        if gap <= top and self.one[gap]:
+            yield (gap,)
+        yield from self._pairs(gap, top)
+        if self.three[gap]:
+            x = np.arange(min(gap - 2, top), (gap - 1) // 3, -1)
+            for first in x[(self.one[x] > 0) & (self.two[gap - x] > 0)].tolist():
+                for pair in self._pairs(gap - first, first):
+                    yield (first, *pair)
 
-def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[Filling]:
-    """(how often, [(length, copies), ...]) fillings that place every piece of a histogram of lengths.
+    def _pairs(self, total: int, top: int) -> Iterator[tuple[int, int]]:
+        if self.two[total]:
+            y = np.arange(min(total - 1, top), (total - 1) // 2, -1)
+            for first in y[(self.one[y] > 0) & (self.one[total - y] > 0)].tolist():
+                yield first, total - first
 
-    Of the plans made with each allowance in ``SLACKS``, with sums of up to three,
-    two or one, the one with the fewest sequences is returned.
-    """
-    counts = np.zeros(capacity + 1, np.int64)
-    for length, n in histogram.items():
-        counts[length] = n
-    return min((_plan(counts.copy(), capacity, slack, parts) for slack in SLACKS for parts in (3, 2, 1)), key=lambda x: sum(times for times, _ in x))
 
+def _is_full(filling: list[tuple[int, int]], capacity: int) -> bool:
+    return sum(length * copies for length, copies in filling) == capacity
 
-def _plan(counts: np.ndarray, capacity: int, slack: int, parts: int) -> list[Filling]:
-    fillings: list[Filling] = []
+
+def _sequences(fillings: list[Filling]) -> int:
+    return sum(times for times, _ in fillings)
+
+
+def _exact(counts: np.ndarray, capacity: int) -> list[Filling]:
+    """Fillings by exact complements of all lengths in ``counts``, largest first; what is left stays there."""
+    sums, fillings = Sums(counts), []
     for length in range(capacity, 0, -1):
-        while counts[length]:
-            gap = capacity - length
-            found = [] if not gap else next((x for g in range(gap, max(0, gap - slack - 1), -1) if (x := _complement(g, min(length, g), counts, length, parts))), None)
-            if found is None:
-                break
-            need = {x: [length, *found].count(x) for x in (length, *found)}
-            times = min(int(counts[x]) // k for x, k in need.items())
-            for x, k in need.items():
-                counts[x] -= k * times
-            fillings.append((times, list(need.items())))
-    return fillings + _best_fit(counts, capacity)
-
-
-def _best_fit(counts: np.ndarray, capacity: int) -> list[Filling]:
+        while sums.counts[length] and (lengths := sums.find(capacity - length, length)):
+            times = sums.times(lengths)
+            sums.take(lengths, times)
+            fillings.append((times, list(lengths.items())))
+    counts[:] = sums.counts
+    return fillings
+
+
+def _close_gaps(opened: list[Filling], small: np.ndarray, capacity: int) -> list[Filling]:
+    """Fillings whose gaps small lengths fill exactly are closed; those that they cannot fill stay as they are."""
+    sums, fillings = Sums(small), []
+    for times, filling in sorted(opened, key=lambda x: -sum(length * copies for length, copies in x[1])):
+        gap = capacity - sum(length * copies for length, copies in filling)
+        while gap and times and (lengths := sums.find(gap)):
+            some = min(times, sums.times(lengths))
+            sums.take(lengths, some)
+            fillings.append((some, filling + list(lengths.items())))
+            times -= some
+        if times:
+            fillings.append((times, filling))
+    small[:] = sums.counts
+    return fillings
+
+
+def _best_fit(counts: np.ndarray, capacity: int, opened: list[Filling] = ()) -> list[Filling]:
     """Best fit, longest first, of equal pieces at once: the tightest open gap takes as many as go in."""
     gaps: dict[int, list[Filling]] = {}
+    for times, filling in opened:
+        gaps.setdefault(capacity - sum(length * copies for length, copies in filling), []).append((times, filling))
     for length in np.flatnonzero(counts)[::-1].tolist():
         left = int(counts[length])
         while left:
@@ -185,6 +230,48 @@ def _best_fit(counts: np.ndarray, capacity: int) -> list[Filling]:
     return [x for held in gaps.values() for x in held]
 
 
+def _released(full: list[Filling], rest: list[Filling], capacity: int) -> list[Filling]:
+    """Full fillings of most parts are packed anew with those that are not full, where that saves sequences."""
+    full = sorted(full, key=lambda x: sum(copies for _, copies in x[1]))
+    parted = sum(times for times, filling in full if filling != [(capacity, 1)])
+    best, release = full + rest, 0
+    while release < parted and rest:
+        release = min(parted, 2 * release or _sequences(rest))
+        counts, kept, wanted = np.zeros(capacity + 1, np.int64), [], release
+        for times, filling in full[::-1]:
+            some = min(times, wanted)
+            wanted -= some
+            for length, copies in filling:
+                counts[length] += some * copies
+            if times > some:
+                kept.append((times - some, filling))
+        for times, filling in rest:
+            for length, copies in filling:
+                counts[length] += times * copies
+        found = kept + _best_fit(counts, capacity)
+        best = min(best, found, key=_sequences)
+    return best
+
+
+def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[Filling]:
+    """(how often, [(length, copies), ...]) fillings that place every piece of a histogram of lengths."""
+    counts = np.zeros(capacity + 1, np.int64)
+    for length, n in histogram.items():
+        counts[length] = n
+    fillings: list[Filling] = []
+    for floor in FLOORS:
+        part = counts.copy()
+        part[:floor] = 0
+        fillings += _exact(part, capacity)
+        counts[floor:] = part[floor:]
+    large, small = counts.copy(), counts.copy()
+    large[:SMALL], small[SMALL:] = 0, 0
+    closed = _close_gaps(_best_fit(large, capacity), small, capacity)
+    fillings += _best_fit(small, capacity, closed)
+    full = [x for x in fillings if _is_full(x[1], capacity)]
+    return _released(full, [x for x in fillings if not _is_full(x[1], capacity)], capacity)
+
+
 def slots(fillings: list[Filling]) -> dict[int, np.ndarray]:
     """By length, rows (first rank, copies, first sequence, offset): where the pieces of each rank go."""
     rows: dict[int, list[tuple[int, int, int, int]]] = {}

@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -408,6 +409,35 @@ def test_plans_place_every_piece():
     assert packing.plan({}) == []
 
 
+def test_sums_are_indexed_and_follow_the_counts():
+    rng = random.Random(16)
+    counts = np.zeros(101, np.int64)
+    counts[[rng.randint(1, 100) for _ in range(25)]] = 2
+    sums = packing.Sums(counts)
+    while (held := np.flatnonzero(sums.counts).tolist()):
+        for k, index in enumerate((sums.one, sums.two, sums.three), 1):
+            by_sum = collections.Counter(sum(x) for x in itertools.product(held, repeat=k))
+            assert index.tolist() == [by_sum[total] for total in range(101)]
+        for gap in range(1, 101):
+            ways = [x for k in (1, 2, 3) for x in itertools.combinations_with_replacement(held, k) if sum(x) == gap and sums.times(collections.Counter(x))]
+            found = sums.find(gap)
+            assert (found is None) == (not ways) and (not ways or (sum(found.elements()) == gap and found.total() == len(ways[0])))
+        sums.take(collections.Counter([rng.choice(held)]), 1)
+
+
+def test_complements_do_no_worse_than_best_fit(docs):
+    encoding = packing.encoder(open(BYTES, "rb").read())
+    small = collections.Counter(b - a for r in docs.collect() for a, b in packing.cuts(len(packing.token_ids(r.text, encoding))))
+    rng = random.Random(26)
+    large = collections.Counter(min(1024, int(rng.lognormvariate(5.8, 0.9)) + 1) for _ in range(20000))
+    for sizes in (small, large):
+        counts = np.zeros(1025, np.int64)
+        counts[list(sizes)] = list(sizes.values())
+        assert sum(t for t, _ in packing.plan(sizes)) <= sum(t for t, _ in packing._best_fit(counts, 1024))
+    full = sum(t for t, f in packing.plan(large) if sum(x * n for x, n in f) == 1024)
+    assert full > 0.95 * sum(t for t, _ in packing.plan(large))
+
+
 # 10 near duplicates
 
 
