@@ -4,24 +4,32 @@ DataFrame functions only. The base finds e-mail addresses, network addresses, pa
 numbers and checks them (octets, Luhn, digit counts). Every value found is a protected entity.
 
 Information-theoretic part
-    A term is a word of ``TERM_LETTERS`` letters or more within ``CONTEXT`` characters of an entity. With
-    p(e) the share of documents holding entity e, and p(e|t) the share of the documents with term t that
-    hold it next to e, the term tells PMI(e;t) = log2 p(e|t) / p(e) bits of the IC(e) = -log2 p(e) bits
-    that e carries. What stays hidden is -log2 p(e|t). A term that leaves at most ``GENERALISE_BITS``
-    hidden is generalised to its class, one that leaves at most ``REMOVE_BITS`` is removed, wherever
-    it stands. Evidence has to come from ``SUPPORT`` different contexts, so that copies of one text do
-    not turn its words into evidence. All counts are over the whole corpus.
+    What is protected is each value, each kind of value, and any value at all. A term is a word of
+    ``TERM_LETTERS`` letters or more outside the values. With p(e) the share of documents that hold e and
+    p(e|t) that share among the documents with term t, the term tells PMI(e;t) = log2 p(e|t) / p(e) of the
+    IC(e) = -log2 p(e) bits that e carries; what stays hidden is -log2 p(e|t). A term that tells at least
+    ``TOLD_BITS`` is generalised to its class if it leaves at most ``GENERALISE_BITS`` hidden and removed
+    if it leaves at most ``REMOVE_BITS``, wherever it stands.
+
+    p(e|t) is estimated as (n(e,t) + SMOOTH p(e)) / (n(t) + SMOOTH), so that a word met a few times is no
+    evidence. For a value, n(t) is the number of documents with t, and n(e,t) how many different contexts of
+    ``CONTEXT`` characters on either side hold t beside e, or how many documents if those are fewer. For a
+    kind (or any), documents are folded by their smallest value of the kind, since those that share it may
+    be copies: n(e,t) counts the different ones, and n(t) those and the documents without any value. Values
+    are compared in a normal form (digits of cards and phone numbers, lower case of addresses). All counts
+    are over the whole corpus.
 
 Plans
     Patterns are possessive and anchored by look-behind, so they run in linear time and constant stack.
-    Positions come from the pieces between matches, inside one row. Document frequencies are summed on the
-    map side before anything is joined. Revealing terms are broadcast only up to ``BROADCAST_TERMS`` of
-    them (a checked count); beyond that the same join is a shuffle.
+    Positions come from the pieces between matches, inside one row. Frequencies are summed on the map side;
+    the empty term stands for all documents in the same table. Revealing terms are put into one pattern if
+    they are at most ``PATTERN_TERMS``; more are joined to the words of each text, by a broadcast up to
+    ``BROADCAST_TERMS`` of them (a checked count) and by a shuffle beyond.
 
 Defined cases
     Null text counts as empty and stays null when sanitised. Rows with a null doc_id are searched like
-    others. Repeated rows are judged each; rows that share a doc_id share their revealing terms. Empty
-    tables give empty results. Other columns, whatever their names, are carried untouched.
+    others. Repeated rows are judged each. Empty tables give empty results. Other columns, whatever their
+    names, are carried untouched.
 """
 
 from __future__ import annotations
@@ -30,13 +38,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from discourselab.functions.text import let
+from discourselab.llm.columns import unused
 from discourselab.session import cut
 
 CONTEXT = 64
 TERM_LETTERS = 3
-SUPPORT = 3
+SMOOTH = 5
+TOLD_BITS = 2.0
 GENERALISE_BITS = 1.0
 REMOVE_BITS = 0.15
+PATTERN_TERMS = 200
 BROADCAST_TERMS = 100_000
 
 _LOCAL = "[A-Za-z0-9._%+-]"
@@ -48,7 +59,9 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 _HINT = {"email": "@", "phone": "+"}
-_WORD = rf"\p{{L}}{{{TERM_LETTERS},}}"
+_WORD = rf"(?<![\p{{L}}\p{{N}}])\p{{L}}{{{TERM_LETTERS},}}+(?!\p{{N}})"
+_MATCHES = "array<struct<start:int,end:int,match:string,left:string,right:string>>"
+_TERMS = "array<struct<start:int,end:int,match:string,bits:double>>"
 
 
 def _digits(match: Column) -> Column:
@@ -81,7 +94,6 @@ def matches(text: Column, pattern: Column) -> Column:
     found, pieces = F.regexp_extract_all(text, pattern, F.lit(0)), F.split(text, pattern, -1)
     sides = let(pieces, lambda p: F.arrays_zip(F.slice(p, 1, F.size(p) - 1).alias("left"), F.slice(p, 2, F.size(p)).alias("right")))
     step = F.zip_with(found, sides, lambda m, s: F.struct(m.alias("match"), s["left"].alias("left"), s["right"].alias("right")))
-    kind = "array<struct<start:int,end:int,match:string,left:string,right:string>>"
 
     def walk(state: Column, x: Column) -> Column:
         start = state.pos + F.length(x["left"])
@@ -89,8 +101,8 @@ def matches(text: Column, pattern: Column) -> Column:
         one = F.struct(start.alias("start"), end.alias("end"), x["match"].alias("match"), x["left"].alias("left"), x["right"].alias("right"))
         return F.struct(end.alias("pos"), F.concat(state.out, F.array(one)).alias("out"))
 
-    start = F.struct(F.lit(0).alias("pos"), F.array().cast(kind).alias("out"))
-    return F.when(F.size(found) > 0, F.aggregate(step, start, walk, lambda s: s.out)).otherwise(F.array().cast(kind))
+    start = F.struct(F.lit(0).alias("pos"), F.array().cast(_MATCHES).alias("out"))
+    return F.when(F.size(found) > 0, F.aggregate(step, start, walk, lambda s: s.out)).otherwise(F.array().cast(_MATCHES))
 
 
 def _base(text: Column, kind: str) -> Column:
@@ -98,67 +110,127 @@ def _base(text: Column, kind: str) -> Column:
     if kind in _HINT:
         found = F.when(F.contains(text, F.lit(_HINT[kind])), found)
     found = F.filter(found, lambda m: _valid(kind, m["match"]))
-    return F.coalesce(found, F.array().cast("array<struct<start:int,end:int,match:string,left:string,right:string>>"))
+    return F.coalesce(found, F.array().cast(_MATCHES))
 
 
-def _with_base(docs: DataFrame) -> DataFrame:
-    """docs and a struct column ``_pii`` of the base matches by kind."""
-    text = F.coalesce("text", F.lit(""))
-    return docs.withColumn("_pii", F.struct(*(_base(text, kind).alias(kind) for kind in PATTERNS)))
+def base_matches(text: Column) -> Column:
+    """Struct of the base matches by kind."""
+    return F.struct(*(_base(text, kind).alias(kind) for kind in PATTERNS))
+
+
+def _normal(kind: str, match: Column) -> Column:
+    return F.lower(match) if kind == "email" else match if kind == "ip" else _digits(match)
 
 
 def _terms_of(text: Column) -> Column:
     return F.array_distinct(F.regexp_extract_all(F.lower(text), F.lit(_WORD), F.lit(0)))
 
 
+def _replaced(text: Column, marks: Column) -> Column:
+    """A text with marked stretches (start, end, label in order) replaced by their labels."""
+
+    def walk(state: Column, m: Column) -> Column:
+        kept = F.substring(text, state.pos + 1, F.greatest(m["start"] - state.pos, F.lit(0)))
+        moved = F.struct(m["end"].alias("pos"), F.concat(state.parts, F.array(kept, F.when(m["start"] >= state.pos, m["label"]).otherwise(F.lit("")))).alias("parts"))
+        return F.when(m["end"] <= state.pos, state).otherwise(moved)
+
+    first = F.struct(F.lit(0).alias("pos"), F.array().cast("array<string>").alias("parts"))
+    rest = lambda s: F.concat(F.array_join(s.parts, ""), F.substring(text, s.pos + 1, F.length(text)))
+    return F.when(F.size(marks) > 0, F.aggregate(marks, first, walk, rest)).otherwise(text)
+
+
+def term_counts(docs: DataFrame) -> DataFrame:
+    """(term, docs, units, n_any, n_<kind>...) of the terms that stand in a document with a value.
+
+    The row of the empty term counts all documents. ``units`` is the number of documents after folding.
+    """
+    based = docs.select(F.coalesce("text", F.lit("")).alias("text")).select("text", base_matches(F.col("text")).alias("pii"))
+    values = lambda k: F.transform(F.col(f"pii.{k}"), lambda m: F.concat(F.lit(f"{k}:"), _normal(k, m["match"])))
+    least = {k: F.array_min(values(k)) for k in PATTERNS}
+    kinds = F.filter(F.array(*(F.struct(F.lit(k).alias("kind"), x.alias("rep")) for k, x in least.items())), lambda x: x["rep"].isNotNull())
+    either = F.array(F.struct(F.lit("any").alias("kind"), F.array_min(F.col("kinds.rep")).alias("rep")))
+    none = F.array(F.struct(F.lit(None).cast("string").alias("kind"), F.lit(None).cast("string").alias("rep")))
+    bare = _replaced(F.col("text"), _marks_of(F.col("pii"), " "))
+    classes = F.when(F.size("kinds") > 0, F.concat("kinds", either)).otherwise(none)
+    words = based.select(kinds.alias("kinds"), F.concat(F.array(F.lit("")), _terms_of(bare)).alias("terms"))
+    rows = words.select(classes.alias("classes"), F.explode("terms").alias("term")).select("term", F.inline("classes"))
+    summed = rows.groupBy("term", "kind", "rep").agg(F.count("*").alias("n"))
+    of = lambda k: F.count(F.when(F.col("kind") == k, 1))
+    plain, held = F.sum(F.when(F.col("kind").isNull(), F.col("n")).otherwise(0)), F.sum(F.when(F.col("kind") == "any", F.col("n")).otherwise(0))
+    counted = summed.groupBy("term").agg((plain + held).alias("docs"), (plain + of("any")).alias("units"), *(of(k).alias(f"n_{k}") for k in ("any", *PATTERNS)))
+    return counted.where("n_any > 0 or term = ''")
+
+
+def _likely(n: Column, prior: Column, total: Column) -> Column:
+    """p(e|t), or null where the term does not tell enough of e."""
+    p = F.least(F.lit(1.0), (n + SMOOTH * prior) / (total + SMOOTH))
+    return F.when(p >= 2**TOLD_BITS * prior, p)
+
+
 def revealing_terms(docs: DataFrame) -> DataFrame:
-    """(term, hidden_bits) of the terms that leave at most ``GENERALISE_BITS`` of some entity hidden."""
-    pairs = docs.select(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("doc"), "text")
-    based = _with_base(pairs)
-
-    def named(kind: str) -> Column:
-        return F.transform(F.col(f"_pii.{kind}"), lambda m: F.struct(F.concat(F.lit(f"{kind}:"), m["match"]).alias("entity"), m["left"].alias("left"), m["right"].alias("right")))
-
-    kinds = F.flatten(F.array(*map(named, PATTERNS)))
-    near = based.select("doc", F.explode(kinds).alias("x")).select(
-        "doc",
-        F.xxhash64("x.entity").alias("entity"),
-        F.concat(F.regexp_replace(F.right("x.left", F.lit(CONTEXT)), r"^\p{L}+", ""), F.lit(" "), F.regexp_replace(F.left("x.right", F.lit(CONTEXT)), r"\p{L}+$", "")).alias("context"),
-    )
+    """(term, hidden_bits) of the terms that leave at most ``GENERALISE_BITS`` of something protected hidden."""
+    counts = cut(term_counts(docs))
+    every = counts.where("term = ''").first()
+    if every is None or not every.n_any:
+        return counts.select("term", F.lit(0.0).alias("hidden_bits")).limit(0)
+    terms = counts.where("term <> ''")
+    best = F.greatest(*(_likely(F.col(f"n_{k}"), F.lit(every[f"n_{k}"] / every.units), F.col("units")) for k in ("any", *PATTERNS)))
+    told = terms.select("term", best.alias("p"))
+
+    based = docs.select(F.xxhash64("text").alias("doc"), F.coalesce("text", F.lit("")).alias("text")).select("doc", base_matches(F.col("text")).alias("pii"))
+    named = lambda k: F.transform(F.col(f"pii.{k}"), lambda m: F.struct(F.concat(F.lit(f"{k}:"), _normal(k, m["match"])).alias("entity"), m["left"].alias("left"), m["right"].alias("right")))
+    near = based.select("doc", F.explode(F.flatten(F.array(*map(named, PATTERNS)))).alias("x"))
+    sides = F.concat(F.regexp_replace(F.right("x.left", F.lit(CONTEXT)), r"^[\p{L}\p{N}]+", ""), F.lit(" "), F.regexp_replace(F.left("x.right", F.lit(CONTEXT)), r"[\p{L}\p{N}]+$", ""))
+    near = cut(near.select("doc", F.xxhash64("x.entity").alias("entity"), sides.alias("context")))
+    holders = near.groupBy("entity").agg(F.count_distinct("doc").alias("holders"))
     met = near.select("doc", "entity", F.xxhash64("context").alias("context"), F.explode(_terms_of(F.col("context"))).alias("term"))
-    joint = cut(met.groupBy("entity", "term").agg(F.count_distinct("context").alias("support"), F.count_distinct("doc").alias("joint")).where(F.col("support") >= SUPPORT))
-    terms = joint.groupBy("term").agg(F.max("joint").alias("joint"))
-    if terms.isEmpty():
-        return terms.select("term", F.lit(0.0).alias("hidden_bits"))
-    words = pairs.select(F.explode(_terms_of(F.coalesce("text", F.lit("")))).alias("term"))
-    held = words.groupBy("term").agg(F.count("*").alias("docs"))
-    hidden = -F.log2(F.least(F.lit(1.0), F.col("joint") / F.col("docs")))
-    return cut(terms.join(held, "term").select("term", hidden.alias("hidden_bits")).where(F.col("hidden_bits") <= GENERALISE_BITS))
-
-
-def find(docs: DataFrame) -> DataFrame:
-    """docs, ``_pii`` (base matches by kind) and ``_terms`` (matches of revealing terms, with hidden bits)."""
-    kind = "array<struct<start:int,end:int,match:string,bits:double>>"
+    joint = met.groupBy("entity", "term").agg(F.least(F.count_distinct("context"), F.count_distinct("doc")).alias("n")).where("n > 1")
+    values = joint.join(holders, "entity").join(terms.select("term", "docs"), "term")
+    of_value = values.select("term", _likely(F.col("n"), F.col("holders") / every.docs, F.col("docs")).alias("p"))
+    hidden = told.unionByName(of_value).groupBy("term").agg((-F.log2(F.max("p"))).alias("hidden_bits"))
+    return cut(hidden.where(F.col("hidden_bits") <= GENERALISE_BITS))
+
+
+def _pattern(terms: Column) -> Column:
+    return F.concat(F.lit(r"(?iu)(?<![\p{L}\p{N}])(?:"), F.array_join(terms, "|"), F.lit(r")(?![\p{L}\p{N}])"))
+
+
+def find(docs: DataFrame, base: str, held: str, pattern_terms: int = PATTERN_TERMS) -> DataFrame:
+    """docs with the base matches by kind in column ``base`` and the matches of revealing terms in ``held``."""
     terms = revealing_terms(docs)
-    n = terms.count()
-    if n == 0:
-        return _with_base(docs).withColumn("_terms", F.array().cast(kind))
-    small = n <= BROADCAST_TERMS
-    words = docs.select(F.col("doc_id").alias("_doc"), F.explode(_terms_of(F.coalesce("text", F.lit("")))).alias("term"))
-    per_doc = words.join(F.broadcast(terms) if small else terms, "term").groupBy("_doc").agg(F.map_from_entries(F.array_sort(F.collect_set(F.struct("term", "hidden_bits")))).alias("_bits"))
-    joined = _with_base(docs.join(per_doc, docs["doc_id"].eqNullSafe(per_doc["_doc"]), "left").drop("_doc"))
-    pattern = F.concat(F.lit(r"(?iu)(?<!\p{L})(?:"), F.array_join(F.map_keys("_bits"), "|"), F.lit(r")(?!\p{L})"))
-    found = F.transform(matches(F.coalesce("text", F.lit("")), pattern), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), m["match"].alias("match"), F.element_at(F.col("_bits"), F.lower(m["match"])).alias("bits")))
-    return joined.withColumn("_terms", F.coalesce(F.when(F.col("_bits").isNotNull(), found), F.array().cast(kind))).drop("_bits")
+    n, text = terms.count(), F.coalesce("text", F.lit(""))
+    out = docs.withColumn(base, base_matches(text))
+    if not n:
+        return out.withColumn(held, F.array().cast(_TERMS))
+    marked = lambda bits, found: F.transform(found, lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), m["match"].alias("match"), F.element_at(bits, F.lower(m["match"])).alias("bits")))
+    if n <= pattern_terms:
+        rows = sorted((r.term, r.hidden_bits) for r in terms.collect())
+        bits = F.create_map(*(F.lit(x) for row in rows for x in row))
+        return out.withColumn(held, marked(bits, matches(text, _pattern(F.array(*(F.lit(t) for t, _ in rows))))))
+    key, other, bits = unused(out, "key", "text_key", "bits")
+    words = docs.select(F.xxhash64("text").alias(other), F.explode(_terms_of(text)).alias("term"))
+    small = F.broadcast(terms) if n <= BROADCAST_TERMS else terms
+    per_text = words.join(small, "term").groupBy(other).agg(F.map_from_entries(F.array_sort(F.collect_set(F.struct("term", "hidden_bits")))).alias(bits))
+    joined = out.withColumn(key, F.xxhash64("text")).join(per_text, F.col(key) == F.col(other), "left")
+    found = F.when(F.col(bits).isNotNull(), marked(F.col(bits), matches(text, _pattern(F.map_keys(bits)))))
+    return joined.withColumn(held, F.coalesce(found, F.array().cast(_TERMS))).drop(key, other, bits)
 
 
-def _marks(kind: str, rank: int, column: str, label: Column | None = None) -> Column:
-    return F.transform(F.col(column), lambda m: F.struct(m["start"].alias("start"), F.lit(rank).alias("rank"), m["end"].alias("end"), F.lit(kind).alias("kind"), (F.lit(f"[{kind.upper()}]") if label is None else F.when(m["bits"] <= REMOVE_BITS, F.lit("")).otherwise(F.when(m["match"].rlike(r"^\p{Lu}"), F.lit("[NAME]")).otherwise(F.lit("[TERM]")))).alias("label")))
+def _marks_of(base: Column, label: str | None = None, terms: Column | None = None) -> Column:
+    """All matches in order of place and kind, as (start, rank, end, kind, label)."""
 
+    def marks(kind: str, rank: int, found: Column, shown: Column | None = None) -> Column:
+        name = F.lit(f"[{kind.upper()}]" if label is None else label)
+        return F.transform(found, lambda m: F.struct(m["start"].alias("start"), F.lit(rank).alias("rank"), m["end"].alias("end"), F.lit(kind).alias("kind"), (name if shown is None else _class_of(m)).alias("label")))
 
-def _all_marks(with_terms: bool) -> Column:
-    every = [_marks(k, i, f"_pii.{k}") for i, k in enumerate(PATTERNS)]
-    return F.array_sort(F.concat(*every, *([_marks("term", len(PATTERNS), "_terms", F.lit(1))] if with_terms else [])))
+    every = [marks(k, i, base[k]) for i, k in enumerate(PATTERNS)]
+    return F.array_sort(F.concat(*every, *([] if terms is None else [marks("term", len(PATTERNS), terms, terms)])))
+
+
+def _class_of(m: Column) -> Column:
+    """What a term is generalised to; nothing if it is removed."""
+    general = F.when(m["match"].rlike(r"^\p{Lu}"), F.lit("[NAME]")).otherwise(F.lit("[TERM]"))
+    return F.when(m["bits"] <= REMOVE_BITS, F.lit("")).otherwise(general)
 
 
 def _written(marks: Column) -> Column:
@@ -167,24 +239,17 @@ def _written(marks: Column) -> Column:
 
 def spans(docs: DataFrame) -> DataFrame:
     """doc_id, counts by kind, the digest of the base spans and all spans of a (doc_id, text) table."""
-    return find(docs).select(
+    base, held = unused(docs, "pii", "terms")
+    return find(docs, base, held).select(
         F.col("doc_id").cast("long").alias("doc_id"),
-        *(F.size(f"_pii.{k}").cast("long").alias(f"n_{k}") for k in PATTERNS),
-        F.sha2(_written(_all_marks(False)), 256).alias("base_sha256"),
-        _written(_all_marks(True)).alias("spans"),
+        *(F.size(F.col(base)[k]).cast("long").alias(f"n_{k}") for k in PATTERNS),
+        F.sha2(_written(_marks_of(F.col(base))), 256).alias("base_sha256"),
+        _written(_marks_of(F.col(base), terms=F.col(held))).alias("spans"),
     )
 
 
-def sanitise(docs: DataFrame) -> DataFrame:
+def sanitise(docs: DataFrame, pattern_terms: int = PATTERN_TERMS) -> DataFrame:
     """docs with every span replaced: base spans by their kind, terms by their class or by nothing."""
-    marks = _all_marks(True)
-
-    def walk(state: Column, m: Column) -> Column:
-        kept = F.substring(F.col("text"), state.pos + 1, F.greatest(m["start"] - state.pos, F.lit(0)))
-        moved = F.struct(m["end"].alias("pos"), F.concat(state.parts, F.array(kept, F.when(m["start"] >= state.pos, m["label"]).otherwise(F.lit("")))).alias("parts"))
-        return F.when(m["end"] <= state.pos, state).otherwise(moved)
-
-    first = F.struct(F.lit(0).alias("pos"), F.array().cast("array<string>").alias("parts"))
-    rest = lambda s: F.concat(F.array_join(s.parts, ""), F.substring(F.col("text"), s.pos + 1, F.length("text")))
-    text = F.when(F.size(marks) > 0, F.aggregate(marks, first, walk, rest)).otherwise(F.col("text"))
-    return find(docs).withColumn("text", text).select(*docs.columns)
+    base, held = unused(docs, "pii", "terms")
+    marks = _marks_of(F.col(base), terms=F.col(held))
+    return find(docs, base, held, pattern_terms).withColumn("text", _replaced(F.col("text"), marks)).select(*docs.columns)

@@ -11,6 +11,7 @@ import duckdb
 import numpy as np
 import public_tokenizers
 import pytest
+import regex
 import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
@@ -167,17 +168,72 @@ def test_very_long_runs_do_not_break_the_patterns(make):
     assert found[2].spans == f"email:0:{len(texts[2])}"
 
 
-def test_revealing_terms_are_generalised_or_removed(make):
-    made = [(i, f"item {i} Zorblax writes to zed@mail.org on day {i}") for i in range(40)]
-    made += [(100 + i, f"on day {i} nobody writes to anyone about item {i}") for i in range(60)] + [(900, "Zorblax"), (901, "zorblaxes stay")]
-    table = make(made).withColumn("_bits_", F.lit(1))
+def brute_terms(texts):
+    """Hidden bits of revealing terms, by plain counting."""
+    word = lambda x: set(regex.findall(r"(?<![\p{L}\p{N}])\p{L}{3,}+(?!\p{N})", x.lower()))
+    normal = {"email": str.lower, "ip": str}
+    plain, held, reps, met, holders = collections.Counter(), collections.Counter(), collections.defaultdict(set), collections.defaultdict(set), collections.defaultdict(set)
+    for text in texts:
+        found = [(m.split(":")[0], *map(int, m.split(":")[1:])) for m in brute_pii(text).split(",") if m]
+        bare, at = "", 0
+        for _, a, b in sorted(found, key=lambda m: m[1]):
+            bare, at = bare + text[at : max(at, a)] + " ", max(at, b)
+        terms = word(bare + text[at:]) | {""}
+        if not found:
+            plain.update(terms)
+            continue
+        held.update(terms)
+        values = collections.defaultdict(list)
+        for kind, a, b in found:
+            value = f"{kind}:" + normal.get(kind, lambda x: re.sub("[^0-9]", "", x))(text[a:b])
+            values[kind].append(value)
+            values["any"].append(value)
+            left, right = re.split(r"(?:" + PII[[k for k, _ in PII].index(kind)][1] + ")", text[max(0, a - 64) : a])[-1], text[b : b + 64]
+            context = regex.sub(r"^[\p{L}\p{N}]+", "", left) + " " + regex.sub(r"[\p{L}\p{N}]+$", "", right)
+            holders[value].add(text)
+            for t in word(context):
+                met[value, t].add((context, text))
+        for kind, held_values in values.items():
+            for t in terms:
+                reps[kind, t].add(min(held_values))
+    units = lambda t: plain[t] + len(reps["any", t])
+    likely = lambda n, prior, total: (p if (p := min(1.0, (n + 5 * prior) / (total + 5))) >= 4 * prior else 0)
+    best = collections.defaultdict(float)
+    for (kind, t), who in reps.items():
+        if t:
+            best[t] = max(best[t], likely(len(who), len(reps[kind, ""]) / units(""), units(t)))
+    for (value, t), pairs in met.items():
+        if (n := min(len({c for c, _ in pairs}), len({x for _, x in pairs}))) > 1 and t in held:
+            best[t] = max(best[t], likely(n, len(holders[value]) / (plain[""] + held[""]), plain[t] + held[t]))
+    return {t: -np.log2(p) for t, p in best.items() if p >= 0.5}
+
+
+def test_revealing_terms_equal_brute_force(spark, docs):
+    ten = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    texts = [r.text or "" for r in ten.collect()]
+    found = {r.term: r.hidden_bits for r in privacy.revealing_terms(ten).collect()}
+    assert found == pytest.approx(brute_terms(texts)) and "token" in found
+    for r in privacy.spans(ten).collect():
+        own = {f"term:{m.start()}:{m.end()}" for m in regex.finditer(r"(?i)(?<![\p{L}\p{N}])token(?![\p{L}\p{N}])", texts[r.doc_id] or "")}
+        assert {x for x in r.spans.split(",") if x.startswith("term")} == own
+    assert {r.term: r.hidden_bits for r in privacy.revealing_terms(docs).collect()} == pytest.approx(brute_terms([r.text or "" for r in docs.collect()]))
+
+
+def test_revealing_terms_are_generalised_or_removed(make, monkeypatch):
+    made = [(i, f"item {i} Zorblax writes to zed@mail.org on day {i}") for i in range(100)] + [(200 + i, f"Call Quux at +1 (017) 555-{7000 + i} or {i}") for i in range(10)]
+    made += [(400 + i, f"on day {i} nobody writes to anyone about item {i}, nor an or a call") for i in range(460)] + [(900, "Zorblax"), (901, "zorblaxes stay"), (902, "quux, Zorblax4"), (None, "Zorblax")]
+    table = make(made).withColumn("_pii", F.lit(1)).withColumn("terms", F.lit("mine")).withColumn("key", F.lit(2)).withColumn("pii", F.lit(3))
     terms = {r.term: r.hidden_bits for r in privacy.revealing_terms(table).collect()}
-    assert set(terms) == {"zorblax"} and terms["zorblax"] == pytest.approx(np.log2(41 / 40))
+    assert terms == pytest.approx(brute_terms([x for _, x in made]))
+    assert set(terms) == {"zorblax", "quux"} and terms["zorblax"] <= 0.15 < terms["quux"]
     found = rows(privacy.spans(table.select("doc_id", "text")))
-    assert found[900].spans == "term:0:7" and found[901].spans == "" and found[100].spans == ""
-    clean = rows(privacy.sanitise(table))
-    assert clean[0].text == "item 0  writes to [EMAIL] on day 0" and clean[900].text == "" and clean[901].text == "zorblaxes stay"
-    assert privacy.sanitise(table).columns == table.columns
+    assert found[900].spans == "term:0:7" and found[901].spans == "" and found[400].spans == "" and found[902].spans == "term:0:4"
+    for few in (200, 1):
+        clean = privacy.sanitise(table, few)
+        assert clean.columns == table.columns and {(r._pii, r.terms, r.key, r.pii) for r in clean.collect()} == {(1, "mine", 2, 3)}
+        by = rows(clean)
+        assert by[0].text == "item 0  writes to [EMAIL] on day 0" and by[900].text == "" and by[None].text == "" and by[901].text == "zorblaxes stay"
+        assert by[200].text == "Call [NAME] at [PHONE] or 0" and by[902].text == "[TERM], Zorblax4"
     odd = privacy.sanitise(make(ODD)).collect()
     assert len(odd) == len(ODD) and [r.text for r in odd if r.doc_id == 1] == [None]
 
