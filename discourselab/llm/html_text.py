@@ -1,26 +1,30 @@
 """Main text of HTML pages by text-to-tag ratios over streaming parser events.
 
-The standard library's parser streams events; block tags end a line. Each line has a ratio of text
-characters to tags. The ratios are smoothed with a Gaussian and clustered by a threshold (their standard
-deviation): lines above it are content. The content region is the smallest container that holds all content
-lines, widened to the outermost article or main around it, or else until it holds the first-level headings.
-All of the region's lines are kept, so that short paragraphs between and before long ones stay. Menus, page
-headers, footers, sidebars, notices, adverts, forms, scripts, styles and reader comments are left out by
-element, role or the words of class and id, before ratios are taken. Words of class and id do not hide what
-encloses a main, the longest article or, on pages with neither, ``COVER`` of the text; such pages are parsed
-a second time.
-
-One narrow pass; nothing is shuffled. Pages are parsed whole.
+The standard library's parser streams events; block tags end a line. Each line has a ratio: its characters
+outside links over its tags. The ratios are smoothed with a Gaussian and clustered by a threshold (their
+standard deviation): lines above it are content. Every container is scored by the lines in it: content
+counts its characters, other lines count against it by their link text and ``LINE`` each, first-level
+headings count ``HEADING`` at least. The region is the container of the highest score, widened to the outermost article
+around it, or else the outermost main. All of its lines are kept, so short paragraphs between and before long
+ones stay; without an article or main, blocks of mostly links at its ends go.
+
+What elements, roles and class names say is a weak feature of the choice: a container that they call
+boilerplate counts nothing for what encloses it and may still be the region, at ``FORM`` or ``HINT`` of its
+score (menus, asides, footers and page headers are never). Inside the region such parts are left out. A class or
+id hints only if all words of one of its names do, so ``related-work`` and ``no-sidebar`` hint at nothing.
+
+One narrow pass; nothing is shuffled. Pages are parsed whole, in time linear in their length and depth.
 
 Defined cases
     Null or empty pages, and pages without content, give an empty text. Tags that are never closed end
-    with the page. Repeated rows are extracted each. An empty table gives an empty result. Other columns
-    are ignored.
+    where their parent or the page does; paragraphs, list items, table cells and the like end where the next
+    begins. Repeated rows are extracted each. An empty table gives an empty result. Other columns are ignored.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from html.parser import HTMLParser
 
@@ -33,83 +37,121 @@ from discourselab.session import prepare
 
 SIGMA = 1.0
 RADIUS = 2
-COVER = 0.8
+#: What a line that is not content counts against its containers, besides its link text.
+LINE = 10
+#: What a first-level heading counts at least.
+HEADING = 4 * LINE
+#: Shares of their score that forms, and parts that class or id call boilerplate, compete with.
+FORM, HINT = 0.25, 0.5
 
 _VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
-_BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
-_HOLDERS = frozenset("article aside blockquote body center details dialog div dl fieldset figure footer form header html main nav ol section table tbody td ul".split())
-_REGIONS = frozenset("article body center div main section".split())
-_LEFT_OUT = frozenset("head script style noscript template iframe object svg canvas math nav aside footer form button select textarea dialog menu".split())
+_BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
+#: Elements that may be the region.
+_REGIONS = frozenset("article body center div form html main section".split())
+#: Elements whose text is never shown as running text.
+_UNSEEN = frozenset("head script style noscript template iframe object svg canvas math button select textarea dialog".split())
+_BOILERPLATE = frozenset("nav aside footer form menu".split())
 _ROLES = frozenset("navigation banner contentinfo complementary search alert alertdialog dialog menu menubar form".split())
 _HINTS = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe signup login sidebar sidebars widget widgets menu menus nav navbar navigation breadcrumb breadcrumbs footer masthead topbar toolbar comment comments commentlist disqus respond replies share sharing social related recommended recommendations trending pagination pager".split())
-_PARTS = re.compile(r"[A-Za-z]+")
+#: Words that say nothing by themselves beside a hint.
+_PLAIN = frozenset("area bar block bottom box buttons column container content form group inner items item left link links list main outer panel posts primary right secondary section site slot stories text top unit wrap wrapper".split())
+_NAME, _WORD = re.compile(r"\S+"), re.compile(r"[A-Za-z]+")
+#: What the start of a tag ends, up to the nearest element that is not listed here.
+_ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "td": {"td", "th"}, "th": {"td", "th"}, "tr": {"td", "th", "tr"}, "option": {"option"}, "tbody": {"td", "th", "tr", "tbody", "thead"}, "tfoot": {"td", "th", "tr", "tbody", "thead"}}
+_OPENABLE = frozenset().union(*_ENDS.values(), {"p", "head"})
+
+
+def hints(value: str | None) -> bool:
+    """Whether a name in a class or id attribute is made of words for boilerplate."""
+    for name in _NAME.findall((value or "").lower()):
+        words = _WORD.findall(name)
+        if words and not _HINTS.isdisjoint(words) and all(w in _HINTS or w in _PLAIN for w in words):
+            return True
+    return False
 
 
 class _Lines(HTMLParser):
-    """Collects (text, tags, path of enclosing elements, heading) of every block outside what is left out.
+    """Collects the lines of a page and the tree of the elements that hold them.
 
-    Elements are numbered by their start tags; those in ``shown`` are not hidden by class or id.
+    Parallel lists by element: ``parents``, ``tags`` and ``shares`` (1 for what is not called boilerplate, the
+    share that it competes with for what is, 0 for what is never the region). Element 0 is the page.
     """
 
-    def __init__(self, shown: frozenset[int] = frozenset()) -> None:
+    def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
-        self.shown = shown
-        self.lines: list[tuple[str, int, tuple[int, ...], bool]] = []
-        self.open: list[tuple[str, int, str]] = []
-        self.names: dict[int, str] = {}
-        self.path: tuple[int, ...] = ()
+        self.parents, self.tags, self.shares = [0], ["body"], [1.0]
+        #: (text, characters in links, tags, element, is a first-level heading)
+        self.lines: list[tuple[str, int, int, int, bool]] = []
+        self.open: list[tuple[str, int, bool]] = []  # tag, element, unseen
+        self.held: Counter[str] = Counter()
+        self.here = self.unseen = self.links = self.linked = self.count = 0
         self.text: list[str] = []
-        self.tags = self.hidden = self.barred = self.count = self.total = 0
         self.heading = False
-        #: Characters in elements hidden by class or id, and in articles and mains with the hidden ones around them.
-        self.hinted: dict[int, int] = {}
-        self.bodies: dict[int, int] = {}
-        self.around: dict[int, list[int]] = {}
 
     def end_line(self) -> None:
         if self.text and (text := " ".join("".join(self.text).split())):
-            self.lines.append((text, max(1, self.tags), self.path, self.heading))
-            self.tags = 0
-        self.text = []
-
-    def leaves_out(self, tag: str, attrs: list[tuple[str, str | None]]) -> str:
-        """Why an element is left out: "kind", "hint" or nothing."""
-        if tag in _LEFT_OUT or tag == "header" and not any(name in ("article", "main") for name, _, _ in self.open):
-            return "kind"
+            self.lines.append((text, min(self.linked, len(text)), max(1, self.count), self.here, self.heading))
+            self.count = 0
+        self.text, self.linked = [], 0
+
+    def pop(self) -> str:
+        tag, _, unseen = self.open.pop()
+        self.unseen -= unseen
+        self.held[tag] -= 1
+        self.here = self.open[-1][1] if self.open else 0
+        return tag
+
+    def imply_ends(self, tag: str) -> None:
+        """End what the start of ``tag`` ends: inline elements, a paragraph, the head, an item or cell."""
+        if tag in _BLOCKS:
+            while self.open and self.open[-1][0] not in _BLOCKS and (self.open[-1][0] not in _UNSEEN or self.open[-1][0] == "head"):
+                self.pop()
+            if self.open and self.open[-1][0] == "p":
+                self.pop()
+        if ends := _ENDS.get(tag):
+            k = len(self.open)
+            while k and self.open[k - 1][0] in _OPENABLE:
+                k -= 1
+                if self.open[k][0] in ends and not (k and self.open[k - 1][0] in ends):
+                    while len(self.open) > k:
+                        self.pop()
+                    return
+
+    def share(self, tag: str, attrs: list[tuple[str, str | None]]) -> float:
         if tag in ("html", "body", "article", "main"):
-            return ""
-        hint = False
+            return 1.0
+        if tag in _BOILERPLATE or tag == "header" and not (self.held["article"] or self.held["main"]):
+            return FORM if tag == "form" else 0.0
+        out = 1.0
         for name, value in attrs:
             if name == "hidden" or name == "aria-hidden" and value == "true" or name == "role" and (value or "").lower() in _ROLES:
-                return "kind"
-            hint = hint or name in ("class", "id") and bool(value) and not _HINTS.isdisjoint(_PARTS.findall(value.lower()))
-        return "hint" if hint and self.count not in self.shown else ""
+                return 0.0
+            if name in ("class", "id") and hints(value):
+                out = HINT
+        return out
 
     def handle_starttag(self, tag: str, attrs: list[tuple[str, str | None]]) -> None:
         if tag in _BLOCKS:
             self.end_line()
+            self.imply_ends(tag)
             self.heading = tag == "h1"
         elif tag == "br":
             self.text.append(" ")
-        self.tags += not self.hidden
+        self.count += not self.unseen
         if tag in _VOID:
             return
-        self.count += 1
-        out = self.leaves_out(tag, attrs)
-        if out or tag in _HOLDERS or self.hidden and any(name == tag for name, _, _ in self.open):
-            inner = any(name in ("article", "main") for name, _, _ in self.open)
-            if not self.barred:
-                if out == "hint" and not inner:
-                    self.hinted[self.count] = 0
-                elif tag in ("article", "main"):
-                    self.bodies[self.count] = 0
-                    self.around[self.count] = [number for _, number, _ in self.open if number in self.hinted]
-            self.names[self.count] = tag
-            self.open.append((tag, self.count, out))
-            self.hidden += bool(out)
-            self.barred += out == "kind"
-            if not self.hidden:
-                self.path = (*self.path, self.count)
+        self.links += tag == "a"
+        share = self.share(tag, attrs)
+        if tag in _BLOCKS:
+            self.parents.append(self.here)
+            self.tags.append(tag)
+            self.shares.append(share)
+            self.here = len(self.tags) - 1
+        unseen = tag in _UNSEEN or tag not in _BLOCKS and share < 1
+        if tag in _BLOCKS or unseen:
+            self.open.append((tag, self.here, unseen))
+            self.held[tag] += 1
+            self.unseen += unseen
 
     def handle_startendtag(self, tag: str, attrs: list[tuple[str, str | None]]) -> None:
         if tag in _VOID:
@@ -121,81 +163,99 @@ class _Lines(HTMLParser):
         if tag in _BLOCKS:
             self.end_line()
             self.heading = False
-        self.tags += not self.hidden
-        for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k][0] == tag:
-                self.hidden -= sum(bool(out) for _, _, out in self.open[k:])
-                self.barred -= sum(out == "kind" for _, _, out in self.open[k:])
-                gone = {number for _, number, _ in self.open[k:]}
-                del self.open[k:]
-                self.path = tuple(x for x in self.path if x not in gone)
-                break
+        self.count += not self.unseen
+        self.links = max(0, self.links - (tag == "a"))
+        if self.held[tag]:
+            while self.pop() != tag:
+                pass
 
     def handle_data(self, data: str) -> None:
-        if not self.hidden:
+        if not self.unseen:
             self.text.append(data)
-        if not self.barred and (size := len(data.strip())):
-            self.total += size
-            for held in (self.hinted, self.bodies):
-                for number in held and [number for _, number, _ in self.open if number in held]:
-                    held[number] += size
-
-    def wrappers(self) -> frozenset[int]:
-        """Elements hidden by class or id that enclose the page's main text."""
-        if not self.hinted:
-            return frozenset()
-        if not self.bodies:
-            return frozenset(number for number, size in self.hinted.items() if size and size >= COVER * self.total)
-        articles = [number for number in self.bodies if self.names[number] == "article"]
-        longest = max(articles, key=lambda number: self.bodies[number], default=None)
-        held = [number for number in self.bodies if number == longest or self.names[number] == "main"]
-        return frozenset(outer for number in held for outer in self.around[number])
-
-
-def parsed(html: str, shown: frozenset[int] = frozenset()) -> _Lines:
-    parser = _Lines(shown)
+            if self.links:
+                self.linked += len(data.strip())
+
+
+def parsed(html: str) -> _Lines:
+    parser = _Lines()
     parser.feed(html)
     parser.close()
     parser.end_line()
     return parser
 
 
-def region(parser: _Lines, content: np.ndarray) -> int | None:
-    """The number of the element whose lines are kept, None for the whole page."""
-
-    def smallest(wanted: list[tuple[int, ...]]) -> tuple[int, ...]:
-        """The containers around all of the paths, outermost first."""
-        shared = set(wanted[0]).intersection(*wanted[1:])
-        return tuple(x for x in wanted[0] if x in shared and parser.names[x] in _REGIONS)
-
-    found = smallest([path for (_, _, path, _), good in zip(parser.lines, content, strict=True) if good])
-    outer = next((x for x in found if parser.names[x] in ("article", "main")), None)
-    if outer is not None:
-        return outer
-    found = smallest([path for (_, _, path, heading), good in zip(parser.lines, content, strict=True) if good or heading])
-    return found[-1] if found else None
-
-
 def smoothed(ratios: np.ndarray, sigma: float = SIGMA, radius: int = RADIUS) -> np.ndarray:
     """Gaussian smoothing, with the first and last value repeated beyond the ends."""
     kernel = np.exp(-(np.arange(-radius, radius + 1) ** 2) / (2 * sigma**2))
     return np.convolve(np.pad(ratios, radius, mode="edge"), kernel / kernel.sum(), mode="valid")
 
 
+def content_lines(lines: list[tuple[str, int, int, int, bool]]) -> list[bool]:
+    """Which lines lie above the threshold of the smoothed text-to-tag ratios."""
+    ratios = np.array([(len(text) - linked) / tags for text, linked, tags, _, _ in lines])
+    curve = smoothed(ratios)
+    return (curve >= min(ratios.std(), curve.max())).tolist()
+
+
+def region(parser: _Lines, content: list[bool]) -> int | None:
+    """The element of the highest score, widened to its article or main."""
+    parents, tags, shares = parser.parents, parser.tags, parser.shares
+    score = [0.0] * len(tags)
+    for (text, linked, _, element, heading), good in zip(parser.lines, content, strict=True):
+        score[element] += max(len(text), heading * HEADING) if good or heading else -LINE - linked
+    for k in range(len(tags) - 1, 0, -1):
+        if shares[k] == 1:
+            score[parents[k]] += score[k]
+    factor, best, most = shares.copy(), None, 0.0
+    for k in range(len(tags)):
+        if k:
+            factor[k] *= factor[parents[k]]
+        worth = factor[k] * score[k]
+        if tags[k] in _REGIONS and (worth > most or worth == most > 0 and parents[k] == best):
+            best, most = k, worth
+    if best is None:
+        return None
+    wider: dict[str, int] = {}
+    k = best
+    while True:
+        wider[tags[k]] = k
+        if not k or shares[k] < 1:
+            break
+        k = parents[k]
+    return wider.get("article", wider.get("main", best))
+
+
 def main_text(html: str | None) -> str:
     """Main text of one page, a line for each block."""
-    if not html:
+    parser = parsed(html or "")
+    lines, content = parser.lines, content_lines(parser.lines) if parser.lines else []
+    chosen = region(parser, content) if lines else None
+    if chosen is None:
         return ""
-    parser = parsed(html)
-    if shown := parser.wrappers():
-        parser = parsed(html, shown)
-    lines = parser.lines
-    if not lines:
-        return ""
-    ratios = np.array([len(text) / tags for text, tags, _, _ in lines])
-    curve = smoothed(ratios)
-    kept = region(parser, curve >= min(ratios.std(), curve.max()))
-    return "\n".join(text for text, _, path, _ in lines if kept is None or kept in path)
+    # by element: the part of the region (a child of it) that it lies in, -1 outside and in boilerplate
+    part = [-1] * len(parser.tags)
+    part[chosen] = chosen
+    for k in range(chosen + 1, len(part)):
+        above = part[parser.parents[k]]
+        if above >= 0 and parser.shares[k] == 1:
+            part[k] = k if parser.parents[k] == chosen else above
+    kept = [k for k, line in enumerate(lines) if part[line[3]] >= 0]
+    if parser.tags[chosen] not in ("article", "main"):
+        kept = _without_link_blocks(lines, content, part, kept, chosen)
+    return "\n".join(lines[k][0] for k in kept)
+
+
+def _without_link_blocks(lines: list[tuple[str, int, int, int, bool]], content: list[bool], part: list[int], kept: list[int], chosen: int) -> list[int]:
+    """Lines but those of parts of mostly link text before the first or after the last part with content."""
+    parts = [part[lines[k][3]] for k in kept]
+    good = {p for k, p in zip(kept, parts, strict=True) if content[k] or lines[k][4]}
+    text, linked = Counter(), Counter()
+    for k, p in zip(kept, parts, strict=True):
+        text[p] += len(lines[k][0])
+        linked[p] += lines[k][1]
+    first = next((i for i, p in enumerate(parts) if p in good), 0)
+    last = len(parts) - next((i for i, p in enumerate(parts[::-1]) if p in good), 0)
+    return [k for i, (k, p) in enumerate(zip(kept, parts, strict=True)) if first <= i < last or p == chosen or 2 * linked[p] < text[p]]
 
 
 def extract(pages: DataFrame) -> DataFrame:
