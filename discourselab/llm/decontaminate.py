@@ -7,9 +7,11 @@ of documents that hold the shingle, counted over the whole corpus. Each document
 the prefixes; a joined pair fixes where the window would start; the positional bound drops starts before
 the first word and the length bound those that run past the last; the rest are compared word for word.
 
-The items are a query set: they are taken in blocks of at most ``BLOCK_BYTES`` of text, so what is
-broadcast has a fixed bound however large the item table is. Each block is one narrow pass over the
-documents; documents are never shuffled.
+The items are a query set: they are taken in blocks of at most ``BLOCK_BYTES`` of text, one after another, so
+what the driver holds and broadcasts has a fixed bound however large the item table is. A block is two
+narrow passes over the documents: one counts rarity, one matches. Items that fit one block, as benchmarks
+do, need no more. With more blocks, what each finds is written by the hash of the text (128 bits) before the
+next is built, and comes together by one join at the end.
 
 Defined cases
     Null text has no words and is clean. Null or wordless items have no window. Rows that repeat an
@@ -28,8 +30,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
-from discourselab.session import prepare
+from discourselab.llm.columns import unused
+from discourselab.session import prepare, scratch
 
 WINDOW = 13
 SHINGLE = 5
@@ -120,13 +124,13 @@ class Block:
         return sorted(spans), items
 
 
-def blocks(items: DataFrame, block_bytes: int = BLOCK_BYTES) -> Iterator[Block]:
-    """The items in blocks of about ``block_bytes`` of text at most, dealt by a hash of their id."""
+def blocks(items: DataFrame, block_bytes: int = BLOCK_BYTES) -> tuple[int, Iterator[Block]]:
+    """How many blocks of about ``block_bytes`` of text at most, and the blocks; items are dealt by a hash of their id."""
     rows = items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("item"), F.col("text"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     count = max(1, math.ceil(size / block_bytes))
-    for k in range(count):
-        yield Block([(r.item, r.text) for r in rows.where(F.pmod(F.xxhash64("item"), F.lit(count)) == k).collect()])
+    build = lambda k: Block([(r.item, r.text) for r in rows.where(F.pmod(F.xxhash64("item"), F.lit(count)) == k).collect()])
+    return count, map(build, range(count))
 
 
 def _frequencies(docs: DataFrame, block: Block) -> np.ndarray:
@@ -146,9 +150,9 @@ def _frequencies(docs: DataFrame, block: Block) -> np.ndarray:
     return total
 
 
-_FOUND = pa.struct([("spans", pa.list_(pa.int64())), ("items", pa.list_(pa.string()))])
 _DIGEST = {"n_words": pa.int64(), "n_hit": pa.int64(), "n_items": pa.int64(), "items_sha256": pa.string(), "contaminated": pa.bool_()}
-_DIGEST_SQL = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
+_DIGEST_TYPE = StructType().add("n_words", "long").add("n_hit", "long").add("n_items", "long").add("items_sha256", "string").add("contaminated", "boolean")
+_FOUND_SQL = "a long, b long, spans array<bigint>, items array<string>"
 
 
 def _digest(n: int, spans: list[tuple[int, int]], items: set[str]) -> tuple:
@@ -159,42 +163,70 @@ def _digest(n: int, spans: list[tuple[int, int]], items: set[str]) -> tuple:
     return n, hit, len(items), hashlib.sha256(",".join(sorted(items)).encode()).hexdigest(), hit > 0 and SHARE * hit >= n
 
 
-def contamination(docs: DataFrame, items: DataFrame, carry: list[str], block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """Columns ``carry`` of every document and a struct ``_decontam`` of its digest."""
-    spark = prepare(docs.sparkSession)
-    todo = list(blocks(items, block_bytes))
-    now = docs.select(*dict.fromkeys([*carry, "text"]))
-    source = now
-    for k, block in enumerate(todo):
-        block.order(_frequencies(source, block))
-        last, held = k == len(todo) - 1, spark.sparkContext.broadcast(block)
-        names = [x for x in now.columns if x != "_found" and (not last or x in carry)]
-        kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema if f.name in names)
-        extra = f"_decontam struct<{_DIGEST_SQL.replace(' long', ':bigint').replace(' string', ':string').replace(' boolean', ':boolean')}>" if last else "_found struct<spans:array<bigint>,items:array<string>>"
-
-        def run(batches: Iterator[pa.RecordBatch], held=held, last=last, names=names) -> Iterator[pa.RecordBatch]:
+def _pairs(flat: list[int]) -> list[tuple[int, int]]:
+    return list(zip(flat[::2], flat[1::2], strict=True))
+
+
+def _found_in(texts: DataFrame, counted: Iterator[Block]) -> DataFrame:
+    """(a, b, spans, items) of the texts, by the hash (a, b), in which some block's windows occur."""
+    spark = texts.sparkSession
+    folder = scratch(spark, "decontaminate")
+    for block in counted:
+        block.order(_frequencies(texts, block))
+        held = spark.sparkContext.broadcast(block)
+
+        def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                out = []
-                before = batch.column("_found").to_pylist() if "_found" in batch.schema.names else repeat(None)
-                for text, old in zip(batch.column("text"), before, strict=False):
-                    words = words_of(text.as_py())
-                    spans, found = held.value.match(words)
-                    if old:
-                        flat = old["spans"]
-                        spans, found = spans + list(zip(flat[::2], flat[1::2], strict=True)), found | set(old["items"])
-                    out.append(dict(zip(_DIGEST, _digest(len(words), spans, found), strict=True)) if last else {"spans": [x for s in spans for x in s], "items": sorted(found)})
-                column = pa.array(out, pa.struct(list(_DIGEST.items())) if last else _FOUND)
-                yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in names), column], [*names, "_decontam" if last else "_found"])
-
-        now = now.mapInArrow(run, f"{kinds}, {extra}" if kinds else extra)
-    return now
+                found = [held.value.match(words_of(text.as_py())) for text in batch.column("text")]
+                some = pa.array([bool(spans) for spans, _ in found])
+                spans = pa.array([[x for s in spans for x in s] for spans, _ in found if spans], pa.list_(pa.int64()))
+                items = pa.array([sorted(items) for spans, items in found if spans], pa.list_(pa.string()))
+                yield pa.RecordBatch.from_arrays([batch.column("a").filter(some), batch.column("b").filter(some), spans, items], ["a", "b", "spans", "items"])
+
+        texts.mapInArrow(run, _FOUND_SQL).dropDuplicates(["a", "b"]).write.mode("append").parquet(folder)
+        held.destroy()
+    flat = lambda c: F.flatten(F.collect_list(c)).alias(c)
+    return spark.read.schema(_FOUND_SQL).parquet(folder).groupBy("a", "b").agg(flat("spans"), flat("items"))
+
+
+def contamination(docs: DataFrame, items: DataFrame, carry: list[str], digest: str, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """Columns ``carry`` of every document and a struct ``digest`` of its contamination."""
+    spark = prepare(docs.sparkSession)
+    count, todo = blocks(items, block_bytes)
+    rows = docs.select(*dict.fromkeys([*carry, "text"]))
+    held = None
+    spans, found = unused(rows, "spans", "items")
+    if count == 1:
+        block = next(todo)
+        block.order(_frequencies(rows, block))
+        held = spark.sparkContext.broadcast(block)
+    else:
+        hashes = [F.xxhash64("text").alias("a"), F.xxhash64(F.lit("other"), "text").alias("b")]
+        key = unused(rows, "a", "b", "c", "d")
+        hits = _found_in(rows.select(*hashes, "text"), todo).toDF(key[2], key[3], spans, found)
+        named = rows.select("*", *(x.alias(k) for x, k in zip(hashes, key, strict=False)))
+        rows = named.join(hits, (F.col(key[0]) == F.col(key[2])) & (F.col(key[1]) == F.col(key[3])), "left").drop(*key)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            before = repeat(None) if held else zip(batch.column(spans).to_pylist(), batch.column(found).to_pylist(), strict=True)
+            for text, old in zip(batch.column("text"), before, strict=False):
+                words = words_of(text.as_py())
+                where, which = held.value.match(words) if held else (_pairs(old[0] or []), set(old[1] or []))
+                out.append(dict(zip(_DIGEST, _digest(len(words), where, which), strict=True)))
+            yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in carry), pa.array(out, pa.struct(list(_DIGEST.items())))], [*carry, digest])
+
+    schema = StructType([*(f for f in docs.select(*carry).schema), StructField(digest, _DIGEST_TYPE)])
+    return rows.mapInArrow(run, schema)
 
 
 def scan(docs: DataFrame, items: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256 and contaminated of every document."""
-    return contamination(docs, items, ["doc_id"], block_bytes).select(F.col("doc_id").cast("long").alias("doc_id"), "_decontam.*")
+    return contamination(docs, items, ["doc_id"], "digest", block_bytes).select(F.col("doc_id").cast("long").alias("doc_id"), "digest.*")
 
 
-def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
+def keep_clean(docs: DataFrame, items: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """The documents that are not contaminated, with all their columns."""
-    return contamination(docs, items, docs.columns).where("not _decontam.contaminated").select(*docs.columns)
+    (digest,) = unused(docs, "digest")
+    return contamination(docs, items, docs.columns, digest, block_bytes).where(~F.col(f"{digest}.contaminated")).select(*docs.columns)

@@ -2,12 +2,15 @@
 
 For each language a byte context tree of order ``ORDER`` is counted once and frozen. A byte is coded in the
 longest context that the language knows; a byte never seen there costs the context's escape probability
-(distinct symbols over symbols plus distinct symbols) and is coded one order lower, down to a uniform code
-over bytes. The exact code length of a text under each language's tree decides: the shortest wins, the
-smaller name at a tie, and the score is the posterior of the winner under equal priors.
+(distinct symbols over symbols plus distinct symbols) and is coded one order lower, without the symbols that
+the longer context has, down to a uniform code over the bytes that the language never has. So the code
+lengths are those of a proper code: the probabilities of all bytes in a context sum to one. The exact code
+length of a text under each language's tree decides: the shortest wins, the smaller name at a tie, and the
+score is the posterior of the winner under equal priors.
 
-The trees of all languages are laid out as one table from context and byte to the code lengths, so a text
-costs two look-ups a byte. Texts are lower-cased and everything but letters counts as one space.
+The trees are kept as sorted arrays of the strings that occur, each with its counts by language, so their size
+follows what was seen and not the alphabet. A text costs one look-up a byte; strings that no language has
+are coded once for each different one. Texts are lower-cased and everything but letters counts as one space.
 
 The model is fitted on a bounded sample of labelled rows: about ``SAMPLE_DOCS`` whole texts a language,
 chosen by a hash of the id among rows that are not held out. Every document is scored whole, in one
@@ -49,48 +52,94 @@ def held_out() -> Column:
     return F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 4 == 2, F.lit(False))
 
 
+def _find(keys: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Where the wanted values stand in sorted keys; -1 for those that do not."""
+    at = np.searchsorted(keys, wanted)
+    at[at == len(keys)] = 0
+    return np.where(keys[at] == wanted, at, -1)
+
+
+def _last(strings: np.ndarray, size: int) -> np.ndarray:
+    """The last bytes of byte strings held as numbers."""
+    return strings & ((1 << 8 * size) - 1)
+
+
 class Trees:
-    """Frozen context trees of all languages as tables of code lengths in bits."""
+    """Frozen context trees of all languages.
+
+    By order: ``strings`` (context and byte, sorted) with their ``counts``, ``contexts`` (sorted), and the code of
+    a context as bits: what a byte costs besides -log2 of its count, and what the escape costs. ``plain`` is the
+    code of a context reached first, ``shorter`` that of its suffix after an escape from it.
+    """
 
     def __init__(self, counts: dict[str, dict[int, int]]) -> None:
         """counts: for each language, how often each 4-byte string (first byte highest) occurs."""
         self.languages = sorted(counts)
         grams = [np.array(sorted(counts[x]), np.int64) for x in self.languages]
         every = np.unique(np.concatenate(grams)) if grams else np.empty(0, np.int64)
-        used = np.unique([every >> 8 * k & 255 for k in range(ORDER + 1)])
-        self.symbol = np.full(256, len(used), np.int64)
-        self.symbol[used] = np.arange(len(used))
-        size = self.size = len(used) + 1  # the last symbol stands for every byte never seen
-        recoded = [sum(self.symbol[g >> 8 * k & 255] * size**k for k in range(ORDER + 1)) for g in grams]
-        times = [np.array([counts[x][g] for g in own.tolist()], np.float64) for x, own in zip(self.languages, grams, strict=True)]
-        count = len(self.languages)
-        bits = np.full((1, size, count), 8.0)
-        state = np.zeros(1, np.int64)
-        for order in range(ORDER + 1):
-            keys = [np.unique(g % size ** (order + 1), return_inverse=True) for g in recoded]
-            seen = np.unique(np.concatenate([k // size for k, _ in keys])) if keys else np.empty(0, np.int64)
-            # a context of this order starts as the longest known context within it
-            shorter = state[np.arange(size**order) % size ** max(0, order - 1)] if order else state
-            new = bits[shorter[seen]]
-            for x, ((key, back), n) in enumerate(zip(keys, times, strict=True)):
-                total = np.bincount(back, n, len(key))
-                row, symbol = np.searchsorted(seen, key // size), key % size
-                held, kinds = np.zeros(len(seen)), np.zeros(len(seen))
-                np.add.at(held, row, total)
-                np.add.at(kinds, row, 1)
-                own = held > 0
-                new[own, :, x] -= np.log2(kinds[own] / (held[own] + kinds[own]))[:, None]
-                new[row, symbol, x] = -np.log2(total / (held[row] + kinds[row]))
-            state = shorter.copy()
-            state[seen] = len(bits) + np.arange(len(seen))
-            bits = np.concatenate([bits, new])
-        self.state, self.bits = state.astype(np.int32), bits.astype(np.float32).reshape(-1, max(1, count)) if count else bits
+        table = np.zeros((len(every), len(self.languages)))
+        for x, (name, own) in enumerate(zip(self.languages, grams, strict=True)):
+            table[np.searchsorted(every, own), x] = [counts[name][g] for g in own.tolist()]
+        self.strings, self.counts, self.contexts, self.plain, self.shorter = {}, {}, {}, {}, {}
+        if not len(every):
+            return
+        total, kinds, home = {}, {}, {}
+        for order in range(ORDER, -1, -1):
+            self.strings[order], back = np.unique(_last(every, order + 1), return_inverse=True)
+            self.counts[order] = self._summed(back, table, len(self.strings[order]))
+            self.contexts[order], home[order] = np.unique(self.strings[order] >> 8, return_inverse=True)
+            total[order] = self._summed(home[order], self.counts[order], len(self.contexts[order]))
+            kinds[order] = self._summed(home[order], self.counts[order] > 0, len(self.contexts[order]))
+            self.plain[order] = self._code(total[order], kinds[order])
+        for order in range(1, ORDER + 1):
+            suffix = _find(self.contexts[order - 1], _last(self.contexts[order], order - 1))
+            below = self.counts[order - 1][_find(self.strings[order - 1], _last(self.strings[order], order))]
+            known = self._summed(home[order], np.where(self.counts[order] > 0, below, 0), len(self.contexts[order]))
+            self.shorter[order] = self._code(total[order - 1][suffix] - known, kinds[order - 1][suffix] - kinds[order])
+        self.unseen = np.log2(np.maximum(1, 256 - kinds[0][0]))
+        self.bits = self.lengths_of(self.strings[ORDER]).astype(np.float32)
+
+    @staticmethod
+    def _summed(group: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+        out = np.zeros((n, values.shape[1]))
+        np.add.at(out, group, values)
+        return out
+
+    @staticmethod
+    def _code(total: np.ndarray, kinds: np.ndarray) -> np.ndarray:
+        """Bits besides -log2 of a count, and of the escape; no bits where nothing is left to escape from."""
+        some = kinds > 0
+        whole = np.log2(np.where(some, total + kinds, 1))
+        return np.stack([whole, whole - np.log2(np.where(some, kinds, 1))])
+
+    def lengths_of(self, strings: np.ndarray) -> np.ndarray:
+        """Code length in bits of the last byte of 4-byte strings after the others, by language."""
+        spent = np.zeros((len(strings), len(self.languages)))
+        out, open_ = np.zeros_like(spent), np.ones(spent.shape, bool)
+        for order in range(ORDER, -1, -1):
+            here = _find(self.contexts[order], _last(strings >> 8, order))
+            whole, escape = np.where((here >= 0)[:, None], self.plain[order][:, here], 0)
+            if order < ORDER:
+                above = _find(self.contexts[order + 1], _last(strings >> 8, order + 1))
+                whole, escape = np.where((above >= 0)[:, None], self.shorter[order + 1][:, above], [whole, escape])
+            at = _find(self.strings[order], _last(strings, order + 1))
+            n = np.where((at >= 0)[:, None], self.counts[order][at], 0)
+            coded = open_ & (n > 0)
+            out[coded] = (spent + whole)[coded] - np.log2(n[coded])
+            open_ &= ~coded
+            spent += escape
+        return np.where(open_, spent + self.unseen, out)
 
     def lengths(self, text: str) -> np.ndarray:
         """Code length of a text in bits, by language."""
-        s, size = self.symbol[normal(text)], self.size
-        context = (s[:-3] * size + s[1:-2]) * size + s[2:-1]
-        return self.bits[self.state[context].astype(np.int64) * size + s[3:]].sum(axis=0, dtype=np.float64)
+        b = normal(text).astype(np.int64)
+        strings = b[:-3] << 24 | b[1:-2] << 16 | b[2:-1] << 8 | b[3:]
+        at = _find(self.strings[ORDER], strings)
+        bits = self.bits[at[at >= 0]].sum(axis=0, dtype=np.float64)
+        if (at < 0).any():
+            strange, times = np.unique(strings[at < 0], return_counts=True)
+            bits += times @ self.lengths_of(strange)
+        return bits
 
     def predict(self, text: str | None) -> tuple[str, float]:
         if not self.languages or not text or not _LETTER.search(text):

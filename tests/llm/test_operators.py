@@ -81,6 +81,34 @@ def brute_quality(text):
     return len(words), sum(map(len, words)), sum(text.count(c) for c in "#*$%&|<>"), dup, len(hit), failed
 
 
+def brute_scores(texts, trusted):
+    """Mean log ratio of a text's hashed 4-grams, and the verdict, by plain counting; texts by doc_id."""
+    grams = {}
+    for i, text in texts:
+        b = " ".join(re.findall(r"[^\x20\x09-\x0D]+", text or "")).encode()
+        grams.setdefault(i, []).append([(int.from_bytes(b[k : k + 4], "little") * 2654435761 % 2**32) >> 16 for k in range(len(b) - 3)])
+    raw = collections.Counter(x for held in grams.values() for g in held for x in g)
+    good = collections.Counter(x for i, held in grams.items() if i in trusted for g in held for x in g)
+    share = lambda c, x: np.log((c[x] + 1) / (c.total() + 65536))
+    ratio = {x: share(good, x) - share(raw, x) if good else 0.0 for x in raw}
+    out = []
+    for i, text in texts:
+        own = grams[i].pop(0)
+        score = sum(ratio[x] for x in own) / len(own) if own else 0.0
+        out.append((i, score, not brute_quality(text)[-1] and score >= -0.5))
+    return out
+
+
+def test_quality_scores_equal_brute_force(spark, small, docs, make):
+    trusted = quality.trusted_ids(spark.read.parquet(f"{small}/labels.parquet"))
+    for table in (docs.select("doc_id", "text"), make(ODD + [(9, "other word " * 60)])):
+        expected = brute_scores([tuple(r) for r in table.collect()], set(trusted.tolist()) | {9})
+        found = [(r.doc_id, r.score, r.kept) for r in quality.judge(table, np.union1d(trusted, [9])).collect()]
+        order = lambda x: (str(x[0]), round(x[1], 9))
+        for (i, a, x), (j, b, y) in zip(sorted(found, key=order), sorted(expected, key=order), strict=True):
+            assert (i, x) == (j, y) and a == pytest.approx(b, abs=1e-9)
+
+
 def test_quality_counts_and_verdicts(spark, small, docs, make):
     labels = spark.read.parquet(f"{small}/labels.parquet")
     found = rows(quality.judge(docs, quality.trusted_ids(labels)))
@@ -251,24 +279,37 @@ def test_code_lengths_equal_a_plain_context_tree():
             counts[lang].update(b[i] << 24 | b[i + 1] << 16 | b[i + 2] << 8 | b[i + 3] for i in range(len(b) - 3))
     trees = language.Trees({k: dict(v) for k, v in counts.items()})
 
-    def bits(lang, context, s):
-        if context is None:
-            return 8.0
+    def seen_after(lang, context):
         seen = collections.Counter()
         for g, n in counts[lang].items():
             b = [g >> 24 & 255, g >> 16 & 255, g >> 8 & 255, g & 255]
             if b[3 - len(context) : 3] == context:
                 seen[b[3]] += n
+        return seen
+
+    def bits(lang, context, s, without=()):
+        if context is None:
+            return np.log2(256 - len(without))
+        seen = {x: n for x, n in seen_after(lang, context).items() if x not in without}
         shorter = context[1:] if context else None
         total, kinds = sum(seen.values()), len(seen)
         if s in seen:
             return -np.log2(seen[s] / (total + kinds))
-        return bits(lang, shorter, s) - (np.log2(kinds / (total + kinds)) if total else 0)
+        return bits(lang, shorter, s, {*without, *seen}) - (np.log2(kinds / (total + kinds)) if total else 0)
 
     for text in ("abba", "cab zq", "Ünder"):
         b = language.normal(text).tolist()
         for k, lang in enumerate(trees.languages):
             assert trees.lengths(text)[k] == pytest.approx(sum(bits(lang, b[i - 3 : i], b[i]) for i in range(3, len(b))), rel=1e-5)
+    for context in (b"aba", b"  a", b"zzz", b"zca", b"b a"):
+        every = np.array([int.from_bytes(context, "big") << 8 | x for x in range(256)])
+        assert np.exp2(-trees.lengths_of(every)).sum(axis=0) == pytest.approx(1)
+
+
+def test_trees_follow_what_was_seen():
+    rng = np.random.default_rng(15)
+    trees = language.Trees({f"l{k}": dict.fromkeys(rng.integers(0, 1 << 32, 5000).tolist(), 1) for k in range(10)})
+    assert trees.bits.size <= 50_000 * 10 and sum(x.size for x in trees.counts.values()) <= 200_000 * 10
 
 
 def test_language_accuracy_on_held_out_rows(docs, make, spark):
@@ -330,9 +371,23 @@ def test_decontamination_blocks_and_odd_rows(spark, small, docs, make):
     assert by[4].n_hit == 1 and by[4].contaminated and by[None].n_items == 1 and not by[1].contaminated and by[9].n_hit == 0
     assert decontaminate.scan(make(ODD), odd_items.limit(0)).where("contaminated").count() == 0
     assert decontaminate.scan(make([]), odd_items).count() == 0
-    extra = docs.withColumn("n_hit", F.lit(1)).withColumn("contaminated", F.lit("x"))
-    kept = decontaminate.keep_clean(extra, items)
-    assert kept.columns == extra.columns and kept.count() == sum(not r.contaminated for r in whole.values())
+    extra = docs.withColumn("n_hit", F.lit(1)).withColumn("contaminated", F.lit("x")).withColumn("_found", F.lit(2)).withColumn("digest", F.lit(3)).withColumn("a", F.lit(4)).withColumn("spans", F.lit(5))
+    for n in (8_000_000, 3000):
+        kept = decontaminate.keep_clean(extra, items, n)
+        assert kept.columns == extra.columns and {(r.n_hit, r.contaminated, r._found, r.digest, r.a, r.spans) for r in kept.collect()} == {(1, "x", 2, 3, 4, 5)}
+        assert {r.doc_id for r in kept.collect()} == {i for i, r in whole.items() if not r.contaminated}
+    assert sorted(map(str, decontaminate.scan(make(ODD), odd_items, 20).collect())) == sorted(map(str, found))
+
+
+def brute_hits(text, items):
+    """(words, hit words) by comparing every window of every item with every place."""
+    word = lambda x: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in x or ""))
+    words, places = word(text), collections.defaultdict(list)
+    windows = {tuple(w[i : i + 13]) for w in map(word, items) if w for i in range(max(1, len(w) - 12))}
+    for size in {len(w) for w in windows}:
+        for i in range(len(words) - size + 1):
+            places[tuple(words[i : i + size])].append(i)
+    return len(words), len({i + k for w in windows for i in places.get(w, ()) for k in range(len(w))})
 
 
 # 8 repeats
@@ -581,22 +636,53 @@ def test_trees_lose_no_pair():
     assert np.array_equal(group.roots(), exact.roots())
 
 
+# columns of other names
+
+
+def test_other_columns_do_not_matter(spark, small, docs, make):
+    more = make(ODD).withColumn("rank", F.lit("x")).withColumn("length", F.lit(1)).withColumn("n_tokens", F.lit("y")).withColumn("task", F.lit(2)).withColumn("score", F.lit(3))
+    plain = lambda df: sorted(map(str, df.collect()))
+    assert plain(token_counts.token_counts(more, WORDS)) == plain(token_counts.token_counts(make(ODD), WORDS))
+    assert packing.pack(more, BYTES).count() == packing.pack(make(ODD), BYTES).count()
+    assert plain(simhash.near_duplicates(more)) == plain(simhash.near_duplicates(make(ODD)))
+    assert plain(language.identify(more.withColumn("lang", F.lit("q")))) == plain(language.identify(make(ODD).withColumn("lang", F.lit("q"))))
+    talks = spark.read.parquet(f"{small}/conversations.parquet").limit(50)
+    named = talks.withColumn("formatted", F.lit(1)).withColumn("escaped_turns", F.lit("x")).withColumn("n_turns", F.lit(2)).withColumn("turns", F.lit(3))
+    assert plain(chat.read_back(chat.format_conversations(named))) == plain(chat.read_back(chat.format_conversations(talks)))
+
+
 # pipeline
 
 
-def test_pipeline_equals_its_stages_by_brute_force(spark, small):
+def brute_clean(text, terms):
+    """A text with base matches and revealing terms replaced."""
+    marks = [(a, rank, b, f"[{k.upper()}]") for rank, (k, _) in enumerate(PII) for m in brute_pii(text).split(",") if m.startswith(f"{k}:") for a, b in [map(int, m.split(":")[1:])]]
+    for m in regex.finditer(r"(?<![\p{L}\p{N}])(?:" + ("|".join(terms) or r"(?!)") + r")(?![\p{L}\p{N}])", text, regex.IGNORECASE):
+        marks.append((m.start(), 9, m.end(), "" if terms[m.group().lower()] <= 0.15 else "[NAME]" if m.group()[0].isupper() else "[TERM]"))
+    out, at = "", 0
+    for a, _, b, label in sorted(marks):
+        if b > at:
+            out, at = out + text[at : max(at, a)] + (label if a >= at else ""), b
+    return out + text[at:]
+
+
+def test_pipeline_equals_its_stages_by_brute_force(spark, small, docs, make):
     import corpus_pipeline
 
-    docs = spark.read.parquet(f"{small}/documents.parquet")
-    trusted = quality.trusted_ids(spark.read.parquet(f"{small}/labels.parquet"))
-    kept = {r.doc_id for r in quality.judge(docs, trusted).where("kept").collect()}
-    stage = docs.where(F.col("doc_id").isin(*kept))
-    alone = {x[2] for x in brute_components(stage)}
-    stage = stage.where(F.col("doc_id").cast("string").isin(*alone))
-    dirty = {r.doc_id for r in decontaminate.scan(stage, spark.read.parquet(f"{small}/benchmark.parquet")).where("contaminated").collect()}
-    stage = stage.where(~F.col("doc_id").isin(*dirty, -1))
-    clean = privacy.sanitise(stage)
+    held = [(r.doc_id, r.text) for r in docs.collect()]
+    labels = [(r.doc_id, r.quality) for r in spark.read.parquet(f"{small}/labels.parquet").collect()]
+    kept = {i for i, _, good in brute_scores(held, {i for i, q in labels if q == 1}) if good}
+    stage = [x for x in held if x[0] in kept]
+    alone = {x[2] for x in brute_components(make(stage))}
+    stage = [x for x in stage if str(x[0]) in alone]
+    items = [r.text for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
+    hits = {i: brute_hits(text, items) for i, text in stage}
+    dirty = {i for i, (n, hit) in hits.items() if hit and 20 * hit >= n}
+    stage = [x for x in stage if x[0] not in dirty]
+    terms = brute_terms([text or "" for _, text in stage])
+    clean = [(i, brute_clean(text, terms)) for i, text in stage]
+    assert clean != stage and dirty and len(alone) < len(kept)
     out = corpus_pipeline.run(spark, small).collect()
-    assert {r.doc_id for r in out} == {r.doc_id for r in stage.collect()} and dirty
-    check_packing(clean, out)
+    assert {r.doc_id for r in out} == {i for i, _ in clean}
+    check_packing(make(clean), out)
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality_rules", "simhash_near_dedup", "benchmark_decontamination", "pii", "best_fit_packing"]
