@@ -6,14 +6,12 @@ quality rules -> SimHash near-dedup -> benchmark decontamination -> PII -> best-
 from __future__ import annotations
 
 import os
-import tempfile
-import uuid
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from discourselab.llm import decontaminate, packing, privacy, quality, simhash
-from discourselab.session import table
+from discourselab.session import discard, scratch, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,11 +53,13 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over the documents of ``sf_dir``; intermediate tables go to the shared folder."""
-    shared = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpus-pipeline-")
-    folder = f"{shared.rstrip('/')}/corpus-pipeline-{uuid.uuid4().hex}"
-    docs = table(spark, sf_dir, "documents")
+    folder = scratch(spark, "corpus-pipeline")
+    docs, before = table(spark, sf_dir, "documents"), None
     for k, (name, stage) in enumerate(STAGES):
         out = os.path.join(folder, f"{k}-{name}")
         stage(spark, docs, sf_dir).write.parquet(out)
         docs = spark.read.parquet(out)
+        if before:  # the last stage's rows are read from its own table
+            discard(spark, before)
+        before = out
     return docs
