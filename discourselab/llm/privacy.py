@@ -144,16 +144,21 @@ def term_counts(docs: DataFrame) -> DataFrame:
 
     The row of the empty term counts all documents. ``units`` is the number of documents after folding.
     """
-    based = docs.select(F.coalesce("text", F.lit("")).alias("text")).select("text", base_matches(F.col("text")).alias("pii"))
-    values = lambda k: F.transform(F.col(f"pii.{k}"), lambda m: F.concat(F.lit(f"{k}:"), _normal(k, m["match"])))
-    least = {k: F.array_min(values(k)) for k in PATTERNS}
-    kinds = F.filter(F.array(*(F.struct(F.lit(k).alias("kind"), x.alias("rep")) for k, x in least.items())), lambda x: x["rep"].isNotNull())
+    text = F.coalesce("text", F.lit(""))
+
+    def kinds_of(pii: Column) -> Column:
+        values = lambda k: F.transform(pii[k], lambda m: F.concat(F.lit(f"{k}:"), _normal(k, m["match"])))
+        kinds = F.array(*(F.struct(F.lit(k).alias("kind"), F.array_min(values(k)).alias("rep")) for k in PATTERNS))
+        return F.filter(kinds, lambda x: x["rep"].isNotNull())
+
+    def words_of(pii: Column) -> Column:
+        bare = let(_marks_of(pii, " "), lambda marks: _replaced(text, marks))
+        return F.struct(kinds_of(pii).alias("kinds"), F.concat(F.array(F.lit("")), _terms_of(bare)).alias("terms"))
+
+    words = docs.select(let(base_matches(text), words_of).alias("x")).select("x.kinds", F.explode("x.terms").alias("term"))
     either = F.array(F.struct(F.lit("any").alias("kind"), F.array_min(F.col("kinds.rep")).alias("rep")))
     none = F.array(F.struct(F.lit(None).cast("string").alias("kind"), F.lit(None).cast("string").alias("rep")))
-    bare = _replaced(F.col("text"), _marks_of(F.col("pii"), " "))
-    classes = F.when(F.size("kinds") > 0, F.concat("kinds", either)).otherwise(none)
-    words = based.select(kinds.alias("kinds"), F.concat(F.array(F.lit("")), _terms_of(bare)).alias("terms"))
-    rows = words.select(classes.alias("classes"), F.explode("terms").alias("term")).select("term", F.inline("classes"))
+    rows = words.select("term", F.inline(F.when(F.size("kinds") > 0, F.concat("kinds", either)).otherwise(none)))
     summed = rows.groupBy("term", "kind", "rep").agg(F.count("*").alias("n"))
     of = lambda k: F.count(F.when(F.col("kind") == k, 1))
     plain, held = F.sum(F.when(F.col("kind").isNull(), F.col("n")).otherwise(0)), F.sum(F.when(F.col("kind") == "any", F.col("n")).otherwise(0))
