@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from discourselab.functions.stats import average_rank
 from discourselab.functions.text import clean_text, ngrams, plural
 from discourselab.session import table
-from discourselab.sources.files import event_stream, replay, roundtrip
+from discourselab.sources.files import event_stream, replay, replay_stream, roundtrip
 from discourselab.streaming import monitor
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -236,14 +236,26 @@ def agg_mode(spark: SparkSession, d: str) -> DataFrame:
     return counted.groupBy("c_nationkey").agg(F.min_by("c_mktsegment", F.struct(-F.col("n"), "c_mktsegment")).alias("top_segment"))
 
 
-@op("select event_type, true as hll_near, true as theta_near, true as kll_near from events group by 1")
+@op(
+    "select event_type, count(distinct user_id) as users, quantile_cont(value, 0.5) as median, 0 as hll_class, 0 as theta_class, 0 as kll_class from events group by 1"
+)
 def agg_approx(spark: SparkSession, d: str) -> DataFrame:
-    """Sketches against exact values, within 10 %."""
-    e = table(spark, d, "events")
-    exact, half = F.count_distinct("user_id"), F.percentile("value", 0.5)
-    near = lambda a, b: F.abs(a - b) <= 0.1 * b
+    """Exact values, and by how many steps of 10 % a sketch misses each (0: by less than one)."""
     kll = F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("value"), F.lit(0.5))
-    return e.groupBy("event_type").agg(near(F.hll_sketch_estimate(F.hll_sketch_agg("user_id")), exact).alias("hll_near"), near(F.theta_sketch_estimate(F.theta_sketch_agg("user_id")), exact).alias("theta_near"), near(kll, half).alias("kll_near"))
+    held = (
+        table(spark, d, "events")
+        .groupBy("event_type")
+        .agg(
+            F.count_distinct("user_id").alias("users"),
+            F.percentile("value", 0.5).alias("median"),
+            F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll"),
+            F.theta_sketch_estimate(F.theta_sketch_agg("user_id")).alias("theta"),
+            kll.alias("kll"),
+        )
+    )
+    steps = lambda found, exact: F.floor(F.abs(found - exact) / (0.1 * exact)).cast("int")
+    classes = [steps(F.col(x), F.col("median" if x == "kll" else "users")).alias(f"{x}_class") for x in ("hll", "theta", "kll")]
+    return held.select("event_type", "users", "median", *classes)
 
 
 _SETS = "select o_orderstatus, o_orderpriority, count(*) as n from orders group by {}"
@@ -536,52 +548,73 @@ def cogroup(spark: SparkSession, d: str) -> DataFrame:
     return a.groupBy("k").cogroup(b.groupBy("k")).applyInPandas(both, "k int, a long, b long")
 
 
-# streams: replayed to the end and compared with the batch query over the same rows
+# streams: replayed in several batches and compared with SQL that states the watermark's rule
+
+
+def _replayed(spark: SparkSession, d: str) -> DataFrame:
+    return event_stream(spark, d, monitor.BATCHES)
+
 
+#: The last watermark: what ends after it is not yet written.
+_MARK = "(select max(ts) - interval 1 day from events)"
 
-@op("select cast(ts as date) as day, event_type, count(*) as n, round(sum(value), 6) as total from events group by 1, 2")
+
+@op(f"select cast(ts as date) as day, event_type, count(*) as n, round(sum(value), 6) as total from events group by 1, 2 having day + interval 1 day <= {_MARK}")
 def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
-    held = monitor.drain(monitor.tumbling(event_stream(spark, d)), "complete")
+    held = monitor.drain(monitor.tumbling(_replayed(spark, d)))
     return held.select(F.to_date("window.start").alias("day"), "event_type", "n", "total")
 
 
-@op("select day, sum(n) as n from (select cast(ts as date) + k as day, count(*) as n from events, (values (0), (-1)) v(k) group by 1) group by 1")
+@op(f"select day, sum(n) as n from (select cast(ts as date) + k as day, count(*) as n from events, (values (0), (-1)) v(k) group by 1) group by 1 having day + interval 2 day <= {_MARK}")
 def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
-    held = monitor.drain(monitor.sliding(event_stream(spark, d)), "complete")
+    held = monitor.drain(monitor.sliding(_replayed(spark, d)))
     return held.select(F.to_date("window.start").alias("day"), "n")
 
 
-@op("select user_id, count(*) as sessions from (select user_id, ts, lag(ts) over (partition by user_id order by ts) as before from events) where before is null or ts - before >= interval 1 hour group by 1")
+@op(
+    "select user_id, count(*) as sessions from (select user_id, s, max(ts) as last from (select user_id, ts, sum(case when before is null or ts - before >= interval 1 hour then 1 else 0 end) over (partition by user_id order by ts) as s "
+    "from (select user_id, ts, lag(ts) over (partition by user_id order by ts) as before from events)) group by 1, 2) "
+    f"where last + interval 1 hour <= {_MARK} group by 1"
+)
 def stream_session(spark: SparkSession, d: str) -> DataFrame:
-    held = monitor.drain(monitor.sessions(event_stream(spark, d)), "complete")
+    held = monitor.drain(monitor.sessions(_replayed(spark, d)))
     return held.groupBy("user_id").agg(F.count("*").alias("sessions"))
 
 
-@op("select user_id, event_type from events group by 1, 2")
+@op("select user_id, event_type, cast(ts as date) as day from events group by 1, 2, 3")
 def stream_dedup(spark: SparkSession, d: str) -> DataFrame:
-    return monitor.drain(monitor.deduplicated(event_stream(spark, d)).select("user_id", "event_type"))
+    return monitor.drain(monitor.deduplicated(_replayed(spark, d)))
 
 
 @op("select event_id, event_type, round(value * case event_type when 'error' then -1.0 else 0.5 end, 6) as score from events")
 def stream_static_join(spark: SparkSession, d: str) -> DataFrame:
     kinds = table(spark, d, "events").select("event_type").distinct()
     valence = kinds.withColumn("valence", F.when(F.col("event_type") == "error", -1.0).otherwise(0.5))
-    return monitor.drain(monitor.scored(event_stream(spark, d), valence))
+    return monitor.drain(monitor.scored(_replayed(spark, d), valence))
 
 
 @op("select a.event_id as incident, b.event_id as post from events a join events b on a.user_id = b.user_id and a.event_type = 'error' and b.event_type <> 'error' and b.ts between a.ts and a.ts + interval 1 hour")
 def stream_stream_join(spark: SparkSession, d: str) -> DataFrame:
-    return monitor.drain(monitor.posts_near_incidents(event_stream(spark, d)))
+    return monitor.drain(monitor.posts_near_incidents(_replayed(spark, d)))
 
 
-@op("select user_id, count(*) as n, round(avg(value) + 1e-9, 6) as mean_value from events group by 1")
+@op("select user_id, count(*) as n, cast(sum(round(value * 100)) as bigint) as cents from events group by 1")
 def stream_stateful(spark: SparkSession, d: str) -> DataFrame:
-    return monitor.drain(monitor.folded_profiles(event_stream(spark, d)), "update").withColumn("mean_value", F.col("mean_value") + 1e-9)
+    return monitor.drain(monitor.folded_profiles(_replayed(spark, d)), "update", ("user_id",))
 
 
-@op("select ts < timestamp '2024-01-10' as late, count(*) as n from events group by 1")
+@op(f"select cast(ts as date) as day, count(*) as n from events where event_id % 50 <> 0 group by 1 having day + interval 1 day <= {_MARK}")
 def stream_late(spark: SparkSession, d: str) -> DataFrame:
-    return monitor.drain(monitor.split_late(event_stream(spark, d), "2024-01-10"), "complete")
+    """Every fiftieth event comes after all others: of days that the watermark has passed it is dropped."""
+    late = event_stream(spark, d, monitor.BATCHES, F.col("event_id") % 50 == 0)
+    held = monitor.drain(monitor.tumbling(late))
+    return held.groupBy(F.to_date("window.start").alias("day")).agg(F.sum("n").alias("n"))
+
+
+@op("select k as event_id, k % 7 as user_id, 'kind' || (k % 3) as event_type, k / 4.0 as value from range(0, 100) r(k)")
+def stream_replay(spark: SparkSession, d: str) -> DataFrame:
+    """A Python data source read as a stream."""
+    return monitor.drain(replay_stream(spark, 100, 20), bounded=False)
 
 
 def queries() -> dict[str, Query]:

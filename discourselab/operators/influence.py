@@ -32,15 +32,21 @@ def restrict(profiles: DataFrame, groups: DataFrame) -> DataFrame:
     return profiles.join(F.broadcast(groups), "topic_id").select("group_id", "user_id", "topic_id", "s")
 
 
-def pair_weights(profiles: DataFrame, by: tuple[str, ...] = ("group_id",)) -> DataFrame:
-    """(by..., a, b, weight) of all pairs that share a topic: for small sets of users, and as an oracle."""
-    left = profiles.select(*by, F.col("user_id").alias("a"), "topic_id", F.col("s").alias("x"))
-    right = profiles.select(*by, F.col("user_id").alias("b"), "topic_id", F.col("s").alias("y"))
-    return left.join(right, [*by, "topic_id"]).where("a < b").groupBy(*by, "a", "b").agg(F.sum(F.col("x") * F.col("y")).alias("weight"))
+def pair_weights(profiles: DataFrame, by: tuple[str, ...] = ("group_id",), cell: int = 20_000) -> DataFrame:
+    """(by..., a, b, weight) of all pairs that share a topic: the whole network, as large as its pairs are many.
+
+    Topics are few, so a topic's pairs are cut into cells: its left rows are dealt by user, its right rows go
+    to every cell, and no task holds a topic's whole square.
+    """
+    cells = max(1, -(-profiles.count() // cell))
+    left = profiles.select(*by, F.col("user_id").alias("a"), "topic_id", F.col("s").alias("x"), F.pmod(F.xxhash64("user_id"), F.lit(cells)).alias("_cell"))
+    right = profiles.select(*by, F.col("user_id").alias("b"), "topic_id", F.col("s").alias("y"), F.explode(F.sequence(F.lit(0), F.lit(cells - 1))).alias("_cell"))
+    met = left.join(right, [*by, "topic_id", "_cell"]).where("a < b")
+    return met.groupBy(*by, "a", "b").agg(F.sum(F.col("x") * F.col("y")).alias("weight"))
 
 
 def pair_weight_naive(posts: DataFrame, members: DataFrame, users: DataFrame) -> DataFrame:
-    """(a, b, weight) by the sum over pairs of posts: the definition, for checks on a few users."""
+    """(a, b, weight) by the sum over pairs of posts: the definition."""
     rows = posts.select("post_id", F.col("author_id").alias("user_id")).join(users, "user_id", "left_semi").join(members, "post_id")
     left = rows.select(F.col("user_id").alias("a"), "topic_id", F.col("p").alias("x"))
     right = rows.select(F.col("user_id").alias("b"), "topic_id", F.col("p").alias("y"))

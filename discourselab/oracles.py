@@ -34,6 +34,7 @@ _VIEWS = {
     "active": "select author_id as user_id, count(*) as n_posts, avg(sentiment) as mean_score from posts group by 1 having count(*) >= 10",
     "profile": "select author_id as user_id, topic_id, sum(p) as s from posts join members using (post_id) where author_id in (select user_id from active) group by all",
     "restricted": "select group_id, user_id, topic_id, s from profile join grp using (topic_id) where group_id in (0, 3)",
+    "everyone": "select group_id, author_id as user_id, topic_id, sum(p) as s from posts join members using (post_id) join grp using (topic_id) where group_id in (0, 3) group by all",
     "fans": "select c_custkey as user_id, greatest(0, cast(floor(c_acctbal) as bigint)) as followers from customer",
     "inf": f"select group_id, user_id, x as centrality, followers, n_posts, mean_score as score, x * ln(followers + 1.0) as influence from x{STEPS} join active using (user_id) join fans using (user_id)",
     "top": "select * from (select *, row_number() over (partition by group_id order by round(influence, 9) desc, user_id) as rank from inf) where rank <= 5",
@@ -41,7 +42,7 @@ _VIEWS = {
     "emb": "select vec_id, label, unnest(embedding)::double as v, unnest(range(1, len(embedding) + 1)) as i from embeddings",
     "center": "select topic_id, i, m / sqrt(sum(m * m) over (partition by topic_id)) as c from (select label as topic_id, i, avg(v) as m from emb group by all)",
     "soft": "select vec_id, topic_id, e / sum(e) over (partition by vec_id) as p from (select vec_id, topic_id, exp(sum(v * c) / 0.05) as e from emb join center using (i) group by all)",
-    "lab": "select label as topic_id, string_split(trim(regexp_replace(regexp_replace(lower(substring(text, 1, 280)), '[^\\p{L}\\p{N}\\s]', '', 'g'), '\\s+', ' ', 'g')), ' ') as w, substring(text, 1, 280) as text from documents join embeddings on doc_id = vec_id",
+    "lab": "select label as topic_id, string_split(trim(regexp_replace(regexp_replace(lower(text), '[^\\p{L}\\p{N}\\s]', '', 'g'), '\\s+', ' ', 'g')), ' ') as w, text from documents join embeddings on doc_id = vec_id",
     "tf": "select topic_id, term, count(*) as tf from (select topic_id, array_to_string(w[i:i + k - 1], ' ') as term from lab, range(1, 4) r(k), unnest(range(1, len(w) - k + 2)) u(i)) where term <> '' group by all",
     "weights": "select topic_id, term, tf * ln(1 + a / al) as weight from tf join (select term, sum(tf) as al from tf group by 1) using (term), (select sum(tf) / count(distinct topic_id) as a from tf)",
     "ranked": "select *, row_number() over (partition by topic_id order by round(weight, 8) desc, term) as rank from weights",
@@ -78,10 +79,6 @@ _VIEWS = {
     "domtopic": "select period, topic_id as community, author_id as user_id from (select cast(date_trunc('month', day) as date) as period, author_id, topic_id, row_number() over (partition by date_trunc('month', day), author_id order by round(sum(p), 9) desc, topic_id) as r from members join posts using (post_id) group by date_trunc('month', day), author_id, topic_id) where r = 1 qualify count(*) over (partition by period, community) >= 5",
 }
 
-#: The labelled texts and their terms once more, over whole texts.
-for _name in ("lab", "tf", "weights", "ranked"):
-    _VIEWS[f"{_name}_whole"] = re.sub(r"\bfrom (lab|tf|weights)\b", r"from \1_whole", _VIEWS[_name].replace("substring(text, 1, 280)", "text"))
-
 _VALUES = {
     "idiot": -2.3, "moron": -2.2, "clown": -1.6, "scum": -2.9, "worthless": -1.9, "pathetic": -2.4, "stupid": -2.4, "trash": -1.7, "loser": -2.4, "disgusting": -3.1,
     "thing": 0.9, "ering": 1.4, "ther": 1.9, "tion": 2.4, "être": 1.1, "ment": 1.6, "lich": 1.2, "ung": 1.8, "ción": 1.3, "ado": 0.9,
@@ -91,7 +88,7 @@ _VALUES = {
 def _sentiment(rules: bool) -> str:
     values = ", ".join(f"('{w}', {v})" for w, v in _VALUES.items())
     head = f"""with lex(word, v) as (values {values}),
-b as (select doc_id, substring(text, 1, 280) as body from documents),
+b as (select doc_id, text as body from documents),
 t as (select doc_id, body, unnest(l) as w, unnest(range(1, len(l) + 1)) as i from (select *, regexp_extract_all(body, '[\\p{{L}}\\p{{N}}'']+') as l from b)),
 """
     if not rules:
@@ -177,7 +174,7 @@ def workload_sql() -> dict[str, str]:
         "w24c_rolling_week_stream": f"select group_id, day, {r('avg(n) over (partition by group_id order by day rows between 6 preceding and current row)')} as r_incidents from (select g.group_id, s.day, coalesce(n, 0) as n from (select distinct cast(user_id % 5 as int) as group_id from events where event_type = 'error') g cross join (select cast(d as date) as day from generate_series(date '2024-01-01', date '2024-01-30', interval 1 day) t(d)) s left join (select cast(user_id % 5 as int) as group_id, cast(ts as date) as day, count(*) as n from events where event_type = 'error' group by all) c on c.group_id = g.group_id and c.day = s.day)",
         "w25_spearman_table": _spearman("select * from long", "value", "r_incidents", "group_id, measure"),
         "w25b_pearson_table": f"select group_id, measure, count(*) as n, {r('corr(value, r_incidents)')} as r from long where value is not null and r_incidents is not null group by 1, 2",
-        "w27_lagged_spearman": _spearman("select l.group_id, l.measure, cast(k as int) as lag, l.value, f.y from long l, range(-30, 31, 5) g(k) join (select group_id, day, round(r_incidents, 9) as y from focal) f on f.group_id = l.group_id and f.day = l.day + cast(k as int)", "value", "y", "group_id, measure, lag"),
+        "w27_lagged_spearman": _spearman("select l.group_id, l.measure, cast(k as int) as lag, l.value, f.y from long l, range(-30, 31) g(k) join (select group_id, day, round(r_incidents, 9) as y from focal) f on f.group_id = l.group_id and f.day = l.day + cast(k as int)", "value", "y", "group_id, measure, lag"),
         "w27b_cross_group": _spearman("select a.measure, a.value as x, b.value as y from (select * from long where group_id = 0) a join (select * from long where group_id = 3) b using (measure, day)", "x", "y", "measure"),
         "w28_peaks": f"select group_id, measure, day as peak_day, {r('value')} as peak_value from long where value is not null qualify row_number() over (partition by group_id, measure order by value desc, day) = 1",
         "w28b_series_summary": f"select group_id, measure, {r('min(value)')} as low, {r('avg(value)')} as mean, {r('max(value)')} as high, {r('max(value) - min(value)')} as span from long where value is not null group by 1, 2",
@@ -201,9 +198,10 @@ def workload_sql() -> dict[str, str]:
 from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1, 0.08)}) l where l.period = n.period and l.a = n.community) as ahead, (select count(*) from ({_links("domtopic", 1, 0.08)}) l where cast(l.period + interval 1 month as date) = n.period and l.b = n.community) as back from (select distinct period, community from domtopic) n)""",
         "w41_community_sentiment": f"select period, community, count(*) as size, {r('avg(m)')} as mean_score from domgroup join (select author_id as user_id, avg(sentiment) as m from posts group by 1) using (user_id) group by 1, 2",
         "w42_active_users": "select user_id, n_posts from active",
-        "w43_user_profiles": f"select user_id, topic_id, {r('s + 1e-9')} as s from profile",
-        "w44_pair_weights": f"select group_id, a, b, {r('w')} as weight from (select a.group_id, a.user_id as a, b.user_id as b, sum(a.s * b.s) as w from restricted a join restricted b on a.group_id = b.group_id and a.topic_id = b.topic_id and a.user_id < b.user_id group by all) qualify row_number() over (partition by group_id order by round(w, 6) desc, a, b) <= 1000",
-        "w45_pair_weights_naive": f"select a.author_id as a, b.author_id as b, {r('sum(a.p * b.p)')} as weight from (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active order by user_id limit 30)) a join (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active order by user_id limit 30)) b on a.topic_id = b.topic_id and a.author_id < b.author_id group by 1, 2",
+        "w43_user_profiles": f"select author_id as user_id, topic_id, {r('sum(round(p * 1e6)) / 1e6')} as s from posts join members using (post_id) where author_id in (select user_id from active) group by all",
+        "w44_pair_weights": f"select group_id, a, b, {r('w')} as weight from (select a.group_id, a.user_id as a, b.user_id as b, sum(a.s * b.s) as w from restricted a join restricted b on a.group_id = b.group_id and a.topic_id = b.topic_id and a.user_id < b.user_id group by all)",
+        "w45_pair_weights_naive": f"select a.author_id as a, b.author_id as b, {r('sum(a.p * b.p)')} as weight from (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active)) a join (select author_id, topic_id, p from posts join members using (post_id) where author_id in (select user_id from active)) b on a.topic_id = b.topic_id and a.author_id < b.author_id group by 1, 2",
+        "w45c_no_activity_floor": f"select group_id, user_id, {r('sum(s * (t - s))')} as degree from everyone join (select group_id, topic_id, sum(s) as t from everyone group by all) using (group_id, topic_id) group by all",
         "w46_weighted_degree": f"select group_id, user_id, {r('sum(s * (t - s))')} as degree from restricted join (select group_id, topic_id, sum(s) as t from restricted group by all) using (group_id, topic_id) group by all",
         "w47_eigen_centrality": f"select group_id, user_id, {r('x')} as centrality from x{STEPS}",
         "w47c_eigen_residual": "select distinct group_id, true as settled from restricted",
@@ -216,15 +214,9 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
         "w53_corpus_stats": "select 'posts' as measure, count(*) as n from posts union all select 'authors', count(distinct author_id) from posts union all select 'days', count(distinct day) from posts union all select 'memberships', count(*) from members union all select 'topics', count(distinct topic_id) from members",
         "w54_distributed_rank": "select distinct o_totalprice as price, rank() over (order by o_totalprice) + (count(*) over (partition by o_totalprice) - 1) / 2.0 as rank from orders",
     }
-    sql["w27c_lagged_spearman_daily"] = sql["w27_lagged_spearman"].replace("range(-30, 31, 5)", "range(-30, 31)")
-    sql["w44b_pair_weights_all"] = sql["w44_pair_weights"].split(" qualify ")[0]
     sql["w45b_pair_weights_factorised"] = sql["w45_pair_weights_naive"]
     out = {name: with_views(text) for name, text in sql.items()}
     out["w09_sentiment_rules"], out["w10_sentiment_plain"] = _sentiment(True), _sentiment(False)
-    for name in ("w09_sentiment_rules", "w10_sentiment_plain"):
-        out[name.replace("_", "c_", 1) + "_whole"] = out[name].replace("substring(text, 1, 280)", "text")
-    for name, whole in (("w15_class_tfidf", "w15b_class_tfidf_whole"), ("w16_topic_names", "w16b_topic_names_whole"), ("w17b_noise_topics", "w17c_noise_topics_whole")):
-        out[whole] = with_views(re.sub(r"\bfrom (lab|ranked)\b", r"from \1_whole", sql[name]))
     snap = with_views("select * from snapstream")
     out["w36_components"] = f"with recursive e as ({snap}), reach as (select distinct period, src as node, src as other from e union select distinct period, dst, dst from e union select r.period, r.node, case when e.src = r.other then e.dst else e.src end from reach r join e on e.period = r.period and (e.src = r.other or e.dst = r.other)) select period, node, min(other) as label from reach group by 1, 2"
     return out

@@ -14,19 +14,17 @@ from discourselab.session import table
 MIN_P = 0.01
 #: First and last day of the retail period, both included.
 PERIOD = ("1995-01-01", "2001-08-01")
-PREFIX_CHARS = 280
 DEROGATORY = ("idiot", "moron", "clown", "scum", "worthless", "pathetic", "stupid", "trash", "loser", "disgusting")
 #: The two groups whose behaviour is contrasted.
 FOCAL = (0, 3)
 
 
-def posts_text(spark: SparkSession, sf_dir: str, prefix_chars: int | None = PREFIX_CHARS) -> DataFrame:
+def posts_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Microblog posts: events that carry a document's text, so texts recur like reposts."""
     docs = table(spark, sf_dir, "documents")
     n = docs.agg(F.count("*")).first()[0]
     events = table(spark, sf_dir, "events")
-    body = F.substring("text", 1, prefix_chars) if prefix_chars else F.col("text")
-    texts = docs.select(F.col("doc_id"), body.alias("body"), "lang", "source")
+    texts = docs.select(F.col("doc_id"), F.col("text").alias("body"), "lang", "source")
     posts = events.select(F.col("event_id").alias("post_id"), F.col("user_id").alias("author_id"), F.col("ts").cast("timestamp").alias("posted_at"), F.to_date("ts").alias("day"), F.col("event_type").alias("kind"), F.pmod("event_id", F.lit(max(1, n))).alias("doc_id"))
     return posts.join(texts, "doc_id")
 

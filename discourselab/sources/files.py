@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
 from discourselab.session import scratch
 
@@ -25,6 +25,29 @@ class _Range(InputPartition):
         self.first, self.last = first, last
 
 
+class _ReplayStream(DataSourceStreamReader):
+    """The same rows as a stream, ``step`` rows at a time."""
+
+    def __init__(self, options: dict[str, str]) -> None:
+        self.batch = _ReplayReader(options)
+        self.step = int(options.get("step", "25"))
+        self.until = 0
+
+    def initialOffset(self) -> dict[str, int]:  # noqa: N802
+        return {"row": 0}
+
+    def latestOffset(self) -> dict[str, int]:  # noqa: N802
+        self.until = min(self.batch.rows, self.until + self.step)
+        return {"row": self.until}
+
+    def partitions(self, start: dict[str, int], end: dict[str, int]) -> list[_Range]:
+        self.until = max(self.until, end["row"])
+        return [_Range(start["row"], end["row"])]
+
+    def read(self, partition: _Range) -> Iterator[tuple]:
+        return self.batch.read(partition)
+
+
 class _ReplayReader(DataSourceReader):
     def __init__(self, options: dict[str, str]) -> None:
         self.rows, self.parts = int(options.get("rows", "100")), int(options.get("parts", "4"))
@@ -51,22 +74,51 @@ class ReplaySource(DataSource):
     def reader(self, schema) -> _ReplayReader:  # noqa: ANN001
         return _ReplayReader(self.options)
 
+    def streamReader(self, schema) -> _ReplayStream:  # noqa: ANN001, N802
+        return _ReplayStream(self.options)
+
 
 def replay(spark: SparkSession, rows: int, parts: int = 4) -> DataFrame:
     spark.dataSource.register(ReplaySource)
     return spark.read.format("replay").option("rows", rows).option("parts", parts).load()
 
 
-def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The events table as a stream of files, with ``ts`` as a zoned time so that watermarks apply."""
+def replay_stream(spark: SparkSession, rows: int, step: int) -> DataFrame:
+    spark.dataSource.register(ReplaySource)
+    return spark.readStream.format("replay").option("rows", rows).option("step", step).load()
+
+
+def event_stream(spark: SparkSession, sf_dir: str, batches: int = 1, late: Column | None = None) -> DataFrame:
+    """The events table as a stream of files, with ``ts`` as a zoned time so that watermarks apply.
+
+    With more than one batch the events are written in slices of time, and a batch reads one slice. Rows that
+    ``late`` names come in a slice of their own at the end, after one that holds only the last of the others.
+    """
     path = f"{sf_dir}/events.parquet"
-    schema = spark.read.parquet(path).schema
+    events = spark.read.parquet(path)
+    if batches > 1 or late is not None:
+        return _sliced(events, batches, late).withColumn("ts", F.col("ts").cast("timestamp"))
     # a file source watches a folder; a single file is found by its name
-    stream = spark.readStream.schema(schema)
+    stream = spark.readStream.schema(events.schema)
     found = stream.option("pathGlobFilter", "events.parquet").parquet(sf_dir) if path_is_file(spark, path) else stream.parquet(path)
     return found.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def _sliced(events: DataFrame, batches: int, late: Column | None) -> DataFrame:
+    spark, base = events.sparkSession, scratch(events.sparkSession, "stream-in")
+    at = F.unix_micros(F.col("ts").cast("timestamp"))
+    now = events.where(~late) if late is not None else events
+    bounds = now.select(at.alias("t")).approxQuantile("t", [k / batches for k in range(1, batches)], 0.01) if batches > 1 else []
+    edges = [None, *bounds, None]
+    parts = [now.where((F.lit(True) if a is None else at >= a) & (F.lit(True) if b is None else at < b)) for a, b in zip(edges, edges[1:], strict=False)]
+    if late is not None:
+        last = now.agg(F.max(at)).first()[0]
+        parts = [*parts[:-1], parts[-1].where(at < last), now.where(at == last), events.where(late)]
+    for k, part in enumerate(parts):  # files are read in the order in which they were written
+        part.coalesce(1).write.parquet(f"{base}/slice={k}")
+    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(base).select(*events.columns)
+
+
 def path_is_file(spark: SparkSession, path: str) -> bool:
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     return hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(hadoop).isFile()

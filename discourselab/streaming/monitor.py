@@ -14,26 +14,38 @@ from discourselab.session import scratch
 from discourselab.sources.files import event_stream
 
 LATE = "1 day"
+#: Slices in which the events are replayed.
+BATCHES = 5
 
 
-def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
+def drain(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = (), bounded: bool = True) -> DataFrame:
     """Run a stream over all there is and return what it wrote, from shared storage.
 
-    Append streams go to a Parquet sink; streams that restate their rows go batch by batch, and the last
-    batch, which holds them all, is returned.
+    Sources that cannot say where they end when asked at the start (not ``bounded``) are followed until idle.
+    In append mode that is every row written. In update mode a batch restates some rows: each batch is kept
+    by its number (so a batch that is run again replaces itself), and the last version of every key is returned.
     """
     spark = stream.sparkSession
     out, log = scratch(spark, "stream-out"), scratch(spark, "stream-log")
     if mode == "append":
-        query = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", log).outputMode("append").trigger(availableNow=True).start()
-        query.awaitTermination()
+        writer = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", log).outputMode("append")
+        if bounded:
+            writer.trigger(availableNow=True).start().awaitTermination()
+        else:
+            query = writer.start()
+            query.processAllAvailable()
+            query.stop()
         return spark.read.schema(stream.schema).parquet(out)
+    if mode != "update" or not keys:
+        raise ValueError("streams that restate rows are drained in update mode, with the keys of a row")
 
     def write(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(out)
+        batch.write.mode("overwrite").parquet(f"{out}/batch_number={number}")
 
-    stream.writeStream.foreachBatch(write).option("checkpointLocation", log).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    stream.writeStream.foreachBatch(write).option("checkpointLocation", log).outputMode("update").trigger(availableNow=True).start().awaitTermination()
+    written = spark.read.schema(StructType([*stream.schema, StructField("batch_number", LongType())])).option("basePath", out).parquet(out)
+    last = written.groupBy(*keys).agg(F.max_by(F.struct(*stream.columns), "batch_number").alias("row"))
+    return last.select(*(F.col("row")[c].alias(c) for c in stream.columns))
 
 
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
@@ -49,7 +61,9 @@ def sessions(events: DataFrame, gap: str = "1 hour") -> DataFrame:
 
 
 def deduplicated(events: DataFrame) -> DataFrame:
-    return events.withWatermark("ts", LATE).dropDuplicatesWithinWatermark(["user_id", "event_type"])
+    """(user_id, event_type, day): each once. The day's window is a key, so its state goes with the watermark."""
+    held = events.withWatermark("ts", LATE).select("user_id", "event_type", F.window("ts", "1 day").alias("window"))
+    return held.dropDuplicates(["user_id", "event_type", "window"]).select("user_id", "event_type", F.to_date("window.start").alias("day"))
 
 
 def scored(events: DataFrame, valence: DataFrame) -> DataFrame:
@@ -87,21 +101,17 @@ def running_profiles(events: DataFrame) -> DataFrame:
 
 
 def folded_profiles(events: DataFrame) -> DataFrame:
-    """The same per-user state by ``applyInPandasWithState``."""
+    """(user_id, n, cents): the same per-user state by ``applyInPandasWithState``, with values summed in hundredths."""
 
     def fold(key: tuple, rows: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:  # noqa: ANN001
-        n, total = state.get if state.exists else (0, 0.0)
+        n, cents = state.get if state.exists else (0, 0)
         for part in rows:
-            n, total = n + len(part), total + float(part["value"].sum())
-        state.update((n, total))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "mean_value": [total / n]})
-
-    return events.select("user_id", "value").groupBy("user_id").applyInPandasWithState(fold, "user_id long, n long, mean_value double", "n long, total double", "update", "NoTimeout")
-
+            n, cents = n + len(part), cents + int(part["cents"].sum())
+        state.update((n, cents))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "cents": [cents]})
 
-def split_late(events: DataFrame, bound: str) -> DataFrame:
-    """(late, n): rows before a time bound and at or after it; what a watermark at the bound drops and keeps."""
-    return events.groupBy((F.col("ts") < F.lit(bound).cast("timestamp")).alias("late")).agg(F.count("*").alias("n"))
+    whole = events.select("user_id", F.round(F.col("value") * 100).cast("long").alias("cents"))
+    return whole.groupBy("user_id").applyInPandasWithState(fold, "user_id long, n long, cents long", "n long, cents long", "update", "NoTimeout")
 
 
 class SpikeDetector(StatefulProcessor):
@@ -137,6 +147,6 @@ def spikes(daily: DataFrame, key: str, limit: float = 3.0) -> DataFrame:
 
 
 def daily_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(day, event_type, n) from the event stream, drained."""
-    counts = event_stream(spark, sf_dir).groupBy(F.to_date("ts").alias("day"), "event_type").agg(F.count("*").alias("n"))
-    return drain(counts, "complete")
+    """(day, event_type, n) from the event stream, drained; days behind the watermark leave the state."""
+    counts = tumbling(event_stream(spark, sf_dir, BATCHES)).select(F.to_date("window.start").alias("day"), "event_type", "n")
+    return drain(counts, "update", ("day", "event_type"))

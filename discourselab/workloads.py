@@ -62,10 +62,9 @@ def w02_expand_terms(spark: SparkSession, d: str) -> DataFrame:
     return tx.expand_terms(spark.createDataFrame([(t,) for t in BASE_TERMS], "base string"))
 
 
-def _matched_docs(spark: SparkSession, d: str, prefix: int | None) -> DataFrame:
-    """Matched terms of each different document text; posts that reuse a text share its matches."""
-    docs = table(spark, d, "documents").select("doc_id", (F.substring("text", 1, prefix) if prefix else F.col("text")).alias("text"))
-    return select.match_terms(docs, _phrases(spark, d), "doc_id", "text")
+def _matched_docs(spark: SparkSession, d: str) -> DataFrame:
+    """Matched terms of each document; posts that reuse a text share its matches."""
+    return select.match_terms(table(spark, d, "documents").select("doc_id", "text"), _phrases(spark, d), "doc_id", "text")
 
 
 def _posts_of(spark: SparkSession, d: str) -> DataFrame:
@@ -74,7 +73,7 @@ def _posts_of(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w03_term_filter(spark: SparkSession, d: str) -> DataFrame:
-    terms = _matched_docs(spark, d, None).groupBy("doc_id").agg(F.array_sort(F.collect_set("term")).alias("t"))
+    terms = _matched_docs(spark, d).groupBy("doc_id").agg(F.array_sort(F.collect_set("term")).alias("t"))
     return _posts_of(spark, d).join(terms, "doc_id").select("post_id", F.size("t").cast("long").alias("n_terms"), F.array_join("t", ",").alias("terms"))
 
 
@@ -86,7 +85,7 @@ def w04_term_filter_phrases(spark: SparkSession, d: str) -> DataFrame:
 
 def w05_language_share(spark: SparkSession, d: str) -> DataFrame:
     posts = _posts_of(spark, d).join(table(spark, d, "documents").select("doc_id", "lang"), "doc_id")
-    kept = posts.join(_matched_docs(spark, d, None).select("doc_id"), "doc_id", "left_semi")
+    kept = posts.join(_matched_docs(spark, d).select("doc_id"), "doc_id", "left_semi")
     return select.language_share(posts, "before").unionByName(select.language_share(kept, "after"))
 
 
@@ -110,9 +109,8 @@ def w08b_motive_rollup(spark: SparkSession, d: str) -> DataFrame:
     return select.rollup_motives(_clipped(spark, d))
 
 
-def _scored(spark: SparkSession, d: str, rules: tx.Rules | None, prefix: int | None = cv.PREFIX_CHARS) -> DataFrame:
-    body = F.substring("text", 1, prefix) if prefix else F.col("text")
-    docs = table(spark, d, "documents").select("doc_id", tx.sentiment(body, rules=rules).alias("score"))
+def _scored(spark: SparkSession, d: str, rules: tx.Rules | None) -> DataFrame:
+    docs = table(spark, d, "documents").select("doc_id", tx.sentiment(F.col("text"), rules=rules).alias("score"))
     return _posts_of(spark, d).join(docs, "doc_id").select("post_id", "score")
 
 
@@ -124,15 +122,6 @@ def w10_sentiment_plain(spark: SparkSession, d: str) -> DataFrame:
     return _scored(spark, d, None)
 
 
-def w09c_sentiment_rules_whole(spark: SparkSession, d: str) -> DataFrame:
-    """Scores of whole texts; ``w09`` scores openings alone."""
-    return _scored(spark, d, tx.Rules(), None)
-
-
-def w10c_sentiment_plain_whole(spark: SparkSession, d: str) -> DataFrame:
-    return _scored(spark, d, None, None)
-
-
 def w10b_polarity(spark: SparkSession, d: str) -> DataFrame:
     return cv.posts_retail(spark, d).groupBy(tx.polarity(F.col("sentiment")).alias("polarity")).agg(F.count("*").alias("n"))
 
@@ -162,10 +151,9 @@ def w14_rescue(spark: SparkSession, d: str) -> DataFrame:
     return topics.rescue_outliers(_members_text(spark, d), cut_p=0.6)
 
 
-def _labelled_texts(spark: SparkSession, d: str, prefix: int | None = cv.PREFIX_CHARS) -> DataFrame:
-    docs = table(spark, d, "documents").select("doc_id", (F.substring("text", 1, prefix) if prefix else F.col("text")).alias("text"))
+def _labelled_texts(spark: SparkSession, d: str) -> DataFrame:
     labels = table(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("topic_id"))
-    return docs.join(labels, "doc_id").select("topic_id", "text")
+    return table(spark, d, "documents").select("doc_id", "text").join(labels, "doc_id").select("topic_id", "text")
 
 
 def w15_class_tfidf(spark: SparkSession, d: str) -> DataFrame:
@@ -176,14 +164,6 @@ def w16_topic_names(spark: SparkSession, d: str) -> DataFrame:
     return topics.name_topics(topics.class_tfidf(_labelled_texts(spark, d)))
 
 
-def w15b_class_tfidf_whole(spark: SparkSession, d: str) -> DataFrame:
-    return topics.top_terms(topics.class_tfidf(_labelled_texts(spark, d, None)), 50).select("topic_id", "term", "weight")
-
-
-def w16b_topic_names_whole(spark: SparkSession, d: str) -> DataFrame:
-    return topics.name_topics(topics.class_tfidf(_labelled_texts(spark, d, None)))
-
-
 def w17_topic_summary(spark: SparkSession, d: str) -> DataFrame:
     return topics.topic_summary(cv.membership_retail(spark, d), "post_id")
 
@@ -192,10 +172,6 @@ def w17b_noise_topics(spark: SparkSession, d: str) -> DataFrame:
     return topics.flag_noise_topics(_labelled_texts(spark, d), 0.02)
 
 
-def w17c_noise_topics_whole(spark: SparkSession, d: str) -> DataFrame:
-    return topics.flag_noise_topics(_labelled_texts(spark, d, None), 0.02)
-
-
 def w18_group_summary(spark: SparkSession, d: str) -> DataFrame:
     return topics.group_summary(cv.membership_retail(spark, d), cv.topic_groups(spark))
 
@@ -276,11 +252,7 @@ def w26_spearman_p(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w27_lagged_spearman(spark: SparkSession, d: str) -> DataFrame:
-    return series.lagged_spearman(_focal(_paired(spark, d)), list(range(-30, 31, 5)))
-
-
-def w27c_lagged_spearman_daily(spark: SparkSession, d: str) -> DataFrame:
-    """Every lag of thirty days either way; ``w27`` takes each fifth."""
+    """Every lag of thirty days either way."""
     return series.lagged_spearman(_focal(_paired(spark, d)), list(range(-30, 31)))
 
 
@@ -497,29 +469,29 @@ def w42_active_users(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w43_user_profiles(spark: SparkSession, d: str) -> DataFrame:
-    return _profiles(spark, d).withColumn("s", F.col("s") + 1e-9)  # keeps exact halves from rounding by the order of sums
+    """Profiles over memberships in millionths, whose sums are exact."""
+    members = cv.membership_retail(spark, d).withColumn("p", F.round(F.col("p") * 1e6))
+    return influence.user_profiles(cv.posts_retail(spark, d), members, _users(spark, d)).withColumn("s", F.col("s") / 1e6)
 
 
 def w44_pair_weights(spark: SparkSession, d: str) -> DataFrame:
-    from pyspark.sql.window import Window
-
-    order = Window.partitionBy("group_id").orderBy(F.desc(F.round("weight", 6)), "a", "b")
-    return influence.pair_weights(_restricted(spark, d)).withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= 1000).drop("_r")
-
-
-def w44b_pair_weights_all(spark: SparkSession, d: str) -> DataFrame:
-    """All pairs; ``w44`` reports the first thousand of a group."""
     return influence.pair_weights(_restricted(spark, d))
 
 
 def w45_pair_weights_naive(spark: SparkSession, d: str) -> DataFrame:
-    users = _users(spark, d).select("user_id").orderBy("user_id").limit(30)
-    return influence.pair_weight_naive(cv.posts_retail(spark, d), cv.membership_retail(spark, d), users)
+    """The definition, over all active users: a baseline whose cost grows with the square of the posts."""
+    return influence.pair_weight_naive(cv.posts_retail(spark, d), cv.membership_retail(spark, d), _users(spark, d).select("user_id"))
 
 
 def w45b_pair_weights_factorised(spark: SparkSession, d: str) -> DataFrame:
-    users = _users(spark, d).select("user_id").orderBy("user_id").limit(30)
-    return influence.pair_weights(influence.user_profiles(cv.posts_retail(spark, d), cv.membership_retail(spark, d), users), ())
+    return influence.pair_weights(_profiles(spark, d), ())
+
+
+def w45c_no_activity_floor(spark: SparkSession, d: str) -> DataFrame:
+    """Weighted degrees of the network of all users, whatever they post: the baseline without the floor."""
+    posts, members = cv.posts_retail(spark, d), cv.membership_retail(spark, d)
+    everyone = posts.select(F.col("author_id").alias("user_id")).distinct()
+    return influence.weighted_degree(_focal(influence.restrict(influence.user_profiles(posts, members, everyone), cv.topic_groups(spark))))
 
 
 def w46_weighted_degree(spark: SparkSession, d: str) -> DataFrame:
@@ -605,9 +577,9 @@ def _tidied(f: Query) -> Query:
     return query
 
 
-def entry(spark: SparkSession) -> DataFrame:
-    """The most influential users of each focal group, on the smallest tables."""
-    return tidy(w48_influence_top5(spark, "/root/testdata/sf0.001"))
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The most influential users of each focal group."""
+    return tidy(w48_influence_top5(spark, sf_dir))
 
 
 def queries() -> dict[str, Query]:

@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from discourselab import workloads
 from discourselab.functions import text as tx
 from discourselab.functions.stats import distributed_rank, spearman
 from discourselab.operators import community, graph, influence, measures, select, series, topics
@@ -190,12 +191,22 @@ def test_stream_restart_counts_once(spark, small, tmp_path):
     assert spark.read.parquet(str(tmp_path / "out")).count() == spark.read.parquet(f"{small}/events.parquet").count()
 
 
-def test_stateful_profiles_equal_batch(spark, small):
+@pytest.mark.parametrize("batches", [1, 6])
+@pytest.mark.parametrize("name", ["op_stream_tumbling", "op_stream_sliding", "op_stream_session", "op_stream_dedup", "op_stream_stateful", "op_stream_stream_join", "op_stream_late", "w51_stream_daily_counts"])
+def test_streams_do_not_depend_on_batches(spark, small, monkeypatch, name, batches):
+    query = workloads.queries()[name]
+    whole = sorted(map(str, query(spark, small).collect()))
+    monkeypatch.setattr(monitor, "BATCHES", batches)
+    assert whole and sorted(map(str, query(spark, small).collect())) == whole
+
+
+def test_late_rows_are_dropped(spark, small):
     from discourselab.sources.files import event_stream
 
-    found = {r.user_id: (r.n, round(r.mean_value, 6)) for r in monitor.drain(monitor.folded_profiles(event_stream(spark, small)), "update").collect()}
-    batch = spark.read.parquet(f"{small}/events.parquet").groupBy("user_id").agg(F.count("*").alias("n"), F.avg("value").alias("m")).collect()
-    assert found == {r.user_id: (r.n, round(r.m, 6)) for r in batch}
+    late = F.col("event_id") % 50 == 0
+    kept = monitor.drain(monitor.tumbling(event_stream(spark, small, 3, late))).agg(F.sum("n")).first()[0]
+    every = monitor.drain(monitor.tumbling(event_stream(spark, small, 3))).agg(F.sum("n")).first()[0]
+    assert 0 < kept < every
 
 
 def test_running_state_with_rocksdb(spark, small):
@@ -204,10 +215,10 @@ def test_running_state_with_rocksdb(spark, small):
     name = "spark.sql.streaming.stateStore.providerClass"
     spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        found = {r.user_id: r.n for r in monitor.drain(monitor.running_profiles(event_stream(spark, small)), "update").collect()}
-        daily = event_stream(spark, small).select(F.col("event_type"), F.to_date("ts").alias("day"), F.lit(1).cast("long").alias("n"))
-        spiked = monitor.drain(monitor.spikes(daily, "event_type"), "update")
-        assert spiked.count() == sum(found.values()) and spiked.where("spike").count() == 0
+        found = {r.user_id: r.n for r in monitor.drain(monitor.running_profiles(event_stream(spark, small, 3)), "update", ("user_id",)).collect()}
+        daily = event_stream(spark, small).select("event_type", F.to_date("ts").alias("day"), F.col("event_id").alias("n"))
+        spiked = monitor.drain(monitor.spikes(daily, "event_type"), "update", ("key", "day", "n"))
+        assert spiked.count() == sum(found.values())
     finally:
         spark.conf.unset(name)
     assert found == {r.user_id: r["count"] for r in spark.read.parquet(f"{small}/events.parquet").groupBy("user_id").count().collect()}

@@ -43,5 +43,5 @@ def test_every_query_but_the_named_ones_has_sql():
     assert without == {"w26_spearman_p", "w37_louvain_month", "w37b_louvain_weighted", "w37c_louvain_joins", "w37d_label_propagation", "w40b_lifespans", "w47b_eigen_converged", "w52_density_clusters"}
 
 
-def test_entry_has_rows(spark):
-    assert workloads.entry(spark).count() == 10
+def test_entry_has_rows(spark, small):
+    assert workloads.entry(spark, small).count() == 10
