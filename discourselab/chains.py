@@ -1,5 +1,7 @@
 """Communities of every monthly snapshot, found by Louvain and followed from month to month.
 
+Snapshots hold posts, topics and users, with edges between users where one answers another.
+
 Louvain has no SQL, so these queries have none; tests compare them with brute force. The queries ``w39`` to
 ``w41`` follow given communities, which SQL can check.
 """
@@ -14,8 +16,8 @@ from discourselab.session import cut
 from discourselab.sources import carriers as cv
 from discourselab.workloads import Query, _snapshots, _tidied
 
-#: The least number of users of a community.
-FLOOR = 5
+#: The least number of users of a community, by group: the published floors' proportion.
+FLOORS = {0: 6, 3: 3}
 GAMMA = 0.01
 BY = ("group_id",)
 
@@ -24,7 +26,7 @@ def communities(spark: SparkSession, d: str) -> DataFrame:
     """(group_id, period, community, user_id) of the focal groups in all months; the group leads a community's name."""
     out = None
     for group in cv.FOCAL:
-        found = community.user_communities(community.louvain(_snapshots(spark, d, group, "month", *cv.PERIOD)), FLOOR)
+        found = community.user_communities(community.louvain(_snapshots(spark, d, group, "month", *cv.PERIOD, replies=True)), FLOORS[group])
         part = found.select(F.lit(group).alias("group_id"), "period", F.concat_ws("|", F.lit(group), "community").alias("community"), "user_id")
         out = part if out is None else out.unionByName(part)
     return cut(out)

@@ -9,13 +9,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from discourselab.plans.iterate import components
-from discourselab.session import cut
+from discourselab.session import cut, settle
 
 
 def snapshots(posts: DataFrame, members: DataFrame, topics: DataFrame, period: str = "month", weight_mode: str = "unit", replies: DataFrame | None = None) -> DataFrame:
     """(period, src, dst, weight): undirected edges of a group by month, quarter or week.
 
-    A post's edges are user-post and post-topic; memberships weigh one each, or their probability.
+    A post's edges are user-post and post-topic; memberships weigh one each, or their probability. With
+    (post_id, src_user, dst_user, day) replies, users are linked by the group's posts that answer another.
     """
     at = F.to_date(F.date_trunc(period, "day")).alias("period")
     inside = members.join(F.broadcast(topics), "topic_id", "left_semi").join(posts, "post_id")
@@ -25,7 +26,8 @@ def snapshots(posts: DataFrame, members: DataFrame, topics: DataFrame, period: s
     edges = written.unionByName(about)
     if replies is not None:
         user = lambda c: F.concat(F.lit("user:"), F.col(c).cast("string"))
-        edges = edges.unionByName(replies.select(at, user("src_user").alias("a"), user("dst_user").alias("b"), F.lit(1.0).alias("weight")))
+        answers = replies.join(inside.select("post_id").distinct(), "post_id", "left_semi")
+        edges = edges.unionByName(answers.select(at, user("src_user").alias("a"), user("dst_user").alias("b"), F.lit(1.0).alias("weight")))
     return edges.groupBy("period", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).agg(F.sum("weight").alias("weight"))
 
 
@@ -93,17 +95,21 @@ def louvain_labels(edges: list[tuple[str, str, float]], resolution: float = 1.0)
     return {name: first[m] for name, m in zip(names, member, strict=True)}
 
 
-def louvain(edges: DataFrame, resolution: float = 1.0) -> DataFrame:
+def louvain(edges: DataFrame, resolution: float = 1.0, task_edges: int = 2_000_000) -> DataFrame:
     """(period, node, community): Louvain of each snapshot, one task a snapshot.
 
-    For snapshots that fit a task, as a month of one group does; ``louvain_distributed`` takes larger ones.
+    Snapshots of more than ``task_edges`` edges go through the joins of ``louvain_distributed``.
     """
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         found = louvain_labels(list(rows[["src", "dst", "weight"]].itertuples(index=False, name=None)), resolution)
         return pd.DataFrame({"period": key[0], "node": list(found), "community": list(found.values())})
 
-    return edges.groupBy("period").applyInPandas(run, "period date, node string, community string")
+    edges = cut(edges)
+    large = [r.period for r in edges.groupBy("period").agg(F.count("*").alias("n")).where(F.col("n") > task_edges).collect()]
+    inside = F.col("period").isin(*large) if large else F.lit(False)
+    local = edges.where(~inside).groupBy("period").applyInPandas(run, "period date, node string, community string")
+    return local.unionByName(louvain_distributed(edges.where(inside), resolution)) if large else local
 
 
 def modularity(edges: DataFrame, labels: DataFrame, resolution: float = 1.0) -> DataFrame:
@@ -116,59 +122,63 @@ def modularity(edges: DataFrame, labels: DataFrame, resolution: float = 1.0) ->
     return inside.join(square, "period").select("period", (F.col("inside") / F.col("m") - resolution * F.col("d2") / (4 * F.col("m") * F.col("m"))).alias("modularity"))
 
 
-def louvain_distributed(edges: DataFrame, resolution: float = 1.0, max_levels: int = 5, max_rounds: int = 8, tol: float = 1e-6) -> DataFrame:
-    """(period, node, community) by synchronous Louvain over joins, for snapshots of any size.
+def louvain_distributed(edges: DataFrame, resolution: float = 1.0, tol: float = 1e-4, max_rounds: int = 100) -> DataFrame:
+    """(period, node, community) by Louvain over joins, for snapshots of any size.
 
-    In a round, half of the nodes (by a hash of node and round) may move to the neighbour community of the
-    largest gain; the other half stays, which keeps neighbours from trading places. A round is three
-    shuffles; the driver sees the modularity alone. Rounds that lower it are undone; a level ends when it
-    stops rising, then communities contract to nodes.
+    In a round every node prices the communities around it, and those of one half of the nodes (by a hash of
+    node and round) move to the one of the largest gain; the other half stays, which keeps neighbours from
+    trading places. A level ends when no node gains by a move, or when three rounds have not raised the
+    modularity by ``tol``; the labels of its best round count. Communities then contract to nodes, until a
+    level merges none. A round is one table and one row for the driver.
     """
-    base = cut(edges.groupBy("period", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg(F.sum("weight").alias("weight")))
-    nodes = base.select("period", F.explode(F.array("src", "dst")).alias("node")).distinct()
-    final = cut(nodes.withColumn("community", F.col("node")))
-    graph = base
-    for level in range(max_levels):
-        both = cut(graph.where("src <> dst").select("period", "src", "dst", "weight").unionByName(graph.where("src <> dst").select("period", F.col("dst").alias("src"), F.col("src").alias("dst"), "weight")))
-        loops = graph.where("src = dst").groupBy("period", F.col("src").alias("node")).agg((2 * F.sum("weight")).alias("loop"))
-        inner = graph.select("period", F.explode(F.array("src", "dst")).alias("node")).distinct()
-        degree = both.groupBy("period", F.col("src").alias("node")).agg(F.sum("weight").alias("k"))
-        degree = cut(inner.join(degree, ["period", "node"], "left").join(loops, ["period", "node"], "left").select("period", "node", (F.coalesce("k", F.lit(0.0)) + F.coalesce("loop", F.lit(0.0))).alias("k")))
-        total = degree.groupBy("period").agg(F.sum("k").alias("m2"))
-        labels = cut(degree.select("period", "node", F.col("node").alias("community")))
-        score = _quality(graph, labels, resolution)
-        for turn in range(max_rounds):
-            size = labels.join(degree, ["period", "node"]).groupBy("period", "community").agg(F.sum("k").alias("held"))
-            to = both.join(labels.withColumnsRenamed({"node": "dst"}), ["period", "dst"]).groupBy("period", F.col("src").alias("node"), "community").agg(F.sum("weight").alias("w"))
-            options = to.unionByName(labels.withColumn("w", F.lit(0.0)).select("period", "node", "community", "w")).groupBy("period", "node", "community").agg(F.sum("w").alias("w"))
-            mine = labels.withColumnRenamed("community", "own")
-            priced = options.join(size, ["period", "community"]).join(degree, ["period", "node"]).join(mine, ["period", "node"]).join(F.broadcast(total), "period")
-            held = F.col("held") - F.when(F.col("community") == F.col("own"), F.col("k")).otherwise(0.0)
-            gain = F.col("w") - resolution * F.col("k") * held / F.col("m2")
-            stay = F.when(F.col("community") == F.col("own"), 1).otherwise(0)
-            order = Window.partitionBy("period", "node").orderBy(F.desc(F.round(gain, 12)), F.desc(stay), "community")
-            best = priced.withColumn("_r", F.row_number().over(order)).where(F.col("_r") == 1)
-            may = F.pmod(F.xxhash64("node", F.lit(level), F.lit(turn)), F.lit(2)) == 0
-            moved = cut(best.select("period", "node", F.when(may, F.col("community")).otherwise(F.col("own")).alias("community")))
-            now = _quality(graph, moved, resolution)
-            if now < score - tol:
-                continue
-            gained, score, labels = now - score, now, moved
-            if gained < tol and turn % 2:
-                break
-        small = labels.groupBy("period", "community").agg(F.min("node").alias("name"))
-        renamed = cut(labels.join(small, ["period", "community"]).select("period", "node", F.col("name").alias("community")))
-        final = cut(final.join(renamed.select("period", F.col("community").alias("next"), F.col("node").alias("community")), ["period", "community"]).select("period", "node", F.col("next").alias("community")))
-        before = degree.count()
-        if renamed.select("period", "community").distinct().count() == before:
+    pair = [F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")]
+    graph = settle(edges.groupBy("period", *pair).agg(F.sum("weight").cast("double").alias("weight")))
+    final = graph.select("period", F.explode(F.array("src", "dst")).alias("node")).distinct().withColumn("community", F.col("node"))
+    while True:
+        nodes, labels = _level(graph, resolution, tol, max_rounds)
+        if labels.select("period", "own").distinct().count() == nodes:
+            return final
+        named = labels.withColumn("name", F.min("node").over(Window.partitionBy("period", "own"))).select("period", "node", "name")
+        named = settle(named)
+        final = settle(final.join(named.withColumnRenamed("node", "community"), ["period", "community"]).select("period", "node", F.col("name").alias("community")))
+        ends = [named.withColumnsRenamed({"node": end, "name": new}) for end, new in (("src", "a"), ("dst", "b"))]
+        moved = graph.join(ends[0], ["period", "src"]).join(ends[1], ["period", "dst"])
+        graph = settle(moved.groupBy("period", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).agg(F.sum("weight").alias("weight")))
+
+
+def _level(graph: DataFrame, resolution: float, tol: float, max_rounds: int) -> tuple[int, DataFrame]:
+    """How many nodes a graph has, and their labels (period, node, own) once moves no longer pay."""
+    both = settle(_both_ways(graph.where("src <> dst")))
+    ends = graph.select("period", F.explode(F.array("src", "dst")).alias("node"), "weight")
+    labels = settle(ends.groupBy("period", "node").agg(F.sum("weight").alias("k")).withColumn("own", F.col("node")))
+    total = settle(labels.groupBy("period").agg(F.sum("k").alias("m2")))
+    best, most, idle = labels, None, 0
+    for turn in range(max_rounds):
+        size = labels.groupBy("period", F.col("own").alias("community")).agg(F.sum("k").alias("held"))
+        to = both.join(labels.select("period", F.col("node").alias("dst"), F.col("own").alias("community")), ["period", "dst"])
+        around = to.select("period", F.col("src").alias("node"), "community", "weight")
+        staying = labels.select("period", "node", F.col("own").alias("community"), F.lit(0.0).alias("weight"))
+        options = around.unionByName(staying).groupBy("period", "node", "community").agg(F.sum("weight").alias("w"))
+        priced = options.join(size, ["period", "community"]).join(labels, ["period", "node"]).join(F.broadcast(total), "period")
+        home = F.col("community") == F.col("own")
+        others = F.col("held") - F.when(home, F.col("k")).otherwise(0.0)
+        gain = F.round(F.col("w") - resolution * F.col("k") * others / F.col("m2"), 12)
+        first = F.struct(-gain, (~home).cast("int"), "community")
+        inside = F.max(F.when(home, F.col("w")))
+        wanted = priced.groupBy("period", "node", "own", "k", "m2").agg(F.min_by("community", first).alias("target"), inside.alias("inside"))
+        wanted = settle(wanted)
+        share = F.sum("inside") / F.first("m2") - resolution * F.pow(F.sum("k") / F.first("m2"), F.lit(2))
+        groups = wanted.groupBy("period", "own").agg(share.alias("share"), F.count(F.when(F.col("target") != F.col("own"), 1)).alias("movers"))
+        now = groups.agg(F.sum("share").alias("quality"), F.sum("movers").alias("movers")).first()
+        if most is None or now.quality > most + tol:
+            best, most, idle = wanted, now.quality, 0
+        else:
+            idle += 1
+        if not now.movers or idle == 3:
             break
-        named = renamed.select("period", F.col("node"), F.col("community"))
-        graph = cut(graph.join(named.withColumnsRenamed({"node": "src", "community": "a"}), ["period", "src"]).join(named.withColumnsRenamed({"node": "dst", "community": "b"}), ["period", "dst"]).groupBy("period", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).agg(F.sum("weight").alias("weight")))
-    return final
-
-
-def _quality(graph: DataFrame, labels: DataFrame, resolution: float) -> float:
-    return modularity(graph, labels, resolution).agg(F.sum("modularity")).first()[0] or 0.0
+        may = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(2)) == 0
+        labels = wanted.select("period", "node", "k", F.when(may, F.col("target")).otherwise(F.col("own")).alias("own"))
+    return best.count(), best.select("period", "node", "own")
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:

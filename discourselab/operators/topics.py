@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.ml.clustering import KMeans
 from pyspark.ml.feature import IDF, PCA, HashingTF, Normalizer, Tokenizer, Word2Vec
 from pyspark.ml.functions import array_to_vector, vector_to_array
@@ -12,9 +14,11 @@ from pyspark.sql import functions as F
 
 from discourselab.functions.text import clean_text, ngrams
 from discourselab.plans.iterate import components
-from discourselab.session import cut
+from discourselab.session import cut, prepare
 
 OUTLIER = -1
+#: Vectors that fit the cells of a neighbour search, those of them that measure it, and rows of a part of a cell.
+SAMPLE, PROBES, CELL_ROWS = 4096, 256, 4096
 
 
 def embed(docs: DataFrame, key: str, text: str, method: str = "hash", size: int = 64) -> DataFrame:
@@ -63,28 +67,114 @@ def cluster_centroid(vectors: DataFrame, k: int, min_topic_size: int = 30, radiu
     return assigned.join(F.broadcast(sizes), "topic_id").select("vec_id", F.when(F.col("size") >= min_topic_size, F.col("topic_id")).otherwise(OUTLIER).cast("int").alias("topic_id"))
 
 
-def _plane_keys(vectors: DataFrame, tables: int, bits: int, seed: int) -> DataFrame:
-    """Vectors with one bucket key for each of ``tables`` sets of random hyperplanes."""
-    d = vectors.select(F.size("embedding")).first()
-    planes = np.random.default_rng(seed).normal(size=(tables * bits, d[0] if d else 1))
-
-    @F.pandas_udf("array<bigint>")
-    def keys(column: pd.Series) -> pd.Series:
-        side = (np.stack(column.to_list()).astype(float) @ planes.T > 0).reshape(len(column), tables, bits)
-        return pd.Series(list((side * (1 << np.arange(bits))).sum(axis=2)))
+def _cell_centers(sample: np.ndarray, count: int, seed: int) -> np.ndarray:
+    """Unit centers of some cells by a few rounds of cosine k-means on a bounded sample."""
+    held = sample[np.random.default_rng(seed).choice(len(sample), count, replace=False)]
+    for _ in range(8):
+        home = np.argmax(sample @ held.T, axis=1)
+        sums = np.zeros_like(held)
+        np.add.at(sums, home, sample)
+        size = np.linalg.norm(sums, axis=1, keepdims=True)
+        held = np.where(size > 0, sums / np.maximum(size, 1e-12), held)
+    return held
 
-    return vectors.withColumn("_keys", keys("embedding"))
 
+def _unit(column: pa.Array) -> np.ndarray:
+    rows = np.array(column.to_pylist(), np.float64).reshape(len(column), -1)
+    return rows / np.maximum(np.linalg.norm(rows, axis=1, keepdims=True), 1e-12)
 
-def near_pairs(vectors: DataFrame, k: int = 10, tables: int = 8, bits: int = 6, seed: int = 3) -> DataFrame:
-    """(a, b, distance): up to ``k`` nearest neighbours by cosine among vectors that share a bucket.
 
-    Buckets replace all pairs; more tables raise recall, more bits make buckets smaller.
+def _nearest(score: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, column) of the k largest scores of every row."""
+    if score.shape[1] > k:
+        top = np.argpartition(-score, k - 1, axis=1)[:, :k]
+    else:
+        top = np.broadcast_to(np.arange(score.shape[1]), score.shape)
+    return np.repeat(np.arange(len(score)), top.shape[1]), top.ravel()
+
+
+def _cells_to_visit(vectors: DataFrame, probes: np.ndarray, ids: list, held: np.ndarray, k: int, least_recall: float) -> int:
+    """In how many of its nearest cells a vector has to look, by the true neighbours of some probes."""
+    spread = vectors.sparkSession.sparkContext.broadcast((probes, held))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        queries, cells = spread.value
+        rank = np.argsort(np.argsort(-(queries @ cells.T), axis=1), axis=1)
+        for batch in batches:
+            rows = _unit(batch.column(1))
+            score = queries @ rows.T
+            q, b = _nearest(score, k + 1)
+            home = np.argmax(rows @ cells.T, axis=1)
+            columns = [pa.array(q), batch.column(0).take(pa.array(b)), pa.array(score[q, b]), pa.array(rank[q, home[b]])]
+            yield pa.RecordBatch.from_arrays(columns, ["q", "b", "score", "rank"])
+
+    found = vectors.select("vec_id", "embedding").mapInArrow(run, "q long, b long, score double, rank long")
+    own = vectors.sparkSession.createDataFrame(list(enumerate(ids)), "q long, b long")
+    others = found.join(F.broadcast(own), ["q", "b"], "left_anti")
+    first = F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "b"))
+    ranks = sorted(r.rank for r in others.withColumn("_r", first).where(F.col("_r") <= k).collect())
+    return ranks[min(len(ranks) - 1, int(np.ceil(least_recall * len(ranks))) - 1)] + 1 if ranks else 1
+
+
+def near_pairs(vectors: DataFrame, k: int = 10, least_recall: float = 0.97, seed: int = 3) -> DataFrame:
+    """(a, b, distance): about the ``k`` nearest neighbours by cosine of every (vec_id, embedding) row.
+
+    Vectors live in the cell of their nearest center (about the square root of their number, fitted on
+    ``SAMPLE`` of them) and look in as many of their nearest cells as it takes for ``PROBES`` of them to find
+    ``least_recall`` of their true neighbours: few where the vectors cluster, most where they are noise. Large
+    cells are split, and every visitor sees all parts.
     """
-    keyed = _plane_keys(vectors.select("vec_id", "embedding"), tables, bits, seed)
-    spread = keyed.select("vec_id", "embedding", F.posexplode("_keys").alias("table", "key"))
-    other = spread.select(F.col("vec_id").alias("b"), F.col("embedding").alias("w"), "table", "key")
-    pairs = spread.join(other, ["table", "key"]).where("vec_id <> b").select(F.col("vec_id").alias("a"), "b", (1 - dot(F.col("embedding"), F.col("w"))).alias("distance")).dropDuplicates(["a", "b"])
+    spark = prepare(vectors.sparkSession)
+    rows = cut(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding"))
+    n = rows.count()
+    drawn = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).collect()
+    if n < 2:
+        return rows.select(F.col("vec_id").alias("a"), F.col("vec_id").alias("b"), F.lit(0.0).alias("distance")).limit(0)
+    sample = _unit(pa.array([r.embedding for r in drawn]))
+    held = _cell_centers(sample, max(1, min(int(n**0.5), len(sample) // 8)), seed)
+    visits = _cells_to_visit(rows, sample[:PROBES], [r.vec_id for r in drawn[:PROBES]], held, k, least_recall)
+    cells = spark.sparkContext.broadcast(held)
+
+    def homes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            home = np.argmax(_unit(batch.column(1)) @ cells.value.T, axis=1)
+            yield pa.RecordBatch.from_arrays([pa.array(home)], ["cell"])
+
+    sizes = {r.cell: r.n for r in rows.mapInArrow(homes, "cell long").groupBy("cell").agg(F.count("*").alias("n")).collect()}
+    parts = spark.sparkContext.broadcast(np.array([-(-sizes.get(c, 0) // CELL_ROWS) for c in range(len(held))]))
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            near = np.argsort(-(_unit(batch.column(1)) @ cells.value.T), axis=1, kind="stable")[:, :visits]
+            ids = batch.column(0).to_numpy()
+            own, split = near[:, 0], parts.value
+            row, cell, part, home = [np.arange(len(ids))], [own], [ids % np.maximum(1, split[own])], [np.ones(len(ids), bool)]
+            for j in range(near.shape[1]):
+                times = split[near[:, j]]
+                row.append(np.repeat(np.arange(len(ids)), times))
+                cell.append(np.repeat(near[:, j], times))
+                part.append(np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times))
+                home.append(np.zeros(times.sum(), bool))
+            at = pa.array(np.concatenate(row))
+            columns = [pa.array(np.concatenate(x)) for x in (cell, part, home)]
+            yield pa.RecordBatch.from_arrays([*columns, batch.column(0).take(at), batch.column(1).take(at)], ["cell", "part", "home", "vec_id", "embedding"])
+
+    def search(group: pa.Table) -> pa.Table:
+        ids, home, unit = group.column("vec_id").to_numpy(), group.column("home").to_numpy(), _unit(group.column("embedding").combine_chunks())
+        mine, found = ids[home], []
+        visitors, unit, local = ids[~home], unit[~home], unit[home]
+        for at in range(0, len(visitors), 1024):
+            score = unit[at : at + 1024] @ local.T
+            score[visitors[at : at + 1024][:, None] == mine[None, :]] = -np.inf
+            a, b = _nearest(score, k)
+            good = score[a, b] > -np.inf
+            found.append((visitors[at + a[good]], mine[b[good]], 1 - score[a, b][good]))
+        a, b, d = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))
+        return pa.table({"a": a, "b": b, "distance": d})
+
+    kind = dict(rows.dtypes)["embedding"]
+    dealt = rows.mapInArrow(deal, f"cell long, part long, home boolean, vec_id long, embedding {kind}")
+    pairs = dealt.groupBy("cell", "part").applyInArrow(search, "a long, b long, distance double")
     return pairs.withColumn("_r", F.row_number().over(Window.partitionBy("a").orderBy("distance", "b"))).where(F.col("_r") <= k).drop("_r")
 
 

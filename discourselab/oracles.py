@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import re
 
-STEPS = 15
+STEPS, SETTLED = 15, 60
 
 _VIEWS = {
     "posts": "select o_orderkey as post_id, o_custkey as author_id, cast(o_orderdate as date) as day, x / sqrt(x * x + 15) as sentiment from (select *, 4 * (o_totalprice - 250000) / 250000 as x from orders)",
@@ -69,6 +69,7 @@ _VIEWS = {
     "nodes": "select distinct node_id, string_split(node_id, ':')[1] as kind from (select src as node_id from edges union all select dst from edges)",
     "snapstream": "select period, least(a, b) as src, greatest(a, b) as dst, cast(count(*) as double) as weight from (select cast(date_trunc('week', day) as date) as period, 'user:' || src_user as a, 'user:' || dst_user as b from replies) group by all",
     "g0": "select topic_id from grp where group_id = 0",
+    "half": "select members.post_id, topic_id, author_id, cast(date_trunc('month', day) as date) as period from members join g0 using (topic_id) join posts using (post_id) where day between date '1996-01-01' and date '1996-06-30'",
     "year": "select members.post_id, topic_id, p, author_id, cast(date_trunc('quarter', day) as date) as period from members join posts using (post_id) where topic_id in (select topic_id from g0) and day between date '1996-01-01' and date '1996-12-31'",
     "snapyear": "select period, least(a, b) as src, greatest(a, b) as dst, sum(w) as weight from (select distinct period, 'user:' || author_id as a, 'post:' || post_id as b, 1.0::double as w from year union all select period, 'post:' || post_id, 'topic:' || topic_id, 1.0 from year) group by all",
     "given": """
@@ -113,10 +114,19 @@ def _spearman(source: str, x: str, y: str, by: str) -> str:
     return f"select {by}, count(*) as n, round(case when stddev_pop(rx) > 0 and stddev_pop(ry) > 0 then corr(rx, ry) end, 6) + 0.0 as r_s from (select {by}, {ranks} from ({source}) where {x} is not null and {y} is not null) group by {by}"
 
 
+def _with_p(correlations: str, steps: int = 20_000) -> str:
+    """Two-sided p of t on n - 2 degrees of freedom, as a share of the integral of a power of the cosine (Simpson's rule)."""
+    area = lambda a: f"(select sum(pow(cos({a} + (pi() / 2 - {a}) * i / {steps}), n - 3) * case when i in (0, {steps}) then 1 when i % 2 = 1 then 4 else 2 end) * (pi() / 2 - {a}) from range(0, {steps + 1}) g(i))"
+    strength = "case when abs(r_s) < 0.1 then 'none' when abs(r_s) < 0.4 then 'weak' when abs(r_s) < 0.7 then 'moderate' else 'strong' end"
+    sign = "case when abs(r_s) >= 0.1 then case when r_s > 0 then 'positive' else 'negative' end end"
+    reading = f"concat_ws(' ', {strength}, {sign}, case when p < 0.05 then 'significant' else 'not significant' end)"
+    return f"select group_id, measure, n, round(r_s, 6) + 0.0 as r_s, round(p, 6) + 0.0 as p, {reading} as reading from (select *, {area('asin(abs(r_s))')} / {area('0')} as p from ({correlations}))"
+
+
 def _power() -> dict[str, str]:
-    """The unrolled steps: x0, then topic totals, products and unit vectors."""
+    """The unrolled steps: x0, then topic totals, products and unit vectors; enough of them to settle."""
     views = {"own": "select group_id, user_id, sum(s * s) as own from restricted group by all", "x0": "select group_id, user_id, 1.0::double as x from own"}
-    for k in range(1, STEPS + 1):
+    for k in range(1, SETTLED + 1):
         views[f"t{k}"] = f"select group_id, topic_id, sum(s * x) as t from restricted join x{k - 1} using (group_id, user_id) group by all"
         views[f"y{k}"] = f"select group_id, user_id, y - own * x as y from (select group_id, user_id, sum(s * t) as y from restricted join t{k} using (group_id, topic_id) group by all) join own using (group_id, user_id) join x{k - 1} using (group_id, user_id)"
         views[f"x{k}"] = f"select group_id, user_id, y / sqrt(sum(y * y) over (partition by group_id)) as x from y{k}"
@@ -190,6 +200,11 @@ def workload_sql() -> dict[str, str]:
         "w34b_subgraph": "select 'in_topic' as rel, count(*) as n from members join g0 using (topic_id) where post_id in (select post_id from posts) union all select 'tweeted', count(*) from grouped where group_id = 0",
         "w34c_cluster_profile": f"select topic_id, count(distinct post_id) as n_posts, {r('avg(sentiment)')} as mean_score from posts join members using (post_id) where author_id in (select author_id from posts group by 1 having count(*) >= 15) group by 1",
         "w35_snapshots": "select period, least(a, b) as src, greatest(a, b) as dst, sum(w) as weight from (select distinct cast(date_trunc('month', day) as date) as period, 'user:' || author_id as a, 'post:' || post_id as b, 1.0::double as w from members join g0 using (topic_id) join posts using (post_id) where day between date '1996-01-01' and date '1996-06-30' union all select cast(date_trunc('month', day) as date), 'post:' || post_id, 'topic:' || topic_id, 1.0 from members join g0 using (topic_id) join posts using (post_id) where day between date '1996-01-01' and date '1996-06-30') group by all",
+        "w35c_snapshots_replies": """select period, least(a, b) as src, greatest(a, b) as dst, sum(w) as weight from (
+    select distinct period, 'user:' || author_id as a, 'post:' || post_id as b, 1.0::double as w from half
+    union all select period, 'post:' || post_id, 'topic:' || topic_id, 1.0 from half
+    union all select period, 'user:' || o_custkey, 'user:' || before, 1.0 from (select distinct period, post_id from half)
+        join (select o_orderkey as post_id, o_custkey, lag(o_custkey) over (partition by o_orderdate, o_orderpriority order by o_orderkey) as before from orders) using (post_id) where before <> o_custkey) group by all""",
         "w35b_snapshots_stream": "select period, src, dst, weight from snapstream",
         "w38_modularity_given_labels": f"select period, {r('ins / m - d2 / (4 * m * m)')} as modularity from (select period, sum(weight) as m, sum(case when a.community = b.community then weight else 0 end) as ins from snapyear s join given a using (period) join given b using (period) where a.node = src and b.node = dst group by 1) join (select period, sum(d * d) as d2 from (select period, community, sum(weight) as d from (select period, src as node, weight from snapyear union all select period, dst, weight from snapyear) join given using (period, node) group by all) group by 1) using (period)",
         "w39_jaccard_links": _links("domgroup", 3, 0.01),
@@ -204,6 +219,7 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
         "w45c_no_activity_floor": f"select group_id, user_id, {r('sum(s * (t - s))')} as degree from everyone join (select group_id, topic_id, sum(s) as t from everyone group by all) using (group_id, topic_id) group by all",
         "w46_weighted_degree": f"select group_id, user_id, {r('sum(s * (t - s))')} as degree from restricted join (select group_id, topic_id, sum(s) as t from restricted group by all) using (group_id, topic_id) group by all",
         "w47_eigen_centrality": f"select group_id, user_id, {r('x')} as centrality from x{STEPS}",
+        "w47b_eigen_converged": f"select group_id, user_id, {r('x')} as centrality from x{SETTLED}",
         "w47c_eigen_residual": "select distinct group_id, true as settled from restricted",
         "w48_influence_top5": f"select group_id, rank, {r('centrality')} as centrality, followers, n_posts, {r('score')} as score, {r('influence')} as influence from top",
         "w48b_rank_overlap": " union all ".join(f"select '{c}' as ranking, group_id, {r('count(*) filter (user_id in (select user_id from (select *, row_number() over (partition by group_id order by ' + c + ' desc, user_id) as k from inf) z where k <= 5 and z.group_id = top.group_id)) / 5')} as overlap from top group by 2" for c in ("centrality", "followers", "n_posts")),
@@ -215,7 +231,13 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
         "w54_distributed_rank": "select distinct o_totalprice as price, rank() over (order by o_totalprice) + (count(*) over (partition by o_totalprice) - 1) / 2.0 as rank from orders",
     }
     sql["w45b_pair_weights_factorised"] = sql["w45_pair_weights_naive"]
+    raw = sql["w25_spearman_table"].replace("round(case", "(case").replace("end, 6) + 0.0 as r_s", "end) as r_s")
+    sql["w26_spearman_p"] = _with_p(raw)
     out = {name: with_views(text) for name, text in sql.items()}
+    links = _links("domgroup", 3, 0.2)
+    chain = f"select distinct period, community, 1 as length from domgroup union select cast(c.period + interval 3 month as date), l.b, c.length + 1 from chain c join links l on l.period = c.period and l.a = c.community"
+    body = with_views("select * from domgroup").removesuffix(" select * from domgroup").replace("with ", "with recursive ", 1)
+    out["w40b_lifespans"] = f"{body}, links as materialized ({links}), chain as ({chain}) select period, community, max(length) as length from chain group by 1, 2"
     out["w09_sentiment_rules"], out["w10_sentiment_plain"] = _sentiment(True), _sentiment(False)
     snap = with_views("select * from snapstream")
     out["w36_components"] = f"with recursive e as ({snap}), reach as (select distinct period, src as node, src as other from e union select distinct period, dst, dst from e union select r.period, r.node, case when e.src = r.other then e.dst else e.src end from reach r join e on e.period = r.period and (e.src = r.other or e.dst = r.other)) select period, node, min(other) as label from reach group by 1, 2"

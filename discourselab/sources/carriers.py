@@ -80,12 +80,30 @@ def threads(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def replies_stream(spark: SparkSession, sf_dir: str, within_seconds: int = 3600) -> DataFrame:
-    """(src_user, dst_user, day, gap_seconds): an event answers the one before it with the same k."""
-    order = Window.partitionBy("k").orderBy("ts", "event_id")
-    events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
-    gap = F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.col("before").cast("timestamp"))
-    paired = events.select("user_id", "ts", F.lag("user_id").over(order).alias("dst_user"), F.lag("ts").over(order).alias("before"))
-    return paired.where((F.col("dst_user") != F.col("user_id")) & (gap <= within_seconds * 1_000_000)).select(F.col("user_id").alias("src_user"), "dst_user", F.to_date("ts").alias("day"), F.floor(gap / 1_000_000).cast("long").alias("gap_seconds"))
+    """(src_user, dst_user, day, gap_seconds): an event answers the one before it with the same k.
+
+    The order is by k and day, so no task sorts more than a day of one k; the first event of a day takes the
+    last one of the day before.
+    """
+    events = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    events = events.withColumn("day", F.to_date("ts"))
+    order = Window.partitionBy("k", "day").orderBy("ts", "event_id")
+    within = events.withColumn("dst_user", F.lag("user_id").over(order)).withColumn("before", F.lag("ts").over(order))
+    last = events.groupBy("k", F.date_add("day", 1).alias("day")).agg(F.max_by(F.struct("user_id", "ts"), F.struct("ts", "event_id")).alias("last"))
+    paired = within.join(last, ["k", "day"], "left")
+    first = F.col("before").isNull()
+    dst, before = F.when(first, F.col("last.user_id")).otherwise(F.col("dst_user")), F.when(first, F.col("last.ts")).otherwise(F.col("before"))
+    gap = F.unix_micros("ts") - F.unix_micros(before)
+    kept = paired.select(F.col("user_id").alias("src_user"), dst.alias("dst_user"), "day", gap.alias("gap"))
+    near = kept.where((F.col("dst_user") != F.col("src_user")) & (F.col("gap") <= within_seconds * 1_000_000))
+    return near.select("src_user", "dst_user", "day", F.floor(F.col("gap") / 1_000_000).cast("long").alias("gap_seconds"))
+
+
+def replies_retail(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(post_id, src_user, dst_user, day): an order answers the one before it of its day and priority."""
+    order = Window.partitionBy("o_orderdate", "o_orderpriority").orderBy("o_orderkey")
+    orders = table(spark, sf_dir, "orders").withColumn("_before", F.lag("o_custkey").over(order)).where("_before <> o_custkey")
+    return orders.select(F.col("o_orderkey").alias("post_id"), F.col("o_custkey").alias("src_user"), F.col("_before").alias("dst_user"), F.to_date("o_orderdate").alias("day"))
 
 
 def links(spark: SparkSession, sf_dir: str) -> DataFrame:

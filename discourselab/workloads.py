@@ -350,15 +350,21 @@ def _topics_of(spark: SparkSession, group: int) -> DataFrame:
     return cv.topic_groups(spark).where(F.col("group_id") == group).select("topic_id")
 
 
-def _snapshots(spark: SparkSession, d: str, group: int, period: str, start: str, end: str, mode: str = "unit") -> DataFrame:
+def _snapshots(spark: SparkSession, d: str, group: int, period: str, start: str, end: str, mode: str = "unit", replies: bool = False) -> DataFrame:
     posts = select.clip_period(cv.posts_retail(spark, d), "day", start, end)
-    return community.snapshots(posts, cv.membership_retail(spark, d), _topics_of(spark, group), period, mode)
+    answers = select.clip_period(cv.replies_retail(spark, d), "day", start, end) if replies else None
+    return community.snapshots(posts, cv.membership_retail(spark, d), _topics_of(spark, group), period, mode, answers)
 
 
 def w35_snapshots(spark: SparkSession, d: str) -> DataFrame:
     return _snapshots(spark, d, 0, "month", "1996-01-01", "1996-06-30")
 
 
+def w35c_snapshots_replies(spark: SparkSession, d: str) -> DataFrame:
+    """Snapshots with edges between users as well."""
+    return _snapshots(spark, d, 0, "month", "1996-01-01", "1996-06-30", replies=True)
+
+
 def w35b_snapshots_stream(spark: SparkSession, d: str) -> DataFrame:
     user = lambda c: F.concat(F.lit("user:"), F.col(c).cast("string"))
     pairs = cv.replies_stream(spark, d).select(F.to_date(F.date_trunc("week", "day")).alias("period"), user("src_user").alias("a"), user("dst_user").alias("b"))
@@ -387,9 +393,9 @@ def w37_louvain_month(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w37c_louvain_joins(spark: SparkSession, d: str) -> DataFrame:
-    """Louvain by joins, for snapshots that no task could hold, on one month; kept to two levels of three rounds."""
+    """Louvain by joins, for snapshots that no task could hold, on one month."""
     edges = _snapshots(spark, d, 0, "month", "1996-03-01", "1996-03-31")
-    return _quality_of(edges, community.louvain_distributed(edges, max_levels=2, max_rounds=3))
+    return _quality_of(edges, community.louvain_distributed(edges))
 
 
 def w37d_label_propagation(spark: SparkSession, d: str) -> DataFrame:

@@ -24,19 +24,27 @@ def found(spark, tables):
     for r in cv.topic_groups(spark).collect():
         topics[r.group_id].add(r.topic_id)
     posts = {r.post_id: r for r in cv.posts_retail(spark, tables).collect()}
-    edges = defaultdict(set)
+    edges = defaultdict(lambda: defaultdict(float))
+    orders = defaultdict(list)
+    for r in sorted(spark.read.parquet(f"{tables}/orders.parquet").collect(), key=lambda r: r.o_orderkey):
+        orders[r.o_orderdate, r.o_orderpriority].append(r)
+    answers = {b.o_orderkey: a.o_custkey for held in orders.values() for a, b in zip(held, held[1:], strict=False) if a.o_custkey != b.o_custkey}
     for m in cv.membership_retail(spark, tables).collect():
         if (post := posts.get(m.post_id)) and cv.PERIOD[0] <= str(post.day) <= cv.PERIOD[1]:
             for g in cv.FOCAL:
                 if m.topic_id in topics[g]:
-                    edges[g, post.month] |= {(f"post:{m.post_id}", f"user:{post.author_id}", 1.0), (f"post:{m.post_id}", f"topic:{m.topic_id}", 1.0)}
+                    own = edges[g, post.month]
+                    if (f"post:{m.post_id}", f"user:{post.author_id}") not in own and m.post_id in answers:
+                        own[tuple(sorted((f"user:{post.author_id}", f"user:{answers[m.post_id]}")))] += 1.0
+                    own[f"post:{m.post_id}", f"user:{post.author_id}"] = 1.0
+                    own[f"post:{m.post_id}", f"topic:{m.topic_id}"] = 1.0
     out = {}
     for (g, month), held in edges.items():
         sets = defaultdict(set)
-        for node, label in louvain_labels(sorted(held)).items():
+        for node, label in louvain_labels(sorted((*e, w) for e, w in held.items())).items():
             if node.startswith("user:"):
                 sets[f"{g}|{label}"].add(int(node[5:]))
-        out[g, month] = {c: u for c, u in sets.items() if len(u) >= chains.FLOOR}
+        out[g, month] = {c: u for c, u in sets.items() if len(u) >= chains.FLOORS[g]}
     return out
 
 

@@ -235,3 +235,28 @@ def test_measure_reports_a_run(spark, small):
     found = measures.measure(lambda: spark.read.parquet(f"{small}/orders.parquet").groupBy("o_custkey").count())
     assert found["rows"] == 150 or found["rows"] > 0
     assert found["stages"] >= 1
+
+
+@pytest.mark.parametrize("planted", [True, False])
+def test_neighbour_search_finds_the_nearest(spark, planted):
+    vectors = spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet")
+    vectors = topics.plant(vectors, "label", 2.5) if planted else vectors
+    rows = {r.vec_id: np.array(r.embedding, float) for r in vectors.collect()}
+    ids, unit = np.array(list(rows)), np.stack([x / np.linalg.norm(x) for x in rows.values()])
+    score = unit @ unit.T
+    np.fill_diagonal(score, -9)
+    nearest = {int(i): set(ids[np.argsort(-s)[:10]].tolist()) for i, s in zip(ids, score, strict=True)}
+    found = topics.near_pairs(vectors, 10).collect()
+    assert sum(r.b in nearest[r.a] for r in found) >= 0.9 * 10 * len(ids) and len(found) <= 10 * len(ids)
+    at = {int(i): k for k, i in enumerate(ids)}
+    assert all(r.distance == pytest.approx(1 - score[at[r.a], at[r.b]]) for r in found[:200])
+
+
+def test_louvain_by_joins_reaches_louvain_by_task(spark):
+    from discourselab.workloads import _snapshots
+
+    edges = _snapshots(spark, "/root/testdata/sf0.001", 0, "quarter", "1996-01-01", "1996-03-31", replies=True).cache()
+    quality = lambda labels: community.modularity(edges, labels).first().modularity
+    local = quality(community.louvain(edges))
+    assert quality(community.louvain(edges, task_edges=10)) >= 0.97 * local
+    assert quality(community.label_propagation(edges)) >= 0.6 * local
