@@ -64,28 +64,88 @@ def _packed(profiles: DataFrame) -> DataFrame:
     return profiles.groupBy("group_id", "user_id").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("topic_id", "s")))).alias("s"), F.sum(F.col("s") * F.col("s")).alias("own"))
 
 
+#: Steps that are replayed from the topic vectors before the users' values are written.
+REPLAY = 5
+
+
 def eigen_centrality(profiles: DataFrame, tol: float = 1e-9, max_iter: int = 200, shift: float = 0.0) -> DataFrame:
     """(group_id, user_id, centrality): leading vector of the zero-diagonal weights, of unit length.
 
-    The iterates of all users follow from the last topic vectors, so a step is one narrow expression and
-    one aggregate to topics x groups numbers. ``shift`` iterates W + shift x I, which settles weights whose
-    pattern is bipartite (two users, a star).
+    The iterates of all users follow from the topic vectors, which are topics x groups numbers that the driver
+    holds: a step is one aggregate over the packed profiles, and values are written every ``REPLAY`` steps.
+    ``shift`` iterates W + shift x I, which settles weights whose pattern is bipartite (two users, a star).
     """
-    users = cut(_packed(profiles))
-    state = users.withColumn("x", F.lit(1.0))
-    for _ in range(max_iter):
-        moved = cut(_step(state, shift))
-        held = moved.groupBy("group_id").agg(F.sum(F.col("x") * F.col("y")).alias("rayleigh"), F.sqrt(F.sum(F.col("y") * F.col("y"))).alias("norm"), F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("length"))
-        rows = {r.group_id: r for r in held.collect()}
-        state = cut(_normalised(moved))
-        if all(_settled(r, tol) for r in rows.values()):
-            break
-    return state.select("group_id", "user_id", F.col("x").alias("centrality"))
-
-
-def _settled(row, tol: float) -> bool:
+    return _Power(profiles, shift).run(max_iter, tol)
+
+
+def eigen_centrality_steps(profiles: DataFrame, steps: int) -> DataFrame:
+    """The same after a fixed number of steps."""
+    return _Power(profiles, 0.0).run(steps, None)
+
+
+class _Power:
+    """Power iteration over packed profiles; ``past`` holds the steps since the users' values were written."""
+
+    def __init__(self, profiles: DataFrame, shift: float) -> None:
+        kinds = dict(profiles.dtypes)
+        self.shift, self.group, self.topic = shift, kinds["group_id"], kinds["topic_id"]
+        self.users = cut(_packed(profiles).withColumn("x", F.lit(1.0)))
+        self.past: dict[object, list[tuple[dict, float]]] = {}
+
+    def run(self, steps: int, tol: float | None) -> DataFrame:
+        totals, _ = self._sums(None)
+        for step in range(steps):
+            sums, size = self._sums(totals)
+            for g, now in size.items():
+                norm = math.sqrt(now["yy"])
+                self.past.setdefault(g, []).append((totals.get(g, {}), norm))
+                totals[g] = {t: v / norm if norm else 0.0 for t, v in sums.get(g, {}).items()}
+            if tol is not None and all(_settled(x["xy"], math.sqrt(x["yy"]), math.sqrt(x["xx"]), tol) for x in size.values()):
+                break
+            if step % REPLAY == REPLAY - 1:
+                self.users, self.past = cut(self._now()), {}
+        return self._now().select("group_id", "user_id", F.col("x").alias("centrality"))
+
+    def _product(self, totals: Column, x: Column) -> Column:
+        """What a step makes of a user's value before it is scaled."""
+        sum_of = F.aggregate(F.map_entries("s"), F.lit(0.0), lambda a, e: a + e["value"] * F.coalesce(F.try_element_at(totals, e["key"]), F.lit(0.0)))
+        return sum_of - F.col("own") * x + self.shift * x
+
+    def _now(self) -> DataFrame:
+        """The users' values after the steps that are not written yet."""
+        if not self.past:
+            return self.users
+        kind = f"group_id {self.group}, steps array<struct<totals:map<{self.topic},double>,norm:double>>"
+        steps = self.users.sparkSession.createDataFrame(list(self.past.items()), kind)
+        moved = F.aggregate("steps", F.col("x"), lambda x, z: F.coalesce(F.try_divide(self._product(z["totals"], x), z["norm"]), F.lit(0.0)))
+        return self.users.join(F.broadcast(steps), "group_id").withColumn("x", moved).drop("steps")
+
+    def _sums(self, totals: dict | None) -> tuple[dict, dict]:
+        """By group: sums by topic of profile times value, or with ``totals`` times the next product y, and of yy, xy, xx."""
+        state = self._now()
+        if totals is None:
+            state = state.withColumn("y", F.col("x"))
+        else:
+            vectors = state.sparkSession.createDataFrame(list(totals.items()), f"group_id {self.group}, totals map<{self.topic},double>")
+            state = state.join(F.broadcast(vectors), "group_id").withColumn("y", self._product(F.col("totals"), F.col("x")))
+        part = lambda name, v, topic: F.struct(F.lit(name).alias("name"), topic.cast(self.topic).alias("topic_id"), v.alias("v"))
+        x, y, none = F.col("x"), F.col("y"), F.lit(None)
+        topics = F.transform(F.map_entries("s"), lambda e: part("t", e["value"] * y, e["key"]))
+        sizes = F.array(part("yy", y * y, none), part("xy", x * y, none), part("xx", x * x, none))
+        rows = state.select("group_id", F.inline(F.concat(topics, sizes))).groupBy("group_id", "name", "topic_id").agg(F.sum("v").alias("v")).collect()
+        sums: dict = {}
+        size: dict = {}
+        for r in rows:
+            if r.name == "t":
+                sums.setdefault(r.group_id, {})[r.topic_id] = r.v
+            else:
+                size.setdefault(r.group_id, {})[r.name] = r.v
+        return sums, size
+
+
+def _settled(rayleigh: float, norm: float, length: float, tol: float) -> bool:
     """Is x an eigenvector? The angle between x and Wx, whose sine squared is 1 - cosine squared."""
-    return row.norm == 0 or abs(row.length - 1) < 1e-6 and 1 - min(1.0, row.rayleigh / (row.norm * row.length)) ** 2 <= tol * tol + 1e-15
+    return norm == 0 or abs(length - 1) < 1e-6 and 1 - min(1.0, rayleigh / (norm * length)) ** 2 <= tol * tol + 1e-15
 
 
 def _step(state: DataFrame, shift: float) -> DataFrame:
@@ -95,19 +155,6 @@ def _step(state: DataFrame, shift: float) -> DataFrame:
     return state.join(F.broadcast(vector), "group_id").withColumn("y", product - F.col("own") * F.col("x") + shift * F.col("x")).drop("t")
 
 
-def _normalised(state: DataFrame) -> DataFrame:
-    norms = state.groupBy("group_id").agg(F.sqrt(F.sum(F.col("y") * F.col("y"))).alias("norm"))
-    return state.join(F.broadcast(norms), "group_id").select("group_id", "user_id", "s", "own", F.coalesce(F.try_divide("y", "norm"), F.lit(0.0)).alias("x"))
-
-
-def eigen_centrality_steps(profiles: DataFrame, steps: int) -> DataFrame:
-    """The same after a fixed number of steps."""
-    state = cut(_packed(profiles)).withColumn("x", F.lit(1.0))
-    for _ in range(steps):  # each step reads the last one twice, so each is written
-        state = cut(_normalised(cut(_step(state, 0.0))))
-    return state.select("group_id", "user_id", F.col("x").alias("centrality"))
-
-
 def eigen_centrality_edges(edges: DataFrame, steps: int = 50, shift: float = 1.0) -> DataFrame:
     """(node, centrality) of a general undirected (src, dst, weight) edge table by power iteration."""
     both = cut(edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight")))
