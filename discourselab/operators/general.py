@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from discourselab.functions.stats import average_rank
 from discourselab.functions.text import clean_text, ngrams, plural
-from discourselab.session import table
+from discourselab.session import scratch, table
 from discourselab.sources.files import event_stream, replay, replay_stream, roundtrip
 from discourselab.streaming import monitor
 
@@ -617,6 +617,31 @@ def stream_replay(spark: SparkSession, d: str) -> DataFrame:
     return monitor.drain(replay_stream(spark, 100, 20), bounded=False)
 
 
+@op("select k as value from range(0, 10) r(k)")
+def stream_rate(spark: SparkSession, d: str) -> DataFrame:
+    rate = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 10).option("numPartitions", 2).load()
+    return monitor.drain(rate.select("value"))
+
+
+# more sinks
+
+
+@op("select n_name as value from nation")
+def text_roundtrip(spark: SparkSession, d: str) -> DataFrame:
+    return roundtrip(table(spark, d, "nation").select(F.col("n_name").alias("value")), "text")
+
+
+@op("select n_nationkey, case when n_regionkey = 1 then lower(n_name) else n_name end as n_name, n_regionkey from nation")
+def write_dynamic(spark: SparkSession, d: str) -> DataFrame:
+    """Only the partitions that are written are replaced."""
+    path = scratch(spark, "dynamic")
+    nation = table(spark, d, "nation").select("n_nationkey", "n_name", "n_regionkey")
+    nation.write.partitionBy("n_regionkey").parquet(path)
+    again = nation.where("n_regionkey = 1").withColumn("n_name", F.lower("n_name"))
+    again.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("n_regionkey").parquet(path)
+    return spark.read.schema(nation.schema).parquet(path)
+
+
 def queries() -> dict[str, Query]:
     return {name: f for name, (f, _) in _FOUND.items()}
 

@@ -74,6 +74,37 @@ def build_nodes(edges: DataFrame) -> DataFrame:
     return edges.select(F.explode(F.array("src", "dst")).alias("node_id")).distinct().select("node_id", F.substring_index("node_id", ":", 1).alias("kind"))
 
 
+def describe_nodes(nodes: DataFrame, facts: DataFrame) -> DataFrame:
+    """(node_id, kind, key, props): nodes with the facts (node_id, name, value) known of them."""
+    props = facts.groupBy("node_id").agg(F.map_from_entries(F.array_sort(F.collect_set(F.struct("name", "value")))).alias("props"))
+    none = F.map_from_arrays(F.array().cast("array<string>"), F.array().cast("array<string>"))
+    key = F.expr("substr(node_id, instr(node_id, ':') + 1)")
+    return nodes.join(props, "node_id", "left").select("node_id", "kind", key.alias("key"), F.coalesce("props", none).alias("props"))
+
+
+def node_facts(posts: DataFrame, incidents: DataFrame, groups: DataFrame) -> DataFrame:
+    """(node_id, name, value): days of posts and incidents, posts of users, groups of topics."""
+    fact = lambda df, node, name, value: df.select(node.alias("node_id"), F.lit(name).alias("name"), value.cast("string").alias("value"))
+    users = posts.groupBy("author_id").agg(F.count("*").alias("n"))
+    topics = groups.groupBy("topic_id").agg(F.count("*").alias("n"))
+    parts = [
+        fact(posts, node_id("post", F.col("post_id")), "day", F.col("day")),
+        fact(posts, node_id("post", F.col("post_id")), "author", F.col("author_id")),
+        fact(incidents, node_id("incident", F.col("incident_id")), "day", F.col("day")),
+        fact(users, node_id("user", F.col("author_id")), "posts", F.col("n")),
+        fact(topics, node_id("topic", F.col("topic_id")), "groups", F.col("n")),
+    ]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def with_day(edges: DataFrame) -> DataFrame:
+    """Edges with the day of the post or incident at one of their ends; none for edges that have neither."""
+    dated = edges.where("rel in ('tweeted_on', 'occurred_on')").select(F.col("src").alias("_at"), F.to_date(F.substring_index("dst", ":", -1)).alias("day")).distinct()
+    end = F.when(F.col("rel") == "tweeted", F.col("dst")).otherwise(F.col("src"))
+    keyed = edges.withColumn("_end", F.when(~F.col("rel").isin("associated_with", "replied_to", "mentioned"), end))
+    return keyed.join(dated, F.col("_end") == F.col("_at"), "left").drop("_end", "_at")
+
+
 def write_graph(edges: DataFrame, path: str) -> None:
     """Edges partitioned by relation, so that a subgraph reads its relations alone."""
     edges.write.mode("overwrite").partitionBy("rel").parquet(path)
@@ -101,8 +132,13 @@ def check_graph(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     return loose.unionByName(pair.unpivot([], ["posts", "incidents"], "check", "violations"))
 
 
-def subgraph(edges: DataFrame, relations: tuple[str, ...], group: object | None = None) -> DataFrame:
-    """Edges of some relations; with a group, memberships in its topics and what touches their posts."""
+def subgraph(edges: DataFrame, relations: tuple[str, ...], group: object | None = None, period: tuple[str, str] | None = None) -> DataFrame:
+    """Edges of some relations; with a group, memberships in its topics and what touches their posts.
+
+    With a period, edges that have a day (``with_day``) of it, both ends included, or none.
+    """
+    if period is not None:
+        edges = edges.where(F.col("day").isNull() | F.col("day").between(*(F.lit(x).cast("date") for x in period)))
     kept = edges.where(F.col("rel").isin(*relations))
     if group is None:
         return kept

@@ -157,11 +157,15 @@ def workload_sql() -> dict[str, str]:
         "w02_expand_terms": f"select distinct base, unnest([f, replace(f, ' ', ''), replace(f, ' ', '-')]) as term from (select base, unnest([base, {plural}]) as f from (values {terms}) t(base))",
         "w03_term_filter": "select post_id, n_terms, terms from reposts join (select doc_id, count(*) as n_terms, string_agg(term, ',' order by term) as terms from matched group by 1) using (doc_id)",
         "w04_term_filter_phrases": "select distinct d.doc_id, p.phrase from (select doc_id, string_split(hyphened, ' ') as w from docs) d, lateral (select unnest(w) as g union all select array_to_string(w[i:i + 3], ' ') from unnest(range(1, len(w) - 2)) u(i)) g join (select distinct unnest([term, replace(term, ' ', ''), replace(term, ' ', '-')]) as phrase from phrases where contains(term, ' ')) p on g.g = p.phrase",
+        "w04b_curated_terms": "select doc_id, term from matched where term not in (select term from ten)",
         "w05_language_share": f"select stage, lang, count(*) as n, {r('count(*) / sum(count(*)) over (partition by stage)')} as share from (select 'before' as stage, lang from reposts join documents using (doc_id) union all select 'after', lang from reposts join documents using (doc_id) where doc_id in (select doc_id from matched)) group by stage, lang",
         "w06_group_negative_stats": f"select group_id, count(*) as n_posts, count(*) filter (sentiment < 0) as n_negative, {r('count(*) filter (sentiment < 0) / count(*)')} as share from grouped group by 1",
         "w07_top_motives": "select motive, count(*) as n from clipped group by 1 order by n desc, motive limit 5",
+        "w07b_place_motives": "select motive, count(*) as n from clipped where category in ('EUROPE', 'ASIA') group by 1 order by n desc, motive limit 5",
+        "w07c_bounding_box": "select n_nationkey from (select n_nationkey, n_nationkey * 37 % 181 - 90 as lat, n_nationkey * 53 % 361 - 180 as lon from nation) where lat between -60 and 60 and (lon >= 100 or lon <= -100)",
         "w08_top_offences": "select offence, count(*) as n from clipped group by 1 order by n desc, offence limit 5",
         "w08b_motive_rollup": "select category, motive, count(*) as n from clipped group by rollup (category, motive)",
+        "w10d_posts_text": "select cast(ts as date) as day, lang, count(*) as n, cast(sum(len(text)) as bigint) as chars from events join documents on event_id % (select count(*) from documents) = doc_id group by 1, 2",
         "w10b_polarity": "select case when sentiment >= 0.05 then 'positive' when sentiment <= -0.05 then 'negative' else 'neutral' end as polarity, count(*) as n from posts group by 1",
         "w11_strong_share": f"select group_id, count(*) as n, {r('avg(case when abs(sentiment) > 0.5 then 1.0 else 0.0 end)')} as strong_share from grouped group by 1",
         "w12_soft_membership": f"select vec_id, topic_id, {r('p')} as p from soft where p >= 0.01",
@@ -191,6 +195,16 @@ def workload_sql() -> dict[str, str]:
         "w28c_decay": "select p.group_id, p.measure, cast(min(l.day - p.day) as int) as days_to_fall from (select * from long where value is not null qualify row_number() over (partition by group_id, measure order by value desc, day) = 1) p left join long l on l.group_id = p.group_id and l.measure = p.measure and l.day > p.day and l.value < p.value * 0.5 group by 1, 2",
         "w28d_event_window": f"select l.group_id, measure, event_day, {r('avg(value) filter (day < event_day)')} as before, {r('avg(value) filter (day > event_day)')} as after from long l join calendar c on c.group_id = l.group_id and abs(day - event_day) <= 30 group by 1, 2, 3",
         "w29_kg_nodes": "select node_id, kind from nodes",
+        "w29b_kg_node_props": """select node_id, kind, substr(node_id, instr(node_id, ':') + 1) as key, case kind when 'post' then 'author=' || p.author_id || ',day=' || cast(p.day as varchar)
+    when 'incident' then 'day=' || cast(k.day as varchar) when 'user' then coalesce('posts=' || u.n, '') when 'topic' then coalesce('groups=' || t.n, '') else '' end as props
+    from nodes left join posts p on kind = 'post' and node_id = 'post:' || p.post_id left join keyed k on kind = 'incident' and node_id = 'incident:' || k.incident_id
+    left join (select author_id, count(*) as n from posts group by 1) u on node_id = 'user:' || u.author_id left join (select topic_id, count(*) as n from grp group by 1) t on node_id = 'topic:' || t.topic_id""",
+        "w30b_thread_edges": "select 'user:' || a.conv_id || ':' || a.role as src, 'user:' || b.conv_id || ':' || b.role as dst, 'replied_to' as rel, cast(count(*) as double) as weight from conversations a join conversations b on a.conv_id = b.conv_id and b.turn = a.turn - 1 and a.turn > 0 group by all",
+        "w30c_written_graph": "select rel, count(*) as n, sum(weight) as weight from edges where rel in ('victimized', 'associated_with') group by 1",
+        "w30d_dated_edges": """select rel, cast(date_trunc('month', coalesce(p.day, k.day)) as date) as month, count(*) as n from edges
+    left join posts p on rel in ('tweeted', 'tweeted_on', 'in_topic', 'has_hashtag') and case rel when 'tweeted' then dst else src end = 'post:' || p.post_id
+    left join keyed k on rel in ('occurred_on', 'victimized') and src = 'incident:' || k.incident_id group by 1, 2""",
+        "w34d_subgraph_period": "select 'in_topic' as rel, count(*) as n from members join g0 using (topic_id) join posts using (post_id) where day between date '1996-01-01' and date '1996-03-31' union all select 'tweeted', count(*) from grouped where group_id = 0 and day between date '1996-01-01' and date '1996-03-31'",
         "w30_kg_edges": f"select src, dst, rel, {r('weight')} as weight from edges",
         "w31_kg_stats": "select 'node' as part, kind as name, count(*) as n from nodes group by rollup (kind) union all select 'edge', rel, count(*) from edges group by rollup (rel)",
         "w31b_kg_checks": "select 'endpoints' as \"check\", (select count(*) from (select src as x from edges union all select dst from edges) where x not in (select node_id from nodes)) as violations union all select 'posts', abs(count(*) filter (rel = 'tweeted') - count(*) filter (rel = 'tweeted_on')) from edges union all select 'incidents', abs(count(*) filter (rel = 'occurred_on') - count(*) filter (rel = 'victimized')) from edges",
@@ -239,6 +253,9 @@ from (select n.period, n.community, (select count(*) from ({_links("domtopic", 1
     body = with_views("select * from domgroup").removesuffix(" select * from domgroup").replace("with ", "with recursive ", 1)
     out["w40b_lifespans"] = f"{body}, links as materialized ({links}), chain as ({chain}) select period, community, max(length) as length from chain group by 1, 2"
     out["w09_sentiment_rules"], out["w10_sentiment_plain"] = _sentiment(True), _sentiment(False)
+    clean = "trim(regexp_replace(regexp_replace(lower(text), '[^\\p{L}\\p{N}\\s]', '', 'g'), '\\s+', ' ', 'g'))"
+    out["w09b_sentiment_clean"] = _sentiment(True).replace("text as body", f"{clean} as body")
+    out["w10c_sentiment_arrow"] = out["w10_sentiment_plain"]
     snap = with_views("select * from snapstream")
     out["w36_components"] = f"with recursive e as ({snap}), reach as (select distinct period, src as node, src as other from e union select distinct period, dst, dst from e union select r.period, r.node, case when e.src = r.other then e.dst else e.src end from reach r join e on e.period = r.period and (e.src = r.other or e.dst = r.other)) select period, node, min(other) as label from reach group by 1, 2"
     return out

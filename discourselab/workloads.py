@@ -11,7 +11,7 @@ from discourselab import oracles
 from discourselab.functions import text as tx
 from discourselab.functions.stats import pearson
 from discourselab.operators import community, general, graph, influence, measures, select, series, topics
-from discourselab.session import prepare, table
+from discourselab.session import prepare, scratch, table
 from discourselab.sources import carriers as cv
 from discourselab.streaming import monitor
 
@@ -83,6 +83,12 @@ def w04_term_filter_phrases(spark: SparkSession, d: str) -> DataFrame:
     return select.match_terms(table(spark, d, "documents"), expanded, "doc_id", "text", keep_hyphen=True).select("doc_id", F.col("term").alias("phrase"))
 
 
+def w04b_curated_terms(spark: SparkSession, d: str) -> DataFrame:
+    """Matches of the list without its generic terms."""
+    stop = spark.createDataFrame([(w,) for w in cv.DEROGATORY], "term string")
+    return select.match_terms(table(spark, d, "documents"), select.curate_terms(_phrases(spark, d), stop), "doc_id", "text")
+
+
 def w05_language_share(spark: SparkSession, d: str) -> DataFrame:
     posts = _posts_of(spark, d).join(table(spark, d, "documents").select("doc_id", "lang"), "doc_id")
     kept = posts.join(_matched_docs(spark, d).select("doc_id"), "doc_id", "left_semi")
@@ -101,6 +107,18 @@ def w07_top_motives(spark: SparkSession, d: str) -> DataFrame:
     return select.top_categories(_clipped(spark, d), "motive")
 
 
+def w07b_place_motives(spark: SparkSession, d: str) -> DataFrame:
+    """The most frequent motives of one region."""
+    return select.top_categories(select.clip_place(_clipped(spark, d), "category", "EUROPE", "ASIA"), "motive")
+
+
+def w07c_bounding_box(spark: SparkSession, d: str) -> DataFrame:
+    """Nations in a box across the date line, at invented places."""
+    key = F.col("n_nationkey")
+    places = table(spark, d, "nation").select(key, (key * 37 % 181 - 90).alias("lat"), (key * 53 % 361 - 180).alias("lon"))
+    return places.where(select.in_bbox(F.col("lat"), F.col("lon"), -60, 100, 60, -100)).select("n_nationkey")
+
+
 def w08_top_offences(spark: SparkSession, d: str) -> DataFrame:
     return select.top_categories(_clipped(spark, d), "offence")
 
@@ -122,6 +140,22 @@ def w10_sentiment_plain(spark: SparkSession, d: str) -> DataFrame:
     return _scored(spark, d, None)
 
 
+def w09b_sentiment_clean(spark: SparkSession, d: str) -> DataFrame:
+    """Scores of cleaned texts, which have lost what some rules read."""
+    docs = table(spark, d, "documents").select("doc_id", tx.sentiment(F.col("text"), rules=tx.Rules(), text_form="clean").alias("score"))
+    return _posts_of(spark, d).join(docs, "doc_id").select("post_id", "score")
+
+
+def w10c_sentiment_arrow(spark: SparkSession, d: str) -> DataFrame:
+    docs = table(spark, d, "documents").select("doc_id", tx.sentiment_arrow(F.col("text")).alias("score"))
+    return _posts_of(spark, d).join(docs, "doc_id").select("post_id", "score")
+
+
+def w10d_posts_text(spark: SparkSession, d: str) -> DataFrame:
+    """Microblog posts by day and language."""
+    return cv.posts_text(spark, d).groupBy("day", "lang").agg(F.count("*").alias("n"), F.sum(F.length("body")).alias("chars"))
+
+
 def w10b_polarity(spark: SparkSession, d: str) -> DataFrame:
     return cv.posts_retail(spark, d).groupBy(tx.polarity(F.col("sentiment")).alias("polarity")).agg(F.count("*").alias("n"))
 
@@ -307,6 +341,34 @@ def w29_kg_nodes(spark: SparkSession, d: str) -> DataFrame:
     return graph.build_nodes(_edges(spark, d))
 
 
+def w29b_kg_node_props(spark: SparkSession, d: str) -> DataFrame:
+    """Nodes with what is known of them, written as name=value."""
+    facts = graph.node_facts(cv.posts_retail(spark, d), _incident_rows(spark, d), cv.topic_groups(spark))
+    nodes = graph.describe_nodes(graph.build_nodes(_edges(spark, d)), facts)
+    shown = F.array_join(F.transform(F.array_sort(F.map_entries("props")), lambda e: F.concat_ws("=", e["key"], e["value"])), ",")
+    return nodes.select("node_id", "kind", "key", shown.alias("props"))
+
+
+def w30b_thread_edges(spark: SparkSession, d: str) -> DataFrame:
+    """Who answers whom in conversations."""
+    turns = cv.threads(spark, d)
+    before = turns.select(F.col("post_id").alias("reply_to"), F.col("author_id").alias("dst_user"))
+    return graph.e_between_users(turns.join(before, "reply_to").select(F.col("author_id").alias("src_user"), "dst_user"), "replied_to")
+
+
+def w30c_written_graph(spark: SparkSession, d: str) -> DataFrame:
+    """Relations read back from a graph written by relation."""
+    path = scratch(spark, "graph")
+    graph.write_graph(_edges(spark, d), path)
+    return spark.read.parquet(path).where("rel in ('victimized', 'associated_with')").groupBy("rel").agg(F.count("*").alias("n"), F.sum("weight").alias("weight"))
+
+
+def w30d_dated_edges(spark: SparkSession, d: str) -> DataFrame:
+    """Edges with a day, by relation and month."""
+    dated = graph.with_day(_edges(spark, d))
+    return dated.groupBy("rel", F.trunc("day", "month").alias("month")).agg(F.count("*").alias("n"))
+
+
 def w30_kg_edges(spark: SparkSession, d: str) -> DataFrame:
     return _edges(spark, d)
 
@@ -338,6 +400,12 @@ def w34b_subgraph(spark: SparkSession, d: str) -> DataFrame:
     return graph.subgraph(_edges(spark, d), ("tweeted", "in_topic"), 0).groupBy("rel").agg(F.count("*").alias("n"))
 
 
+def w34d_subgraph_period(spark: SparkSession, d: str) -> DataFrame:
+    """A group's posts and memberships of one quarter."""
+    held = graph.subgraph(graph.with_day(_edges(spark, d)), ("tweeted", "in_topic"), 0, ("1996-01-01", "1996-03-31"))
+    return held.groupBy("rel").agg(F.count("*").alias("n"))
+
+
 def w34c_cluster_profile(spark: SparkSession, d: str) -> DataFrame:
     posts = cv.posts_retail(spark, d)
     return graph.cluster_profile(posts, cv.membership_retail(spark, d), influence.active_users(posts, 15).select("user_id"))
