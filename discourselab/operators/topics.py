@@ -181,29 +181,69 @@ def near_pairs(vectors: DataFrame, k: int = 10, least_recall: float = 0.97, seed
 def cluster_density(vectors: DataFrame, min_topic_size: int = 30, min_samples: int = 5, k: int = 15, levels: int = 8) -> DataFrame:
     """(vec_id, topic_id) by density, with a minimum size and an outlier class.
 
-    Core distances and mutual reachability over a neighbour graph; the graph is cut at a ladder of levels
-    and connected. The level that keeps most vectors in at least two clusters of the minimum size wins.
-    A flat reading of density clustering: close in purpose to hierarchical extraction, not identical to it.
+    Core distances and mutual reachability over a neighbour graph; the graph is cut at a ladder of distances
+    and connected. Components of one cut lie within those of the next, so clusters of the minimum size form a
+    tree, and those of the most excess of mass in it are taken (``_excess_of_mass``). It differs from a tree
+    over every single distance in that clusters begin and end at the ladder's steps.
     """
     pairs = cut(near_pairs(vectors, k))
-    core = pairs.withColumn("_r", F.row_number().over(Window.partitionBy("a").orderBy("distance", "b"))).where(F.col("_r") == min_samples).select(F.col("a").alias("node"), F.col("distance").alias("core"))
+    nth = F.row_number().over(Window.partitionBy("a").orderBy("distance", "b"))
+    core = pairs.withColumn("_r", nth).where(F.col("_r") == min_samples).select(F.col("a").alias("node"), F.col("distance").alias("core"))
     reach = pairs.join(core.withColumnsRenamed({"node": "a", "core": "core_a"}), "a").join(core.withColumnsRenamed({"node": "b", "core": "core_b"}), "b")
     reach = cut(reach.select(F.col("a").alias("src"), F.col("b").alias("dst"), F.greatest("distance", "core_a", "core_b").alias("w")))
     steps = reach.agg(F.percentile_approx("w", [x / levels for x in range(1, levels + 1)], 1000)).first()[0] or []
-    best, kept = None, -1
-    for limit in steps:
-        labels = components(reach.where(F.col("w") <= limit).select("src", "dst"))
-        sizes = labels.groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= min_topic_size)
-        clusters, inside = (lambda r: (r.n, r.s or 0))(sizes.agg(F.count("*").alias("n"), F.sum("size").alias("s")).first())
-        if clusters >= 2 and inside > kept:
-            best, kept = cut(labels.join(sizes, "label").select("node", "label")), inside
-    if best is None:
+    steps = sorted({max(x, 1e-9) for x in steps})
+    cuts = [cut(components(reach.where(F.col("w") <= limit).select("src", "dst"))) for limit in steps]
+    taken = _excess_of_mass(cuts, steps, min_topic_size)
+    if taken is None:
         return vectors.select("vec_id", F.lit(OUTLIER).alias("topic_id"))
-    order = best.select("label").distinct().withColumn("topic_id", (F.row_number().over(Window.orderBy("label")) - 1).cast("int"))
-    named = best.join(F.broadcast(order), "label").select(F.col("node").alias("vec_id"), "topic_id")
+    order = taken.select("cluster").distinct().withColumn("topic_id", (F.row_number().over(Window.orderBy("cluster")) - 1).cast("int"))
+    named = taken.join(F.broadcast(order), "cluster").select(F.col("node").alias("vec_id"), "topic_id")
     return vectors.select("vec_id").join(named, "vec_id", "left").fillna(OUTLIER, ["topic_id"])
 
 
+def _excess_of_mass(cuts: list[DataFrame], steps: list[float], least: int) -> DataFrame | None:
+    """(node, cluster) of the clusters that outweigh what they split into; None without any.
+
+    ``cuts`` are (node, label) components from the finest cut to the coarsest. A cluster weighs its size times
+    the range of 1 / distance that it lives through, above the coarsest cut; with one large part below it, it is
+    the same cluster going on. A single cluster around all others is never taken if it splits.
+    """
+    states: list[DataFrame] = []
+    for k, labels in enumerate(cuts):
+        sizes = labels.groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= least)
+        lived = 1 / steps[k] - 1 / steps[min(k + 1, len(steps) - 1)]
+        mass = F.col("size") * lived
+        if not states:
+            state = sizes.select("label", mass.alias("own"), mass.alias("best"), F.lit(True).alias("take"), F.lit(False).alias("splits"))
+        else:
+            up = states[-1].withColumnRenamed("label", "node").join(labels, "node")
+            parts = up.groupBy("label").agg(F.count("*").alias("n"), F.sum("best").alias("below"), F.max("own").alias("one"), F.max("splits").alias("splits"))
+            held = sizes.join(parts, "label", "left").withColumn("own", mass + F.when(F.col("n") == 1, F.col("one")).otherwise(0.0))
+            below = F.coalesce("below", F.lit(0.0))
+            splits = F.coalesce((F.col("n") > 1) | F.col("splits"), F.lit(False)).alias("splits")
+            state = held.select("label", "own", F.greatest("own", below).alias("best"), (F.col("own") >= below).alias("take"), splits)
+        states.append(cut(state))
+    if not states or states[-1].isEmpty():
+        return None
+    alone = states[-1].count() == 1
+    reached, taken = states[-1].select("label"), None
+    for k in range(len(cuts) - 1, -1, -1):
+        here = states[k].join(reached, "label", "left_semi")
+        if alone:
+            here = here.withColumn("take", F.col("take") & ~F.col("splits"))
+        now = cuts[k].join(F.broadcast(here.where("take").select("label")), "label", "left_semi")
+        now = now.select("node", F.concat_ws("|", F.lit(f"{k:03d}"), F.col("label").cast("string")).alias("cluster"))
+        taken = now if taken is None else taken.unionByName(now)
+        if not k:
+            break
+        rest = here.where("not take").select("label")
+        inside = cuts[k].join(F.broadcast(rest), "label", "left_semi").select("node")
+        reached = cut(states[k - 1].select("label").join(inside, F.col("label") == F.col("node"), "left_semi"))
+        alone = alone and reached.count() == 1
+    return cut(taken)
+
+
 def random_topics(vectors: DataFrame, k: int, seed: int = 1) -> DataFrame:
     return vectors.select("vec_id", F.pmod(F.xxhash64(F.lit(seed), "vec_id"), F.lit(k)).cast("int").alias("topic_id"))
 

@@ -260,3 +260,19 @@ def test_louvain_by_joins_reaches_louvain_by_task(spark):
     local = quality(community.louvain(edges))
     assert quality(community.louvain(edges, task_edges=10)) >= 0.97 * local
     assert quality(community.label_propagation(edges)) >= 0.6 * local
+
+
+def test_clusters_of_the_most_excess_of_mass(spark):
+    frame = lambda rows: spark.createDataFrame(rows, "node long, label long")
+    a, b, c = range(0, 10), range(10, 20), range(20, 26)
+    fine = frame([(i, 0) for i in a] + [(i, 10) for i in b])
+    middle = frame([(i, 0) for i in a] + [(i, 10) for i in b] + [(i, 20) for i in c])
+    coarse = frame([(i, 0) for i in (*a, *b, *c)])
+    found = topics._excess_of_mass([fine, middle, coarse], [0.1, 0.5, 1.0], 5).collect()
+    sets = {frozenset(r.node for r in found if r.cluster == name) for name in {r.cluster for r in found}}
+    assert sets == {frozenset(a), frozenset(b), frozenset(c)}
+    joined = frame([(i, 0) for i in (*a, *b)] + [(i, 20) for i in c])
+    found = topics._excess_of_mass([fine, joined, coarse], [0.9, 1.0, 9.0], 5).collect()
+    sets = {frozenset(r.node for r in found if r.cluster == name) for name in {r.cluster for r in found}}
+    assert sets == {frozenset((*a, *b)), frozenset(c)}
+    assert topics._excess_of_mass([fine], [0.5], 50) is None
