@@ -74,21 +74,34 @@ def format_conversations(conversations: DataFrame) -> DataFrame:
     turns = conversations.select("conv_id", "turn", role.alias("role"), text.alias("text"))
     level = F.when(_returns(F.col("role"), F.col("text"), 0), 0).when(_returns(F.col("role"), F.col("text"), 1), 1).otherwise(2)
     chosen = lambda x, header=False: F.when(F.col("level") == 0, x).when(F.col("level") == 1, escape(x, 1, header)).otherwise(escape(x, 2, header))
-    written = turns.withColumn("level", level).select("conv_id", F.struct("turn", "role", "text", chosen(F.col("role"), True).alias("head"), chosen(F.col("text")).alias("body"), "level").alias("t"))
+    written = (
+        turns.withColumn("level", level)
+        .select("conv_id", F.struct("turn", "role", "text", chosen(F.col("role"), True).alias("head"), chosen(F.col("text")).alias("body"), "level").alias("t"))
+    )
     ordered = written.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("t"))
 
     def pieces(t: Column) -> Column:
         part = lambda x, loss: F.struct(x.alias("text"), F.lit(loss).alias("loss"))
         head, tail = F.concat(F.lit(OPEN), t["head"], F.lit("\n")), F.lit(f"{CLOSE}\n")
-        return F.when(t["role"] == TRAINED, F.array(part(head, False), part(t["body"], True), part(tail, False))).otherwise(F.array(part(F.concat(head, t["body"], tail), False)))
+        return (
+            F.when(t["role"] == TRAINED, F.array(part(head, False), part(t["body"], True), part(tail, False)))
+            .otherwise(F.array(part(F.concat(head, t["body"], tail), False)))
+        )
 
-    segments = ordered.select("conv_id", F.flatten(F.transform("t", pieces)).alias("segments"), F.size(F.filter("t", lambda t: t["level"] > 0)).alias("escaped_turns"))
+    segments = ordered.select(
+        "conv_id",
+        F.flatten(F.transform("t", pieces)).alias("segments"),
+        F.size(F.filter("t", lambda t: t["level"] > 0)).alias("escaped_turns"),
+    )
     return segments.withColumn("formatted", F.array_join(F.transform("segments", lambda s: s["text"]), ""))
 
 
 def read_back(formatted: DataFrame) -> DataFrame:
     """Counts and digests of what the formatted text and its loss mask say."""
-    read = formatted.withColumn("turns", parse(F.col("formatted"))).withColumn("trained", F.array_join(F.transform(F.filter("segments", lambda s: s["loss"]), lambda s: unescape(s["text"])), ""))
+    read = (
+        formatted.withColumn("turns", parse(F.col("formatted")))
+        .withColumn("trained", F.array_join(F.transform(F.filter("segments", lambda s: s["loss"]), lambda s: unescape(s["text"])), ""))
+    )
     return read.select(
         "conv_id",
         F.size("turns").cast("long").alias("n_turns"),
@@ -101,4 +114,12 @@ def read_back(formatted: DataFrame) -> DataFrame:
 
 def probe(spark: SparkSession) -> DataFrame:
     """Conversation -1: both its turns say what the template itself says."""
-    return spark.range(2).select(F.lit(-1).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(PROBE).alias("text"))
+    return (
+        spark.range(2)
+        .select(
+            F.lit(-1).cast("long").alias("conv_id"),
+            F.col("id").alias("turn"),
+            F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"),
+            F.lit(PROBE).alias("text"),
+        )
+    )

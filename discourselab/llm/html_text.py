@@ -45,19 +45,41 @@ HEADING = 4 * LINE
 FORM, HINT = 0.25, 0.5
 
 _VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
-_BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
+_BLOCKS = frozenset((
+    "address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer "
+    "form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th "
+    "thead tr ul"
+).split())
 #: Elements that may be the region.
 _REGIONS = frozenset("article body center div form html main section".split())
 #: Elements whose text is never shown as running text.
 _UNSEEN = frozenset("head script style noscript template iframe object svg canvas math button select textarea dialog".split())
 _BOILERPLATE = frozenset("nav aside footer form menu".split())
 _ROLES = frozenset("navigation banner contentinfo complementary search alert alertdialog dialog menu menubar form".split())
-_HINTS = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe signup login sidebar sidebars widget widgets menu menus nav navbar navigation breadcrumb breadcrumbs footer masthead topbar toolbar comment comments commentlist disqus respond replies share sharing social related recommended recommendations trending pagination pager".split())
+_HINTS = frozenset((
+    "ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner cookie cookies "
+    "consent gdpr notice notices popup modal overlay newsletter subscribe signup login sidebar sidebars widget widgets "
+    "menu menus nav navbar navigation breadcrumb breadcrumbs footer masthead topbar toolbar comment comments commentlist "
+    "disqus respond replies share sharing social related recommended recommendations trending pagination pager"
+).split())
 #: Words that say nothing by themselves beside a hint.
-_PLAIN = frozenset("area bar block bottom box buttons column container content form group inner items item left link links list main outer panel posts primary right secondary section site slot stories text top unit wrap wrapper".split())
+_PLAIN = frozenset((
+    "area bar block bottom box buttons column container content form group inner items item left link links list main "
+    "outer panel posts primary right secondary section site slot stories text top unit wrap wrapper"
+).split())
 _NAME, _WORD = re.compile(r"\S+"), re.compile(r"[A-Za-z]+")
 #: What the start of a tag ends, up to the nearest element that is not listed here.
-_ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "td": {"td", "th"}, "th": {"td", "th"}, "tr": {"td", "th", "tr"}, "option": {"option"}, "tbody": {"td", "th", "tr", "tbody", "thead"}, "tfoot": {"td", "th", "tr", "tbody", "thead"}}
+_ENDS = {
+    "li": {"li"},
+    "dt": {"dt", "dd"},
+    "dd": {"dt", "dd"},
+    "td": {"td", "th"},
+    "th": {"td", "th"},
+    "tr": {"td", "th", "tr"},
+    "option": {"option"},
+    "tbody": {"td", "th", "tr", "tbody", "thead"},
+    "tfoot": {"td", "th", "tr", "tbody", "thead"},
+}
 _OPENABLE = frozenset().union(*_ENDS.values(), {"p", "head"})
 
 
@@ -265,6 +287,9 @@ def extract(pages: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = [main_text(x.as_py()) for x in batch.column(2)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(x) for x in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(x) for x in texts], pa.int64())],
+                ["page_id", "url", "text", "n_chars"],
+            )
 
     return pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html").mapInArrow(run, "page_id long, url string, text string, n_chars long")

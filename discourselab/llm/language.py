@@ -186,6 +186,12 @@ def identify(docs: DataFrame) -> DataFrame:
         predict = held.value.predict
         for batch in batches:
             found = [predict(text.as_py()) for text in batch.column(2)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out().alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())],
+                ["doc_id", "held_out", "lang_pred", "score"],
+            )
+
+    return (
+        docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out().alias("held_out"), "text")
+        .mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    )

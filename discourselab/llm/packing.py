@@ -100,7 +100,10 @@ def _piece_batches(held):
                     rank[b - a] += 1
             columns = zip(*out, strict=True) if out else [[]] * 7
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True)], ["doc_id", "piece", "start", "length", "ids_crc32", "task", "rank"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True)],
+                ["doc_id", "piece", "start", "length", "ids_crc32", "task", "rank"],
+            )
 
     return run
 
@@ -108,7 +111,10 @@ def _piece_batches(held):
 def pieces(docs: DataFrame, tokenizer: str) -> DataFrame:
     spark = prepare(docs.sparkSession)
     held = spark.sparkContext.broadcast(Path(tokenizer).read_bytes())
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_piece_batches(held), "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long")
+    return (
+        docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+        .mapInArrow(_piece_batches(held), "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long")
+    )
 
 
 Filling = tuple[int, list[tuple[int, int]]]

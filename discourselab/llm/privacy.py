@@ -131,7 +131,10 @@ def _replaced(text: Column, marks: Column) -> Column:
 
     def walk(state: Column, m: Column) -> Column:
         kept = F.substring(text, state.pos + 1, F.greatest(m["start"] - state.pos, F.lit(0)))
-        moved = F.struct(m["end"].alias("pos"), F.concat(state.parts, F.array(kept, F.when(m["start"] >= state.pos, m["label"]).otherwise(F.lit("")))).alias("parts"))
+        moved = F.struct(
+            m["end"].alias("pos"),
+            F.concat(state.parts, F.array(kept, F.when(m["start"] >= state.pos, m["label"]).otherwise(F.lit("")))).alias("parts"),
+        )
         return F.when(m["end"] <= state.pos, state).otherwise(moved)
 
     first = F.struct(F.lit(0).alias("pos"), F.array().cast("array<string>").alias("parts"))
@@ -185,7 +188,11 @@ def revealing_terms(docs: DataFrame) -> DataFrame:
     based = docs.select(F.xxhash64("text").alias("doc"), F.coalesce("text", F.lit("")).alias("text")).select("doc", base_matches(F.col("text")).alias("pii"))
     named = lambda k: F.transform(F.col(f"pii.{k}"), lambda m: F.struct(F.concat(F.lit(f"{k}:"), _normal(k, m["match"])).alias("entity"), m["left"].alias("left"), m["right"].alias("right")))
     near = based.select("doc", F.explode(F.flatten(F.array(*map(named, PATTERNS)))).alias("x"))
-    sides = F.concat(F.regexp_replace(F.right("x.left", F.lit(CONTEXT)), r"^[\p{L}\p{N}]+", ""), F.lit(" "), F.regexp_replace(F.left("x.right", F.lit(CONTEXT)), r"[\p{L}\p{N}]+$", ""))
+    sides = F.concat(
+        F.regexp_replace(F.right("x.left", F.lit(CONTEXT)), r"^[\p{L}\p{N}]+", ""),
+        F.lit(" "),
+        F.regexp_replace(F.left("x.right", F.lit(CONTEXT)), r"[\p{L}\p{N}]+$", ""),
+    )
     near = cut(near.select("doc", F.xxhash64("x.entity").alias("entity"), sides.alias("context")))
     holders = near.groupBy("entity").agg(F.count_distinct("doc").alias("holders"))
     met = near.select("doc", "entity", F.xxhash64("context").alias("context"), F.explode(_terms_of(F.col("context"))).alias("term"))
@@ -226,7 +233,16 @@ def _marks_of(base: Column, label: str | None = None, terms: Column | None = Non
 
     def marks(kind: str, rank: int, found: Column, shown: Column | None = None) -> Column:
         name = F.lit(f"[{kind.upper()}]" if label is None else label)
-        return F.transform(found, lambda m: F.struct(m["start"].alias("start"), F.lit(rank).alias("rank"), m["end"].alias("end"), F.lit(kind).alias("kind"), (name if shown is None else _class_of(m)).alias("label")))
+        return F.transform(
+            found,
+            lambda m: F.struct(
+                m["start"].alias("start"),
+                F.lit(rank).alias("rank"),
+                m["end"].alias("end"),
+                F.lit(kind).alias("kind"),
+                (name if shown is None else _class_of(m)).alias("label"),
+            ),
+        )
 
     every = [marks(k, i, base[k]) for i, k in enumerate(PATTERNS)]
     return F.array_sort(F.concat(*every, *([] if terms is None else [marks("term", len(PATTERNS), terms, terms)])))

@@ -125,7 +125,16 @@ def _judge(text: str | None, ratios: np.ndarray) -> tuple:
     return (*rules, failed, score, not failed and score >= THRESHOLD)
 
 
-_VERDICT = {"n_words": pa.int64(), "word_chars": pa.int64(), "n_symbols": pa.int64(), "n_dup_lines": pa.int64(), "n_repeat_words": pa.int64(), "base_failed": pa.bool_(), "score": pa.float64(), "kept": pa.bool_()}
+_VERDICT = {
+    "n_words": pa.int64(),
+    "word_chars": pa.int64(),
+    "n_symbols": pa.int64(),
+    "n_dup_lines": pa.int64(),
+    "n_repeat_words": pa.int64(),
+    "base_failed": pa.bool_(),
+    "score": pa.float64(),
+    "kept": pa.bool_(),
+}
 
 
 def judge(docs: DataFrame, trusted: np.ndarray) -> DataFrame:
@@ -136,9 +145,18 @@ def judge(docs: DataFrame, trusted: np.ndarray) -> DataFrame:
         for batch in batches:
             rows = [_judge(text.as_py(), ratios.value) for text in batch.column(1)]
             columns = zip(*rows, strict=True) if rows else [[]] * len(_VERDICT)
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), *(pa.array(list(x), kind) for x, kind in zip(columns, _VERDICT.values(), strict=True))], ["doc_id", *_VERDICT])
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, score double, kept boolean")
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0).cast(pa.int64()), *(pa.array(list(x), kind) for x, kind in zip(columns, _VERDICT.values(), strict=True))],
+                ["doc_id", *_VERDICT],
+            )
+
+    return (
+        docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+        .mapInArrow(
+            run,
+            "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, score double, kept boolean",
+        )
+    )
 
 
 def keep_good(docs: DataFrame, trusted: np.ndarray) -> DataFrame:

@@ -228,7 +228,11 @@ def _deal(common, shards: int):
             payloads = []
             for a, b in zip(cut.tolist(), np.append(cut[1:], len(low)).tolist(), strict=True):
                 texts_here, n = np.unique(owner[a:b], return_counts=True)
-                payloads.append(np.uint32(len(n)).tobytes() + keys[texts_here].tobytes() + n.astype(np.uint32).tobytes() + low[a:b].tobytes() + right[a:b].tobytes() + left[a:b].tobytes())
+                payloads.append(
+                    np.uint32(len(n)).tobytes() + keys[
+                        texts_here
+                    ].tobytes() + n.astype(np.uint32).tobytes() + low[a:b].tobytes() + right[a:b].tobytes() + left[a:b].tobytes()
+                )
             yield pa.RecordBatch.from_arrays([pa.array(shard[cut].astype(np.int32)), pa.array(payloads, pa.binary())], ["shard", "payload"])
 
     return run
@@ -323,7 +327,12 @@ def _cut_out(common, anchor_shards: int):
                 if (fine := _among(hot, s.hash[take])).any():
                     times = np.where(fine, windows, 1)
                     first = np.cumsum(times) - times
-                    text, anchor, start = np.repeat(text, times), np.repeat(anchor, times), np.repeat(start - first, times) + np.where(np.repeat(fine, times), np.arange(times.sum()), np.repeat(first, times))
+                    text, anchor, start = (
+                        np.repeat(text, times), np
+                        .repeat(anchor, times), np
+                        .repeat(start - first, times) + np
+                        .where(np.repeat(fine, times), np.arange(times.sum()), np.repeat(first, times))
+                    )
                     windows, fine = np.repeat(np.where(fine, 1, windows), times), np.repeat(fine, times)
                     anchor[fine] = [xxhash.xxh64_intdigest(parts[o][i : i + LENGTH]) >> 1 for o, i in zip(text[fine].tolist(), start[fine].tolist(), strict=True)]
                 segs = [parts[o][i : i + w + LENGTH - 1] for o, i, w in zip(text.tolist(), start.tolist(), windows.tolist(), strict=True)]
@@ -498,13 +507,18 @@ def _index_shard(group: pa.Table) -> pa.Table:
     lists = lambda x, kind: pa.LargeListArray.from_arrays(pa.array(np.append(begin, len(string))), pa.array(x.astype(kind))).cast(pa.list_(pa.from_numpy_dtype(kind)))
     base = offsets[string]
     names = {x: group.column(x).take(pa.array(string[begin])) for x in ("a", "b")}
-    return pa.table(names | {"starts": lists(starts - base, np.int32), "ends": lists(ends - base + LENGTH - 1, np.int32), "holders": lists(found[starts], np.int64)})
+    return pa.table(
+        names | {"starts": lists(starts - base, np.int32), "ends": lists(ends - base + LENGTH - 1, np.int32), "holders": lists(found[starts], np.int64)}
+    )
 
 
 def _pack_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     pack = zstandard.ZstdCompressor(level=1).compress
     for batch in batches:
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([pack(_bytes(x)) for x in batch.column(2)], pa.binary())], ["doc_id", "key", "packed"])
+        yield pa.RecordBatch.from_arrays(
+            [batch.column(0), batch.column(1), pa.array([pack(_bytes(x)) for x in batch.column(2)], pa.binary())],
+            ["doc_id", "key", "packed"],
+        )
 
 
 def merged(spans: np.ndarray) -> np.ndarray:
@@ -538,7 +552,10 @@ def _finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             out.append((len(text), int((spans[:, 1] - spans[:, 0]).sum()), len(spans), hashlib.sha256(b"".join(kept)).hexdigest()))
         columns = list(zip(*out, strict=True)) if out else [[]] * 4
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string())
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+        yield pa.RecordBatch.from_arrays(
+            [batch.column("doc_id"), *(pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True))],
+            ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"],
+        )
 
 
 @contextmanager
