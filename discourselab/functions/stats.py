@@ -50,7 +50,11 @@ def distributed_rank(df: DataFrame, value: str) -> DataFrame:
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each partition
     offset = below.select("part", F.coalesce(F.sum("size").over(before), F.lit(0)).alias("offset"))
     within = F.coalesce(F.sum("n").over(Window.partitionBy("part").orderBy(value).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return held.select(value, "n", "part", within.alias("within")).join(F.broadcast(offset), "part").select(value, (F.col("offset") + F.col("within") + (F.col("n") + 1) / 2.0).alias("rank"))
+    return (
+        held.select(value, "n", "part", within.alias("within"))
+        .join(F.broadcast(offset), "part")
+        .select(value, (F.col("offset") + F.col("within") + (F.col("n") + 1) / 2.0).alias("rank"))
+    )
 
 
 def _fraction(a: float, b: float, x: float) -> float:
@@ -104,7 +108,12 @@ def describe(r: Column, p: Column) -> Column:
     """none / weak / moderate / strong, with sign, and whether it is significant at .05."""
     size = F.abs(r)
     strength = F.when(size < 0.1, "none").when(size < 0.4, "weak").when(size < 0.7, "moderate").otherwise("strong")
-    return F.concat_ws(" ", strength, F.when(size >= 0.1, F.when(r > 0, "positive").otherwise("negative")), F.when(p < 0.05, "significant").otherwise("not significant"))
+    return F.concat_ws(
+        " ",
+        strength,
+        F.when(size >= 0.1, F.when(r > 0, "positive").otherwise("negative")),
+        F.when(p < 0.05, "significant").otherwise("not significant"),
+    )
 
 
 def block_permutation_p(x: np.ndarray, y: np.ndarray, block: int = 30, rounds: int = 999, seed: int = 0) -> float:

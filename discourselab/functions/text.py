@@ -38,14 +38,23 @@ def runs_of(tokens: Column, lengths: Iterable[int]) -> Column:
 
 
 def plural(term: Column) -> Column:
-    return F.when(term.rlike("(s|x|z|ch|sh)$"), F.concat(term, F.lit("es"))).when(term.rlike("[^aeiou]y$"), F.concat(F.regexp_replace(term, "y$", "i"), F.lit("es"))).otherwise(F.concat(term, F.lit("s")))
+    return (
+        F.when(term.rlike("(s|x|z|ch|sh)$"), F.concat(term, F.lit("es")))
+        .when(term.rlike("[^aeiou]y$"), F.concat(F.regexp_replace(term, "y$", "i"), F.lit("es")))
+        .otherwise(F.concat(term, F.lit("s")))
+    )
 
 
 def expand_terms(terms: DataFrame, plurals: bool = True, joined: bool = True, hyphen: bool = True) -> DataFrame:
     """(base, term): each term with its plural, written in one word and with hyphens."""
     base = F.col("base")
     forms = F.array(base, plural(base)) if plurals else F.array(base)
-    variants = F.flatten(F.transform(forms, lambda f: F.array(f, *([F.replace(f, F.lit(" "), F.lit(""))] if joined else []), *([F.replace(f, F.lit(" "), F.lit("-"))] if hyphen else []))))
+    variants = F.flatten(
+        F.transform(
+            forms,
+            lambda f: F.array(f, *([F.replace(f, F.lit(" "), F.lit(""))] if joined else []), *([F.replace(f, F.lit(" "), F.lit("-"))] if hyphen else [])),
+        )
+    )
     return terms.select("base", F.explode(F.array_distinct(variants)).alias("term")).distinct()
 
 

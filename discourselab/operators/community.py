@@ -12,7 +12,14 @@ from discourselab.plans.iterate import components
 from discourselab.session import cut, settle
 
 
-def snapshots(posts: DataFrame, members: DataFrame, topics: DataFrame, period: str = "month", weight_mode: str = "unit", replies: DataFrame | None = None) -> DataFrame:
+def snapshots(
+    posts: DataFrame,
+    members: DataFrame,
+    topics: DataFrame,
+    period: str = "month",
+    weight_mode: str = "unit",
+    replies: DataFrame | None = None,
+) -> DataFrame:
     """(period, src, dst, weight): undirected edges of a group by month, quarter or week.
 
     A post's edges are user-post and post-topic; memberships weigh one each, or their probability. With
@@ -21,8 +28,17 @@ def snapshots(posts: DataFrame, members: DataFrame, topics: DataFrame, period: s
     at = F.to_date(F.date_trunc(period, "day")).alias("period")
     inside = members.join(F.broadcast(topics), "topic_id", "left_semi").join(posts, "post_id")
     post = F.concat(F.lit("post:"), F.col("post_id").cast("string"))
-    written = inside.select(at, F.concat(F.lit("user:"), F.col("author_id").cast("string")).alias("a"), post.alias("b")).distinct().withColumn("weight", F.lit(1.0))
-    about = inside.select(at, post.alias("a"), F.concat(F.lit("topic:"), F.col("topic_id").cast("string")).alias("b"), (F.lit(1.0) if weight_mode == "unit" else F.col("p")).alias("weight"))
+    written = (
+        inside.select(at, F.concat(F.lit("user:"), F.col("author_id").cast("string")).alias("a"), post.alias("b"))
+        .distinct()
+        .withColumn("weight", F.lit(1.0))
+    )
+    about = inside.select(
+        at,
+        post.alias("a"),
+        F.concat(F.lit("topic:"), F.col("topic_id").cast("string")).alias("b"),
+        (F.lit(1.0) if weight_mode == "unit" else F.col("p")).alias("weight"),
+    )
     edges = written.unionByName(about)
     if replies is not None:
         user = lambda c: F.concat(F.lit("user:"), F.col(c).cast("string"))
@@ -115,11 +131,17 @@ def louvain(edges: DataFrame, resolution: float = 1.0, task_edges: int = 2_000_0
 def modularity(edges: DataFrame, labels: DataFrame, resolution: float = 1.0) -> DataFrame:
     """(period, modularity) of a labelling of undirected weighted snapshots."""
     named = labels.select("period", F.col("node"), F.col("community"))
-    both = edges.join(named.withColumnsRenamed({"node": "src", "community": "c1"}), ["period", "src"]).join(named.withColumnsRenamed({"node": "dst", "community": "c2"}), ["period", "dst"])
+    both = (
+        edges.join(named.withColumnsRenamed({"node": "src", "community": "c1"}), ["period", "src"])
+        .join(named.withColumnsRenamed({"node": "dst", "community": "c2"}), ["period", "dst"])
+    )
     inside = both.groupBy("period").agg(F.sum("weight").alias("m"), F.sum(F.when(F.col("c1") == F.col("c2"), F.col("weight")).otherwise(0.0)).alias("inside"))
     ends = both.select("period", F.explode(F.array("c1", "c2")).alias("community"), "weight").groupBy("period", "community").agg(F.sum("weight").alias("d"))
     square = ends.groupBy("period").agg(F.sum(F.col("d") * F.col("d")).alias("d2"))
-    return inside.join(square, "period").select("period", (F.col("inside") / F.col("m") - resolution * F.col("d2") / (4 * F.col("m") * F.col("m"))).alias("modularity"))
+    return (
+        inside.join(square, "period")
+        .select("period", (F.col("inside") / F.col("m") - resolution * F.col("d2") / (4 * F.col("m") * F.col("m"))).alias("modularity"))
+    )
 
 
 def louvain_distributed(edges: DataFrame, resolution: float = 1.0, tol: float = 1e-4, max_rounds: int = 100) -> DataFrame:
@@ -140,7 +162,9 @@ def louvain_distributed(edges: DataFrame, resolution: float = 1.0, tol: float =
             return final
         named = labels.withColumn("name", F.min("node").over(Window.partitionBy("period", "own"))).select("period", "node", "name")
         named = settle(named)
-        final = settle(final.join(named.withColumnRenamed("node", "community"), ["period", "community"]).select("period", "node", F.col("name").alias("community")))
+        final = settle(
+            final.join(named.withColumnRenamed("node", "community"), ["period", "community"]).select("period", "node", F.col("name").alias("community"))
+        )
         ends = [named.withColumnsRenamed({"node": end, "name": new}) for end, new in (("src", "a"), ("dst", "b"))]
         moved = graph.join(ends[0], ["period", "src"]).join(ends[1], ["period", "dst"])
         graph = settle(moved.groupBy("period", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).agg(F.sum("weight").alias("weight")))
@@ -196,7 +220,11 @@ def label_propagation(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     both = cut(_both_ways(edges))
     labels = both.select("period", F.col("src").alias("node")).distinct().withColumn("community", F.col("node"))
     for turn in range(max_rounds):
-        around = both.join(labels.withColumnRenamed("node", "dst"), ["period", "dst"]).groupBy("period", F.col("src").alias("node"), "community").agg(F.round(F.sum("weight"), 9).alias("w"))
+        around = (
+            both.join(labels.withColumnRenamed("node", "dst"), ["period", "dst"])
+            .groupBy("period", F.col("src").alias("node"), "community")
+            .agg(F.round(F.sum("weight"), 9).alias("w"))
+        )
         own = labels.withColumnRenamed("community", "own")
         order = F.struct(-F.col("w"), (F.col("community") != F.col("own")).cast("int"), "community")
         wanted = cut(around.join(own, ["period", "node"]).groupBy("period", "node", "own").agg(F.min_by("community", order).alias("community")))
@@ -211,7 +239,11 @@ def period_components(edges: DataFrame) -> DataFrame:
     """(period, node, label): connected components of every snapshot at once."""
     tag = lambda c: F.concat(F.date_format("period", "yyyy-MM-dd"), F.lit("|"), F.col(c))
     found = components(edges.select(tag("src").alias("src"), tag("dst").alias("dst")))
-    return found.select(F.to_date(F.substring_index("node", "|", 1)).alias("period"), F.substring_index("node", "|", -1).alias("node"), F.substring_index("label", "|", -1).alias("label"))
+    return found.select(
+        F.to_date(F.substring_index("node", "|", 1)).alias("period"),
+        F.substring_index("node", "|", -1).alias("node"),
+        F.substring_index("label", "|", -1).alias("label"),
+    )
 
 
 def user_communities(labels: DataFrame, min_size: int) -> DataFrame:
@@ -237,7 +269,10 @@ def evolve(users: DataFrame, step_months: int, gamma: float = 0.01, by: tuple[st
     first = sizes.select(*by, "period", F.col("community").alias("a"), F.col("size").alias("_sa"))
     second = sizes.select(*by, F.col("period").alias("_next"), F.col("community").alias("b"), F.col("size").alias("_sb"))
     linked = common.join(first, [*by, "period", "a"]).join(second, [*by, "_next", "b"])
-    return linked.select(*by, "period", "a", "b", "common", (F.col("common") / (F.col("_sa") + F.col("_sb") - F.col("common"))).alias("jaccard")).where(F.col("jaccard") >= gamma)
+    return (
+        linked.select(*by, "period", "a", "b", "common", (F.col("common") / (F.col("_sa") + F.col("_sb") - F.col("common"))).alias("jaccard"))
+        .where(F.col("jaccard") >= gamma)
+    )
 
 
 def evolve_bruteforce(users: DataFrame, step_months: int, gamma: float = 0.01) -> DataFrame:
@@ -271,7 +306,11 @@ def lifespans(users: DataFrame, links: DataFrame, step_months: int, max_periods:
     """(period, community, length): periods in the longest chain of links that ends at a community."""
     now = cut(users.select("period", "community").distinct().withColumn("length", F.lit(1)))
     for _ in range(max_periods):
-        carried = links.join(now.withColumnRenamed("community", "a"), ["period", "a"]).groupBy(F.add_months("period", step_months).alias("period"), F.col("b").alias("community")).agg((F.max("length") + 1).alias("longer"))
+        carried = (
+            links.join(now.withColumnRenamed("community", "a"), ["period", "a"])
+            .groupBy(F.add_months("period", step_months).alias("period"), F.col("b").alias("community"))
+            .agg((F.max("length") + 1).alias("longer"))
+        )
         better = cut(now.join(carried, ["period", "community"], "left").select("period", "community", F.greatest("length", "longer").alias("length")))
         if better.exceptAll(now).isEmpty():
             break

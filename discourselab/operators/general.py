@@ -34,24 +34,46 @@ def op(sql: str | None) -> Callable[[Query], Query]:
 
 @op("select l_orderkey, l_linenumber, l_quantity from lineitem where l_shipdate >= timestamp '1997-01-01' and l_shipdate < timestamp '1997-02-01'")
 def scan_prune(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "lineitem").where("l_shipdate >= timestamp_ntz'1997-01-01' and l_shipdate < timestamp_ntz'1997-02-01'").select("l_orderkey", "l_linenumber", "l_quantity")
+    return (
+        table(spark, d, "lineitem")
+        .where("l_shipdate >= timestamp_ntz'1997-01-01' and l_shipdate < timestamp_ntz'1997-02-01'")
+        .select("l_orderkey", "l_linenumber", "l_quantity")
+    )
 
 
-@op("select o_orderkey from orders where o_orderstatus in ('F', 'O') and o_orderpriority like '1%' and o_totalprice between 1000 and 300000 and o_custkey is not distinct from o_custkey")
+@op((
+    "select o_orderkey from orders where o_orderstatus in ('F', 'O') and o_orderpriority like '1%' and o_totalprice "
+    "between 1000 and 300000 and o_custkey is not distinct from o_custkey"
+))
 def filter_predicates(spark: SparkSession, d: str) -> DataFrame:
     o = table(spark, d, "orders")
-    return o.where(o.o_orderstatus.isin("F", "O") & o.o_orderpriority.like("1%") & o.o_totalprice.between(1000, 300000) & o.o_custkey.eqNullSafe(o.o_custkey)).select("o_orderkey")
+    return (
+        o.where(o.o_orderstatus.isin("F", "O") & o.o_orderpriority.like("1%") & o.o_totalprice.between(1000, 300000) & o.o_custkey.eqNullSafe(o.o_custkey))
+        .select("o_orderkey")
+    )
 
 
 @op("select l_orderkey, l_linenumber, l_quantity, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) as charge from lineitem")
 def project_expr(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_quantity", (F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax"))).alias("charge"))
+    return table(spark, d, "lineitem").select(
+        "l_orderkey",
+        "l_linenumber",
+        "l_quantity",
+        (F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax"))).alias("charge"),
+    )
 
 
-@op("select c_custkey, case when c_acctbal < 0 then 'debt' when c_acctbal < 5000 then 'some' else 'rich' end as band, coalesce(nullif(c_mktsegment, 'BUILDING'), 'none') as segment from customer")
+@op((
+    "select c_custkey, case when c_acctbal < 0 then 'debt' when c_acctbal < 5000 then 'some' else 'rich' end as band, "
+    "coalesce(nullif(c_mktsegment, 'BUILDING'), 'none') as segment from customer"
+))
 def case_coalesce(spark: SparkSession, d: str) -> DataFrame:
     band = F.when(F.col("c_acctbal") < 0, "debt").when(F.col("c_acctbal") < 5000, "some").otherwise("rich")
-    return table(spark, d, "customer").select("c_custkey", band.alias("band"), F.coalesce(F.nullif("c_mktsegment", F.lit("BUILDING")), F.lit("none")).alias("segment"))
+    return table(spark, d, "customer").select(
+        "c_custkey",
+        band.alias("band"),
+        F.coalesce(F.nullif("c_mktsegment", F.lit("BUILDING")), F.lit("none")).alias("segment"),
+    )
 
 
 @op("select o_orderkey from orders where o_orderkey % 7 = 3")
@@ -90,7 +112,10 @@ def replay_source(spark: SparkSession, d: str) -> DataFrame:
 
 # joins
 
-_JOIN_SQL = "select n_name, count(*) as n, round(sum(o_totalprice), 2) as total from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey group by 1"
+_JOIN_SQL = (
+    "select n_name, count(*) as n, round(sum(o_totalprice), 2) as total from orders join customer on o_custkey = c_custkey "
+    "join nation on c_nationkey = n_nationkey group by 1"
+)
 
 
 def _joined(spark: SparkSession, d: str, hint: str) -> DataFrame:
@@ -120,7 +145,10 @@ def join_theta(spark: SparkSession, d: str) -> DataFrame:
     return s.join(F.broadcast(n), (s.s_acctbal > n.n_nationkey * 400) & (s.s_nationkey != n.n_nationkey)).select("s_suppkey", "n_nationkey")
 
 
-_NEAR = "select a.event_id as error_id, b.event_id as near_id from events a join events b on a.user_id = b.user_id and a.event_type = 'error' and b.event_type <> 'error' and b.ts between a.ts and a.ts + interval 1 hour"
+_NEAR = (
+    "select a.event_id as error_id, b.event_id as near_id from events a join events b on a.user_id = b.user_id and "
+    "a.event_type = 'error' and b.event_type <> 'error' and b.ts between a.ts and a.ts + interval 1 hour"
+)
 
 
 def near_errors(events: DataFrame, seconds: int = 3600) -> DataFrame:
@@ -128,7 +156,15 @@ def near_errors(events: DataFrame, seconds: int = 3600) -> DataFrame:
     at = F.unix_micros(F.col("ts").cast("timestamp"))
     width = seconds * 1_000_000
     base = events.select("event_id", "user_id", "event_type", at.alias("at"))
-    errors = base.where("event_type = 'error'").select(F.col("event_id").alias("error_id"), "user_id", F.col("at").alias("t"), F.explode(F.array(F.floor(F.col("at") / width), F.floor(F.col("at") / width) + 1)).alias("bucket"))
+    errors = (
+        base.where("event_type = 'error'")
+        .select(
+            F.col("event_id").alias("error_id"),
+            "user_id",
+            F.col("at").alias("t"),
+            F.explode(F.array(F.floor(F.col("at") / width), F.floor(F.col("at") / width) + 1)).alias("bucket"),
+        )
+    )
     others = base.where("event_type <> 'error'").select(F.col("event_id").alias("near_id"), "user_id", "at", F.floor(F.col("at") / width).alias("bucket"))
     return errors.join(others, ["user_id", "bucket"]).where((F.col("at") >= F.col("t")) & (F.col("at") <= F.col("t") + width)).select("error_id", "near_id")
 
@@ -146,12 +182,18 @@ def join_interval(spark: SparkSession, d: str) -> DataFrame:
 
 def as_of(left: DataFrame, right: DataFrame, key: str, at: str, value: str) -> DataFrame:
     """left with the right row's ``value`` at or before ``at`` for the same key: one sort by key, no range join."""
-    rows = left.withColumn("_side", F.lit(1)).unionByName(right.select(key, at, F.col(value).alias("_v")).withColumn("_side", F.lit(0)), allowMissingColumns=True)
+    rows = (
+        left.withColumn("_side", F.lit(1))
+        .unionByName(right.select(key, at, F.col(value).alias("_v")).withColumn("_side", F.lit(0)), allowMissingColumns=True)
+    )
     before = Window.partitionBy(key).orderBy(at, "_side").rowsBetween(Window.unboundedPreceding, 0)
     return rows.withColumn(value, F.last("_v", ignorenulls=True).over(before)).where("_side = 1").drop("_side", "_v")
 
 
-@op("select event_id, (select max_by(b.event_id, (b.ts, b.event_id)) from events b where b.user_id = a.user_id and b.event_type = 'error' and b.ts <= a.ts) as last_error from events a where event_type = 'click'")
+@op((
+    "select event_id, (select max_by(b.event_id, (b.ts, b.event_id)) from events b where b.user_id = a.user_id and "
+    "b.event_type = 'error' and b.ts <= a.ts) as last_error from events a where event_type = 'click'"
+))
 def join_asof(spark: SparkSession, d: str) -> DataFrame:
     e = table(spark, d, "events")
     right = e.where("event_type = 'error'").withColumnRenamed("event_id", "last_error").groupBy("user_id", "ts").agg(F.max("last_error").alias("last_error"))
@@ -160,20 +202,36 @@ def join_asof(spark: SparkSession, d: str) -> DataFrame:
 
 @op("select c_custkey from customer where exists (select 1 from orders where o_custkey = c_custkey and o_totalprice > 400000)")
 def join_semi(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "customer").join(table(spark, d, "orders").where("o_totalprice > 400000"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey")
+    return (
+        table(spark, d, "customer")
+        .join(table(spark, d, "orders").where("o_totalprice > 400000"), F.col("c_custkey") == F.col("o_custkey"), "left_semi")
+        .select("c_custkey")
+    )
 
 
 @op("select o_orderkey from orders where not exists (select 1 from lineitem where l_orderkey = o_orderkey)")
 def join_anti(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "orders").join(table(spark, d, "lineitem").select("l_orderkey"), F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").select("o_orderkey")
+    return (
+        table(spark, d, "orders")
+        .join(table(spark, d, "lineitem").select("l_orderkey"), F.col("o_orderkey") == F.col("l_orderkey"), "left_anti")
+        .select("o_orderkey")
+    )
 
 
 @op("select c_custkey, count(o_orderkey) as n from customer left join orders on o_custkey = c_custkey group by 1")
 def join_left(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "customer").join(table(spark, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
+    return (
+        table(spark, d, "customer")
+        .join(table(spark, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left")
+        .groupBy("c_custkey")
+        .agg(F.count("o_orderkey").alias("n"))
+    )
 
 
-@op("select coalesce(a.k, b.k) as k, a.n as customers, b.n as suppliers from (select c_nationkey as k, count(*) as n from customer group by 1) a full join (select s_nationkey as k, count(*) as n from supplier group by 1) b on a.k = b.k")
+@op((
+    "select coalesce(a.k, b.k) as k, a.n as customers, b.n as suppliers from (select c_nationkey as k, count(*) as n from "
+    "customer group by 1) a full join (select s_nationkey as k, count(*) as n from supplier group by 1) b on a.k = b.k"
+))
 def join_full(spark: SparkSession, d: str) -> DataFrame:
     a = table(spark, d, "customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.count("*").alias("customers"))
     return a.join(table(spark, d, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.count("*").alias("suppliers")), "k", "full")
@@ -194,14 +252,31 @@ def join_lateral(spark: SparkSession, d: str) -> DataFrame:
 # aggregation
 
 
-@op("select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 2) as q, round(avg(l_discount), 6) as disc, min(l_tax) as low, max(l_tax) as high from lineitem group by 1, 2")
+@op((
+    "select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 2) as q, round(avg(l_discount), 6) as disc, "
+    "min(l_tax) as low, max(l_tax) as high from lineitem group by 1, 2"
+))
 def agg_basic(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("q"), F.avg("l_discount").alias("disc"), F.min("l_tax").alias("low"), F.max("l_tax").alias("high"))
+    return (
+        table(spark, d, "lineitem")
+        .groupBy("l_returnflag", "l_linestatus")
+        .agg(
+            F.count("*").alias("n"),
+            F.round(F.sum("l_quantity"), 2).alias("q"),
+            F.avg("l_discount").alias("disc"),
+            F.min("l_tax").alias("low"),
+            F.max("l_tax").alias("high"),
+        )
+    )
 
 
 @op("select o_orderstatus, count(distinct o_custkey) as customers, count(distinct o_orderpriority) as priorities from orders group by 1")
 def agg_distinct(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "orders").groupBy("o_orderstatus").agg(F.count_distinct("o_custkey").alias("customers"), F.count_distinct("o_orderpriority").alias("priorities"))
+    return (
+        table(spark, d, "orders")
+        .groupBy("o_orderstatus")
+        .agg(F.count_distinct("o_custkey").alias("customers"), F.count_distinct("o_orderpriority").alias("priorities"))
+    )
 
 
 @op("select event_type, count(*) filter (value > 50) as high, count(*) filter (value <= 50) as low from events group by 1")
@@ -209,9 +284,21 @@ def agg_filter(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(F.count_if(F.col("value") > 50).alias("high"), F.count_if(F.col("value") <= 50).alias("low"))
 
 
-@op("select event_type, round(stddev_samp(value), 6) as sd, round(corr(value, user_id), 6) as r, round(covar_samp(value, user_id), 5) as cov, round(var_pop(value), 5) as var from events group by 1")
+@op((
+    "select event_type, round(stddev_samp(value), 6) as sd, round(corr(value, user_id), 6) as r, round(covar_samp(value, "
+    "user_id), 5) as cov, round(var_pop(value), 5) as var from events group by 1"
+))
 def agg_stats(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "events").groupBy("event_type").agg(F.stddev_samp("value").alias("sd"), F.corr("value", "user_id").alias("r"), F.round(F.covar_samp("value", "user_id"), 5).alias("cov"), F.round(F.var_pop("value"), 5).alias("var"))
+    return (
+        table(spark, d, "events")
+        .groupBy("event_type")
+        .agg(
+            F.stddev_samp("value").alias("sd"),
+            F.corr("value", "user_id").alias("r"),
+            F.round(F.covar_samp("value", "user_id"), 5).alias("cov"),
+            F.round(F.var_pop("value"), 5).alias("var"),
+        )
+    )
 
 
 @op("select event_type, quantile_cont(value, 0.5) as p50, quantile_cont(value, 0.9) as p90 from events group by 1")
@@ -219,7 +306,10 @@ def agg_percentile(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(F.percentile("value", 0.5).alias("p50"), F.percentile("value", 0.9).alias("p90"))
 
 
-@op("select o_custkey, max_by(o_orderkey, (o_totalprice, o_orderkey)) as dearest, min_by(o_orderkey, (o_totalprice, o_orderkey)) as cheapest from orders group by 1")
+@op((
+    "select o_custkey, max_by(o_orderkey, (o_totalprice, o_orderkey)) as dearest, min_by(o_orderkey, (o_totalprice, "
+    "o_orderkey)) as cheapest from orders group by 1"
+))
 def agg_maxby(spark: SparkSession, d: str) -> DataFrame:
     at = F.struct("o_totalprice", "o_orderkey")
     return table(spark, d, "orders").groupBy("o_custkey").agg(F.max_by("o_orderkey", at).alias("dearest"), F.min_by("o_orderkey", at).alias("cheapest"))
@@ -230,14 +320,20 @@ def agg_collect(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "nation").groupBy("n_regionkey").agg(F.array_join(F.sort_array(F.collect_set("n_name")), ",").alias("names"))
 
 
-@op("select c_nationkey, c_mktsegment as top_segment from (select c_nationkey, c_mktsegment, row_number() over (partition by c_nationkey order by count(*) desc, c_mktsegment) as r from customer group by 1, 2) where r = 1")
+@op((
+    "select c_nationkey, c_mktsegment as top_segment from (select c_nationkey, c_mktsegment, row_number() over (partition "
+    "by c_nationkey order by count(*) desc, c_mktsegment) as r from customer group by 1, 2) where r = 1"
+))
 def agg_mode(spark: SparkSession, d: str) -> DataFrame:
     counted = table(spark, d, "customer").groupBy("c_nationkey", "c_mktsegment").agg(F.count("*").alias("n"))
     return counted.groupBy("c_nationkey").agg(F.min_by("c_mktsegment", F.struct(-F.col("n"), "c_mktsegment")).alias("top_segment"))
 
 
 @op(
-    "select event_type, count(distinct user_id) as users, quantile_cont(value, 0.5) as median, 0 as hll_class, 0 as theta_class, 0 as kll_class from events group by 1"
+    (
+        "select event_type, count(distinct user_id) as users, quantile_cont(value, 0.5) as median, 0 as hll_class, 0 as "
+        "theta_class, 0 as kll_class from events group by 1"
+    )
 )
 def agg_approx(spark: SparkSession, d: str) -> DataFrame:
     """Exact values, and by how many steps of 10 % a sketch misses each (0: by less than one)."""
@@ -297,17 +393,37 @@ def _orders(spark: SparkSession, d: str) -> tuple[DataFrame, Window]:
     return table(spark, d, "orders"), Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
 
 
-@op("select o_orderkey, row_number() over w as rn, rank() over v as rk, dense_rank() over v as dr, round(percent_rank() over v, 6) as pr, round(cume_dist() over v, 6) as cd from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey), v as (partition by o_custkey order by o_orderpriority)")
+@op((
+    "select o_orderkey, row_number() over w as rn, rank() over v as rk, dense_rank() over v as dr, round(percent_rank() "
+    "over v, 6) as pr, round(cume_dist() over v, 6) as cd from orders window w as (partition by o_custkey order by "
+    "o_orderdate, o_orderkey), v as (partition by o_custkey order by o_orderpriority)"
+))
 def win_rank(spark: SparkSession, d: str) -> DataFrame:
     o, w = _orders(spark, d)
     v = Window.partitionBy("o_custkey").orderBy("o_orderpriority")
-    return o.select("o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"), F.percent_rank().over(v).alias("pr"), F.cume_dist().over(v).alias("cd"))
+    return o.select(
+        "o_orderkey",
+        F.row_number().over(w).alias("rn"),
+        F.rank().over(v).alias("rk"),
+        F.dense_rank().over(v).alias("dr"),
+        F.percent_rank().over(v).alias("pr"),
+        F.cume_dist().over(v).alias("cd"),
+    )
 
 
-@op(f"select o_orderkey, lag(o_orderkey) over w as before, lead(o_orderkey, 2) over w as later, first_value(o_orderkey) over w as first, nth_value(o_orderkey, 2) over w as second from orders window w as ({_BY})")
+@op((
+    f"select o_orderkey, lag(o_orderkey) over w as before, lead(o_orderkey, 2) over w as later, first_value(o_orderkey) "
+    f"over w as first, nth_value(o_orderkey, 2) over w as second from orders window w as ({_BY})"
+))
 def win_offset(spark: SparkSession, d: str) -> DataFrame:
     o, w = _orders(spark, d)
-    return o.select("o_orderkey", F.lag("o_orderkey").over(w).alias("before"), F.lead("o_orderkey", 2).over(w).alias("later"), F.first("o_orderkey").over(w).alias("first"), F.nth_value("o_orderkey", 2).over(w).alias("second"))
+    return o.select(
+        "o_orderkey",
+        F.lag("o_orderkey").over(w).alias("before"),
+        F.lead("o_orderkey", 2).over(w).alias("later"),
+        F.first("o_orderkey").over(w).alias("first"),
+        F.nth_value("o_orderkey", 2).over(w).alias("second"),
+    )
 
 
 @op(f"select o_orderkey, round(avg(o_totalprice) over ({_BY} rows between 2 preceding and 1 following), 4) as m from orders")
@@ -316,7 +432,10 @@ def win_frame_rows(spark: SparkSession, d: str) -> DataFrame:
     return o.select("o_orderkey", F.round(F.avg("o_totalprice").over(w.rowsBetween(-2, 1)), 4).alias("m"))
 
 
-@op("select o_orderkey, count(*) over (partition by o_custkey order by cast(o_orderdate as date) - date '1970-01-01' range between 30 preceding and current row) as n from orders")
+@op((
+    "select o_orderkey, count(*) over (partition by o_custkey order by cast(o_orderdate as date) - date '1970-01-01' range "
+    "between 30 preceding and current row) as n from orders"
+))
 def win_frame_range(spark: SparkSession, d: str) -> DataFrame:
     w = Window.partitionBy("o_custkey").orderBy(F.unix_date(F.to_date("o_orderdate"))).rangeBetween(-30, 0)
     return table(spark, d, "orders").select("o_orderkey", F.count("*").over(w).alias("n"))
@@ -383,49 +502,113 @@ def except_all(spark: SparkSession, d: str) -> DataFrame:
 @op("select n_name as name, n_regionkey as region, null::int as extra from nation union all select r_name, r_regionkey, 1 from region")
 def union_by_name(spark: SparkSession, d: str) -> DataFrame:
     n = table(spark, d, "nation").select(F.col("n_name").alias("name"), F.col("n_regionkey").alias("region"))
-    return n.unionByName(table(spark, d, "region").select(F.col("r_regionkey").alias("region"), F.lit(1).alias("extra"), F.col("r_name").alias("name")), allowMissingColumns=True)
+    return n.unionByName(
+        table(spark, d, "region").select(F.col("r_regionkey").alias("region"), F.lit(1).alias("extra"), F.col("r_name").alias("name")),
+        allowMissingColumns=True,
+    )
 
 
 # functions
 
 
-@op("select p_partkey, upper(p_brand) as up, trim(substring(p_name, 3, 5)) as part, length(p_name) as n, replace(p_type, ' ', '_') as kind, levenshtein(p_brand, 'Brand#11') as dist, translate(p_brand, 'Bd', 'bD') as tr, concat_ws('-', p_brand, p_type) as joined from part")
+@op((
+    "select p_partkey, upper(p_brand) as up, trim(substring(p_name, 3, 5)) as part, length(p_name) as n, replace(p_type, ' "
+    "', '_') as kind, levenshtein(p_brand, 'Brand#11') as dist, translate(p_brand, 'Bd', 'bD') as tr, concat_ws('-', "
+    "p_brand, p_type) as joined from part"
+))
 def str_funcs(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "part").select("p_partkey", F.upper("p_brand").alias("up"), F.trim(F.substring("p_name", 3, 5)).alias("part"), F.length("p_name").alias("n"), F.replace("p_type", F.lit(" "), F.lit("_")).alias("kind"), F.levenshtein("p_brand", F.lit("Brand#11")).alias("dist"), F.translate("p_brand", "Bd", "bD").alias("tr"), F.concat_ws("-", "p_brand", "p_type").alias("joined"))
+    return table(spark, d, "part").select(
+        "p_partkey",
+        F.upper("p_brand").alias("up"),
+        F.trim(F.substring("p_name", 3, 5)).alias("part"),
+        F.length("p_name").alias("n"),
+        F.replace("p_type", F.lit(" "), F.lit("_")).alias("kind"),
+        F.levenshtein("p_brand", F.lit("Brand#11")).alias("dist"),
+        F.translate("p_brand", "Bd", "bD").alias("tr"),
+        F.concat_ws("-", "p_brand", "p_type").alias("joined"),
+    )
 
 
-@op("select doc_id, regexp_extract(text, '[0-9]+', 0) as digits, len(regexp_extract_all(text, '[aeiou]')) as vowels, md5(regexp_replace(text, '[0-9]', '#', 'g')) as masked from documents")
+@op((
+    "select doc_id, regexp_extract(text, '[0-9]+', 0) as digits, len(regexp_extract_all(text, '[aeiou]')) as vowels, "
+    "md5(regexp_replace(text, '[0-9]', '#', 'g')) as masked from documents"
+))
 def regex_funcs(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "documents").select("doc_id", F.regexp_extract("text", "[0-9]+", 0).alias("digits"), F.regexp_count("text", F.lit("[aeiou]")).alias("vowels"), F.md5(F.regexp_replace("text", "[0-9]", "#")).alias("masked"))
+    return table(spark, d, "documents").select(
+        "doc_id",
+        F.regexp_extract("text", "[0-9]+", 0).alias("digits"),
+        F.regexp_count("text", F.lit("[aeiou]")).alias("vowels"),
+        F.md5(F.regexp_replace("text", "[0-9]", "#")).alias("masked"),
+    )
 
 
-@op("select item_id, array_to_string(w[i:i + 1], ' ') as gram from (select item_id, string_split(trim(regexp_replace(regexp_replace(lower(text), '[^\\p{L}\\p{N}\\s]', '', 'g'), '\\s+', ' ', 'g')), ' ') as w from benchmark), unnest(range(1, len(w))) u(i)")
+@op((
+    "select item_id, array_to_string(w[i:i + 1], ' ') as gram from (select item_id, "
+    "string_split(trim(regexp_replace(regexp_replace(lower(text), '[^\\p{L}\\p{N}\\s]', '', 'g'), '\\s+', ' ', 'g')), ' ') "
+    "as w from benchmark), unnest(range(1, len(w))) u(i)"
+))
 def word_ngrams(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "benchmark").select("item_id", F.explode(ngrams(F.split(clean_text(F.col("text")), " "), 2, 2)).alias("gram"))
 
 
-@op("select o_orderkey, cast(date_trunc('month', o_orderdate) as date) as month, cast(o_orderdate as date) + 10 as later, date_diff('day', date '1995-01-01', cast(o_orderdate as date)) as days, year(o_orderdate) as y, weekofyear(o_orderdate) as w from orders")
+@op((
+    "select o_orderkey, cast(date_trunc('month', o_orderdate) as date) as month, cast(o_orderdate as date) + 10 as later, "
+    "date_diff('day', date '1995-01-01', cast(o_orderdate as date)) as days, year(o_orderdate) as y, "
+    "weekofyear(o_orderdate) as w from orders"
+))
 def date_funcs(spark: SparkSession, d: str) -> DataFrame:
     day = F.to_date("o_orderdate")
-    return table(spark, d, "orders").select("o_orderkey", F.trunc(day, "month").alias("month"), F.date_add(day, 10).alias("later"), F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"), F.year(day).alias("y"), F.weekofyear(day).alias("w"))
+    return table(spark, d, "orders").select(
+        "o_orderkey",
+        F.trunc(day, "month").alias("month"),
+        F.date_add(day, 10).alias("later"),
+        F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"),
+        F.year(day).alias("y"),
+        F.weekofyear(day).alias("w"),
+    )
 
 
-@op("select c_custkey, round(ln(1 + abs(c_acctbal)), 6) as lg, cast(floor(c_acctbal) as bigint) as fl, cast(sign(c_acctbal) as int) as sg, round(sqrt(abs(c_acctbal)), 6) as sq, greatest(c_acctbal, 0.0) as pos, round(c_acctbal / nullif(c_custkey, 0), 6) as ratio from customer")
+@op((
+    "select c_custkey, round(ln(1 + abs(c_acctbal)), 6) as lg, cast(floor(c_acctbal) as bigint) as fl, "
+    "cast(sign(c_acctbal) as int) as sg, round(sqrt(abs(c_acctbal)), 6) as sq, greatest(c_acctbal, 0.0) as pos, "
+    "round(c_acctbal / nullif(c_custkey, 0), 6) as ratio from customer"
+))
 def math_funcs(spark: SparkSession, d: str) -> DataFrame:
     a = F.col("c_acctbal")
-    return table(spark, d, "customer").select("c_custkey", F.log1p(F.abs(a)).alias("lg"), F.floor(a).alias("fl"), F.signum(a).cast("int").alias("sg"), F.sqrt(F.abs(a)).alias("sq"), F.greatest(a, F.lit(0.0)).alias("pos"), F.try_divide(a, "c_custkey").alias("ratio"))
+    return table(spark, d, "customer").select(
+        "c_custkey",
+        F.log1p(F.abs(a)).alias("lg"),
+        F.floor(a).alias("fl"),
+        F.signum(a).cast("int").alias("sg"),
+        F.sqrt(F.abs(a)).alias("sq"),
+        F.greatest(a, F.lit(0.0)).alias("pos"),
+        F.try_divide(a, "c_custkey").alias("ratio"),
+    )
 
 
-@op("select vec_id, round(list_sum(list_transform(embedding[1:4], lambda x: x::double * x::double)), 6) as s, len(list_filter(embedding, lambda x: x > 0)) as positive, round(list_max(embedding)::double, 6) as high from embeddings")
+@op((
+    "select vec_id, round(list_sum(list_transform(embedding[1:4], lambda x: x::double * x::double)), 6) as s, "
+    "len(list_filter(embedding, lambda x: x > 0)) as positive, round(list_max(embedding)::double, 6) as high from "
+    "embeddings"
+))
 def array_funcs(spark: SparkSession, d: str) -> DataFrame:
     e = F.col("embedding")
-    return table(spark, d, "embeddings").select("vec_id", F.aggregate(F.slice(e, 1, 4), F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")).alias("s"), F.size(F.filter(e, lambda x: x > 0)).alias("positive"), F.array_max(e).cast("double").alias("high"))
+    return table(spark, d, "embeddings").select(
+        "vec_id",
+        F.aggregate(F.slice(e, 1, 4), F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")).alias("s"),
+        F.size(F.filter(e, lambda x: x > 0)).alias("positive"),
+        F.array_max(e).cast("double").alias("high"),
+    )
 
 
 @op("select n_nationkey, n_name || '/' || n_regionkey as pair, 2 as size from nation")
 def map_funcs(spark: SparkSession, d: str) -> DataFrame:
     m = F.create_map(F.lit("name"), F.col("n_name"), F.lit("region"), F.col("n_regionkey").cast("string"))
-    return table(spark, d, "nation").select("n_nationkey", F.concat_ws("/", F.element_at(m, "name"), F.element_at(m, "region")).alias("pair"), F.size(F.map_keys(m)).alias("size"))
+    return table(spark, d, "nation").select(
+        "n_nationkey",
+        F.concat_ws("/", F.element_at(m, "name"), F.element_at(m, "region")).alias("pair"),
+        F.size(F.map_keys(m)).alias("size"),
+    )
 
 
 @op("select event_id, cast(json_extract_string(props, '$.k') as int) as k, cast(json_extract_string(props, '$.k') as int) + 1 as next from events")
@@ -447,7 +630,10 @@ def _views(spark: SparkSession, d: str, *names: str) -> None:
         table(spark, d, name).createOrReplaceTempView(name)
 
 
-_CTE = "with big as (select * from orders where o_totalprice > 300000), per as (select o_custkey, count(*) as n from big group by o_custkey) select n, count(*) as customers from per group by n"
+_CTE = (
+    "with big as (select * from orders where o_totalprice > 300000), per as (select o_custkey, count(*) as n from big "
+    "group by o_custkey) select n, count(*) as customers from per group by n"
+)
 _RECURSIVE = "with recursive r(k, f) as (select 1, 1 union all select k + 1, f * 2 from r where k < 12) select k, f from r"
 _SCALAR = "select o_orderkey from orders where o_totalprice > (select avg(o_totalprice) * 1.8 from orders)"
 _EXISTS = "select s_suppkey from supplier where exists (select 1 from lineitem where l_suppkey = s_suppkey and l_quantity > 49)"
@@ -506,7 +692,10 @@ def udf_grouped(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "events").select("event_type", "value").groupBy("event_type").applyInPandas(span, "event_type string, span double")
 
 
-@op("select n_nationkey, unnest([lower(n_name), lower(n_name) || 's']) as form from nation where not regexp_matches(lower(n_name), '(s|x|z|ch|sh|[^aeiou]y)$')")
+@op((
+    "select n_nationkey, unnest([lower(n_name), lower(n_name) || 's']) as form from nation where not "
+    "regexp_matches(lower(n_name), '(s|x|z|ch|sh|[^aeiou]y)$')"
+))
 def udtf_expand(spark: SparkSession, d: str) -> DataFrame:
     @F.udtf(returnType="form string")
     class Forms:
@@ -524,7 +713,11 @@ def plural_forms(spark: SparkSession, d: str) -> DataFrame:
     return n.select("n_nationkey", plural(F.col("name")).alias("form"))
 
 
-@op("select event_type, round(corr(rx, ry), 6) as r_s from (select event_type, rank() over (partition by event_type order by value) + (count(*) over (partition by event_type, value) - 1) / 2.0 as rx, rank() over (partition by event_type order by user_id) + (count(*) over (partition by event_type, user_id) - 1) / 2.0 as ry from events) group by 1")
+@op((
+    "select event_type, round(corr(rx, ry), 6) as r_s from (select event_type, rank() over (partition by event_type order "
+    "by value) + (count(*) over (partition by event_type, value) - 1) / 2.0 as rx, rank() over (partition by event_type "
+    "order by user_id) + (count(*) over (partition by event_type, user_id) - 1) / 2.0 as ry from events) group by 1"
+))
 def udaf_spearman(spark: SparkSession, d: str) -> DataFrame:
     def rho(x: pd.Series, y: pd.Series) -> float:
         return x.rank().corr(y.rank())
@@ -533,12 +726,19 @@ def udaf_spearman(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(grouped("value", "user_id").alias("r_s"))
 
 
-@op("select o_orderkey, round(rank() over (partition by o_custkey order by o_orderpriority) + (count(*) over (partition by o_custkey, o_orderpriority) - 1) / 2.0, 6) as r from orders")
+@op((
+    "select o_orderkey, round(rank() over (partition by o_custkey order by o_orderpriority) + (count(*) over (partition by "
+    "o_custkey, o_orderpriority) - 1) / 2.0, 6) as r from orders"
+))
 def tie_rank(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "orders").select("o_orderkey", average_rank("o_orderpriority", ["o_custkey"]).alias("r"))
 
 
-@op("select coalesce(c.k, s.k) as k, coalesce(c.n, 0) as a, coalesce(s.n, 0) as b from (select c_nationkey as k, count(*) as n from customer group by 1) c full join (select s_nationkey as k, count(*) as n from supplier group by 1) s on c.k = s.k")
+@op((
+    "select coalesce(c.k, s.k) as k, coalesce(c.n, 0) as a, coalesce(s.n, 0) as b from (select c_nationkey as k, count(*) "
+    "as n from customer group by 1) c full join (select s_nationkey as k, count(*) as n from supplier group by 1) s on c.k "
+    "= s.k"
+))
 def cogroup(spark: SparkSession, d: str) -> DataFrame:
     a, b = _keys(spark, d)
 
@@ -559,13 +759,19 @@ def _replayed(spark: SparkSession, d: str) -> DataFrame:
 _MARK = "(select max(ts) - interval 1 day from events)"
 
 
-@op(f"select cast(ts as date) as day, event_type, count(*) as n, round(sum(value), 6) as total from events group by 1, 2 having day + interval 1 day <= {_MARK}")
+@op((
+    f"select cast(ts as date) as day, event_type, count(*) as n, round(sum(value), 6) as total from events group by 1, 2 "
+    f"having day + interval 1 day <= {_MARK}"
+))
 def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
     held = monitor.drain(monitor.tumbling(_replayed(spark, d)))
     return held.select(F.to_date("window.start").alias("day"), "event_type", "n", "total")
 
 
-@op(f"select day, sum(n) as n from (select cast(ts as date) + k as day, count(*) as n from events, (values (0), (-1)) v(k) group by 1) group by 1 having day + interval 2 day <= {_MARK}")
+@op((
+    f"select day, sum(n) as n from (select cast(ts as date) + k as day, count(*) as n from events, (values (0), (-1)) v(k) "
+    f"group by 1) group by 1 having day + interval 2 day <= {_MARK}"
+))
 def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
     held = monitor.drain(monitor.sliding(_replayed(spark, d)))
     return held.select(F.to_date("window.start").alias("day"), "n")
@@ -593,7 +799,9 @@ def stream_static_join(spark: SparkSession, d: str) -> DataFrame:
     return monitor.drain(monitor.scored(_replayed(spark, d), valence))
 
 
-@op("select a.event_id as incident, b.event_id as post from events a join events b on a.user_id = b.user_id and a.event_type = 'error' and b.event_type <> 'error' and b.ts between a.ts and a.ts + interval 1 hour")
+@op(
+    "select a.event_id as incident, b.event_id as post from events a join events b on a.user_id = b.user_id and a.event_type = 'error' and b.event_type <> 'error' and b.ts between a.ts and a.ts + interval 1 hour"
+)
 def stream_stream_join(spark: SparkSession, d: str) -> DataFrame:
     return monitor.drain(monitor.posts_near_incidents(_replayed(spark, d)))
 

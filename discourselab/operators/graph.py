@@ -58,10 +58,23 @@ def e_associated(groups: DataFrame) -> DataFrame:
     return _edge(groups, node_id("topic", F.col("topic_id")), node_id("group", F.col("group_id")), "associated_with")
 
 
-def build_edges(posts: DataFrame, members: DataFrame, groups: DataFrame, incidents: DataFrame, tagged: DataFrame | None = None, replies: DataFrame | None = None, mentions: DataFrame | None = None, p_min: float = 0.01) -> DataFrame:
+def build_edges(
+    posts: DataFrame,
+    members: DataFrame,
+    groups: DataFrame,
+    incidents: DataFrame,
+    tagged: DataFrame | None = None,
+    replies: DataFrame | None = None,
+    mentions: DataFrame | None = None,
+    p_min: float = 0.01,
+) -> DataFrame:
     """(src, dst, rel, weight) of all relations over the relevant posts."""
     kept = posts.join(relevant_posts(members, groups, p_min), "post_id", "left_semi")
-    topics = members.where(F.col("p") >= p_min).join(F.broadcast(groups.select("topic_id").distinct()), "topic_id", "left_semi").join(kept.select("post_id"), "post_id", "left_semi")
+    topics = (
+        members.where(F.col("p") >= p_min)
+        .join(F.broadcast(groups.select("topic_id").distinct()), "topic_id", "left_semi")
+        .join(kept.select("post_id"), "post_id", "left_semi")
+    )
     parts = [e_authored(kept), e_posted_on(kept), e_in_topic(topics), e_occurred_on(incidents), e_victimised(incidents), e_associated(groups)]
     if tagged is not None:
         parts.append(e_tagged(tagged.join(kept.select("post_id"), "post_id", "left_semi")))
@@ -99,7 +112,11 @@ def node_facts(posts: DataFrame, incidents: DataFrame, groups: DataFrame) -> Dat
 
 def with_day(edges: DataFrame) -> DataFrame:
     """Edges with the day of the post or incident at one of their ends; none for edges that have neither."""
-    dated = edges.where("rel in ('tweeted_on', 'occurred_on')").select(F.col("src").alias("_at"), F.to_date(F.substring_index("dst", ":", -1)).alias("day")).distinct()
+    dated = (
+        edges.where("rel in ('tweeted_on', 'occurred_on')")
+        .select(F.col("src").alias("_at"), F.to_date(F.substring_index("dst", ":", -1)).alias("day"))
+        .distinct()
+    )
     end = F.when(F.col("rel") == "tweeted", F.col("dst")).otherwise(F.col("src"))
     keyed = edges.withColumn("_end", F.when(~F.col("rel").isin("associated_with", "replied_to", "mentioned"), end))
     return keyed.join(dated, F.col("_end") == F.col("_at"), "left").drop("_end", "_at")
@@ -155,8 +172,18 @@ def date_bridge(edges: DataFrame) -> DataFrame:
     rel = lambda name: edges.where(F.col("rel") == name)
     topic_group = F.broadcast(rel("associated_with").select(F.col("src").alias("topic"), F.col("dst").alias("group")))
     posts = rel("in_topic").select(F.col("src").alias("post"), F.col("dst").alias("topic")).join(topic_group, "topic").select("post", "group").distinct()
-    posts = posts.join(rel("tweeted_on").select(F.col("src").alias("post"), F.col("dst").alias("day")), "post").groupBy("day", "group").agg(F.count("*").alias("n_posts"))
-    incidents = rel("occurred_on").select(F.col("src").alias("i"), F.col("dst").alias("day")).join(rel("victimized").select(F.col("src").alias("i"), F.col("dst").alias("group")), "i").groupBy("day", "group").agg(F.count("*").alias("n_incidents"))
+    posts = (
+        posts.join(rel("tweeted_on").select(F.col("src").alias("post"), F.col("dst").alias("day")), "post")
+        .groupBy("day", "group")
+        .agg(F.count("*").alias("n_posts"))
+    )
+    incidents = (
+        rel("occurred_on")
+        .select(F.col("src").alias("i"), F.col("dst").alias("day"))
+        .join(rel("victimized").select(F.col("src").alias("i"), F.col("dst").alias("group")), "i")
+        .groupBy("day", "group")
+        .agg(F.count("*").alias("n_incidents"))
+    )
     return posts.join(incidents, ["day", "group"])
 
 
@@ -169,7 +196,12 @@ def match_path(edges: DataFrame, relations: tuple[str, ...]) -> DataFrame:
     now = hop(relations[0]).select(F.col("src").alias("first"), F.col("dst").alias("last"), F.col("k").alias("paths"))
     for rel in relations[1:]:
         nxt = hop(rel)
-        now = now.join(nxt, F.col("last") == F.col("src")).groupBy("first", "dst").agg(F.sum(F.col("paths") * F.col("k")).alias("paths")).withColumnRenamed("dst", "last")
+        now = (
+            now.join(nxt, F.col("last") == F.col("src"))
+            .groupBy("first", "dst")
+            .agg(F.sum(F.col("paths") * F.col("k")).alias("paths"))
+            .withColumnRenamed("dst", "last")
+        )
     return now
 
 

@@ -18,7 +18,11 @@ from discourselab.session import cut
 
 def active_users(posts: DataFrame, min_posts: int = 10) -> DataFrame:
     """(user_id, n_posts, mean_score) of users with at least ``min_posts`` posts."""
-    return posts.groupBy(F.col("author_id").alias("user_id")).agg(F.count("*").alias("n_posts"), F.avg("sentiment").alias("mean_score")).where(F.col("n_posts") >= min_posts)
+    return (
+        posts.groupBy(F.col("author_id").alias("user_id"))
+        .agg(F.count("*").alias("n_posts"), F.avg("sentiment").alias("mean_score"))
+        .where(F.col("n_posts") >= min_posts)
+    )
 
 
 def user_profiles(posts: DataFrame, members: DataFrame, users: DataFrame) -> DataFrame:
@@ -40,7 +44,13 @@ def pair_weights(profiles: DataFrame, by: tuple[str, ...] = ("group_id",), cell:
     """
     cells = max(1, -(-profiles.count() // cell))
     left = profiles.select(*by, F.col("user_id").alias("a"), "topic_id", F.col("s").alias("x"), F.pmod(F.xxhash64("user_id"), F.lit(cells)).alias("_cell"))
-    right = profiles.select(*by, F.col("user_id").alias("b"), "topic_id", F.col("s").alias("y"), F.explode(F.sequence(F.lit(0), F.lit(cells - 1))).alias("_cell"))
+    right = profiles.select(
+        *by,
+        F.col("user_id").alias("b"),
+        "topic_id",
+        F.col("s").alias("y"),
+        F.explode(F.sequence(F.lit(0), F.lit(cells - 1))).alias("_cell"),
+    )
     met = left.join(right, [*by, "topic_id", "_cell"]).where("a < b")
     return met.groupBy(*by, "a", "b").agg(F.sum(F.col("x") * F.col("y")).alias("weight"))
 
@@ -56,12 +66,19 @@ def pair_weight_naive(posts: DataFrame, members: DataFrame, users: DataFrame) ->
 def weighted_degree(profiles: DataFrame) -> DataFrame:
     """(group_id, user_id, degree): sum of a user's weights, from the total profile and no pairs."""
     total = profiles.groupBy("group_id", "topic_id").agg(F.sum("s").alias("t"))
-    return profiles.join(F.broadcast(total), ["group_id", "topic_id"]).groupBy("group_id", "user_id").agg(F.sum(F.col("s") * (F.col("t") - F.col("s"))).alias("degree"))
+    return (
+        profiles.join(F.broadcast(total), ["group_id", "topic_id"])
+        .groupBy("group_id", "user_id")
+        .agg(F.sum(F.col("s") * (F.col("t") - F.col("s"))).alias("degree"))
+    )
 
 
 def _packed(profiles: DataFrame) -> DataFrame:
     """(group_id, user_id, s map, own): a user's profile in one row, and its weight with itself."""
-    return profiles.groupBy("group_id", "user_id").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("topic_id", "s")))).alias("s"), F.sum(F.col("s") * F.col("s")).alias("own"))
+    return (
+        profiles.groupBy("group_id", "user_id")
+        .agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("topic_id", "s")))).alias("s"), F.sum(F.col("s") * F.col("s")).alias("own"))
+    )
 
 
 #: Steps that are replayed from the topic vectors before the users' values are written.
@@ -177,7 +194,10 @@ def eigen_residual(profiles: DataFrame, centrality: DataFrame) -> DataFrame:
     """(group_id, residual): |Wc - lambda c| / lambda of a unit vector c."""
     state = _step(_packed(profiles).join(centrality.withColumnRenamed("centrality", "x"), ["group_id", "user_id"]), 0.0)
     held = state.groupBy("group_id").agg(F.sum(F.col("x") * F.col("y")).alias("l"), F.sum(F.col("y") * F.col("y")).alias("y2"))
-    return held.select("group_id", F.sqrt(F.greatest(F.lit(0.0), F.col("y2") - F.col("l") * F.col("l"))).alias("d"), "l").select("group_id", F.try_divide("d", "l").alias("residual"))
+    return (
+        held.select("group_id", F.sqrt(F.greatest(F.lit(0.0), F.col("y2") - F.col("l") * F.col("l"))).alias("d"), "l")
+        .select("group_id", F.try_divide("d", "l").alias("residual"))
+    )
 
 
 def influence_score(centrality: Column, followers: Column) -> Column:
@@ -186,7 +206,19 @@ def influence_score(centrality: Column, followers: Column) -> Column:
 
 def influence(centrality: DataFrame, users: DataFrame, followers: DataFrame) -> DataFrame:
     """(group_id, user_id, centrality, followers, n_posts, score, influence)."""
-    return centrality.join(users, "user_id").join(followers, "user_id").select("group_id", "user_id", "centrality", "followers", "n_posts", F.col("mean_score").alias("score"), influence_score(F.col("centrality"), F.col("followers")).alias("influence"))
+    return (
+        centrality.join(users, "user_id")
+        .join(followers, "user_id")
+        .select(
+            "group_id",
+            "user_id",
+            "centrality",
+            "followers",
+            "n_posts",
+            F.col("mean_score").alias("score"),
+            influence_score(F.col("centrality"), F.col("followers")).alias("influence"),
+        )
+    )
 
 
 def top_influencers(scored: DataFrame, k: int = 5, anonymise: bool = True) -> DataFrame:
@@ -200,7 +232,11 @@ def influence_by_sentiment(scored: DataFrame, width: float = 0.1, min_users: int
     """(group_id, bin_lo, n, mean, se, is_peak) of users by sentiment interval; small bins are dropped."""
     scale = round(1 / width)
     bins = scored.withColumn("_b", F.floor(F.round(F.col("score") * scale, 9)))
-    held = bins.groupBy("group_id", "_b").agg(F.count("*").alias("n"), F.avg("influence").alias("mean"), (F.stddev_samp("influence") / F.sqrt(F.count("*"))).alias("se")).where(F.col("n") >= min_users)
+    held = (
+        bins.groupBy("group_id", "_b")
+        .agg(F.count("*").alias("n"), F.avg("influence").alias("mean"), (F.stddev_samp("influence") / F.sqrt(F.count("*"))).alias("se"))
+        .where(F.col("n") >= min_users)
+    )
     first = F.row_number().over(Window.partitionBy("group_id").orderBy(F.desc(F.round("mean", 9)), "_b"))
     return held.select("group_id", (F.col("_b") / scale).alias("bin_lo"), "n", "mean", "se", (first == 1).alias("is_peak"))
 

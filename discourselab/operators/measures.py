@@ -13,13 +13,34 @@ def agreement(assigned: DataFrame, truth: DataFrame, key: str = "vec_id") -> Dat
     """(purity, nmi, ari) of topic_id against label, from the contingency table alone."""
     cells = assigned.join(truth.select(key, "label"), key).groupBy("topic_id", "label").agg(F.count("*").alias("n"))
     rows, cols, every = Window.partitionBy("topic_id"), Window.partitionBy("label"), Window.partitionBy(F.lit(0))  # as many rows as cells
-    held = cells.select("n", F.sum("n").over(rows).alias("a"), F.sum("n").over(cols).alias("b"), F.sum("n").over(every).alias("t"), F.max("n").over(rows).alias("top"), F.row_number().over(rows.orderBy("label")).alias("ra"), F.row_number().over(cols.orderBy("topic_id")).alias("rb"))
+    held = cells.select(
+        "n",
+        F.sum("n").over(rows).alias("a"),
+        F.sum("n").over(cols).alias("b"),
+        F.sum("n").over(every).alias("t"),
+        F.max("n").over(rows).alias("top"),
+        F.row_number().over(rows.orderBy("label")).alias("ra"),
+        F.row_number().over(cols.orderBy("topic_id")).alias("rb"),
+    )
     pairs = lambda x: x * (x - 1) / 2.0
     once = lambda flag, x: F.sum(F.when(F.col(flag) == 1, x).otherwise(0.0))
     entropy = lambda c: -(F.col(c) / F.col("t")) * F.ln(F.col(c) / F.col("t"))
-    s = held.agg(F.max("t").cast("double").alias("t"), once("ra", F.col("top")).alias("top"), F.sum((F.col("n") / F.col("t")) * F.ln(F.col("n") * F.col("t") / (F.col("a") * F.col("b")))).alias("mi"), once("ra", entropy("a")).alias("ha"), once("rb", entropy("b")).alias("hb"), F.sum(pairs(F.col("n"))).alias("ij"), once("ra", pairs(F.col("a"))).alias("i"), once("rb", pairs(F.col("b"))).alias("j"))
+    s = held.agg(
+        F.max("t").cast("double").alias("t"),
+        once("ra", F.col("top")).alias("top"),
+        F.sum((F.col("n") / F.col("t")) * F.ln(F.col("n") * F.col("t") / (F.col("a") * F.col("b")))).alias("mi"),
+        once("ra", entropy("a")).alias("ha"),
+        once("rb", entropy("b")).alias("hb"),
+        F.sum(pairs(F.col("n"))).alias("ij"),
+        once("ra", pairs(F.col("a"))).alias("i"),
+        once("rb", pairs(F.col("b"))).alias("j"),
+    )
     chance = F.col("i") * F.col("j") / pairs(F.col("t"))
-    return s.select((F.col("top") / F.col("t")).alias("purity"), F.try_divide("mi", F.sqrt(F.col("ha") * F.col("hb"))).alias("nmi"), F.try_divide(F.col("ij") - chance, (F.col("i") + F.col("j")) / 2 - chance).alias("ari"))
+    return s.select(
+        (F.col("top") / F.col("t")).alias("purity"),
+        F.try_divide("mi", F.sqrt(F.col("ha") * F.col("hb"))).alias("nmi"),
+        F.try_divide(F.col("ij") - chance, (F.col("i") + F.col("j")) / 2 - chance).alias("ari"),
+    )
 
 
 def match_quality(matched: DataFrame, truth: DataFrame, by: str) -> DataFrame:
@@ -29,7 +50,15 @@ def match_quality(matched: DataFrame, truth: DataFrame, by: str) -> DataFrame:
     found, bad = F.col("hit").isNotNull(), F.col("toxic") == 1
     counts = hit.groupBy(by).agg(n(found & bad).alias("tp"), n(found & ~bad).alias("fp"), n(~found & bad).alias("fn"))
     tp = F.col("tp")
-    return counts.select(by, "tp", "fp", "fn", F.try_divide(tp, tp + F.col("fp")).alias("precision"), F.try_divide(tp, tp + F.col("fn")).alias("recall"), F.try_divide(2 * tp, 2 * tp + F.col("fp") + F.col("fn")).alias("f1"))
+    return counts.select(
+        by,
+        "tp",
+        "fp",
+        "fn",
+        F.try_divide(tp, tp + F.col("fp")).alias("precision"),
+        F.try_divide(tp, tp + F.col("fn")).alias("recall"),
+        F.try_divide(2 * tp, 2 * tp + F.col("fp") + F.col("fn")).alias("f1"),
+    )
 
 
 def jaccard(a: DataFrame, b: DataFrame, on: str) -> DataFrame:
@@ -56,4 +85,10 @@ def measure(run: Callable[[], DataFrame]) -> dict[str, float]:
     tracker = spark.sparkContext.statusTracker()
     jobs = [tracker.getJobInfo(j) for j in tracker.getJobIdsForGroup(group)]
     stages = [tracker.getStageInfo(s) for j in jobs if j for s in j.stageIds]
-    return {"seconds": time.perf_counter() - begun, "rows": float(rows), "jobs": float(len(jobs)), "stages": float(len(stages)), "tasks": float(sum(s.numTasks for s in stages if s))}
+    return {
+        "seconds": time.perf_counter() - begun,
+        "rows": float(rows),
+        "jobs": float(len(jobs)),
+        "stages": float(len(stages)),
+        "tasks": float(sum(s.numTasks for s in stages if s)),
+    }

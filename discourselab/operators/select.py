@@ -46,14 +46,22 @@ def match_terms(posts: DataFrame, terms: DataFrame, key: str, text: str, mode: s
         grams = runs_of(F.split("_clean", " "), sorted(lengths) or [1])
         return clean.select(key, F.explode(grams).alias("term")).join(held, "term").select(key, "term").distinct()
     if mode == "regex":
-        return clean.join(held, F.regexp(F.concat(F.lit(" "), "_clean", F.lit(" ")), F.concat(F.lit(r"(?<=\s)\Q"), "term", F.lit(r"\E(?=\s)")))).select(key, "term")
+        return (
+            clean.join(held, F.regexp(F.concat(F.lit(" "), "_clean", F.lit(" ")), F.concat(F.lit(r"(?<=\s)\Q"), "term", F.lit(r"\E(?=\s)"))))
+            .select(key, "term")
+        )
     return clean.join(held, F.contains("_clean", "term")).select(key, "term")
 
 
 def language_share(posts: DataFrame, stage: str) -> DataFrame:
     """(stage, lang, n, share)."""
     total = posts.agg(F.count("*").alias("total"))
-    return posts.groupBy("lang").agg(F.count("*").alias("n")).crossJoin(F.broadcast(total)).select(F.lit(stage).alias("stage"), "lang", "n", (F.col("n") / F.col("total")).alias("share"))
+    return (
+        posts.groupBy("lang")
+        .agg(F.count("*").alias("n"))
+        .crossJoin(F.broadcast(total))
+        .select(F.lit(stage).alias("stage"), "lang", "n", (F.col("n") / F.col("total")).alias("share"))
+    )
 
 
 def group_counts(scored: DataFrame, score: str) -> DataFrame:

@@ -20,7 +20,10 @@ def once_per_group(posts: DataFrame, members: DataFrame, groups: DataFrame) -> D
 def daily_measures(grouped: DataFrame, score: str = "sentiment", tau: float = 0.5) -> DataFrame:
     """(group_id, day, n_posts, mean_score, strong_share, sum_score)."""
     strong = F.avg(is_strong(F.col(score), tau).cast("double"))
-    return grouped.groupBy("group_id", "day").agg(F.count("*").alias("n_posts"), F.avg(score).alias("mean_score"), strong.alias("strong_share"), F.sum(score).alias("sum_score"))
+    return (
+        grouped.groupBy("group_id", "day")
+        .agg(F.count("*").alias("n_posts"), F.avg(score).alias("mean_score"), strong.alias("strong_share"), F.sum(score).alias("sum_score"))
+    )
 
 
 def daily_incidents(incidents: DataFrame) -> DataFrame:
@@ -62,12 +65,22 @@ def paired_series(posts: DataFrame, incidents: DataFrame, start: str, end: str,
     p = rolling(densify(posts, start, end, ("n_posts",)), MEASURES, days, min_periods=min_periods)
     i = rolling(densify(incidents, start, end, ("n_incidents",)), ("n_incidents",), days, min_periods=min_periods)
     both = p.join(i, ["group_id", "day"], "left")
-    return both.select("group_id", "day", F.col("n_posts").alias("r_posts"), F.col("mean_score").alias("r_score"), F.col("strong_share").alias("r_strong"), F.col("n_incidents").alias("r_incidents"))
+    return both.select(
+        "group_id",
+        "day",
+        F.col("n_posts").alias("r_posts"),
+        F.col("mean_score").alias("r_score"),
+        F.col("strong_share").alias("r_strong"),
+        F.col("n_incidents").alias("r_incidents"),
+    )
 
 
 def long_form(paired: DataFrame) -> DataFrame:
     """(group_id, day, measure, value, r_incidents), rounded so that equal values tie whatever the order of sums."""
-    return paired.unpivot(["group_id", "day", "r_incidents"], ["r_posts", "r_score", "r_strong"], "measure", "value").withColumns({c: F.round(c, 9) for c in ("value", "r_incidents")})
+    return (
+        paired.unpivot(["group_id", "day", "r_incidents"], ["r_posts", "r_score", "r_strong"], "measure", "value")
+        .withColumns({c: F.round(c, 9) for c in ("value", "r_incidents")})
+    )
 
 
 def correlation_table(paired: DataFrame) -> DataFrame:
@@ -98,12 +111,20 @@ def cross_group_corr(paired: DataFrame, a: int, b: int) -> DataFrame:
 def peaks(long: DataFrame) -> DataFrame:
     """(group_id, measure, peak_day, peak_value): the first day of each series' maximum."""
     held = long.where("value is not null")
-    return held.groupBy("group_id", "measure").agg(F.max(F.struct("value", (-F.unix_date("day")).alias("d"))).alias("m")).select("group_id", "measure", F.date_from_unix_date(-F.col("m.d")).alias("peak_day"), F.col("m.value").alias("peak_value"))
+    return (
+        held.groupBy("group_id", "measure")
+        .agg(F.max(F.struct("value", (-F.unix_date("day")).alias("d"))).alias("m"))
+        .select("group_id", "measure", F.date_from_unix_date(-F.col("m.d")).alias("peak_day"), F.col("m.value").alias("peak_value"))
+    )
 
 
 def series_summary(long: DataFrame) -> DataFrame:
     low, high = F.min("value"), F.max("value")
-    return long.where("value is not null").groupBy("group_id", "measure").agg(low.alias("low"), F.avg("value").alias("mean"), high.alias("high"), (high - low).alias("span"))
+    return (
+        long.where("value is not null")
+        .groupBy("group_id", "measure")
+        .agg(low.alias("low"), F.avg("value").alias("mean"), high.alias("high"), (high - low).alias("span"))
+    )
 
 
 def decay(long: DataFrame, frac: float = 0.5) -> DataFrame:
@@ -118,10 +139,17 @@ def event_window(long: DataFrame, calendar: DataFrame, k: int = 30) -> DataFrame
     """(group_id, measure, event_day, before, after): means over k days before and after dated events."""
     near = long.join(F.broadcast(calendar), "group_id").where((F.datediff("day", "event_day") >= -k) & (F.datediff("day", "event_day") <= k))
     side = lambda cond: F.avg(F.when(cond, F.col("value")))
-    return near.groupBy("group_id", "measure", "event_day").agg(side(F.col("day") < F.col("event_day")).alias("before"), side(F.col("day") > F.col("event_day")).alias("after"))
+    return (
+        near.groupBy("group_id", "measure", "event_day")
+        .agg(side(F.col("day") < F.col("event_day")).alias("before"), side(F.col("day") > F.col("event_day")).alias("after"))
+    )
 
 
 def annotate_events(weekly: DataFrame, calendar: DataFrame) -> DataFrame:
     """Marks the weeks that hold a known event of the group."""
     days = F.broadcast(calendar.select(F.col("group_id").alias("_g"), F.to_date(F.date_trunc("week", "event_day")).alias("_week")).distinct())
-    return weekly.join(days, (F.col("group_id") == F.col("_g")) & (F.col("week") == F.col("_week")), "left").withColumn("has_event", F.col("_g").isNotNull()).drop("_g", "_week")
+    return (
+        weekly.join(days, (F.col("group_id") == F.col("_g")) & (F.col("week") == F.col("_week")), "left")
+        .withColumn("has_event", F.col("_g").isNotNull())
+        .drop("_g", "_week")
+    )

@@ -23,7 +23,9 @@ SAMPLE, PROBES, CELL_ROWS = 4096, 256, 4096
 
 def embed(docs: DataFrame, key: str, text: str, method: str = "hash", size: int = 64) -> DataFrame:
     """(vec_id, embedding): unit vectors by hashed term frequencies, or by mean word vectors."""
-    words = Tokenizer(inputCol="_clean", outputCol="_words").transform(docs.select(F.col(key).alias("vec_id"), clean_text(F.coalesce(F.col(text), F.lit(""))).alias("_clean")))
+    words = Tokenizer(inputCol="_clean", outputCol="_words").transform(
+        docs.select(F.col(key).alias("vec_id"), clean_text(F.coalesce(F.col(text), F.lit(""))).alias("_clean"))
+    )
     if method == "w2v":
         made = Word2Vec(vectorSize=size, minCount=2, seed=1, inputCol="_words", outputCol="_raw").fit(words).transform(words)
     else:
@@ -60,11 +62,17 @@ def cluster_centroid(vectors: DataFrame, k: int, min_topic_size: int = 30, radiu
     model = KMeans(k=k, seed=seed, distanceMeasure="cosine").fit(dense)
     assigned = model.transform(dense).select("vec_id", F.col("prediction").alias("topic_id"), vector_to_array("features").alias("v"))
     if radius is not None:
-        centers = vectors.sparkSession.createDataFrame([(k, [float(x) for x in c]) for k, c in enumerate(model.clusterCenters())], "topic_id int, c array<double>")
+        centers = vectors.sparkSession.createDataFrame(
+            [(k, [float(x) for x in c]) for k, c in enumerate(model.clusterCenters())],
+            "topic_id int, c array<double>",
+        )
         cosine = dot(F.col("v"), F.col("c")) / F.sqrt(dot(F.col("v"), F.col("v")) * dot(F.col("c"), F.col("c")))
         assigned = assigned.join(F.broadcast(centers), "topic_id").withColumn("topic_id", F.when(1 - cosine <= radius, F.col("topic_id")).otherwise(OUTLIER))
     sizes = assigned.groupBy("topic_id").agg(F.count("*").alias("size"))
-    return assigned.join(F.broadcast(sizes), "topic_id").select("vec_id", F.when(F.col("size") >= min_topic_size, F.col("topic_id")).otherwise(OUTLIER).cast("int").alias("topic_id"))
+    return (
+        assigned.join(F.broadcast(sizes), "topic_id")
+        .select("vec_id", F.when(F.col("size") >= min_topic_size, F.col("topic_id")).otherwise(OUTLIER).cast("int").alias("topic_id"))
+    )
 
 
 def _cell_centers(sample: np.ndarray, count: int, seed: int) -> np.ndarray:
@@ -261,7 +269,11 @@ def soft_membership(vectors: DataFrame, held: DataFrame, temperature: float = 0.
 
     The centers are as many as there are topics, so they are broadcast.
     """
-    scored = vectors.select("vec_id", "embedding").crossJoin(F.broadcast(held)).select("vec_id", "topic_id", F.exp(dot(F.col("embedding"), F.col("center")) / temperature).alias("e"))
+    scored = (
+        vectors.select("vec_id", "embedding")
+        .crossJoin(F.broadcast(held))
+        .select("vec_id", "topic_id", F.exp(dot(F.col("embedding"), F.col("center")) / temperature).alias("e"))
+    )
     return scored.select("vec_id", "topic_id", (F.col("e") / F.sum("e").over(Window.partitionBy("vec_id"))).alias("p"))
 
 
@@ -275,7 +287,10 @@ def rescue_outliers(members: DataFrame, cut_p: float, p_min: float = 0.01, key:
     best = F.max("p").over(Window.partitionBy(key))
     top = F.row_number().over(Window.partitionBy(key).orderBy(F.desc("p"), "topic_id"))
     ranked = members.select(key, "topic_id", "p", best.alias("_best"), top.alias("_top"))
-    return ranked.where(((F.col("_best") >= cut_p) & (F.col("_top") == 1)) | ((F.col("_best") < cut_p) & (F.col("p") >= p_min))).select(key, "topic_id", "p", (F.col("_best") < cut_p).alias("rescued"))
+    return (
+        ranked.where(((F.col("_best") >= cut_p) & (F.col("_top") == 1)) | ((F.col("_best") < cut_p) & (F.col("p") >= p_min)))
+        .select(key, "topic_id", "p", (F.col("_best") < cut_p).alias("rescued"))
+    )
 
 
 def class_tfidf(texts: DataFrame, low: int = 1, high: int = 3) -> DataFrame:
@@ -287,7 +302,11 @@ def class_tfidf(texts: DataFrame, low: int = 1, high: int = 3) -> DataFrame:
     counts = texts.select("topic_id", F.explode(grams).alias("term")).where("term <> ''").groupBy("topic_id", "term").agg(F.count("*").alias("tf"))
     overall = counts.groupBy("term").agg(F.sum("tf").alias("all"))
     mean = counts.agg((F.sum("tf") / F.count_distinct("topic_id")).alias("a"))
-    return counts.join(overall, "term").crossJoin(F.broadcast(mean)).select("topic_id", "term", (F.col("tf") * F.ln(1 + F.col("a") / F.col("all"))).alias("weight"))
+    return (
+        counts.join(overall, "term")
+        .crossJoin(F.broadcast(mean))
+        .select("topic_id", "term", (F.col("tf") * F.ln(1 + F.col("a") / F.col("all"))).alias("weight"))
+    )
 
 
 def top_terms(weights: DataFrame, k: int) -> DataFrame:
@@ -304,17 +323,30 @@ def name_topics(weights: DataFrame, top_n_words: int = 15) -> DataFrame:
 def topic_summary(assigned: DataFrame, key: str) -> DataFrame:
     """(topic_id, n_posts, share)."""
     total = assigned.agg(F.count_distinct(key).alias("total"))
-    return assigned.groupBy("topic_id").agg(F.count_distinct(key).alias("n_posts")).crossJoin(F.broadcast(total)).select("topic_id", "n_posts", (F.col("n_posts") / F.col("total")).alias("share"))
+    return (
+        assigned.groupBy("topic_id")
+        .agg(F.count_distinct(key).alias("n_posts"))
+        .crossJoin(F.broadcast(total))
+        .select("topic_id", "n_posts", (F.col("n_posts") / F.col("total")).alias("share"))
+    )
 
 
 def group_summary(members: DataFrame, groups: DataFrame) -> DataFrame:
     """(group_id, n_topics, n_posts); a post counts once in a group, topics outside the map are dropped."""
-    return members.join(F.broadcast(groups), "topic_id").groupBy("group_id").agg(F.count_distinct("topic_id").alias("n_topics"), F.count_distinct("post_id").alias("n_posts"))
+    return (
+        members.join(F.broadcast(groups), "topic_id")
+        .groupBy("group_id")
+        .agg(F.count_distinct("topic_id").alias("n_topics"), F.count_distinct("post_id").alias("n_posts"))
+    )
 
 
 def flag_noise_topics(texts: DataFrame, max_repeat: float = 0.5) -> DataFrame:
     """(topic_id, n, distinct_texts, noise): topics that mostly repeat the same texts."""
-    return texts.groupBy("topic_id").agg(F.count("*").alias("n"), F.count_distinct(F.xxhash64("text")).alias("distinct_texts")).withColumn("noise", F.col("distinct_texts") < (1 - max_repeat) * F.col("n"))
+    return (
+        texts.groupBy("topic_id")
+        .agg(F.count("*").alias("n"), F.count_distinct(F.xxhash64("text")).alias("distinct_texts"))
+        .withColumn("noise", F.col("distinct_texts") < (1 - max_repeat) * F.col("n"))
+    )
 
 
 def weekly_share(members: DataFrame, posts: DataFrame, denominator: str = "topic") -> DataFrame:
@@ -328,4 +360,8 @@ def weekly_share(members: DataFrame, posts: DataFrame, denominator: str = "topic
 def pick_topics(groups: DataFrame, per_group: int = 2, seed: int | None = None) -> DataFrame:
     """(group_id, topic_id): some topics of each group, by a seeded hash or by a fixed modular order."""
     key = F.xxhash64(F.lit(seed), "topic_id") if seed is not None else (F.col("topic_id") * 7) % 23
-    return groups.withColumn("_r", F.row_number().over(Window.partitionBy("group_id").orderBy(key, "topic_id"))).where(F.col("_r") <= per_group).select("group_id", "topic_id")
+    return (
+        groups.withColumn("_r", F.row_number().over(Window.partitionBy("group_id").orderBy(key, "topic_id")))
+        .where(F.col("_r") <= per_group)
+        .select("group_id", "topic_id")
+    )

@@ -35,7 +35,13 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         wide = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
         low = wide.groupBy("u").agg(F.min("v").alias("m"))
-        return wide.join(low, "u").select(F.explode(F.array(F.struct("u", "m"), F.struct(F.col("v").alias("u"), "m"))).alias("e")).select(F.col("e.u").alias("u"), F.col("e.m").alias("v")).where("u > v").distinct()
+        return (
+            wide.join(low, "u")
+            .select(F.explode(F.array(F.struct("u", "m"), F.struct(F.col("v").alias("u"), "m"))).alias("e"))
+            .select(F.col("e.u").alias("u"), F.col("e.m").alias("v"))
+            .where("u > v")
+            .distinct()
+        )
 
     start = edges.select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).where("u > v").distinct()
     stars = until_stable(start, step, lambda d: d.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first(), max_rounds)

@@ -25,7 +25,14 @@ def posts_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     n = docs.agg(F.count("*")).first()[0]
     events = table(spark, sf_dir, "events")
     texts = docs.select(F.col("doc_id"), F.col("text").alias("body"), "lang", "source")
-    posts = events.select(F.col("event_id").alias("post_id"), F.col("user_id").alias("author_id"), F.col("ts").cast("timestamp").alias("posted_at"), F.to_date("ts").alias("day"), F.col("event_type").alias("kind"), F.pmod("event_id", F.lit(max(1, n))).alias("doc_id"))
+    posts = events.select(
+        F.col("event_id").alias("post_id"),
+        F.col("user_id").alias("author_id"),
+        F.col("ts").cast("timestamp").alias("posted_at"),
+        F.to_date("ts").alias("day"),
+        F.col("event_type").alias("kind"),
+        F.pmod("event_id", F.lit(max(1, n))).alias("doc_id"),
+    )
     return posts.join(texts, "doc_id")
 
 
@@ -33,19 +40,32 @@ def posts_retail(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(post_id, author_id, day, month, sentiment) over eighty months."""
     x = 4 * (F.col("o_totalprice") - 250000) / 250000
     day = F.to_date("o_orderdate")
-    return table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("post_id"), F.col("o_custkey").alias("author_id"), day.alias("day"), F.trunc(day, "month").alias("month"), (x / F.sqrt(x * x + 15)).alias("sentiment"))
+    return table(spark, sf_dir, "orders").select(
+        F.col("o_orderkey").alias("post_id"),
+        F.col("o_custkey").alias("author_id"),
+        day.alias("day"),
+        F.trunc(day, "month").alias("month"),
+        (x / F.sqrt(x * x + 15)).alias("sentiment"),
+    )
 
 
 def profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(user_id, followers); followers are never negative."""
-    return table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), F.greatest(F.lit(0), F.floor("c_acctbal")).cast("long").alias("followers"))
+    return table(spark, sf_dir, "customer").select(
+        F.col("c_custkey").alias("user_id"),
+        F.greatest(F.lit(0), F.floor("c_acctbal")).cast("long").alias("followers"),
+    )
 
 
 def membership_retail(spark: SparkSession, sf_dir: str, min_p: float = MIN_P) -> DataFrame:
     """(post_id, topic_id, p): share of each brand in an order's quantity, if at least ``min_p``."""
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_quantity")
     parts = table(spark, sf_dir, "part").select("p_partkey", F.substring("p_brand", 7, 3).cast("int").alias("topic_id"))
-    parts_of = lines.join(parts, lines.l_partkey == parts.p_partkey).groupBy(F.col("l_orderkey").alias("post_id"), "topic_id").agg(F.sum("l_quantity").alias("q"))
+    parts_of = (
+        lines.join(parts, lines.l_partkey == parts.p_partkey)
+        .groupBy(F.col("l_orderkey").alias("post_id"), "topic_id")
+        .agg(F.sum("l_quantity").alias("q"))
+    )
     p = F.col("q") / F.sum("q").over(Window.partitionBy("post_id"))
     return parts_of.select("post_id", "topic_id", p.alias("p")).where(F.col("p") >= min_p)
 
@@ -64,19 +84,36 @@ def incidents_retail(spark: SparkSession, sf_dir: str) -> DataFrame:
     places = table(spark, sf_dir, "supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_regionkey", "n_name", "r_name")
     kinds = table(spark, sf_dir, "part").select("p_partkey", "p_type")
     joined = lines.join(places, lines.l_suppkey == places.s_suppkey).join(kinds, lines.l_partkey == kinds.p_partkey)
-    return joined.select(F.to_date("l_shipdate").alias("day"), F.col("n_regionkey").alias("group_id"), F.col("n_name").alias("motive"), F.col("r_name").alias("category"), F.col("p_type").alias("offence"), F.col("l_quantity").alias("severity"))
+    return joined.select(
+        F.to_date("l_shipdate").alias("day"),
+        F.col("n_regionkey").alias("group_id"),
+        F.col("n_name").alias("motive"),
+        F.col("r_name").alias("category"),
+        F.col("p_type").alias("offence"),
+        F.col("l_quantity").alias("severity"),
+    )
 
 
 def incidents_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(incident_id, occurred_at, day, group_id, motive) from error events."""
     errors = table(spark, sf_dir, "events").where("event_type = 'error'")
-    return errors.select(F.col("event_id").alias("incident_id"), F.col("ts").cast("timestamp").alias("occurred_at"), F.to_date("ts").alias("day"), (F.col("user_id") % 5).cast("int").alias("group_id"), F.get_json_object("props", "$.k").cast("int").alias("motive"))
+    return errors.select(
+        F.col("event_id").alias("incident_id"),
+        F.col("ts").cast("timestamp").alias("occurred_at"),
+        F.to_date("ts").alias("day"),
+        (F.col("user_id") % 5).cast("int").alias("group_id"),
+        F.get_json_object("props", "$.k").cast("int").alias("motive"),
+    )
 
 
 def threads(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(post_id, author_id, reply_to) of conversation turns; each replies to the one before."""
     key = lambda turn: F.concat_ws(":", F.col("conv_id").cast("string"), turn.cast("string"))
-    return table(spark, sf_dir, "conversations").select(key(F.col("turn")).alias("post_id"), F.concat_ws(":", F.col("conv_id").cast("string"), "role").alias("author_id"), F.when(F.col("turn") > 0, key(F.col("turn") - 1)).alias("reply_to"))
+    return table(spark, sf_dir, "conversations").select(
+        key(F.col("turn")).alias("post_id"),
+        F.concat_ws(":", F.col("conv_id").cast("string"), "role").alias("author_id"),
+        F.when(F.col("turn") > 0, key(F.col("turn") - 1)).alias("reply_to"),
+    )
 
 
 def replies_stream(spark: SparkSession, sf_dir: str, within_seconds: int = 3600) -> DataFrame:
@@ -85,7 +122,12 @@ def replies_stream(spark: SparkSession, sf_dir: str, within_seconds: int = 3600)
     The order is by k and day, so no task sorts more than a day of one k; the first event of a day takes the
     last one of the day before.
     """
-    events = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    events = table(spark, sf_dir, "events").select(
+        "event_id",
+        F.col("ts").cast("timestamp").alias("ts"),
+        "user_id",
+        F.get_json_object("props", "$.k").cast("int").alias("k"),
+    )
     events = events.withColumn("day", F.to_date("ts"))
     order = Window.partitionBy("k", "day").orderBy("ts", "event_id")
     within = events.withColumn("dst_user", F.lag("user_id").over(order)).withColumn("before", F.lag("ts").over(order))
@@ -103,7 +145,12 @@ def replies_retail(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(post_id, src_user, dst_user, day): an order answers the one before it of its day and priority."""
     order = Window.partitionBy("o_orderdate", "o_orderpriority").orderBy("o_orderkey")
     orders = table(spark, sf_dir, "orders").withColumn("_before", F.lag("o_custkey").over(order)).where("_before <> o_custkey")
-    return orders.select(F.col("o_orderkey").alias("post_id"), F.col("o_custkey").alias("src_user"), F.col("_before").alias("dst_user"), F.to_date("o_orderdate").alias("day"))
+    return orders.select(
+        F.col("o_orderkey").alias("post_id"),
+        F.col("o_custkey").alias("src_user"),
+        F.col("_before").alias("dst_user"),
+        F.to_date("o_orderdate").alias("day"),
+    )
 
 
 def links(spark: SparkSession, sf_dir: str) -> DataFrame:

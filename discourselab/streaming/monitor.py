@@ -73,8 +73,16 @@ def scored(events: DataFrame, valence: DataFrame) -> DataFrame:
 
 def posts_near_incidents(events: DataFrame, hours: int = 1) -> DataFrame:
     """Stream-stream interval join: other events of a user within some hours after an error of theirs."""
-    posts = events.where("event_type <> 'error'").select(F.col("event_id").alias("post"), F.col("user_id").alias("pu"), F.col("ts").alias("pt")).withWatermark("pt", LATE)
-    errors = events.where("event_type = 'error'").select(F.col("event_id").alias("incident"), F.col("user_id").alias("iu"), F.col("ts").alias("it")).withWatermark("it", LATE)
+    posts = (
+        events.where("event_type <> 'error'")
+        .select(F.col("event_id").alias("post"), F.col("user_id").alias("pu"), F.col("ts").alias("pt"))
+        .withWatermark("pt", LATE)
+    )
+    errors = (
+        events.where("event_type = 'error'")
+        .select(F.col("event_id").alias("incident"), F.col("user_id").alias("iu"), F.col("ts").alias("it"))
+        .withWatermark("it", LATE)
+    )
     near = (F.col("pu") == F.col("iu")) & (F.col("pt") >= F.col("it")) & (F.col("pt") <= F.col("it") + F.expr(f"interval {hours} hours"))
     return posts.join(errors, near).select("incident", "post")
 
@@ -97,7 +105,11 @@ class RunningProfile(StatefulProcessor):
 
 
 def running_profiles(events: DataFrame) -> DataFrame:
-    return events.select("user_id", "value").groupBy("user_id").transformWithStateInPandas(RunningProfile(), "user_id long, n long, mean_value double", "Update", "None")
+    return (
+        events.select("user_id", "value")
+        .groupBy("user_id")
+        .transformWithStateInPandas(RunningProfile(), "user_id long, n long, mean_value double", "Update", "None")
+    )
 
 
 def folded_profiles(events: DataFrame) -> DataFrame:

@@ -231,7 +231,12 @@ def w52_density_clusters(spark: SparkSession, d: str) -> DataFrame:
     """Agreement with the labels of density and centroid clustering on planted and on raw vectors."""
     raw = table(spark, d, "embeddings")
     planted = topics.plant(raw, "label", 2.5)
-    rows = [("planted", "density", topics.cluster_density(planted, 20), planted), ("planted", "centroid", topics.cluster_centroid(planted, 10, 20), planted), ("planted", "random", topics.random_topics(planted, 10), planted), ("raw", "density", topics.cluster_density(raw, 20), raw)]
+    rows = [
+        ("planted", "density", topics.cluster_density(planted, 20), planted),
+        ("planted", "centroid", topics.cluster_centroid(planted, 10, 20), planted),
+        ("planted", "random", topics.random_topics(planted, 10), planted),
+        ("raw", "density", topics.cluster_density(raw, 20), raw),
+    ]
     parts = [measures.agreement(found, truth.select("vec_id", "label")).select(F.lit(data).alias("data"), F.lit(how).alias("method"), "purity", "nmi", "ari") for data, how, found, truth in rows]
     out = parts[0]
     for part in parts[1:]:
@@ -321,7 +326,21 @@ def _incident_rows(spark: SparkSession, d: str) -> DataFrame:
     """Incidents with a key: the row's columns and its number among equal rows."""
     inc = _clipped(spark, d)
     n = F.row_number().over(inc_window())
-    return inc.withColumn("_n", n).select(F.concat_ws("|", F.col("day").cast("string"), "motive", "offence", F.col("severity").cast("long").cast("string"), F.col("_n").cast("string")).alias("incident_id"), "day", "group_id")
+    return (
+        inc.withColumn("_n", n)
+        .select(
+            F.concat_ws(
+                "|",
+                F.col("day").cast("string"),
+                "motive",
+                "offence",
+                F.col("severity").cast("long").cast("string"),
+                F.col("_n").cast("string"),
+            ).alias("incident_id"),
+            "day",
+            "group_id",
+        )
+    )
 
 
 def inc_window():
@@ -334,7 +353,15 @@ def _edges(spark: SparkSession, d: str) -> DataFrame:
     events = table(spark, d, "events")
     tagged = events.select(F.col("event_id").alias("post_id"), F.concat(F.lit("k"), F.get_json_object("props", "$.k")).alias("tag"))
     pages = cv.links(spark, d).select(F.col("author").alias("src_user"), F.explode("tags").alias("dst_user"))
-    return graph.build_edges(cv.posts_retail(spark, d), cv.membership_retail(spark, d), cv.topic_groups(spark), _incident_rows(spark, d), tagged, cv.replies_stream(spark, d), pages)
+    return graph.build_edges(
+        cv.posts_retail(spark, d),
+        cv.membership_retail(spark, d),
+        cv.topic_groups(spark),
+        _incident_rows(spark, d),
+        tagged,
+        cv.replies_stream(spark, d),
+        pages,
+    )
 
 
 def w29_kg_nodes(spark: SparkSession, d: str) -> DataFrame:
@@ -360,7 +387,13 @@ def w30c_written_graph(spark: SparkSession, d: str) -> DataFrame:
     """Relations read back from a graph written by relation."""
     path = scratch(spark, "graph")
     graph.write_graph(_edges(spark, d), path)
-    return spark.read.parquet(path).where("rel in ('victimized', 'associated_with')").groupBy("rel").agg(F.count("*").alias("n"), F.sum("weight").alias("weight"))
+    return (
+        spark.read
+        .parquet(path)
+        .where("rel in ('victimized', 'associated_with')")
+        .groupBy("rel")
+        .agg(F.count("*").alias("n"), F.sum("weight").alias("weight"))
+    )
 
 
 def w30d_dated_edges(spark: SparkSession, d: str) -> DataFrame:
@@ -388,12 +421,24 @@ def w32_kg_mean_topics(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w33_date_bridge(spark: SparkSession, d: str) -> DataFrame:
-    return graph.date_bridge(_edges(spark, d)).select(F.to_date(F.substring_index("day", ":", -1)).alias("day"), F.substring_index("group", ":", -1).cast("int").alias("group_id"), "n_posts", "n_incidents")
+    return (
+        graph.date_bridge(_edges(spark, d))
+        .select(
+            F.to_date(F.substring_index("day", ":", -1)).alias("day"),
+            F.substring_index("group", ":", -1).cast("int").alias("group_id"),
+            "n_posts",
+            "n_incidents",
+        )
+    )
 
 
 def w34_match_path(spark: SparkSession, d: str) -> DataFrame:
     found = graph.match_path(_edges(spark, d), ("tweeted", "in_topic", "associated_with"))
-    return found.select(F.substring_index("first", ":", -1).cast("long").alias("user_id"), F.substring_index("last", ":", -1).cast("int").alias("group_id"), "paths")
+    return found.select(
+        F.substring_index("first", ":", -1).cast("long").alias("user_id"),
+        F.substring_index("last", ":", -1).cast("int").alias("group_id"),
+        "paths",
+    )
 
 
 def w34b_subgraph(spark: SparkSession, d: str) -> DataFrame:
@@ -480,7 +525,12 @@ def w37b_louvain_weighted(spark: SparkSession, d: str) -> DataFrame:
 def _given_labels(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """Snapshots of a quarter, and labels by dominant topic of each post and user."""
     posts = select.clip_period(cv.posts_retail(spark, d), "day", "1996-01-01", "1996-12-31")
-    inside = cv.membership_retail(spark, d).join(F.broadcast(_topics_of(spark, 0)), "topic_id", "left_semi").join(posts, "post_id").withColumn("period", F.to_date(F.date_trunc("quarter", "day")))
+    inside = (
+        cv.membership_retail(spark, d)
+        .join(F.broadcast(_topics_of(spark, 0)), "topic_id", "left_semi")
+        .join(posts, "post_id")
+        .withColumn("period", F.to_date(F.date_trunc("quarter", "day")))
+    )
     top = lambda key, kind: inside.groupBy("period", key, "topic_id").agg(F.sum("p").alias("p")).groupBy("period", key).agg(F.max(F.struct(F.round("p", 9).alias("p"), (-F.col("topic_id")).alias("t"))).alias("m")).select("period", F.concat(F.lit(f"{kind}:"), F.col(key).cast("string")).alias("node"), (-F.col("m.t")).alias("community"))
     own = inside.select("period", F.concat(F.lit("topic:"), F.col("topic_id").cast("string")).alias("node"), F.col("topic_id").alias("community")).distinct()
     return _snapshots(spark, d, 0, "quarter", "1996-01-01", "1996-12-31"), top("post_id", "post").unionByName(top("author_id", "user")).unionByName(own)
