@@ -283,7 +283,8 @@ def keep_one_each(docs: DataFrame) -> DataFrame:
     rows = docs.withColumn(text, F.xxhash64(F.coalesce("text", F.lit(""))))
     points = cut(rows.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text).mapInArrow(_row_points, "doc_id long, fp long, hash long"))
     first = F.min(F.struct(F.isnull("doc_id").alias("last"), "doc_id", "hash")).alias("x")
-    stays = points.join(fingerprint_groups(points), "fp").groupBy("root").agg(first).select(F.col("x.doc_id").alias(doc), F.col("x.hash").alias(key))
+    least = points.groupBy("fp").agg(first).join(fingerprint_groups(points), "fp").groupBy("root").agg(F.min("x").alias("x"))
+    stays = least.select(F.col("x.doc_id").alias(doc), F.col("x.hash").alias(key))
     kept = rows.join(stays, rows["doc_id"].cast("long").eqNullSafe(stays[doc]) & (rows[text] == stays[key]), "left_semi")
     repeated = points.groupBy("doc_id", "hash").agg(F.count("*").alias("n")).where("n > 1")
     return (kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id", text])).select(*docs.columns)
