@@ -608,7 +608,8 @@ def repeated_spans(docs: DataFrame, hot_limit: int = HOT) -> DataFrame:
     different = places.groupBy("anchor", "seg").agg(F.min("doc_id").alias("holder"), F.count("*").alias("copies"))
     shard = F.pmod("anchor", F.lit(cuts)).cast("int").alias("shard")
     owners = different.select(shard, *_names("seg"), "seg", "holder", "copies").groupBy("shard").applyInArrow(_index_shard, _OWNERS)
-    met = places.select("doc_id", "key", "start", *_names("seg")).join(owners, ["a", "b"])
+    # owners are one row a name, so the hashed side has no skew and the many places need no sort
+    met = places.select("doc_id", "key", "start", *_names("seg")).join(owners.hint("shuffle_hash"), ["a", "b"])
     zipped = F.filter(F.arrays_zip("starts", "ends", "holders"), lambda x: x["holders"] < F.col("doc_id"))
     moved = F.transform(zipped, lambda x: F.struct((x["starts"] + F.col("start")).alias("s"), (x["ends"] + F.col("start")).alias("e")))
     found = met.select("doc_id", "key", moved.alias("x")).where(F.size("x") > 0)
