@@ -1,6 +1,7 @@
 """The whole job where older queries read a part: brute force on small tables."""
 
 import math
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -53,3 +54,30 @@ def test_factorised_weights_equal_naive_ones_of_all_users(spark, small):
     for cell in (20_000, 50):
         found = {(r.a, r.b): r.weight for r in influence.pair_weights(profiles, (), cell).collect()}
         assert users.count() > 30 and found == pytest.approx(naive)
+
+
+def joined_weights(profiles, by):
+    """The definition by a join of profiles."""
+    left = profiles.select(*by, F.col("user_id").alias("a"), "topic_id", F.col("s").alias("x"))
+    right = profiles.select(*by, F.col("user_id").alias("b"), "topic_id", F.col("s").alias("y"))
+    met = left.join(right, [*by, "topic_id"]).where("a < b").groupBy(*by, "a", "b").agg(F.sum(F.col("x") * F.col("y")).alias("weight"))
+    return {tuple(r[:-1]): r.weight for r in met.collect()}
+
+
+def shuffles(df):
+    return df._jdf.queryExecution().executedPlan().toString().count("Exchange")
+
+
+@pytest.mark.parametrize("values", [(0.0, 1.0, -2.0, 0.5), (None, 0.0, 1.0), (None, 0.0, 3.0, float("inf"), float("nan"))])
+def test_pairs_are_made_once_and_never_shuffled(spark, values):
+    """Keys and values may be null, weights may be zero; a pair is there if it shares a topic."""
+    rng = random.Random(5)
+    keys = {(rng.choice([0, 1, None]), rng.choice([*range(30), None]), rng.choice([1, 2, 3, 8, 9, None])) for _ in range(200)}
+    rows = [(*k, rng.choice(values)) for k in sorted(keys, key=str)]
+    profiles = spark.createDataFrame(rows, "group_id int, user_id long, topic_id int, s double")
+    expected = joined_weights(profiles, ("group_id",))
+    for cell in (20_000, 20):
+        df = influence.pair_weights(profiles, ("group_id",), cell)
+        assert shuffles(df) == 0
+        found = {tuple(r[:-1]): r.weight for r in df.collect()}
+        assert len(found) > 100 and found == pytest.approx(expected, nan_ok=True)
