@@ -81,3 +81,27 @@ def test_pairs_are_made_once_and_never_shuffled(spark, values):
         assert shuffles(df) == 0
         found = {tuple(r[:-1]): r.weight for r in df.collect()}
         assert len(found) > 100 and found == pytest.approx(expected, nan_ok=True)
+
+
+def test_every_pair_of_posts_counts_without_a_shuffle_of_pairs(spark):
+    """Posts of many sizes; some users share no topic, and two write the same."""
+    rng = random.Random(7)
+    posts = [(p, rng.choice([0, 1, 1, 1, *range(2, 25), None])) for p in range(150)]
+    members = sorted({(p, rng.randrange(12)) for p, _ in posts for _ in range(rng.choice([0, 1, 1, 3]))})
+    p = {k: rng.choice([0.0, 0.25, 0.5, 1.0, None]) for k in members}
+    users = [*range(20), None]
+    wrote = spark.createDataFrame(posts, "post_id long, author_id long")
+    about = spark.createDataFrame([(*k, v) for k, v in p.items()], "post_id long, topic_id int, p double")
+    expected, author = {}, dict(posts)
+    for (one, topic), x in p.items():
+        for (other, same), y in p.items():
+            a, b = author[one], author[other]
+            if topic == same and a in users and b in users and a is not None and b is not None and a < b:
+                term = None if x is None or y is None else x * y
+                before = expected.get((a, b))
+                expected[a, b] = before if term is None else (before or 0.0) + term
+    for cell in (20_000, 30):
+        df = influence.pair_weight_naive(wrote, about, spark.createDataFrame([(u,) for u in users], "user_id long"), cell)
+        assert shuffles(df) == 0
+        found = {(r.a, r.b): r.weight for r in df.collect()}
+        assert len(found) > 50 and found == pytest.approx(expected)
