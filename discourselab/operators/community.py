@@ -129,8 +129,8 @@ def louvain(edges: DataFrame, resolution: float = 1.0, task_edges: int = 2_000_0
 
 
 def modularity(edges: DataFrame, labels: DataFrame, resolution: float = 1.0) -> DataFrame:
-    """(period, modularity) of a labelling of undirected weighted snapshots."""
-    named = labels.select("period", F.col("node"), F.col("community"))
+    """(period, modularity) of a labelling of undirected weighted snapshots. Labels, as many as nodes, are not broadcast."""
+    named = labels.select("period", F.col("node"), F.col("community")).hint("merge")
     both = (
         edges.join(named.withColumnsRenamed({"node": "src", "community": "c1"}), ["period", "src"])
         .join(named.withColumnsRenamed({"node": "dst", "community": "c2"}), ["period", "dst"])
@@ -221,15 +221,15 @@ def label_propagation(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     labels = both.select("period", F.col("src").alias("node")).distinct().withColumn("community", F.col("node"))
     for turn in range(max_rounds):
         around = (
-            both.join(labels.withColumnRenamed("node", "dst"), ["period", "dst"])
+            both.join(labels.withColumnRenamed("node", "dst").hint("merge"), ["period", "dst"])
             .groupBy("period", F.col("src").alias("node"), "community")
             .agg(F.round(F.sum("weight"), 9).alias("w"))
         )
         own = labels.withColumnRenamed("community", "own")
         order = F.struct(-F.col("w"), (F.col("community") != F.col("own")).cast("int"), "community")
-        wanted = cut(around.join(own, ["period", "node"]).groupBy("period", "node", "own").agg(F.min_by("community", order).alias("community")))
+        wanted = cut(around.join(own.hint("merge"), ["period", "node"]).groupBy("period", "node", "own").agg(F.min_by("community", order).alias("community")))
         if wanted.where("community <> own").isEmpty():
-            return wanted.select("period", "node", "community")
+            return settle(wanted.select("period", "node", "community"))
         may = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(2)) == 0
         labels = wanted.select("period", "node", F.when(may, F.col("community")).otherwise(F.col("own")).alias("community"))
     raise RuntimeError(f"labels still move after {max_rounds} rounds")

@@ -105,3 +105,17 @@ def test_every_pair_of_posts_counts_without_a_shuffle_of_pairs(spark):
         assert shuffles(df) == 0
         found = {(r.a, r.b): r.weight for r in df.collect()}
         assert len(found) > 50 and found == pytest.approx(expected)
+
+
+def test_label_propagation_sends_no_labels_to_the_driver_and_reads_lines_once(spark, small):
+    df = workloads.queries()["w37d_label_propagation"](spark, small)
+    assert not any("lineitem" in f for f in df.inputFiles())
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortMergeJoin") >= 2 and "modularity" in df.columns
+    assert df.count() == 1
+
+
+def test_memberships_of_some_posts_are_those_of_all(spark, small):
+    posts = cv.posts_retail(spark, small).where("post_id % 3 = 1")
+    some = {(r.post_id, r.topic_id, r.p) for r in cv.membership_retail(spark, small, posts=posts).collect()}
+    assert some and some == {(r.post_id, r.topic_id, r.p) for r in cv.membership_retail(spark, small).where("post_id % 3 = 1").collect()}
