@@ -119,3 +119,9 @@ def test_memberships_of_some_posts_are_those_of_all(spark, small):
     posts = cv.posts_retail(spark, small).where("post_id % 3 = 1")
     some = {(r.post_id, r.topic_id, r.p) for r in cv.membership_retail(spark, small, posts=posts).collect()}
     assert some and some == {(r.post_id, r.topic_id, r.p) for r in cv.membership_retail(spark, small).where("post_id % 3 = 1").collect()}
+
+
+def test_recursion_reads_all_orders(spark, small):
+    rows = workloads.queries()["op_recursive_cte"](spark, small).collect()
+    n = spark.read.parquet(f"{small}/orders.parquet").count()
+    assert len(rows) == 12 and {r.n for r in rows} == {n} and 0 < sum(r.held for r in rows) <= n
