@@ -125,3 +125,10 @@ def test_recursion_reads_all_orders(spark, small):
     rows = workloads.queries()["op_recursive_cte"](spark, small).collect()
     n = spark.read.parquet(f"{small}/orders.parquet").count()
     assert len(rows) == 12 and {r.n for r in rows} == {n} and 0 < sum(r.held for r in rows) <= n
+
+
+@pytest.mark.parametrize("name", ["op_replay_source", "op_stream_replay"])
+def test_all_events_are_replayed(spark, small, name):
+    whole = spark.read.parquet(f"{small}/events.parquet").select("event_id", "user_id", "event_type", F.round("value", 6).alias("value"))
+    df = workloads.queries()[name](spark, small)
+    assert df.count() == whole.count() and df.exceptAll(whole).isEmpty()
