@@ -132,3 +132,8 @@ def test_all_events_are_replayed(spark, small, name):
     whole = spark.read.parquet(f"{small}/events.parquet").select("event_id", "user_id", "event_type", F.round("value", 6).alias("value"))
     df = workloads.queries()[name](spark, small)
     assert df.count() == whole.count() and df.exceptAll(whole).isEmpty()
+
+
+def test_the_rate_source_numbers_all_events(spark, small):
+    found = sorted(r.value for r in workloads.queries()["op_stream_rate"](spark, small).collect())
+    assert found == sorted(r.event_id for r in spark.read.parquet(f"{small}/events.parquet").select("event_id").collect())
