@@ -137,3 +137,8 @@ def test_all_events_are_replayed(spark, small, name):
 def test_the_rate_source_numbers_all_events(spark, small):
     found = sorted(r.value for r in workloads.queries()["op_stream_rate"](spark, small).collect())
     assert found == sorted(r.event_id for r in spark.read.parquet(f"{small}/events.parquet").select("event_id").collect())
+
+
+def test_weights_of_all_topics_are_made_without_a_shuffle_of_pairs(spark, small):
+    df = workloads.queries()["w45b_pair_weights_factorised"](spark, small)
+    assert shuffles(df) == 0 and df.select("a", "b").distinct().count() == df.count()
