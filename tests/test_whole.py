@@ -142,3 +142,21 @@ def test_the_rate_source_numbers_all_events(spark, small):
 def test_weights_of_all_topics_are_made_without_a_shuffle_of_pairs(spark, small):
     df = workloads.queries()["w45b_pair_weights_factorised"](spark, small)
     assert shuffles(df) == 0 and df.select("a", "b").distinct().count() == df.count()
+
+
+def test_many_pairs_come_in_few_files_and_few_pairs_in_a_task_for_each_core(spark):
+    blocks = influence._blocks(1_033_794, 48_660, 48_660, 20_000, 6)
+    assert 48_660**2 / blocks**2 < 1.1 * influence.PAIRS and blocks * (blocks + 1) // 2 < 200
+    assert influence._blocks(172_299, 8_110, 8_110, 20_000, 6) == 8
+    assert influence._blocks(0, 0, 0, 20_000, 6) == influence._blocks(20_000, 800, 800, 20_000, 6) == 1
+    assert influence._blocks(8_000_000, 1_000, 1_000, 20_000, 6) == 50
+
+
+def test_users_of_many_topics_meet_in_large_blocks(spark):
+    """26,000 rows of 260 users were 26 blocks of 1,000 rows, or 676 tasks, for 33,670 pairs."""
+    profiles = spark.range(26_000).selectExpr("id div 100 as user_id", "cast(id % 100 as int) as topic_id", "1.0d + id % 7 as s")
+    df = influence.pair_weights(profiles, (), 1_000)
+    cores = spark.sparkContext.defaultParallelism
+    assert df.rdd.getNumPartitions() <= max(4 * influence.TASKS * cores, 16)
+    found = {(r.a, r.b): r.weight for r in df.collect()}
+    assert found == pytest.approx({k[-2:]: v for k, v in joined_weights(profiles, ()).items()}) and len(found) == 260 * 259 // 2
