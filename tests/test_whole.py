@@ -160,3 +160,13 @@ def test_users_of_many_topics_meet_in_large_blocks(spark):
     assert df.rdd.getNumPartitions() <= max(4 * influence.TASKS * cores, 16)
     found = {(r.a, r.b): r.weight for r in df.collect()}
     assert found == pytest.approx({k[-2:]: v for k, v in joined_weights(profiles, ()).items()}) and len(found) == 260 * 259 // 2
+
+
+def test_every_group_has_its_pair_weights(spark, small):
+    """Three of the five groups were left out."""
+    posts, groups = cv.posts_retail(spark, small), cv.topic_groups(spark)
+    profiles = influence.user_profiles(posts, cv.membership_retail(spark, small), influence.active_users(posts))
+    expected = joined_weights(influence.restrict(profiles, groups), ("group_id",))
+    found = {tuple(r)[:3]: r.weight for r in workloads.queries()["w44_pair_weights"](spark, small).select("group_id", "a", "b", "weight").collect()}
+    assert {g for g, _, _ in found} == {r.group_id for r in groups.collect()} == set(range(5))
+    assert found == pytest.approx(expected, abs=1e-6)
