@@ -1,13 +1,17 @@
 """The whole job where older queries read a part: brute force on small tables."""
 
+import gc
 import math
 import random
+import time
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
 
 from discourselab import workloads
 from discourselab.operators import influence
+from discourselab.session import shared_base
 from discourselab.sources import carriers as cv
 
 
@@ -170,3 +174,25 @@ def test_every_group_has_its_pair_weights(spark, small):
     found = {tuple(r)[:3]: r.weight for r in workloads.queries()["w44_pair_weights"](spark, small).select("group_id", "a", "b", "weight").collect()}
     assert {g for g, _, _ in found} == {r.group_id for r in groups.collect()} == set(range(5))
     assert found == pytest.approx(expected, abs=1e-6)
+
+
+def test_lines_are_shuffled_by_post_once(spark, small):
+    """They were shuffled by post and topic, and then by post."""
+    posts = cv.posts_retail(spark, small).hint("merge")
+    plan = cv.membership_retail(spark, small).join(posts, "post_id")._jdf.queryExecution().executedPlan().toString()
+    assert "Window" in plan and plan.count("Exchange hashpartitioning") == 2
+
+
+def test_blocks_leave_no_shuffle_files_and_no_rows(spark, small):
+    """They stayed while pairs were made."""
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    shared = Path(shared_base(spark).removeprefix("file:"))
+    files = lambda: {f for d in disk.localDirs() for f in Path(str(d)).glob("*/shuffle_*.data")} | set(shared.glob("pairs-rows-*"))
+    gc.collect()
+    before = files()
+    dfs = [workloads.queries()[f"w4{name}"](spark, small) for name in ("4_pair_weights", "5_pair_weights_naive")]
+    for _ in range(50):
+        if not files() - before:
+            break
+        time.sleep(0.2)
+    assert not files() - before and all(not df.isEmpty() for df in dfs)
