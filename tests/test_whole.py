@@ -190,7 +190,7 @@ def test_blocks_leave_no_shuffle_files_and_no_rows(spark, small):
     files = lambda: {f for d in disk.localDirs() for f in Path(str(d)).glob("*/shuffle_*.data")} | set(shared.glob("pairs-rows-*"))
     gc.collect()
     before = files()
-    dfs = [workloads.queries()[f"w4{name}"](spark, small) for name in ("4_pair_weights", "5_pair_weights_naive")]
+    dfs = [workloads.queries()[f"w4{name}"](spark, small) for name in ("4_pair_weights", "5_pair_weights_naive", "5b_pair_weights_factorised")]
     for _ in range(50):
         if not files() - before:
             break
